@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import mixing, ngram_join, quality_rules, sharding
+from . import decontamination, mixing, ngram_join, quality_rules, secret_automaton, sharding
 
 SHARDS = 24
 
@@ -25,6 +25,14 @@ def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.join(_docs(spark, sf_dir))
 
 
+def op6_secret_automaton(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return secret_automaton.report(_docs(spark, sf_dir))
+
+
+def op7_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return decontamination.report(_docs(spark, sf_dir), spark.read.parquet(f"{sf_dir}/benchmark.parquet"))
+
+
 def op8_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.assign(_docs(spark, sf_dir), SHARDS)
 
@@ -34,7 +42,7 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_quality_rules, op2_ngram_join, op8_sharding, op10_mixing]
+    found = [op1_quality_rules, op2_ngram_join, op6_secret_automaton, op7_decontamination, op8_sharding, op10_mixing]
     return {f.__name__: f for f in found}
 
 
