@@ -6,7 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
-from . import decontamination, mixing, ngram_join, quality_rules, secret_automaton, sharding
+from . import decontamination, mixing, ngram_join, pii_surrogates, quality_classifier, quality_rules, secret_automaton, sharding, token_codes, token_counts
 
 SHARDS = 24
 
@@ -25,6 +25,18 @@ def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return ngram_join.join(_docs(spark, sf_dir))
 
 
+def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_classifier.classify(_docs(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
+
+
+def op4_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return pii_surrogates.rewrite(_docs(spark, sf_dir).select("doc_id", "text"))
+
+
+def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_counts.attribute(_docs(spark, sf_dir))
+
+
 def op6_secret_automaton(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_automaton.report(_docs(spark, sf_dir))
 
@@ -37,12 +49,27 @@ def op8_sharding(spark: SparkSession, sf_dir: str) -> DataFrame:
     return sharding.assign(_docs(spark, sf_dir), SHARDS)
 
 
+def op9_token_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return token_codes.round_trip(_docs(spark, sf_dir))
+
+
 def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(_docs(spark, sf_dir))
 
 
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
-    found = [op1_quality_rules, op2_ngram_join, op6_secret_automaton, op7_decontamination, op8_sharding, op10_mixing]
+    found = [
+        op1_quality_rules,
+        op2_ngram_join,
+        op3_quality_classifier,
+        op4_pii_surrogates,
+        op5_token_counts,
+        op6_secret_automaton,
+        op7_decontamination,
+        op8_sharding,
+        op9_token_codes,
+        op10_mixing,
+    ]
     return {f.__name__: f for f in found}
 
 
