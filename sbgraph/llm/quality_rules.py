@@ -112,7 +112,7 @@ def ledger(docs: DataFrame, text: str = "text") -> DataFrame:
     """Input rows with the measurements and ``failed`` (the rule bits)."""
     m = docs.withColumn("__m", measures(F.col(text)))
     flat = {n: F.col("__m.w")[n] for n in ("n_words", "word_chars", "n_repeat_words", "n_same_next")} | {n: F.col("__m.l")[n] for n in ("n_lines", "n_dup_lines")}
-    flat |= {n: F.col("__m")[n] for n in ("n_symbols", "n_upper", "n_marks", "n_letters", "n_same_next", "n_chars_text")}
+    flat |= {n: F.col("__m")[n] for n in ("n_symbols", "n_upper", "n_marks", "n_letters", "n_chars_text")}
     return m.withColumns(flat).drop("__m").withColumn("failed", _bits())
 
 
