@@ -9,19 +9,17 @@ a *flight* moves three undecided documents at a time along the null space of the
 two balance constraints (words and documents), so both totals stay as they are,
 until at most two documents per group are undecided.  Groups are hash bins of
 bounded size within a source; what they leave undecided flies again in the next
-round, and the last round *lands* what remains of each source (two documents at
-most) on the corner nearest to the word total.
+round, and the last round *lands* what remains of each source (two documents and
+twelve of all sizes that waited) on the corner nearest to the word total.
 
 Draws come from hashes of the rows, so reruns agree.  Defined cases: null or
 blank texts have size 0 and are taken 0 words; a null source is the last source;
-a null doc_id is drawn like any other value; repeated rows are documents of their
-own; an empty table gives an empty mix; a source of only empty texts has target 0.
+a null doc_id is drawn like any other value; rows equal in
+id, source and size are one unit with one decision; an empty table gives an empty mix; a source of only empty texts has target 0.
 """
 
 from __future__ import annotations
 
-from collections.abc import Iterator
-
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, Window
@@ -34,6 +32,10 @@ WEIGHTS = (1.0, 2.0, 3.0)
 CAP = 3
 #: Documents that fly together at most (expected size of a bin).
 GROUP = 4096
+#: Documents of a source that wait for the landing.
+LANDING = 12
+#: Rows of a table that may be broadcast.
+SMALL = 1 << 19
 EPS = 1e-9
 
 
@@ -57,9 +59,18 @@ def targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: int = C
     return per.withColumn("target", F.coalesce(share, F.lit(0.0))).select("source", "source_size", "source_docs", "target")
 
 
-def flight(x: np.ndarray, sizes: np.ndarray, rng: np.random.Generator) -> np.ndarray:
-    """Cube flight: x with the same totals of ``sizes * x`` and ``x``, two entries undecided at most."""
-    x, s = x.astype(float).tolist(), sizes.astype(float).tolist()
+def _null(s: tuple[float, ...], m: tuple[float, ...]) -> tuple[float, float, float]:
+    """A vector along which three entries keep both totals."""
+    (a, b, c), (d, e, f) = s, m
+    u = (b * f - c * e, c * d - a * f, a * e - b * d)
+    if any(u):
+        return u
+    return (b, -a, 0.0) if a or b else (e, -d, 0.0)
+
+
+def flight(x: np.ndarray, sizes: np.ndarray, counts: np.ndarray, rng: np.random.Generator) -> np.ndarray:
+    """Cube flight: x with the same totals of ``sizes * x`` and ``counts * x``, two entries undecided at most."""
+    x, s, m = x.astype(float).tolist(), sizes.astype(float).tolist(), counts.astype(float).tolist()
     waiting = [k for k, v in enumerate(x) if EPS < v < 1 - EPS]
     draws, used = rng.random(len(waiting) + 4), 0
     hand, at = [], 0
@@ -69,43 +80,44 @@ def flight(x: np.ndarray, sizes: np.ndarray, rng: np.random.Generator) -> np.nda
             at += 1
         if len(hand) < 3:
             break
-        a, b, c = hand
-        u = (s[b] - s[c], s[c] - s[a], s[a] - s[b])
-        if not any(u):
-            u = (1.0, -1.0, 0.0)
+        u = _null(tuple(s[k] for k in hand), tuple(m[k] for k in hand))
         up = min((1 - x[k]) / v if v > 0 else x[k] / -v for k, v in zip(hand, u, strict=True) if v)
         down = min(x[k] / v if v > 0 else (1 - x[k]) / -v for k, v in zip(hand, u, strict=True) if v)
         move = up if draws[used] * (up + down) < down else -down
         used += 1
         for k, v in zip(hand, u, strict=True):
             x[k] += move * v
-        for k in hand:
             if x[k] <= EPS or x[k] >= 1 - EPS:
                 x[k] = float(round(x[k]))
         hand = [k for k in hand if 0.0 < x[k] < 1.0]
     return np.array(x)
 
 
-def land(x: np.ndarray, sizes: np.ndarray) -> np.ndarray:
-    """Rounds the last undecided entries to the corner nearest in words, then in documents."""
-    x, left = x.copy(), np.flatnonzero((x > 0) & (x < 1))
-    best = None
-    for corner in range(1 << len(left)):
-        y = np.array([corner >> k & 1 for k in range(len(left))], dtype=float)
-        miss = (round(abs(float(((y - x[left]) * sizes[left]).sum())), 6), abs(float((y - x[left]).sum())), corner)
-        if best is None or miss < best[0]:
-            best = (miss, y)
-    x[left] = best[1]
-    return x
+def land(x: np.ndarray, sizes: np.ndarray, counts: np.ndarray) -> np.ndarray:
+    """Rounds the last undecided entries (LANDING + 2 at most) together: the corner nearest
+    in words among those within one document of the count."""
+    x, left = x.copy(), np.flatnonzero((x > EPS) & (x < 1 - EPS))
+    corners = (np.arange(1 << len(left))[:, None] >> np.arange(len(left)) & 1).astype(float)
+    words = np.round(np.abs((corners - x[left]) @ sizes[left]), 6)
+    docs = np.abs((corners - x[left]) @ counts[left])
+    best = np.lexsort((docs, words, docs > max(1.0, docs.min())))[0]
+    x[left] = corners[best]
+    return np.round(x)
 
 
 def _fly(last: bool):
     def run(rows: pd.DataFrame) -> pd.DataFrame:
-        # Large documents fly first, so that what is left to land is small.
+        # Large documents fly first, so that what stays undecided is small.
         rows = rows.sort_values(["size", "draw"], ascending=[False, True], kind="stable", ignore_index=True)
-        seed = int(np.bitwise_xor.reduce(rows["draw"].to_numpy())) & (2**63 - 1)
-        x = flight(rows["x"].to_numpy(), rows["size"].to_numpy(), np.random.default_rng(seed))
-        return rows.assign(x=land(x, rows["size"].to_numpy()) if last else x)
+        rng = np.random.default_rng(int(np.bitwise_xor.reduce(rows["draw"].to_numpy())) & (2**63 - 1))
+        x, m = rows["x"].to_numpy(), rows["m"].to_numpy()
+        size = rows["size"].to_numpy() * m
+        fly = np.ones(len(x), bool)
+        if last:  # documents of all sizes wait for the landing
+            fly[np.linspace(0, len(x) - 1, min(LANDING, len(x))).astype(int)] = False
+        x = x.copy()
+        x[fly] = flight(x[fly], size[fly], m[fly], rng)
+        return rows.assign(x=land(x, size, m) if last else x)
 
     return run
 
@@ -118,7 +130,8 @@ def _round(rows: DataFrame, bins, last: bool) -> DataFrame:
 def inclusions(rows: DataFrame, store: Store, group: int = GROUP) -> DataFrame:
     """Rows with ``x`` (a probability) rounded to 0 or 1, balanced per source.
 
-    Input: source, n (rows of the source), size, x, draw and any other columns.
+    Input: source, n (rows of the source), size, m (equal documents), x, draw and any
+    other columns.
     """
     most = rows.agg(F.max("n")).first()[0] or 0
     done, level = [], 0
@@ -148,33 +161,34 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: int = CAP, g
 
     ``keep_rows`` returns the input's own rows instead, each as often as taken.
     """
-    spark, store = docs.sparkSession, Store(docs.sparkSession)
-    text, cols = F.col("`text`"), docs.columns
-    own = [F.struct(*[F.col(f"`{c}`") for c in cols]).alias("row")] if keep_rows else []
-    base = docs.select(F.col("`doc_id`").alias("doc_id"), F.col("`source`").alias("source"), n_words_of(text).alias("size"), F.xxhash64(F.coalesce(F.col("`doc_id`").cast("string"), F.lit("null")), F.col("`source`"), F.lit("cube")).alias("draw"), *own)
-    wanted = targets(base.select("source", "size"), weights, cap)
-    wanted = store.put("targets", wanted).withColumnRenamed("source", "__source")
-    n_sources = wanted.count()
-    side = F.broadcast(wanted) if n_sources <= 10_000 else wanted
-    rows = base.join(side, F.col("source").eqNullSafe(F.col("__source"))).drop("__source")
+    store = Store(docs.sparkSession)
+    base = docs.select(F.col("`doc_id`").alias("doc_id"), F.col("`source`").alias("source"), n_words_of(F.col("`text`")).alias("size"))
+    # Rows equal in id, source and size are one unit: they take one decision.
+    units = store.put("units", base.groupBy("doc_id", "source", "size").agg(F.count(F.lit(1)).alias("m")))
+    wanted = store.put("targets", targets(units.select("source", (F.col("size") * F.col("m")).alias("size")), weights, cap)).withColumnRenamed("source", "__source")
+    rows = units.join(_small(wanted), F.col("source").eqNullSafe(F.col("__source"))).drop("__source")
     ratio = F.when(F.col("source_size") > 0, F.least(F.col("target") / F.col("source_size"), F.lit(float(cap)))).otherwise(0.0)
-    whole = F.floor(ratio + F.lit(EPS)).cast("int")
-    rows = rows.withColumn("whole", whole).withColumn("x", F.greatest(ratio - F.col("whole"), F.lit(0.0))).withColumn("x", F.when(F.col("x") > EPS, F.col("x")).otherwise(0.0)).withColumn("n", F.col("source_docs"))
-    slim = rows.drop("row") if keep_rows else rows
-    flown = inclusions(slim.drop("source_docs"), store, group)
+    draw = F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), "source", "size", F.lit("cube"))
+    rows = rows.withColumn("draw", draw).withColumn("whole", F.floor(ratio + F.lit(EPS)).cast("int")).withColumn("x", ratio - F.col("whole"))
+    rows = rows.withColumn("x", F.when(F.col("x") > EPS, F.col("x")).otherwise(0.0)).withColumnRenamed("source_docs", "n")
+    copies = (F.col("whole") + F.col("x")).cast("int").alias("copies")
+    flown = inclusions(rows, store, group)
     if keep_rows:
-        return _copies(rows, flown, cols)
-    copies = (F.col("whole") + F.col("x")).cast("int")
-    return flown.select("doc_id", "size", "source_size", "target", (F.col("size") * copies).alias("taken"), copies.alias("copies"))
-
-
-def _copies(rows: DataFrame, flown: DataFrame, cols: list[str]) -> DataFrame:
-    """The rows as often as taken.  Rows that share a draw and size (copies of one
-    document) are numbered on both sides, so that each takes one decision."""
-    order = Window.partitionBy("source", "draw", "size")
-    decided = flown.select("source", "draw", "size", "whole", "x").withColumn("no", F.row_number().over(order.orderBy(F.col("x").desc())))
-    decided = decided.select(F.col("source").alias("__s"), F.col("draw").alias("__d"), F.col("size").alias("__z"), F.col("no").alias("__no"), (F.col("whole") + F.col("x")).cast("int").alias("copies"))
-    named = rows.select("source", "draw", "size", "row").withColumn("no", F.row_number().over(order.orderBy(F.xxhash64("row"))))
-    both = named.join(decided, F.col("source").eqNullSafe(F.col("__s")) & (F.col("draw") == F.col("__d")) & (F.col("size") == F.col("__z")) & (F.col("no") == F.col("__no")))
-    many = both.where("copies > 0").select("row", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy"))
+        return _copies(docs, flown.select("doc_id", "source", "size", copies))
+    many = flown.withColumn("no", F.explode(F.sequence(F.lit(1).cast("long"), F.col("m"))))
+    return many.select("doc_id", "size", "source_size", "target", (F.col("size") * copies).alias("taken"), copies)
+
+
+def _copies(docs: DataFrame, decided: DataFrame) -> DataFrame:
+    """The rows of the documents, each as often as its unit is taken."""
+    cols = docs.columns
+    decided = decided.where("copies > 0").select(F.col("doc_id").alias("__d"), F.col("source").alias("__s"), F.col("size").alias("__z"), "copies")
+    rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in cols]).alias("row"), F.col("`doc_id`").alias("doc_id"), F.col("`source`").alias("source"), n_words_of(F.col("`text`")).alias("size"))
+    both = rows.join(_small(decided), F.col("doc_id").eqNullSafe(F.col("__d")) & F.col("source").eqNullSafe(F.col("__s")) & (F.col("size") == F.col("__z")))
+    many = both.select("row", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy"))
     return many.select(*[F.col("row")[c].alias(c) for c in cols])
+
+
+def _small(rows: DataFrame) -> DataFrame:
+    """Broadcast behind a check of the size; a shuffled join beyond it."""
+    return F.broadcast(rows) if rows.count() <= SMALL else rows
