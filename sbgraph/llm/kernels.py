@@ -106,7 +106,7 @@ def words_of(data: np.ndarray, offsets: np.ndarray, word: np.ndarray, lower: boo
     """Words of all documents; ``table`` maps bytes before hashing (default: A-Z lower-cased)."""
     starts, ends, hashes = [], [], []
     marks = np.unique(offsets[(offsets > 0) & (offsets < len(data))])
-    for at, end in _chunks(data, offsets, word & word[_LOWER] if lower else word):
+    for at, end in _chunks(data, offsets, word[_LOWER] if lower else word):
         b = data[at:end]
         if lower:
             b = _LOWER[b]
