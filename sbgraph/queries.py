@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from . import experiments, graphs, ingest, plans, streaming
 from .functions import choose2, total
 from .model import SignedGraph
-from .operators import assign, count, index, measures, metrics
+from .operators import assign, count, index, measures, metrics, relational
 from .sources import ingest_audit, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -246,9 +246,49 @@ def _relational(r: _Registry) -> None:
     r.add("stream_latest_sign", lambda s, d: streaming.replay(s, f"{d}/events.parquet*", "stream_latest", streaming.latest_signs).select("u", "v", F.col("sign").cast("int").alias("sign")), f"WITH {_ctes('g6')} SELECT u, v, CAST(sign AS INT) AS sign FROM e")
 
 
+def _around(r: _Registry) -> None:
+    def two(s: SparkSession, d: str) -> tuple[SignedGraph, SignedGraph]:
+        rows = graphs.interactions(s, d, "g1")
+        return tuple(SignedGraph(ingest.sign_as_of(rows, F.lit(t).cast("timestamp"))) for t in ("1995-01-01", "1996-01-01"))
+
+    state = lambda n, t: f"e{n} AS (SELECT u, v, arg_max(sign, (ts, k1, k2, sign)) AS sign FROM raw WHERE ts <= TIMESTAMP '{t} 00:00:00' GROUP BY u, v)"
+    both = f"WITH {_ctes('g1')}, {state(0, '1995-01-01')}, {state(1, '1996-01-01')}"
+    plain = lambda d: d.select("u", "v", F.col("sign").cast("int").alias("sign"))
+    r.add("snapshot_kept_g1", lambda s, d: plain(relational.kept_edges(*two(s, d))), f"{both} SELECT u, v, CAST(sign AS INT) AS sign FROM (SELECT * FROM e0 INTERSECT SELECT * FROM e1)")
+    r.add("snapshot_changed_g1", lambda s, d: plain(relational.changed_edges(*two(s, d))), f"{both} SELECT u, v, CAST(sign AS INT) AS sign FROM (SELECT * FROM e1 EXCEPT ALL SELECT * FROM e0)")
+    r.add("snapshot_lost_g1", lambda s, d: relational.lost_edges(two(s, d)[1], two(s, d)[0]), f"{both} SELECT u, v FROM e1 WHERE NOT EXISTS (SELECT 1 FROM e0 WHERE e0.u = e1.u AND e0.v = e1.v)")
+    for g in ("g3", "g6"):
+        base = f"WITH {_ctes(g)}, {_PRIO}"
+        r.add(f"degree_ranks_{g}", _on(g, relational.degree_ranks), f"{base} SELECT gid, deg, CAST(rank() OVER (PARTITION BY gid % 2 ORDER BY deg DESC) AS INT) AS rank, CAST(dense_rank() OVER (PARTITION BY gid % 2 ORDER BY deg DESC) AS INT) AS dense_rank, CAST(ntile(4) OVER (PARTITION BY gid % 2 ORDER BY deg DESC, gid) AS INT) AS tile FROM d")
+        r.add(f"degree_quantiles_{g}", _on(g, relational.degree_quantiles), f"{base} SELECT CAST(gid % 2 AS INT) AS side, quantile_cont(deg, 0.5) AS median, quantile_cont(deg, 0.9) AS p90, max(deg) AS greatest FROM d GROUP BY 1")
+        r.add(f"work_cdf_{g}", _on(g, lambda x: relational.work_cdf(index.workload(x))), f"{base}, l AS (SELECT pivot, CAST(sum(l) AS BIGINT) AS load FROM (SELECT gu AS pivot, dv AS l FROM x UNION ALL SELECT gv, du FROM x) GROUP BY pivot) SELECT pivot, load, CAST(sum(load) OVER (ORDER BY load DESC, pivot ROWS UNBOUNDED PRECEDING) AS BIGINT) AS running FROM l")
+        r.add(f"sign_pivot_{g}", _on(g, lambda x: relational.sign_pivot(x.edges, "v")), f"WITH {_ctes(g)} SELECT v, count(*) FILTER (sign = 0) AS negative, count(*) FILTER (sign = 1) AS positive FROM e GROUP BY v")
+    r.add("moving_positive_g6", lambda s, d: relational.moving_positive(graphs.interactions(s, d, "g6")), f"WITH {_ctes('g6')}, s AS (SELECT *, CAST(floor(epoch(ts)) AS BIGINT) AS sec FROM raw) SELECT u, k1, CAST(sum(sign) OVER w AS BIGINT) AS positive, count(*) OVER w AS n FROM s WINDOW w AS (PARTITION BY u ORDER BY sec RANGE BETWEEN 86400 PRECEDING AND CURRENT ROW)")
+
+    def as_of(s: SparkSession, d: str) -> DataFrame:
+        rows = graphs.interactions(s, d, "g1")
+        probes = rows.select("u", "v").distinct().withColumn("at", F.lit("1995-06-30").cast("timestamp"))
+        return relational.as_of_join(probes, rows).select("u", "v", "sign")
+
+    r.add("as_of_join_g1", as_of, f"WITH {_ctes('g1')}, {state(0, '1995-06-30')} SELECT e.u, e.v, CAST(e0.sign AS INT) AS sign FROM e LEFT JOIN e0 ON e.u = e0.u AND e.v = e0.v")
+
+    def held(s: SparkSession, d: str) -> DataFrame:
+        points = s.createDataFrame([(t,) for t in ("1993-03-15", "1995-06-30", "1998-01-01")], "label string").withColumn("at", F.col("label").cast("timestamp"))
+        return relational.interval_join(relational.validity(graphs.interactions(s, d, "g1")), points)
+
+    at = " UNION ALL ".join(f"SELECT '{t}' AS label, count(*) AS edges, {_sum('sign', 'positive')} FROM (SELECT u, v, arg_max(sign, (ts, k1, k2, sign)) AS sign FROM raw WHERE ts <= TIMESTAMP '{t} 00:00:00' GROUP BY u, v)" for t in ("1993-03-15", "1995-06-30", "1998-01-01"))
+    r.add("interval_join_g1", held, f"WITH {_ctes('g1')} {at}")
+
+    def rolled(s: SparkSession, d: str) -> DataFrame:
+        who = table(s, d, "customer").select(F.col("c_custkey").alias("u"), F.col("c_nationkey").alias("nation"), F.col("c_mktsegment").alias("segment"))
+        return relational.rollup_degree(graphs.build(s, d, "g3").edges, who, ["nation", "segment"])
+
+    r.add("rollup_degree_g3", rolled, f"WITH {_ctes('g3')} SELECT c_nationkey AS nation, c_mktsegment AS segment, count(*) AS edges, CAST(sum(sign) AS BIGINT) AS positive, CAST(grouping_id(c_nationkey, c_mktsegment) AS INT) AS level FROM e JOIN customer ON u = c_custkey GROUP BY ROLLUP (c_nationkey, c_mktsegment)")
+
+
 def registry() -> _Registry:
     r = _Registry()
-    for part in (_edges, _index, _counts, _assignments, _relational):
+    for part in (_edges, _index, _counts, _assignments, _relational, _around):
         part(r)
     return r
 
