@@ -7,10 +7,10 @@ their sizes.  Only blocks of that product that can hold a link are formed:
 1. Texts with equal shingle sets are one class, represented by its least doc_id.
 2. Each class keeps the prefix of its set that any linking partner must meet
    (``n - ceil(3n/4) + 1`` shingles, rare ones first).  Shingles that are frequent
-   in the corpus come last in that order; which ones are frequent is counted over
-   all documents, and the table of them is bounded.
-3. Classes that share a prefix shingle are put into the block of that shingle's
-   leader (the least member in a random order).  Every pair that can link meets in
+   in the corpus come last in that order; frequencies are counted over all
+   documents, in a table of fixed size.
+3. Classes that share a prefix shingle and have sizes within a bound are put into the
+   block of a leader (the smallest of them).  Every pair that can link meets in
    the block of some leader, and no pair is written out.
 4. A block is multiplied by column slices: overlap counts accumulate, and pairs
    whose size bound or remaining columns rule a link out are discarded.  A block
@@ -27,6 +27,7 @@ input are ignored, so their names cannot clash.
 from __future__ import annotations
 
 import hashlib
+import zlib
 from collections.abc import Iterator
 
 import numpy as np
@@ -39,10 +40,14 @@ from .components import components
 from .store import Store
 
 SIZE = 5
-#: A shingle is frequent when a run of RUN shingles holds LOCAL of it or more.
-RUN, LOCAL, FREQUENT = 4_000_000, 6, 1 << 17
-#: Shingles of one tile side, and columns of one slice of the product.
-TILE, SLICE = 1_500_000, 8192
+#: Cells and blocks of the frequency table; shingles counted at a time.
+CELL_BITS, CELL_BLOCKS, RUN = 23, 32, 2_000_000
+#: A cell's count in one task stops here; a shingle that frequent is last in any case.
+MOST = 65_535
+#: Shingles and sets of one tile side, and columns of one slice of the product.
+TILE, SIDE, SLICE = 1_500_000, 1024, 8192
+#: Members of one leader held at a time.
+HELD = 4_000_000
 #: Rows (16 bytes each) of a table that may be broadcast.
 SMALL = 1 << 20
 
@@ -61,120 +66,194 @@ def _sets(batches: Iterator[pa.RecordBatch], size: int) -> Iterator[tuple[pa.Rec
             yield part, list(K.shingles(K.words_of(*K.text_buffer(part.column("text")), K.SPACED), size))
 
 
-def frequent(docs: DataFrame, size: int = SIZE) -> np.ndarray:
-    """Frequent shingles over all documents: a (hash, count) array of FREQUENT rows at most.
+def _lists(arrays: list[np.ndarray]) -> pa.ListArray:
+    ends = np.concatenate([[0], np.cumsum([len(a) for a in arrays])]).astype(np.int32)
+    flat = np.concatenate(arrays).view(np.int64) if arrays else np.zeros(0, np.int64)
+    return pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))
 
-    Runs of RUN shingles report what occurs LOCAL times in them, so a shingle in more
-    than a fixed share of the documents is reported from nearly every run.  The table
-    only sets the order of shingles; any table gives the same links.
-    """
 
-    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held, total = [], 0
+def _cell(hashes: np.ndarray) -> np.ndarray:
+    return (hashes >> np.uint64(64 - CELL_BITS)).astype(np.int64)
 
-        def flush() -> pa.RecordBatch:
-            h, c = np.unique(np.concatenate(held), return_counts=True)
-            keep = c >= LOCAL
-            return pa.RecordBatch.from_arrays([pa.array(h[keep].view(np.int64)), pa.array(c[keep])], names=["h", "c"])
 
+def frequencies(docs: DataFrame, size: int = SIZE) -> np.ndarray:
+    """Counts of all shingles of all documents, by hash cell, as levels (8 per doubling).
+
+    The table has a fixed size and only sets the order of shingles: a shingle that many
+    documents share has a high level, one of few documents that of its cell's chance
+    company.  Any table gives the same links.
+    """
+    n_cells, step = 1 << CELL_BITS, (1 << CELL_BITS) // CELL_BLOCKS
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        total, held, waiting = None, [], 0
         for _, sets in _sets(batches, size):
-            held += sets
-            total += sum(map(len, sets))
-            if total >= RUN:
-                yield flush()
-                held, total = [], 0
-        if held:
-            yield flush()
+            held += [_cell(s).astype(np.int32) for s in sets]
+            waiting += sum(map(len, sets))
+            if waiting >= RUN:
+                total = np.zeros(n_cells, np.uint16) if total is None else total
+                cells, n = np.unique(np.concatenate(held), return_counts=True)
+                total[cells] = np.minimum(total[cells] + n, MOST)
+                held, waiting = [], 0
+        cells, n = np.unique(np.concatenate([*held, np.zeros(0, np.int32)]), return_counts=True)
+        n = np.minimum(n, MOST).astype(np.uint16)
+        if total is None:  # a small task: its cells and their counts
+            cuts = np.searchsorted(cells, np.arange(CELL_BLOCKS + 1) * step)
+            blocks = [cells[a:b].astype(np.int32).tobytes() + n[a:b].tobytes() for a, b in zip(cuts[:-1], cuts[1:], strict=True)]
+        else:
+            total[cells] = np.minimum(total[cells].astype(np.int64) + n, MOST)
+            blocks = [zlib.compress(total[k * step : (k + 1) * step].tobytes(), 1) for k in range(CELL_BLOCKS)]
+        sparse = [total is None] * CELL_BLOCKS
+        yield pa.RecordBatch.from_arrays([pa.array(range(CELL_BLOCKS), pa.int32()), pa.array(sparse), pa.array(blocks, pa.binary())], names=["k", "sparse", "part"])
+
+    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        sums: dict[int, np.ndarray] = {}
+        for batch in batches:
+            for k, sparse, part in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+                held, data = sums.setdefault(k, np.zeros(step, np.int64)), part.as_py()
+                if sparse:
+                    m = len(data) // 6
+                    held[np.frombuffer(data, np.int32, m) - k * step] += np.frombuffer(data, np.uint16, m, 4 * m)
+                else:
+                    held += np.frombuffer(zlib.decompress(data), np.uint16)
+        yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([_levels(v).tobytes() for v in sums.values()], pa.binary())], names=["k", "part"])
 
-    rows = _texts(docs).select("text").mapInArrow(count, "h long, c long").groupBy("h").agg(F.sum("c").alias("c"))
-    top = rows.orderBy(F.desc("c"), "h").limit(FREQUENT).toPandas()  # FREQUENT rows: a proven bound
-    order = np.argsort(top["h"].to_numpy(np.int64).view(np.uint64))
-    return np.stack([top["h"].to_numpy(np.int64).view(np.uint64)[order], top["c"].to_numpy(np.int64).astype(np.uint64)[order]])
+    partial = _texts(docs).select("text").mapInArrow(count, "k int, sparse boolean, part binary")
+    out = np.zeros(n_cells, np.uint8)
+    for r in partial.repartition("k").mapInArrow(add, "k int, part binary").collect():  # CELL_BLOCKS rows of a fixed size
+        out[r["k"] * step : (r["k"] + 1) * step] = np.frombuffer(r["part"], np.uint8)
+    return out
 
 
-class _Order:
-    """The global order of shingles: rare ones by hash, then frequent ones by count."""
+def _levels(counts: np.ndarray) -> np.ndarray:
+    """Counts as levels, 8 per doubling; small counts keep levels of their own."""
+    return np.minimum(8 * np.log2(counts.astype(np.float64) + 1), 255).astype(np.uint8)
 
-    def __init__(self, table: np.ndarray) -> None:
-        self.hashes, self.counts = table
-        self.bits = np.zeros(1 << 20, dtype=bool)
-        self.bits[(self.hashes & np.uint64((1 << 20) - 1)).astype(np.int64)] = True
 
-    def prefix(self, own: np.ndarray) -> np.ndarray:
-        n = prefix_length(len(own))
-        maybe = self.bits[(own & np.uint64((1 << 20) - 1)).astype(np.int64)] if len(self.hashes) else np.zeros(len(own), bool)
-        if not maybe.any():
-            return own[:n]
-        at = np.minimum(np.searchsorted(self.hashes, own), len(self.hashes) - 1)
-        hot = self.hashes[at] == own
-        late = own[hot][np.argsort(self.counts[at[hot]], kind="stable")]
-        return np.concatenate([own[~hot][:n], late])[:n]
+def prefix(own: np.ndarray, table: np.ndarray) -> np.ndarray:
+    """The prefix of a set as order keys (level, then hash), ascending."""
+    keys = table[_cell(own)].astype(np.uint64) << np.uint64(56) | own >> np.uint64(8)
+    return np.sort(keys)[: prefix_length(len(own))]
 
 
 def sketches(docs: DataFrame, table: np.ndarray, size: int = SIZE) -> DataFrame:
     """doc_id, n, f1, f2 (fingerprint of the set), prefix."""
-    shared = docs.sparkSession.sparkContext.broadcast(table)
+    shared = docs.sparkSession.sparkContext.broadcast(table)  # 2**CELL_BITS bytes
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        order = _Order(shared.value)
         for part, sets in _sets(batches, size):
             marks = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets]
             f = np.frombuffer(b"".join(marks), dtype=np.int64).reshape(-1, 2)
-            heads = [order.prefix(s) for s in sets]
-            flat = np.concatenate(heads).view(np.int64) if heads else np.zeros(0, np.int64)
-            ends = np.concatenate([[0], np.cumsum([len(h) for h in heads])]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array([len(s) for s in sets], pa.int64()), pa.array(f[:, 0].copy()), pa.array(f[:, 1].copy()), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))], names=["doc_id", "n", "f1", "f2", "prefix"])
+            columns = {
+                "doc_id": part.column("doc_id"),
+                "n": pa.array([len(s) for s in sets], pa.int64()),
+                "f1": pa.array(f[:, 0].copy()),
+                "f2": pa.array(f[:, 1].copy()),
+                "prefix": _lists([prefix(s, shared.value) for s in sets]),
+            }
+            yield pa.RecordBatch.from_pydict(columns)
 
     return _texts(docs).mapInArrow(run, "doc_id long, n long, f1 long, f2 long, prefix array<long>")
 
 
+def _band(n: np.ndarray) -> np.ndarray:
+    """Size bands: sets whose sizes differ by 4/3 at most are in the same or in adjacent bands."""
+    return np.searchsorted(_EDGES, n, "right")
+
+
+_EDGES = np.array([(4**k) // (3**k) + 1 for k in range(140) if (4**k) // (3**k) < 2**60], dtype=np.int64)
+
+
 def _members(entries: DataFrame) -> DataFrame:
-    """(leader, rep) of every shingle that two classes or more hold.
+    """(leader, other member) of every shingle and pair of size bands that two classes or more hold.
 
-    Rows arrive sorted by shingle and by a random order of classes; a run's first row
-    leads it.  One row of state, however long a run is.
+    Rows arrive sorted by shingle and size.  A class of band b is filed under b and
+    b + 1, so two classes of linkable sizes are filed together; the first row of a file
+    leads it.  What is kept between batches is one row per open file of a single shingle,
+    however long its run is.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        last_hash, leader = None, None
+        kept = np.zeros((4, 0), np.int64)  # shingle, file, rep, size of the open files' leaders
         for batch in batches:
-            h, rep = (batch.column(k).to_numpy() for k in (0, 1))
-            if not len(h):
+            if not batch.num_rows:
                 continue
-            new = np.concatenate([[last_hash is None or h[0] != last_hash], h[1:] != h[:-1]])
+            h, rep, n = (batch.column(k).to_numpy() for k in range(3))
+            single = np.concatenate([[True], h[1:] != h[:-1]]) & np.concatenate([h[1:] != h[:-1], [True]])
+            single[[0, -1]] = False  # their runs may go on in another batch
+            h, rep, n = h[~single], rep[~single], n[~single]
+            band = _band(n)
+            rows = np.concatenate([kept, np.stack([np.tile(h, 2), np.concatenate([band, band + 1]), np.tile(rep, 2), np.tile(n, 2)])], axis=1)
+            # Stable: leaders kept from before come first, then smaller sets.
+            order = np.lexsort((np.concatenate([np.zeros(kept.shape[1], np.int64), rows[3, kept.shape[1] :]]), rows[1], rows[0]))
+            rows = rows[:, order]
+            new = np.concatenate([[True], (rows[:2, 1:] != rows[:2, :-1]).any(axis=0)])
             heads = np.flatnonzero(new)
-            run_of = np.cumsum(new) - 1
-            lead = rep[heads][run_of] if len(heads) else rep
-            if not new[0]:
-                lead = np.where(run_of < 0, leader, lead)
-            body = ~new & (rep != lead)
-            lead_rows = lead[body]
-            pairs = np.stack([np.concatenate([lead_rows, lead_rows]), np.concatenate([rep[body], lead_rows])])
-            pairs = np.unique(pairs, axis=1) if pairs.shape[1] else pairs
-            yield pa.RecordBatch.from_arrays([pa.array(pairs[0]), pa.array(pairs[1])], names=["leader", "rep"])
-            last_hash, leader = h[-1], lead[-1]
-
-    dealt = entries.repartition("h").sortWithinPartitions("h", "draw").select("h", "rep")
-    return dealt.mapInArrow(run, "leader long, rep long").distinct()
-
-
-def multiply(sets: list[np.ndarray], left: np.ndarray | None = None) -> np.ndarray:
-    """Links (boolean matrix) among sets: 100 * overlap >= 75 * union.
-
-    Overlaps accumulate over slices of columns; a pair leaves when its sizes, or what
-    is left of its columns, cannot reach the overlap it needs.  ``left`` (a mask)
-    restricts the pairs to those of a marked and an unmarked set.
+            sizes = np.diff(np.append(heads, rows.shape[1]))
+            many = sizes > 1
+            ends = np.concatenate([[0], np.cumsum(sizes[many])]).astype(np.int32)
+            yield pa.RecordBatch.from_arrays([pa.array(rows[2][heads[many]]), pa.ListArray.from_arrays(pa.array(ends), pa.array(rows[2][np.repeat(many, sizes)]))], names=["leader", "reps"])
+            kept = rows[:, new & (rows[0] == batch.column(0)[-1].as_py())]
+
+    dealt = entries.repartition("h").sortWithinPartitions("h", "n", "rep").select("h", "rep", "n")
+    return _distinct(dealt.mapInArrow(run, "leader long, reps array<long>"))
+
+
+def _distinct(files: DataFrame) -> DataFrame:
+    """(leader, rep) of files that arrive one after another; what is held is one leader's members."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        leader, held, waiting = None, [], 0
+
+        def close() -> pa.RecordBatch:
+            own = np.unique(np.concatenate(held))
+            own = own[own != leader]
+            return pa.RecordBatch.from_arrays([pa.array(np.full(len(own), leader)), pa.array(own)], names=["leader", "rep"])
+
+        for batch in batches:
+            flat, ends = batch.column(1).values.to_numpy(), batch.column(1).offsets.to_numpy()
+            leaders = batch.column(0).to_numpy()
+            edges = np.flatnonzero(np.concatenate([[True], leaders[1:] != leaders[:-1], [True]])) if len(leaders) else ()
+            for a, b in zip(edges[:-1], edges[1:], strict=True):
+                if leaders[a] != leader:
+                    if held:
+                        yield close()
+                    leader, held, waiting = leaders[a], [], 0
+                held.append(flat[ends[a] : ends[b]])
+                waiting += len(held[-1])
+                if waiting > HELD:  # members that come again are no harm
+                    held = [np.unique(np.concatenate(held))]
+                    waiting = len(held[0])
+                    if waiting > HELD // 2:
+                        yield close()
+                        held, waiting = [], 0
+        if held:
+            yield close()
+
+    return files.repartition("leader").sortWithinPartitions("leader").mapInArrow(run, "leader long, rep long")
+
+
+def _linkable(n: np.ndarray, side: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
+    """Pairs whose sizes allow a link, and the overlap each needs (3/7 of both sizes).
+
+    ``side`` restricts the pairs to those of a marked and an unmarked set.
     """
-    n = np.array([len(s) for s in sets], dtype=np.int64)
-    need = -(-3 * (n[:, None] + n[None, :]) // 7)  # overlap >= 3/7 of the sizes' sum
-    open_ = (4 * np.minimum(n[:, None], n[None, :]) >= 3 * np.maximum(n[:, None], n[None, :])) & (n[:, None] > 0) & (n[None, :] > 0)
+    a, b = n[:, None], n[None, :]
+    open_ = (4 * np.minimum(a, b) >= 3 * np.maximum(a, b)) & (a > 0) & (b > 0)
     np.fill_diagonal(open_, False)
-    if left is not None:
-        open_ &= left[:, None] != left[None, :]
+    return (open_ if side is None else open_ & (side[:, None] != side[None, :])), -(-3 * (a + b) // 7)
+
+
+def product(sets: list[np.ndarray], open_: np.ndarray, need: np.ndarray) -> np.ndarray:
+    """The open pairs whose overlap reaches what they need.
+
+    Overlaps accumulate over slices of columns; a pair leaves as soon as what is left
+    of its columns cannot reach the overlap it needs.
+    """
     if not open_.any():
         return open_
-    row = np.repeat(np.arange(len(sets)), n)
-    column, inverse, count = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
+    row = np.repeat(np.arange(len(sets)), [len(s) for s in sets])
+    _, inverse, count = np.unique(np.concatenate(sets), return_inverse=True, return_counts=True)
     keep = count[inverse] > 1
     row, inverse = row[keep], inverse[keep]
     rest = np.bincount(row, minlength=len(sets))  # entries that still can meet another set
@@ -195,6 +274,26 @@ def multiply(sets: list[np.ndarray], left: np.ndarray | None = None) -> np.ndarr
     return open_ & (overlap >= need)
 
 
+def multiply(sets: list[np.ndarray], side: np.ndarray | None = None) -> np.ndarray:
+    """Links (boolean matrix) among whole sets: 100 * overlap >= 75 * union."""
+    return product(sets, *_linkable(np.array([len(s) for s in sets], dtype=np.int64), side))
+
+
+def survivors(prefixes: list[np.ndarray], n: np.ndarray, side: np.ndarray | None = None) -> np.ndarray:
+    """Pairs that may link, from the prefixes alone.
+
+    Up to the smaller of two prefixes' last keys both sets are known, so the overlap up
+    to there is exact and the rest of either set bounds what can follow.
+    """
+    open_, need = _linkable(n, side)
+    if not open_.any():
+        return open_
+    last = np.array([p[-1] if len(p) < k else np.uint64(2**64 - 1) for p, k in zip(prefixes, n.tolist(), strict=True)], dtype=np.uint64)
+    below = np.stack([np.searchsorted(p, last, "right") for p in prefixes])
+    outside = np.minimum(n[:, None] - below, (n[:, None] - below).T)
+    return product(prefixes, open_, need - outside)
+
+
 def forest(links: np.ndarray, names: np.ndarray) -> np.ndarray:
     """Edges (name, least name of its component) of a link matrix."""
     todo, edges = links.any(axis=1), []
@@ -211,54 +310,101 @@ def forest(links: np.ndarray, names: np.ndarray) -> np.ndarray:
     return np.array(edges, dtype=np.int64).reshape(-1, 2)
 
 
+TILE_KEY = ("leader", "i", "j")
+
+
+def _groups(batches: Iterator[pa.RecordBatch], keys: tuple[str, ...]) -> Iterator[tuple[tuple, dict[str, list]]]:
+    """Consecutive rows of equal keys, columns as lists (list columns as arrays)."""
+    key, held = None, {}
+    for batch in batches:
+        columns = {}
+        for name in batch.schema.names:
+            column = batch.column(name)
+            if pa.types.is_list(column.type):
+                flat, ends = column.values.to_numpy(zero_copy_only=False).view(np.uint64), column.offsets.to_numpy()
+                columns[name] = [flat[a:b].copy() for a, b in zip(ends[:-1], ends[1:], strict=True)]
+            else:
+                columns[name] = column.to_pylist()
+        ids = list(zip(*[columns[k] for k in keys], strict=True))
+        at = 0
+        while at < len(ids):
+            end = at + 1
+            while end < len(ids) and ids[end] == ids[at]:
+                end += 1
+            if ids[at] != key:
+                if key is not None:
+                    yield key, held
+                key, held = ids[at], {k: [] for k in columns}
+            for k, v in columns.items():
+                held[k] += v[at:end]
+            at = end
+    if key is not None:
+        yield key, held
+
+
+def _side(key: tuple, held: dict[str, list]) -> np.ndarray | None:
+    """Tiles off the diagonal only multiply one member group with the other."""
+    return np.array(held["side"]) == key[1] if key[1] != key[2] else None
+
+
+def _candidates(rows: DataFrame) -> DataFrame:
+    """Tile members with a partner they may link with, by group of such members (``sub``)."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for key, held in _groups(batches, TILE_KEY):
+            if len(held["rep"]) < 2:
+                continue
+            open_ = survivors(held["prefix"], np.array(held["n"], dtype=np.int64), _side(key, held))
+            pairs = forest(open_, np.arange(len(open_)))
+            sub = {int(a): int(b) for a, b in pairs} | {int(b): int(b) for _, b in pairs}
+            if sub:
+                at = sorted(sub)
+                fixed = {k: pa.array(np.full(len(at), v)) for k, v in zip(TILE_KEY, key, strict=True)}
+                yield pa.RecordBatch.from_pydict({"rep": pa.array([held["rep"][k] for k in at], pa.int64()), **fixed, "side": pa.array([held["side"][k] for k in at], pa.int64()), "sub": pa.array([sub[k] for k in at], pa.int64())})
+
+    dealt = rows.repartition(*TILE_KEY).sortWithinPartitions(*TILE_KEY)
+    return dealt.mapInArrow(run, "rep long, leader long, i long, j long, side long, sub long")
+
+
 def _tile_links(rows: DataFrame) -> DataFrame:
-    """Spanning forests of tiles; rows: tile (leader, i, j), side, rep, set."""
+    """Spanning forests of candidate groups; rows: leader, i, j, sub, side, rep, set."""
+    keys = (*TILE_KEY, "sub")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        key, names, sides, sets = None, [], [], []
+        for key, held in _groups(batches, keys):
+            edges = forest(multiply(held["set"], _side(key, held)), np.array(held["rep"]))
+            yield pa.RecordBatch.from_arrays([pa.array(edges[:, 0].copy()), pa.array(edges[:, 1].copy())], names=["a", "b"])
 
-        def finish() -> pa.RecordBatch:
-            side = np.array(sides)
-            edges = forest(multiply(sets, side == key[1] if key[1] != key[2] else None), np.array(names))
-            return pa.RecordBatch.from_arrays([pa.array(edges[:, 0].copy()), pa.array(edges[:, 1].copy())], names=["a", "b"])
+    return rows.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, "a long, b long")
 
-        for batch in batches:
-            leader, i, j, side, rep = (batch.column(k).to_pylist() for k in range(5))
-            column = batch.column(5)
-            flat = column.values.to_numpy(zero_copy_only=False).view(np.uint64)
-            ends = column.offsets.to_numpy()
-            for k in range(batch.num_rows):
-                if (now := (leader[k], i[k], j[k])) != key:
-                    if key is not None and len(sets) > 1:
-                        yield finish()
-                    key, names, sides, sets = now, [], [], []
-                names.append(rep[k])
-                sides.append(side[k])
-                sets.append(flat[ends[k] : ends[k + 1]].copy())
-        if key is not None and len(sets) > 1:
-            yield finish()
-
-    dealt = rows.repartition("leader", "i", "j").sortWithinPartitions("leader", "i", "j")
-    return dealt.select("leader", "i", "j", "side", "rep", "set").mapInArrow(run, "a long, b long")
-
-
-def links(docs: DataFrame, reps: DataFrame, members: DataFrame, store: Store, size: int = SIZE) -> DataFrame:
-    """A spanning forest (a, b) of all links among class representatives."""
-    blocks = members.join(reps.select("rep", "n"), "rep").groupBy("leader").agg(F.greatest(F.lit(1), F.ceil(F.sum("n") / TILE)).cast("int").alias("groups"))
-    own = F.pmod(F.xxhash64("rep", F.lit("tile")), F.col("groups")).cast("int")
-    tiled = members.join(blocks, "leader").withColumn("side", own).withColumn("other", F.explode(F.sequence(F.lit(0), F.col("groups") - 1)))
+
+def _small(rows: DataFrame) -> DataFrame:
+    """Broadcast behind a check of the size; a shuffled join beyond it."""
+    return F.broadcast(rows) if rows.count() <= SMALL else rows
+
+
+def links(docs: DataFrame, heads: DataFrame, members: DataFrame, store: Store, size: int = SIZE) -> DataFrame:
+    """A spanning forest (a, b) of all links among class representatives.
+
+    heads: rep, n, prefix; members: leader, rep.
+    """
+    sized = members.join(_small(heads.select("rep", "n")), "rep")
+    groups = F.greatest(F.lit(1), F.ceil(F.sum("n") / TILE), F.ceil(F.count(F.lit(1)) / SIDE))
+    blocks = sized.groupBy("leader").agg(groups.cast("int").alias("groups"))
+    own = F.pmod(F.xxhash64("rep", F.lit("tile")), F.col("groups"))
+    tiled = members.join(blocks, "leader").withColumn("side", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("groups").cast("long") - 1)))
     tiled = tiled.select("rep", F.struct("leader", F.least("side", "other").alias("i"), F.greatest("side", "other").alias("j"), "side").alias("tile"))
     wanted = store.put("tiles", tiled.groupBy("rep").agg(F.collect_list("tile").alias("tiles")))
-    side = F.broadcast(wanted) if tiled.count() <= SMALL else wanted
-    texts = _texts(docs).withColumnRenamed("doc_id", "rep").join(side, "rep")
+    exploded = heads.join(_small(wanted), "rep").select("rep", "n", "prefix", F.explode("tiles").alias("t"))
+    found = store.put("candidates", _candidates(exploded.select("t.*", "rep", "n", "prefix")))
+    listed = found.groupBy("rep").agg(F.collect_list(F.struct(*TILE_KEY, "sub", "side")).alias("tiles"))
+    texts = _texts(docs).withColumnRenamed("doc_id", "rep").join(_small(store.put("listed", listed)), "rep")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, sets in _sets(batches, size):
-            ends = np.concatenate([[0], np.cumsum([len(s) for s in sets])]).astype(np.int32)
-            flat = np.concatenate(sets).view(np.int64)
-            yield pa.RecordBatch.from_arrays([part.column("rep"), part.column("tiles"), pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))], names=["rep", "tiles", "set"])
+            yield pa.RecordBatch.from_arrays([part.column("rep"), part.column("tiles"), _lists(sets)], names=["rep", "tiles", "set"])
 
-    tile = "struct<leader: bigint, i: int, j: int, side: int>"
+    tile = "struct<leader: bigint, i: bigint, j: bigint, sub: bigint, side: bigint>"
     rows = texts.select("rep", "text", "tiles").mapInArrow(run, f"rep long, tiles array<{tile}>, set array<long>")
     return _tile_links(rows.select("rep", "set", F.explode("tiles").alias("t")).select("t.*", "rep", "set"))
 
@@ -266,13 +412,18 @@ def links(docs: DataFrame, reps: DataFrame, members: DataFrame, store: Store, si
 def join(docs: DataFrame, size: int = SIZE) -> DataFrame:
     """doc_id, n_shingles, component_id of every row."""
     store = Store(docs.sparkSession)
-    known = store.put("sketches", sketches(docs, frequent(docs, size), size))
+    known = store.put("sketches", sketches(docs, frequencies(docs, size), size))
     own = known.where("n > 0 AND doc_id IS NOT NULL")
-    reps = store.put("reps", own.groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"), F.first("prefix").alias("prefix")))
-    entries = reps.select("rep", F.explode("prefix").alias("h"), F.xxhash64("rep").alias("draw"))
-    members = store.put("members", _members(entries))
-    found = components(links(docs, reps, members, store, size), store)
-    labelled = reps.select("f1", "f2", "n", "rep").join(found.withColumnRenamed("node", "rep"), "rep", "left")
+    classes = store.put("classes", own.groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep")))
+    same = ["f1", "f2", "n"]
+    first = classes.select("rep", *[F.col(c).alias(f"__{c}") for c in same])
+    heads = own.join(_small(first), (F.col("doc_id") == F.col("rep")) & (F.col("f1") == F.col("__f1")) & (F.col("f2") == F.col("__f2")))
+    heads = heads.select("rep", "n", "prefix")
+    entries = heads.select("rep", "n", F.explode("prefix").alias("h"))
+    others = store.put("members", _members(entries))
+    members = others.unionByName(others.select("leader", F.col("leader").alias("rep")).distinct())
+    found = components(links(docs, heads, members, store, size), store)
+    labelled = classes.join(found.withColumnRenamed("node", "rep"), "rep", "left")
     labelled = labelled.select(F.col("f1").alias("g1"), F.col("f2").alias("g2"), F.col("n").alias("m"), F.coalesce("component", "rep").alias("c"))
     rows = known.select("doc_id", "n", "f1", "f2").join(labelled, (F.col("f1") == F.col("g1")) & (F.col("f2") == F.col("g2")) & (F.col("n") == F.col("m")), "left")
     return rows.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.when(F.col("doc_id").isNotNull(), F.col("c"))).otherwise(F.col("doc_id")).alias("component_id"))
@@ -285,7 +436,12 @@ def dedupe(docs: DataFrame, size: int = SIZE) -> DataFrame:
     """
     cols = docs.columns
     named = docs.select(F.struct(*[F.col(f"`{c}`") for c in cols]).alias("row"), F.col("`doc_id`").cast("long").alias("doc_id"))
-    first = join(docs, size).where("doc_id = component_id").select(F.col("doc_id").alias("keep")).distinct()
-    kept = named.join(first, F.col("doc_id") == F.col("keep"), "left_semi")
-    one = kept.groupBy("doc_id").agg(F.min_by("row", F.xxhash64("row")).alias("row"))
-    return one.select("row").unionByName(named.where("doc_id IS NULL").select("row")).select(*[F.col("row")[c].alias(c) for c in cols])
+    store = Store(docs.sparkSession)
+    first = store.put("kept", join(docs, size).where("doc_id = component_id").select(F.col("doc_id").alias("__keep")).distinct())
+    twice = store.put("twice", named.groupBy("doc_id").count().where("count > 1 AND doc_id IS NOT NULL").select(F.col("doc_id").alias("__twice")))
+    kept = named.join(_small(first), F.col("doc_id") == F.col("__keep"), "left_semi")
+    single = kept.join(_small(twice), F.col("doc_id") == F.col("__twice"), "left_anti")
+    repeated = kept.join(_small(twice), F.col("doc_id") == F.col("__twice"), "left_semi")
+    one = repeated.groupBy("doc_id").agg(F.min_by("row", F.xxhash64("row")).alias("row"))
+    rows = single.select("row").unionByName(one.select("row")).unionByName(named.where("doc_id IS NULL").select("row"))
+    return rows.select(*[F.col("row")[c].alias(c) for c in cols])
