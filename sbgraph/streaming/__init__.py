@@ -49,10 +49,11 @@ def session_graphs(edges: DataFrame, gap: str = "1 hour") -> DataFrame:
 
 def windowed_counts(edges: DataFrame) -> DataFrame:
     """start, balanced of every window (edges: window, u, v, sign): the window is part of every key."""
-    a = edges.select(F.col("window.start").alias("start"), "u", F.col("v").alias("v1"), F.col("sign").alias("s1"))
-    b = edges.select(F.col("window.start").alias("start"), "u", F.col("v").alias("v2"), F.col("sign").alias("s2"))
+    # All columns get names of their own: the result table of a stream cannot be joined with itself otherwise.
+    a = edges.select(F.col("window.start").alias("start"), F.col("u").alias("u1"), F.col("v").alias("v1"), F.col("sign").alias("s1"))
+    b = edges.select(F.col("window.start").alias("start2"), F.col("u").alias("u2"), F.col("v").alias("v2"), F.col("sign").alias("s2"))
     same = F.when(F.col("s1") == F.col("s2"), 1).otherwise(0)
-    held = a.join(b, ["start", "u"]).where("v1 < v2").groupBy("start", "v1", "v2").agg(F.sum(same).cast("long").alias("b1"), F.sum(1 - same).cast("long").alias("b2"))
+    held = a.join(b, (F.col("start") == F.col("start2")) & (F.col("u1") == F.col("u2"))).where("v1 < v2").groupBy("start", "v1", "v2").agg(F.sum(same).cast("long").alias("b1"), F.sum(1 - same).cast("long").alias("b2"))
     return held.groupBy("start").agg(total(choose2(F.col("b1")) + choose2(F.col("b2"))).cast("long").alias("balanced"))
 
 
