@@ -390,9 +390,9 @@ def links(docs: DataFrame, heads: DataFrame, members: DataFrame, store: Store, s
     """
     sized = members.join(_small(heads.select("rep", "n")), "rep")
     groups = F.greatest(F.lit(1), F.ceil(F.sum("n") / TILE), F.ceil(F.count(F.lit(1)) / SIDE))
-    blocks = sized.groupBy("leader").agg(groups.cast("int").alias("groups"))
+    blocks = store.put("blocks", sized.groupBy("leader").agg(groups.cast("int").alias("groups")))
     own = F.pmod(F.xxhash64("rep", F.lit("tile")), F.col("groups"))
-    tiled = members.join(blocks, "leader").withColumn("side", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("groups").cast("long") - 1)))
+    tiled = members.join(_small(blocks), "leader").withColumn("side", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("groups").cast("long") - 1)))
     tiled = tiled.select("rep", F.struct("leader", F.least("side", "other").alias("i"), F.greatest("side", "other").alias("j"), "side").alias("tile"))
     wanted = store.put("tiles", tiled.groupBy("rep").agg(F.collect_list("tile").alias("tiles")))
     exploded = heads.join(_small(wanted), "rep").select("rep", "n", "prefix", F.explode("tiles").alias("t"))
