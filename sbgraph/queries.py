@@ -249,10 +249,10 @@ def _relational(r: _Registry) -> None:
 def _around(r: _Registry) -> None:
     def two(s: SparkSession, d: str) -> tuple[SignedGraph, SignedGraph]:
         rows = graphs.interactions(s, d, "g1")
-        return tuple(SignedGraph(ingest.sign_as_of(rows, F.lit(t).cast("timestamp"))) for t in ("1995-01-01", "1996-01-01"))
+        return tuple(SignedGraph(ingest.sign_as_of(rows, F.lit(t).cast("timestamp"))) for t in ("1995-07-01", "1996-07-01"))
 
     state = lambda n, t: f"e{n} AS (SELECT u, v, arg_max(sign, (ts, k1, k2, sign)) AS sign FROM raw WHERE ts <= TIMESTAMP '{t} 00:00:00' GROUP BY u, v)"
-    both = f"WITH {_ctes('g1')}, {state(0, '1995-01-01')}, {state(1, '1996-01-01')}"
+    both = f"WITH {_ctes('g1')}, {state(0, '1995-07-01')}, {state(1, '1996-07-01')}"
     plain = lambda d: d.select("u", "v", F.col("sign").cast("int").alias("sign"))
     r.add("snapshot_kept_g1", lambda s, d: plain(relational.kept_edges(*two(s, d))), f"{both} SELECT u, v, CAST(sign AS INT) AS sign FROM (SELECT * FROM e0 INTERSECT SELECT * FROM e1)")
     r.add("snapshot_changed_g1", lambda s, d: plain(relational.changed_edges(*two(s, d))), f"{both} SELECT u, v, CAST(sign AS INT) AS sign FROM (SELECT * FROM e1 EXCEPT ALL SELECT * FROM e0)")
@@ -273,10 +273,10 @@ def _around(r: _Registry) -> None:
     r.add("as_of_join_g1", as_of, f"WITH {_ctes('g1')}, {state(0, '1995-06-30')} SELECT e.u, e.v, CAST(e0.sign AS INT) AS sign FROM e LEFT JOIN e0 ON e.u = e0.u AND e.v = e0.v")
 
     def held(s: SparkSession, d: str) -> DataFrame:
-        points = s.createDataFrame([(t,) for t in ("1993-03-15", "1995-06-30", "1998-01-01")], "label string").withColumn("at", F.col("label").cast("timestamp"))
+        points = s.createDataFrame([(t,) for t in ("1995-03-15", "1996-06-30", "1998-01-01")], "label string").withColumn("at", F.col("label").cast("timestamp"))
         return relational.interval_join(relational.validity(graphs.interactions(s, d, "g1")), points)
 
-    at = " UNION ALL ".join(f"SELECT '{t}' AS label, count(*) AS edges, {_sum('sign', 'positive')} FROM (SELECT u, v, arg_max(sign, (ts, k1, k2, sign)) AS sign FROM raw WHERE ts <= TIMESTAMP '{t} 00:00:00' GROUP BY u, v)" for t in ("1993-03-15", "1995-06-30", "1998-01-01"))
+    at = " UNION ALL ".join(f"SELECT '{t}' AS label, count(*) AS edges, {_sum('sign', 'positive')} FROM (SELECT u, v, arg_max(sign, (ts, k1, k2, sign)) AS sign FROM raw WHERE ts <= TIMESTAMP '{t} 00:00:00' GROUP BY u, v)" for t in ("1995-03-15", "1996-06-30", "1998-01-01"))
     r.add("interval_join_g1", held, f"WITH {_ctes('g1')} {at}")
 
     def rolled(s: SparkSession, d: str) -> DataFrame:
