@@ -21,6 +21,7 @@ an empty table writes an empty file.
 
 from __future__ import annotations
 
+import gc
 import struct
 import zlib
 from collections.abc import Iterator
@@ -37,6 +38,8 @@ from .tokens import VOCABULARY, id_parts
 WIDTH, STEP = 8, 512
 #: Ids after which a block is closed.
 BLOCK = 1 << 18
+#: Blocks whose places may be broadcast.
+SMALL = 1 << 20
 END_ID = 2
 
 
@@ -45,8 +48,9 @@ def encode_ids(ids: np.ndarray) -> bytes:
     levels, rest = [], ids.astype(np.uint32)
     while True:
         more = rest >> WIDTH > 0
-        marks = np.concatenate([[0], np.cumsum(more)])[:-1:STEP] if len(rest) else np.zeros(0)
-        levels.append(struct.pack("<I", len(rest)) + (rest & 0xFF).astype(np.uint8).tobytes() + np.packbits(more, bitorder="little").tobytes() + marks.astype("<u4").tobytes())
+        held = np.add.reduceat(more, np.arange(0, len(more), STEP), dtype=np.int64) if len(more) else np.zeros(0, np.int64)
+        marks = np.cumsum(held) - held
+        levels.append(struct.pack("<I", len(rest)) + rest.astype(np.uint8).tobytes() + np.packbits(more, bitorder="little").tobytes() + marks.astype("<u4").tobytes())
         if not more.any():
             break
         rest = rest[more] >> WIDTH
@@ -109,6 +113,7 @@ def blocks(docs: DataFrame, vocabulary: str = VOCABULARY, end_id: int | None = E
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts, number, part = id_parts(vocabulary), 0, TaskContext.get().partitionId()
+        gc.disable()  # the caches have no cycles, and collections would walk them
         end = b"" if end_id is None else np.array([end_id], "<u4").tobytes()
         names, held, size = [], [], 0
 
@@ -119,16 +124,14 @@ def blocks(docs: DataFrame, vocabulary: str = VOCABULARY, end_id: int | None = E
             return pa.RecordBatch.from_arrays(columns, names=["part", "block", "doc_ids", "ends", "codes"])
 
         for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                some = batch.slice(at, 512)
-                ids = some.column("doc_id").to_pylist()
-                for name, (_, values) in zip(ids, parts.of([t or "" for t in some.column("text").to_pylist()]), strict=True):
-                    names.append(name)
-                    held.append(b"".join(values) + end)
-                    size += len(held[-1]) // 4
-                    if size >= BLOCK:
-                        yield close()
-                        names, held, size, number = [], [], 0, number + 1
+            parts.turn()
+            for name, text in zip(batch.column("doc_id").to_pylist(), batch.column("text"), strict=True):
+                names.append(name)
+                held.append(parts.joined(text.as_py() or "") + end)
+                size += len(held[-1]) // 4
+                if size >= BLOCK:
+                    yield close()
+                    names, held, size, number = [], [], 0, number + 1
         if held:
             yield close()
 
@@ -152,14 +155,16 @@ def read(file: DataFrame) -> DataFrame:
     inner = file.select("part", "block", n.alias("n"))
     inner = inner.select(F.col("part").alias("__p"), F.col("block").alias("__b"), F.coalesce(F.sum("n").over(before(Window.partitionBy("part").orderBy("block"))), F.lit(0)).alias("inner"))
     starts = inner.join(parts, F.col("__p") == F.col("__part")).select("__p", "__b", (F.col("base") + F.col("inner")).alias("start"))
-    placed = file.join(starts, (F.col("part") == F.col("__p")) & (F.col("block") == F.col("__b")))
+    # Broadcast behind a check of the size, so that the codes stay where they are read.
+    side = F.broadcast(starts) if file.select("block").count() <= SMALL else starts
+    placed = file.join(side, (F.col("part") == F.col("__p")) & (F.col("block") == F.col("__b")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for names, ends, codes, start in zip(*[batch.column(k).to_pylist() for k in range(4)], strict=True):
                 ids = Codes(codes).decode().astype("<u4")
                 edges = np.concatenate([[0], ends]).astype(np.int64)
-                crc = [zlib.crc32(ids[a:b].tobytes()) for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True)]
+                crc = [zlib.crc32(ids[a:b]) for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True)]
                 yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(edges[:-1] + start), pa.array(np.diff(edges)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
     return placed.select("doc_ids", "ends", "codes", "start").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")

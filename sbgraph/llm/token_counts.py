@@ -71,20 +71,19 @@ def attribute(docs: DataFrame, rule: str = "most", sections: str | None = None,
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts = span_parts(vocabulary)
         for batch in batches:
-            for at in range(0, batch.num_rows, 512):
-                some = batch.slice(at, 512)
-                texts = [t or "" for t in some.column("text").to_pylist()]
-                given = some.column("starts").to_pylist() if sections else [None] * len(texts)
-                counts, crossing, total = [], [], []
-                for text, starts, (cut, values) in zip(texts, given, parts.of(texts), strict=True):
-                    own = line_starts(text) if not sections else np.unique(np.array(starts or [], dtype=np.int64))
-                    spans = spans_of(cut, values)
-                    per, crossed = allocate(spans, own, rule)
-                    counts.append(per.tolist() if rule == "split" else per.astype(np.int64).tolist())
-                    crossing.append(crossed)
-                    total.append(len(spans))
-                values = pa.array(counts, pa.list_(pa.float64() if rule == "split" else pa.int64()))
-                yield pa.RecordBatch.from_arrays([some.column("doc_id"), pa.array(total, pa.int64()), pa.array([len(c) for c in counts], pa.int64()), pa.array(crossing, pa.int64()), values], names=["doc_id", "n_tokens", "n_sections", "n_crossing", "section_tokens"])
+            parts.turn()
+            texts = [t or "" for t in batch.column("text").to_pylist()]
+            given = batch.column("starts").to_pylist() if sections else [None] * len(texts)
+            counts, crossing, total = [], [], []
+            for text, starts in zip(texts, given, strict=True):
+                own = line_starts(text) if not sections else np.unique(np.array(starts or [], dtype=np.int64))
+                spans = spans_of(*parts.of(text))
+                per, crossed = allocate(spans, own, rule)
+                counts.append(per.tolist() if rule == "split" else per.astype(np.int64).tolist())
+                crossing.append(crossed)
+                total.append(len(spans))
+            values = pa.array(counts, pa.list_(pa.float64() if rule == "split" else pa.int64()))
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(total, pa.int64()), pa.array([len(c) for c in counts], pa.int64()), pa.array(crossing, pa.int64()), values], names=["doc_id", "n_tokens", "n_sections", "n_crossing", "section_tokens"])
 
     own = [F.col(f"`{sections}`").alias("starts")] if sections else []
     rows = docs.select(F.col("`doc_id`").cast("long").alias("doc_id"), F.col("`text`").alias("text"), *own)

@@ -19,8 +19,10 @@ from collections.abc import Callable, Sequence
 import numpy as np
 
 #: The default vocabulary file, and the number of parts of each of a cache's two generations.
-VOCABULARY, PARTS = "byte_bpe_50k.json", 400_000
-_UNSAFE = re.compile(r"\s ")
+VOCABULARY, PARTS = "byte_bpe_50k.json", 500_000
+#: White space that makes a text unsafe to cut, before a space or anywhere.
+_BEFORE_SPACE = ("  ", "\n ", "\t ", "\r ")
+_ANYWHERE = tuple(map(chr, [0x0B, 0x0C, *range(0x1C, 0x20), 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]))
 
 
 def vocabulary_path(name: str = VOCABULARY) -> str:
@@ -50,59 +52,138 @@ def span_tokenizer(name: str = VOCABULARY):
     return found
 
 
+class _Values(dict):
+    """Values by part; a missing one is taken from the generation before or made."""
+
+    def __init__(self, make: Callable[[str], bytes], before: dict[str, bytes]) -> None:
+        super().__init__()
+        self.make, self.before = make, before
+
+    def __missing__(self, part: str) -> bytes:
+        found = self.before.get(part)
+        if found is None:
+            found = self.make(f" {part}")
+        self[part] = found
+        return found
+
+
 class Parts:
-    """Values of texts' parts; ``encode`` maps a list of strings to a list of bytes."""
+    """Values of texts' parts; ``whole`` maps any text to bytes, ``part`` one without added tokens."""
+
+    def __init__(self, whole: Callable[[str], bytes], special: Sequence[str], size: int = PARTS) -> None:
+        self.whole, self.special, self.size = whole, tuple(special), size
+        self.known = _Values(self.part, {})
 
-    def __init__(self, encode: Callable[[list[str]], list[bytes]], special: Sequence[str], size: int = PARTS) -> None:
-        self.encode, self.size = encode, size
-        self.special = re.compile("|".join(map(re.escape, special))) if special else None
-        self.known: dict[str, bytes] = {}
-        self.before: dict[str, bytes] = {}
+    def part(self, string: str) -> bytes:
+        return self.whole(string)
 
     def split(self, text: str) -> list[str]:
-        """The text's parts without their leading space (the first has none)."""
-        if _UNSAFE.search(text) or (self.special and self.special.search(text)):
-            return [text]
+        """The text's parts without their leading space (the first has none); an unsafe text is one."""
+        for x in _BEFORE_SPACE:
+            if x in text:
+                return [text]
+        for x in _ANYWHERE:
+            if x in text:
+                return [text]
+        for x in self.special:
+            if x in text:
+                return [text]
         return text.split(" ")
 
-    def of(self, texts: list[str]) -> list[tuple[list[str], list[bytes]]]:
-        """Per text its parts and their values."""
-        cut = [self.split(t) for t in texts]
+    def turn(self) -> None:
+        """Starts a new generation when the present one is full."""
         if len(self.known) > self.size:
-            self.known, self.before = {}, self.known
-        inner: set[str] = set()
-        for parts in cut:
-            inner.update(parts[1:])
-        new = inner - self.known.keys()
-        again = new & self.before.keys()
-        self.known.update({p: self.before[p] for p in again})
-        new = list(new - again)
-        self.known.update(zip(new, self.encode([f" {p}" for p in new]), strict=True))
-        first = self.encode([p[0] for p in cut])
-        get = self.known.__getitem__
-        return [(parts, [head, *map(get, parts[1:])]) for parts, head in zip(cut, first, strict=True)]
+            self.known = _Values(self.part, dict(self.known))
+
+    def of(self, text: str) -> tuple[list[str], list[bytes]]:
+        """The parts of a text and their values."""
+        parts = self.split(text)
+        return parts, [self.whole(parts[0]), *map(self.known.__getitem__, parts[1:])]
+
+    def joined(self, text: str) -> bytes:
+        """The values of a text's parts, one behind the other."""
+        parts = self.split(text)
+        head = self.whole(parts[0])
+        return head + b"".join(map(self.known.__getitem__, parts[1:])) if len(parts) > 1 else head
+
+
+def _byte_letters() -> dict[int, str]:
+    """Byte-level alphabet: printable bytes stand for themselves, the others for U+0100 on."""
+    own = [*range(0x21, 0x7F), *range(0xA1, 0xAD), *range(0xAE, 0x100)]
+    rest = [b for b in range(256) if b not in own]
+    return {b: chr(b) for b in own} | {b: chr(0x100 + k) for k, b in enumerate(rest)}
+
+
+class IdParts(Parts):
+    """Parts whose values are ids; a part's pieces go through the library's model.
+
+    The pre-tokenizer's rule is applied here.  Parts outside a plain range of
+    characters, in which the rule's character classes do not depend on a Unicode
+    version, are encoded by the library as a whole.
+    """
+
+    #: The byte-level pre-tokenizer's pattern, and the plain range.
+    PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+    PLAIN = re.compile("[\\t\\n\\r -~\u00a1-\u024f]*")
+
+    def __init__(self, name: str, size: int = PARTS) -> None:
+        import regex
+
+        if array("I").itemsize != 4 or sys.byteorder != "little":
+            raise RuntimeError("needs 32-bit little-endian arrays")
+        tok = self.tok = tokenizer(name)
+        super().__init__(lambda text: array("I", tok.encode(text, add_special_tokens=False).ids).tobytes(), added_tokens(tok), size)
+        self.find, self.match, self.tokenize = regex.compile(self.PATTERN).findall, self.PLAIN.fullmatch, tok.model.tokenize
+        self.letters = _byte_letters()
+        self.space = self.letters[0x20]
+        self.inner: dict[str, bytes] = {}
+
+    def piece(self, piece: str) -> bytes:
+        if piece.isascii() and piece[0] == " " and piece[1:].isalnum():
+            spelled = self.space + piece[1:]
+        else:
+            spelled = piece.encode().decode("latin-1").translate(self.letters)
+        return array("I", [t.id for t in self.tokenize(spelled)]).tobytes()
+
+    def part(self, string: str) -> bytes:
+        if not self.match(string):
+            return self.whole(string)
+        pieces = self.find(string)
+        if len(pieces) == 1:
+            return self.piece(string)
+        out, known = [], self.known
+        for p in pieces:
+            if p[0] == " " and len(p) > 1:  # a part of its own
+                out.append(known[p[1:]])
+            else:
+                value = self.inner.get(p)
+                if value is None:
+                    if len(self.inner) > self.size // 4:
+                        self.inner.clear()
+                    value = self.inner[p] = self.piece(p)
+                out.append(value)
+        return b"".join(out)
+
+
+def added_tokens(tok) -> list[str]:
+    return [t.content for t in tok.get_added_tokens_decoder().values()]
 
 
+@functools.cache
 def id_parts(name: str = VOCABULARY) -> Parts:
-    """Parts whose values are their ids, little-endian unsigned 32-bit."""
-    if array("I").itemsize != 4 or sys.byteorder != "little":
-        raise RuntimeError("needs 32-bit little-endian arrays")
-    tok = tokenizer(name)
-
-    def encode(strings: list[str]) -> list[bytes]:
-        return [array("I", e.ids).tobytes() for e in tok.encode_batch_fast(strings, add_special_tokens=False)]
-
-    return Parts(encode, [t.content for t in tok.get_added_tokens_decoder().values()])
+    """Parts whose values are their ids, little-endian unsigned 32-bit; one cache per worker process."""
+    return IdParts(name)
 
 
+@functools.cache
 def span_parts(name: str = VOCABULARY) -> Parts:
-    """Parts whose values are their tokens' (start, end) characters, int32 pairs."""
+    """Parts whose values are their tokens' (start, end) characters, int32 pairs; one cache per worker process."""
     tok = span_tokenizer(name)
 
-    def encode(strings: list[str]) -> list[bytes]:
-        return [np.array(e.offsets, dtype=np.int32).tobytes() for e in tok.encode_batch(strings, add_special_tokens=False)]
+    def encode(string: str) -> bytes:
+        return np.array(tok.encode(string, add_special_tokens=False).offsets, dtype=np.int32).tobytes()
 
-    return Parts(encode, [t.content for t in tok.get_added_tokens_decoder().values()])
+    return Parts(encode, added_tokens(tok))
 
 
 def spans_of(parts: list[str], values: list[bytes]) -> np.ndarray:

@@ -270,9 +270,10 @@ def plain_ids(t):
 
 def test_parts_equal_whole_texts():
     texts = [t or "" for _, t, *_ in rows()] + [" a", "a ", "a  b", "\n\n a", "a\n b", "a\n \nb", "x <|endoftext|> y", "it's 'quoted' isn't", " x   y", "١٢ x²", "tab\tb \tc"]
-    got = [np.frombuffer(b"".join(v), "<u4").tolist() for _, v in tokens.id_parts().of(texts)]
+    parts = tokens.id_parts()
+    got = [np.frombuffer(parts.joined(t), "<u4").tolist() for t in texts]
     assert got == [plain_ids(t) for t in texts]
-    spans = [tokens.spans_of(*x).tolist() for x in tokens.span_parts().of(texts)]
+    spans = [tokens.spans_of(*tokens.span_parts().of(t)).tolist() for t in texts]
     assert spans == [[list(o) for o in tokens.span_tokenizer().encode(t, add_special_tokens=False).offsets] for t in texts]
 
 
