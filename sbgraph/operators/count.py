@@ -160,6 +160,7 @@ def count_pivot_local(graph: SignedGraph, bins: int = 8, threads: int = 1, assig
     ``threads=1`` and more bins this is the flat form, with ``assigner="blocks"`` the one
     without load awareness.
     """
+    graph = graph.cached()  # the assignment and the count both read the edges
     oriented = index.orient(graph)
     assignment = ASSIGNERS[assigner](index.workload(graph, workload), bins)
     if max_load:

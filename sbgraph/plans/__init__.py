@@ -49,6 +49,7 @@ def choose_plan(graph: SignedGraph, per_task: int = 200_000_000, budget: int = S
 
 def count_auto(graph: SignedGraph) -> DataFrame:
     """The balanced total by the chosen plan."""
+    graph = graph.cached()  # the costs and the count both read the edges
     plan = choose_plan(graph)
     if plan.method == "wedge_agg":
         return count.count_wedge_agg(graph, plan.order)
