@@ -1,9 +1,11 @@
 """Quality classifier: random-indexing word vectors, a two-layer network, calibration.
 
-1. *Random indexing* over all documents: every token has a sparse ternary index vector
-   (a few +1 / -1 at hashed places).  The context vector of a token is the sum of the
-   index vectors of its neighbours.  Tokens are hashed into a fixed table, so the
-   statistics have one size however large the corpus is; they are summed in blocks.
+1. *Random indexing* over all documents: every word has a sparse ternary index vector
+   (a few +1 / -1 at hashed places).  The context vector of a word is the sum of the
+   index vectors of its neighbours.  Words are kept apart by their 64-bit hashes, so the
+   statistics grow with the vocabulary; they are a distributed table.  Documents are dealt
+   into buckets; a bucket sends its sums by part of the hash range, a part adds up its
+   words over all buckets and answers each bucket with the words that it sent.
 2. A text is pooled into the mean of its tokens' vectors: words, the words' shapes
    (letter case, digits and marks kept) and a mark for a word that repeats the one
    before it.  Each token's vector is its damped context vector beside its index vector.
@@ -29,15 +31,17 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
+from .store import Store
 
-#: Rows of the hashed token table, context dimensions, non-zeros of an index vector.
-TABLE, DIM, NONZERO = 1 << 14, 32, 2
+#: Dimensions and non-zeros of an index vector; six bits of a hash draw a non-zero.
+DIM, NONZERO = 32, 8
+#: Text bytes of a bucket, and words whose sums are formed at a time.
+BUCKET, BLOCK = 32 << 20, 1 << 16
 #: Labelled documents that may be fitted (the documented bound), and held-back share.
 SAMPLE, CALIBRATION = 12_000, 5
 HIDDEN, EPOCHS, BATCH, RATE, DECAY = 24, 30, 128, 4e-3, 1e-4
 #: Predicted 1 from this score on.
 THRESHOLD = 0.3
-BLOCKS = 64
 
 _SHAPE = np.arange(256, dtype=np.uint8)
 _SHAPE[ord("a") : ord("z") + 1] = ord("a")
@@ -47,92 +51,171 @@ _SHAPE[ord("0") : ord("9") + 1] = ord("0")
 _REPEAT = np.uint64(0x5851F42D4C957F2D)
 
 
-def _index_vectors() -> np.ndarray:
-    """The ternary index vectors of all table rows."""
-    out = np.zeros((TABLE, DIM), np.float32)
-    draw = K.mix64(np.arange(TABLE * NONZERO, dtype=np.uint64) + np.uint64(77))
-    rows = np.repeat(np.arange(TABLE), NONZERO)
-    np.add.at(out, (rows, (draw % np.uint64(DIM)).astype(int)), np.where(draw >> np.uint64(63), 1, -1).astype(np.float32))
-    return out
+def _draws(hashes: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """Place and sign of each non-zero of the words' index vectors."""
+    draw = K.mix64(hashes + np.uint64(5))
+    for k in range(NONZERO):
+        six = (draw >> np.uint64(6 * k)).astype(np.int64) & 63
+        yield six >> 1, np.where(six & 1, 1.0, -1.0)
 
 
-def _row(hashes: np.ndarray) -> np.ndarray:
-    return (K.mix64(hashes + np.uint64(5)) % np.uint64(TABLE)).astype(np.int64)
+def index_vectors(hashes: np.ndarray) -> np.ndarray:
+    """The ternary index vectors of words (places drawn twice add up), of unit length on average."""
+    out, rows = np.zeros((len(hashes), DIM), np.float32), np.arange(len(hashes))
+    for place, sign in _draws(hashes):
+        out[rows, place] += sign
+    return out / np.float32(np.sqrt(NONZERO))
 
 
-def _tokens(data: np.ndarray, offsets: np.ndarray) -> tuple[K.Words, np.ndarray, np.ndarray]:
-    """Words with the table rows of the words and of their shapes; a repeat has a shape of its own."""
-    words = K.words_of(data, offsets, K.SPACED, lower=False)
+def _shapes(data: np.ndarray, offsets: np.ndarray, words: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Hashes of the words' shapes; a word that repeats the one before it has a shape of its own."""
     shapes = K.words_of(data, offsets, K.SPACED, lower=False, table=_SHAPE)
-    same = np.zeros(len(words.hashes), bool)
-    same[1:] = words.hashes[1:] == words.hashes[:-1]
-    inner = words.first[:-1]
+    same = np.zeros(len(words), bool)
+    same[1:] = words[1:] == words[:-1]
+    inner = first[:-1]
     same[inner[inner < len(same)]] = False
-    return words, _row(words.hashes), _row(np.where(same, _REPEAT, shapes.hashes))
+    return np.where(same, _REPEAT, shapes.hashes)
+
+
+def _pack(values: np.ndarray) -> bytes:
+    """Whole numbers as compressed byte planes (the first byte is their width)."""
+    zigzag = ((values << 1) ^ (values >> 63)).astype("<u8")
+    width = max(1, (int(zigzag.max(initial=0)).bit_length() + 7) // 8)
+    planes = zigzag.view(np.uint8).reshape(*values.shape, 8)[:, :, :width].transpose(2, 1, 0)
+    return bytes([width]) + pa.compress(np.ascontiguousarray(planes).tobytes(), codec="zstd", asbytes=True)
+
+
+def _unpack(blob: bytes, rows: int) -> np.ndarray:
+    """rows x (DIM + 1) numbers of a packed table."""
+    width = blob[0]
+    planes = pa.decompress(blob[1:], decompressed_size=width * (DIM + 1) * rows, codec="zstd", asbytes=True)
+    zigzag = np.zeros((rows, DIM + 1, 8), np.uint8)
+    zigzag[:, :, :width] = np.frombuffer(planes, np.uint8).reshape(width, DIM + 1, rows).transpose(2, 1, 0)
+    zigzag = zigzag.view("<u8")[:, :, 0]
+    return (zigzag >> np.uint64(1)).astype(np.int64) ^ -(zigzag & np.uint64(1)).astype(np.int64)
+
+
+def _words(table: pa.Table) -> tuple[list[tuple], np.ndarray]:
+    """Per slice of a bucket: rows, word hashes and first words; and the sorted distinct words."""
+    found = []
+    for batch in table.combine_chunks().to_batches():
+        for part in K.slices(batch, "text", 1 << 21):
+            words = K.words_of(*K.text_buffer(part.column("text")), K.SPACED, lower=False)
+            found.append((part, words.hashes, words.first))
+    return found, np.unique(np.concatenate([np.zeros(0, np.uint64), *[f[1] for f in found]]))
+
+
+def _parts(names: np.ndarray, parts: int) -> list[tuple[int, int, int]]:
+    """(part, begin, end) of sorted words: parts are equal ranges of the hashes."""
+    part = ((names >> np.uint64(32)) * np.uint64(parts) >> np.uint64(32)).astype(np.int64)
+    edges = np.flatnonzero(np.diff(part, prepend=-1)).tolist()
+    return [(int(part[a]), a, b) for a, b in zip(edges, [*edges[1:], len(names)], strict=True)]
+
+
+def _sums(found: list[tuple], names: np.ndarray) -> np.ndarray:
+    """Summed neighbour index vectors and counts (words x (DIM + 1)) of a bucket."""
+    me, other = [], []
+    out = np.zeros((len(names), DIM + 1), np.int64)
+    for _, words, first in found:
+        at = np.searchsorted(names, words)
+        out[:, DIM] += np.bincount(at, minlength=len(names))
+        joined = np.ones(max(0, len(at) - 1), bool)
+        edge = first[1:-1]
+        joined[edge[(edge > 0) & (edge < len(at))] - 1] = False
+        me += [at[:-1][joined], at[1:][joined]]
+        other += [words[1:][joined], words[:-1][joined]]
+    if not me:
+        return out
+    me, other = np.concatenate(me), np.concatenate(other)
+    order = np.argsort(me, kind="stable")
+    me, other = me[order], other[order]
+    for base in range(0, len(names), BLOCK):
+        a, b = np.searchsorted(me, [base, base + BLOCK])
+        size = min(BLOCK, len(names) - base)
+        for place, sign in _draws(other[a:b]):
+            out[base : base + size, :DIM] += np.bincount((me[a:b] - base) * DIM + place, weights=sign, minlength=size * DIM).reshape(size, DIM).astype(np.int64)
+    return out
+
 
+def word_vectors(names: np.ndarray, sums: np.ndarray, tokens: int) -> np.ndarray:
+    """Unit context vectors beside index vectors, damped for frequent words."""
+    n = sums[:, DIM:]
+    unit = sums[:, :DIM] / np.maximum(np.linalg.norm(sums[:, :DIM], axis=1, keepdims=True), 1e-9)
+    damp = 1 / np.sqrt(1 + n / max(tokens, 1) * 1000)
+    return (np.concatenate([unit, index_vectors(names)], axis=1) * damp).astype(np.float32)
 
-def _column(docs: DataFrame, text: str) -> DataFrame:
-    return docs.select(F.col(f"`{text}`").alias("text"))
 
+def _pool(values: np.ndarray, first: np.ndarray) -> np.ndarray:
+    """Mean row of each document."""
+    n = np.diff(first)
+    sums = np.add.reduceat(np.concatenate([values, np.zeros((1, values.shape[1]), values.dtype)]), np.minimum(first[:-1], len(values)), axis=0)
+    return sums * (n > 0)[:, None] / np.maximum(n, 1)[:, None]
 
-def context_vectors(docs: DataFrame, text: str = "text") -> np.ndarray:
-    """Summed neighbour index vectors and token counts (TABLE x (DIM + 1)) over all documents.
 
-    A task adds up one table and hands it on in blocks; the driver gets BLOCKS rows.
-    """
+def _measure(docs: DataFrame) -> tuple[int, int]:
+    """Text bytes and words of all documents."""
 
-    def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        places = (K.mix64(np.arange(TABLE * NONZERO, dtype=np.uint64) + np.uint64(77)) % np.uint64(DIM)).astype(np.int64).reshape(TABLE, NONZERO)
-        signs = np.where(K.mix64(np.arange(TABLE * NONZERO, dtype=np.uint64) + np.uint64(77)) >> np.uint64(63), 1.0, -1.0).reshape(TABLE, NONZERO)
-        total = np.zeros((TABLE, DIM + 1))
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        size = tokens = 0
         for batch in batches:
             for part in K.slices(batch, "text", 1 << 21):
-                words, row, _ = _tokens(*K.text_buffer(part.column("text")))
-                total[:, DIM] += np.bincount(row, minlength=TABLE)
-                joined = np.ones(max(0, len(row) - 1), bool)
-                edge = words.first[1:-1]
-                joined[edge[(edge > 0) & (edge < len(row))] - 1] = False
-                left, right = row[:-1][joined], row[1:][joined]
-                for me, other in ((left, right), (right, left)):
-                    for k in range(NONZERO):
-                        total[:, :DIM] += np.bincount(me * DIM + places[other, k], weights=signs[other, k], minlength=TABLE * DIM).reshape(TABLE, DIM)
-        step = TABLE // BLOCKS
-        blocks = [total[b * step : (b + 1) * step].astype(np.float32).tobytes() for b in range(BLOCKS)]
-        yield pa.RecordBatch.from_arrays([pa.array(range(BLOCKS), pa.int32()), pa.array(blocks, pa.binary())], names=["block", "part"])
-
-    def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        sums: dict[int, np.ndarray] = {}
-        for batch in batches:
-            for block, part in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True):
-                values = np.frombuffer(part, np.float32).astype(np.float64)
-                sums[block] = sums[block] + values if block in sums else values
-        if sums:
-            yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([v.tobytes() for v in sums.values()], pa.binary())], names=["block", "part"])
-
-    schema = "block int, part binary"
-    summed = _column(docs, text).mapInArrow(gather, schema).repartition("block").sortWithinPartitions("block").mapInArrow(add, schema)
-    out = np.zeros((TABLE, DIM + 1))
-    step = TABLE // BLOCKS
-    for r in summed.collect():  # BLOCKS rows of a fixed size
-        out[r["block"] * step : (r["block"] + 1) * step] = np.frombuffer(r["part"], np.float64).reshape(step, DIM + 1)
-    return out
+                data, offsets = K.text_buffer(part.column("text"))
+                inside = K.SPACED[data]
+                begins = inside.copy()
+                begins[1:] &= ~inside[:-1]
+                at = np.unique(offsets[(offsets > 0) & (offsets < len(data))])
+                begins[at] = inside[at]
+                size, tokens = size + len(data), tokens + int(begins.sum())
+        yield pa.RecordBatch.from_arrays([pa.array([size], pa.int64()), pa.array([tokens], pa.int64())], names=["size", "tokens"])
+
+    r = docs.select("text").mapInArrow(run, "size long, tokens long").agg(F.sum("size").alias("size"), F.sum("tokens").alias("tokens")).first()
+    return r["size"] or 0, r["tokens"] or 0
 
 
-def word_vectors(context: np.ndarray) -> np.ndarray:
-    """Unit context vectors beside unit index vectors, damped for frequent tokens."""
-    n = context[:, DIM:]
-    unit = context[:, :DIM] / np.maximum(np.linalg.norm(context[:, :DIM], axis=1, keepdims=True), 1e-9)
-    index = _index_vectors() / np.sqrt(NONZERO)
-    damp = 1 / np.sqrt(1 + n / max(n.sum(), 1) * 1000)
-    return (np.concatenate([unit, index], axis=1) * damp).astype(np.float32)
+#: Mean word vector, mean shape vector, log length.
+WIDTH = 2 * DIM + DIM + 1
 
 
-def pool(data: np.ndarray, offsets: np.ndarray, vectors: np.ndarray, index: np.ndarray) -> np.ndarray:
-    """One row per document: mean word vector, mean shape vector, log length."""
-    words, row, shape = _tokens(data, offsets)
-    n = words.counts()
-    mean = lambda table, at: np.add.reduceat(np.concatenate([table[at], np.zeros((1, table.shape[1]), table.dtype)]), np.minimum(words.first[:-1], len(at)), axis=0) * (n > 0)[:, None] / np.maximum(n, 1)[:, None]
-    return np.concatenate([mean(vectors, row), mean(index, shape), np.log1p(n)[:, None] / 10], axis=1).astype(np.float32)
+def features(docs: DataFrame) -> DataFrame:
+    """doc_id and pooled features (x: float32 bytes) of every row."""
+    rows = docs.select(F.col("`doc_id`").cast("long").alias("doc_id"), F.col("`text`").alias("text"))
+    size, tokens = _measure(rows)
+    buckets = max(1, -(-size // BUCKET))
+    dealt = rows.select(F.pmod(F.xxhash64("doc_id", "text"), F.lit(buckets)).alias("bucket"), "doc_id", "text")
+
+    def gather(table: pa.Table) -> pa.Table:
+        found, names = _words(table)
+        sums, own = _sums(found, names), _parts(names, buckets)
+        columns = [[table.column("bucket")[0].as_py()] * len(own), [p for p, _, _ in own], [names[a:b].tobytes() for _, a, b in own], [_pack(sums[a:b]) for _, a, b in own]]
+        return pa.table([pa.array(c, t) for c, t in zip(columns, (pa.int64(), pa.int64(), pa.binary(), pa.binary()), strict=True)], names=["bucket", "part", "words", "sums"])
+
+    def add(table: pa.Table) -> pa.Table:
+        sent = [np.frombuffer(w, np.uint64) for w in table.column("words").to_pylist()]
+        names = np.unique(np.concatenate(sent))
+        total = np.zeros((len(names), DIM + 1), np.int64)
+        for own, blob in zip(sent, table.column("sums").to_pylist(), strict=True):
+            total[np.searchsorted(names, own)] += _unpack(blob, len(own))
+        answers = [_pack(total[np.searchsorted(names, own)]) for own in sent]
+        return pa.table([table.column("bucket"), table.column("part"), pa.array(answers, pa.binary())], names=["bucket", "part", "sums"])
+
+    def pool(texts: pa.Table, answers: pa.Table) -> pa.Table:
+        found, names = _words(texts)
+        sums = dict(zip(answers.column("part").to_pylist(), answers.column("sums").to_pylist(), strict=True))
+        vectors = np.zeros((len(names), 2 * DIM), np.float32)
+        for part, a, b in _parts(names, buckets):
+            vectors[a:b] = word_vectors(names[a:b], _unpack(sums[part], b - a), tokens)
+        ids, out = [], []
+        for part, words, first in found:
+            kinds, kind = np.unique(_shapes(*K.text_buffer(part.column("text")), words, first), return_inverse=True)
+            means = [_pool(vectors[np.searchsorted(names, words)], first), _pool(index_vectors(kinds)[kind], first)]
+            x = np.concatenate([*means, np.log1p(np.diff(first))[:, None] / 10], axis=1).astype(np.float32)
+            ids.append(part.column("doc_id"))
+            out += [r.tobytes() for r in x]
+        return pa.table([pa.chunked_array(ids, pa.int64()).combine_chunks(), pa.array(out, pa.binary())], names=["doc_id", "x"])
+
+    sent = dealt.groupBy("bucket").applyInArrow(gather, "bucket long, part long, words binary, sums binary")
+    answers = sent.groupBy("part").applyInArrow(add, "bucket long, part long, sums binary")
+    return dealt.groupBy("bucket").cogroup(answers.groupBy("bucket")).applyInArrow(pool, "doc_id long, x binary")
 
 
 @dataclass
@@ -189,62 +272,37 @@ def fit(x: np.ndarray, y: np.ndarray, seed: int = 11) -> Network:
     return net
 
 
-@dataclass
-class Model:
-    vectors: np.ndarray
-    network: Network
-
-
 def held_out(doc_id: Column) -> Column:
     """The fold that is never learned from."""
     return F.crc32(doc_id.cast("string").cast("binary")) % 5 == 0
 
 
-def _features(rows: DataFrame, vectors: np.ndarray, name: str = "doc_id") -> DataFrame:
-    shared = rows.sparkSession.sparkContext.broadcast(vectors)
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        index = _index_vectors()
-        for batch in batches:
-            for part in K.slices(batch, "text", 1 << 21):
-                x = pool(*K.text_buffer(part.column("text")), shared.value, index)
-                yield pa.RecordBatch.from_arrays([part.column(name), pa.array([r.tobytes() for r in x], pa.binary())], names=[name, "x"])
-
-    return rows.select(name, "text").mapInArrow(run, f"{name} long, x binary")
-
-
-def train(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int = SAMPLE) -> Model:
-    """Word vectors from all documents, a network from labelled ones outside the held-out fold."""
-    vectors = word_vectors(context_vectors(docs))
+def train(known_x: DataFrame, labels: DataFrame, label: str = "quality", sample: int = SAMPLE) -> Network:
+    """A network from the features of labelled documents outside the held-out fold."""
     known = labels.select(F.col("`doc_id`").cast("long").alias("__id"), F.col(f"`{label}`").cast("long").alias("y")).where(F.col("y").isin(0, 1) & ~held_out(F.col("__id")))
     # The documented bound: at most ``sample`` labels, in hash order.
     known = known.orderBy(F.xxhash64("__id"), "__id", "y").limit(sample)
-    rows = docs.select(F.col("`doc_id`").cast("long").alias("doc_id"), F.col("`text`").alias("text")).join(F.broadcast(known), F.col("doc_id") == F.col("__id"))
-    rows = rows.select(F.col("y").alias("y_"), "text").withColumnRenamed("y_", "y")
-    found = _features(rows, vectors, "y").toPandas()
-    width = 2 * DIM + DIM + 1
-    x = np.frombuffer(b"".join(found["x"]), np.float32).reshape(-1, width) if len(found) else np.zeros((0, width), np.float32)
+    found = known_x.join(F.broadcast(known), F.col("doc_id") == F.col("__id")).select("y", "x").toPandas()
+    x = np.frombuffer(b"".join(found["x"]), np.float32).reshape(-1, WIDTH) if len(found) else np.zeros((0, WIDTH), np.float32)
     y = found["y"].to_numpy(np.int64)
-    order = np.lexsort((*x.T[:3], y)) if len(y) else slice(0)  # the order of rows from a join is not fixed
-    return Model(vectors, fit(x[order].astype(np.float64), y[order]))
+    order = np.lexsort((*x.T, y)) if len(y) else slice(0)  # the order of rows from a join is not fixed
+    return fit(x[order].astype(np.float64), y[order])
 
 
-def score(docs: DataFrame, model: Model) -> DataFrame:
+def score(known_x: DataFrame, network: Network) -> DataFrame:
     """doc_id and score of every row."""
-    shared = docs.sparkSession.sparkContext.broadcast(model)
+    shared = known_x.sparkSession.sparkContext.broadcast(network)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        own, index = shared.value, _index_vectors()
         for batch in batches:
-            for part in K.slices(batch, "text", 1 << 21):
-                x = pool(*K.text_buffer(part.column("text")), own.vectors, index)
-                yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(own.network.score(x.astype(np.float64)))], names=["doc_id", "score"])
+            x = np.frombuffer(b"".join(batch.column("x").to_pylist()), np.float32).reshape(-1, WIDTH)
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(shared.value.score(x.astype(np.float64)))], names=["doc_id", "score"])
 
-    rows = docs.select(F.col("`doc_id`").cast("long").alias("doc_id"), F.col("`text`").alias("text"))
-    return rows.mapInArrow(run, "doc_id long, score double")
+    return known_x.select("doc_id", "x").mapInArrow(run, "doc_id long, score double")
 
 
 def classify(docs: DataFrame, labels: DataFrame, label: str = "quality", sample: int = SAMPLE) -> DataFrame:
     """doc_id, held_out, score, predicted of every row."""
-    scored = score(docs, train(docs, labels, label, sample))
+    known_x = Store(docs.sparkSession).put("features", features(docs))
+    scored = score(known_x, train(known_x, labels, label, sample))
     return scored.select("doc_id", F.coalesce(held_out(F.col("doc_id")), F.lit(False)).alias("held_out"), "score", (F.col("score") >= THRESHOLD).cast("int").alias("predicted"))

@@ -221,6 +221,36 @@ def test_classifier_without_labels(docs, spark):
     assert {r["score"] for r in quality_classifier.classify(docs, none).collect()} == {0.5}
 
 
+def test_features_keep_every_word_apart(spark, monkeypatch):
+    """Against plain sums by word, over many buckets and more words than any fixed table of 16,384 rows."""
+    r = np.random.default_rng(4)
+    data = [(k, " ".join(f"w{i}" for i in (r.zipf(1.3, 60) % 1000).tolist() + r.integers(1000, 60_000, 60).tolist())) for k in range(400)]
+    data += [(7, "Again again again"), (8, None), (None, "w1 w2"), (9, "")]
+    monkeypatch.setattr(quality_classifier, "BUCKET", 20_000)
+    named = lambda w: kernels.words_of(np.frombuffer(w.encode(), np.uint8), np.array([0, len(w)]), kernels.SPACED, lower=False).hashes
+    words = {w for _, t in data for w in (t or "").split()}
+    index = {w: quality_classifier.index_vectors(named(w))[0].astype(float) for w in words}
+    assert len(words) > 1 << 14 and len({v.tobytes() for v in index.values()}) == len(words)
+    context, n = defaultdict(lambda: np.zeros(quality_classifier.DIM)), Counter()
+    for _, t in data:
+        own = (t or "").split()
+        n.update(own)
+        for a, b in itertools.pairwise(own):
+            context[a] += index[b]
+            context[b] += index[a]
+    total = sum(n.values())
+    vector = {w: np.concatenate([context[w] / max(np.linalg.norm(context[w]), 1e-9), index[w]]) / np.sqrt(1 + 1000 * n[w] / total) for w in words}
+    wanted = defaultdict(list)
+    for i, t in data:
+        own = (t or "").split()
+        wanted[i].append(np.mean([vector[w] for w in own], axis=0) if own else np.zeros(2 * quality_classifier.DIM))
+    got = quality_classifier.features(spark.createDataFrame(data, "doc_id long, text string")).collect()
+    assert Counter(x["doc_id"] for x in got) == Counter(i for i, _ in data)
+    for x in got:
+        own = np.frombuffer(x["x"], np.float32)[: 2 * quality_classifier.DIM]
+        assert any(np.allclose(own, w, atol=1e-4) for w in wanted[x["doc_id"]])
+
+
 # --- 4 -----------------------------------------------------------------------------------
 
 PII = [
