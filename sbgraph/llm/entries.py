@@ -22,7 +22,7 @@ def op1_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op2_ngram_join(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return ngram_join.join(_docs(spark, sf_dir))
+    return ngram_join.join(_docs(spark, sf_dir)).select("doc_id", "n_shingles", "component_id")
 
 
 def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:

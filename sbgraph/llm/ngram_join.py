@@ -15,12 +15,15 @@ their sizes.  Only blocks of that product that can hold a link are formed:
 4. A block is multiplied by column slices: overlap counts accumulate, and pairs
    whose size bound or remaining columns rule a link out are discarded.  A block
    too large for one task becomes tiles of member groups.  A tile returns a
-   spanning forest of its links only.
-5. Connected components of the forests give ``component_id``.
+   spanning forest of its links and each member's number of links; a pair that meets
+   under several leaders counts under the least of them.
+5. Connected components of the forests give ``component_id``; the numbers of links,
+   weighted by class sizes, give ``n_links``.  ``pairs`` writes the links themselves out.
 
 Defined cases: a null or blank text has an empty set and links with nothing; a
 null doc_id links with nothing and keeps a null component_id; rows that share a
-doc_id are one node; an empty table gives an empty result; other columns of the
+doc_id are one node of a component (``n_links`` counts a doc_id once for each of its
+different sets); an empty table gives an empty result; other columns of the
 input are ignored, so their names cannot clash.
 """
 
@@ -72,6 +75,11 @@ def _lists(arrays: list[np.ndarray]) -> pa.ListArray:
     return pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))
 
 
+def _marks(sets: list[np.ndarray]) -> np.ndarray:
+    """Fingerprints of sets, as two numbers each."""
+    return np.frombuffer(b"".join(hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets), dtype=np.int64).reshape(-1, 2)
+
+
 def _cell(hashes: np.ndarray) -> np.ndarray:
     return (hashes >> np.uint64(64 - CELL_BITS)).astype(np.int64)
 
@@ -142,8 +150,7 @@ def sketches(docs: DataFrame, table: np.ndarray, size: int = SIZE) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, sets in _sets(batches, size):
-            marks = [hashlib.blake2b(s.tobytes(), digest_size=16).digest() for s in sets]
-            f = np.frombuffer(b"".join(marks), dtype=np.int64).reshape(-1, 2)
+            f = _marks(sets)
             columns = {
                 "doc_id": part.column("doc_id"),
                 "n": pa.array([len(s) for s in sets], pa.int64()),
@@ -366,16 +373,51 @@ def _candidates(rows: DataFrame) -> DataFrame:
     return dealt.mapInArrow(run, "rep long, leader long, i long, j long, side long, sub long")
 
 
-def _tile_links(rows: DataFrame) -> DataFrame:
-    """Spanning forests of candidate groups; rows: leader, i, j, sub, side, rep, set."""
+def _met_before(lower: list[np.ndarray]) -> np.ndarray:
+    """Pairs of members that also meet under a lesser leader (``lower``: a member's lesser leaders)."""
+    _, at = np.unique(np.concatenate(lower), return_inverse=True)
+    row, width = np.repeat(np.arange(len(lower)), [len(x) for x in lower]), int(at.max(initial=-1)) + 1
+    met = np.zeros((len(lower), len(lower)), dtype=np.float32)
+    for base in range(0, width, SLICE):
+        own = (at >= base) & (at < base + SLICE)
+        block = np.zeros((len(lower), min(SLICE, width - base)), dtype=np.float32)
+        block[row[own], at[own] - base] = 1
+        met += block @ block.T
+    return met > 0
+
+
+def _tile_links(rows: DataFrame, write: bool = False) -> DataFrame:
+    """Links of candidate groups; rows: leader, i, j, sub, side, rep, f1, size, lower, set.
+
+    Spanning forests (a, b), and of members with links (a, f1, links): how many nodes
+    link with it, each pair counted in one group only.  ``write``: the pairs instead.
+    """
     keys = (*TILE_KEY, "sub")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for key, held in _groups(batches, keys):
-            edges = forest(multiply(held["set"], _side(key, held)), np.array(held["rep"]))
-            yield pa.RecordBatch.from_arrays([pa.array(edges[:, 0].copy()), pa.array(edges[:, 1].copy())], names=["a", "b"])
+            found, names, marks = multiply(held["set"], _side(key, held)), np.array(held["rep"]), np.array(held["f1"])
+            if not write:
+                edges = forest(found, names)
+                none = pa.nulls(len(edges), pa.int64())
+                yield pa.RecordBatch.from_arrays([pa.array(edges[:, 0].copy()), pa.array(edges[:, 1].copy()), none, none], names=["a", "b", "f1", "links"])
+            first = np.zeros(len(names), bool)  # rows of one class may come again
+            first[np.unique(np.stack([names, marks]), axis=1, return_index=True)[1]] = True
+            found = found & first & first[:, None]
+            if not found.any():
+                continue
+            found &= ~_met_before(held["lower"])
+            if write:
+                a, b = np.nonzero(np.triu(found))
+                overlap = [len(np.intersect1d(held["set"][i], held["set"][j], assume_unique=True)) for i, j in zip(a.tolist(), b.tolist(), strict=True)]
+                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (names[a], marks[a], names[b], marks[b], np.array(overlap, np.int64))], names=["a", "f1_a", "b", "f1_b", "overlap"])
+                continue
+            links = found.astype(np.float64) @ np.array(held["size"], dtype=np.float64)
+            at = np.flatnonzero(links)
+            yield pa.RecordBatch.from_arrays([pa.array(names[at]), pa.nulls(len(at), pa.int64()), pa.array(marks[at]), pa.array(links[at].astype(np.int64))], names=["a", "b", "f1", "links"])
 
-    return rows.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, "a long, b long")
+    schema = "a long, f1_a long, b long, f1_b long, overlap long" if write else "a long, b long, f1 long, links long"
+    return rows.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, schema)
 
 
 def _small(rows: DataFrame) -> DataFrame:
@@ -383,10 +425,10 @@ def _small(rows: DataFrame) -> DataFrame:
     return F.broadcast(rows) if rows.count() <= SMALL else rows
 
 
-def links(docs: DataFrame, heads: DataFrame, members: DataFrame, store: Store, size: int = SIZE) -> DataFrame:
-    """A spanning forest (a, b) of all links among class representatives.
+def links(docs: DataFrame, heads: DataFrame, members: DataFrame, classes: DataFrame, store: Store, size: int = SIZE, write: bool = False) -> DataFrame:
+    """What ``_tile_links`` finds among class representatives.
 
-    heads: rep, n, prefix; members: leader, rep.
+    heads: rep, n, prefix; members: leader, rep; classes: rep, f1, size.
     """
     sized = members.join(_small(heads.select("rep", "n")), "rep")
     groups = F.greatest(F.lit(1), F.ceil(F.sum("n") / TILE), F.ceil(F.count(F.lit(1)) / SIDE))
@@ -397,36 +439,65 @@ def links(docs: DataFrame, heads: DataFrame, members: DataFrame, store: Store, s
     wanted = store.put("tiles", tiled.groupBy("rep").agg(F.collect_list("tile").alias("tiles")))
     exploded = heads.join(_small(wanted), "rep").select("rep", "n", "prefix", F.explode("tiles").alias("t"))
     found = store.put("candidates", _candidates(exploded.select("t.*", "rep", "n", "prefix")))
-    listed = found.groupBy("rep").agg(F.collect_list(F.struct(*TILE_KEY, "sub", "side")).alias("tiles"))
-    texts = _texts(docs).withColumnRenamed("doc_id", "rep").join(_small(store.put("listed", listed)), "rep")
+    listed = found.groupBy("rep").agg(F.collect_list(F.struct(*TILE_KEY, "sub", "side")).alias("tiles"), F.collect_set("leader").alias("leaders"))
+    own = classes.groupBy("rep").agg(F.collect_list(F.struct("f1", "size")).alias("own"))
+    texts = _texts(docs).withColumnRenamed("doc_id", "rep").join(_small(store.put("listed", listed.join(own, "rep"))), "rep")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for part, sets in _sets(batches, size):
-            yield pa.RecordBatch.from_arrays([part.column("rep"), part.column("tiles"), _lists(sets)], names=["rep", "tiles", "set"])
+            marks = _marks(sets)[:, 0].tolist()
+            sizes = [next((c["size"] for c in o if c["f1"] == m), None) for o, m in zip(part.column("own").to_pylist(), marks, strict=True)]
+            rows = pa.RecordBatch.from_arrays([part.column("rep"), pa.array(marks, pa.int64()), pa.array(sizes, pa.int64()), part.column("tiles"), part.column("leaders"), _lists(sets)], names=["rep", "f1", "size", "tiles", "leaders", "set"])
+            yield rows.filter(rows.column("size").is_valid())  # other texts of a representative's doc_id belong to other classes
 
     tile = "struct<leader: bigint, i: bigint, j: bigint, sub: bigint, side: bigint>"
-    rows = texts.select("rep", "text", "tiles").mapInArrow(run, f"rep long, tiles array<{tile}>, set array<long>")
-    return _tile_links(rows.select("rep", "set", F.explode("tiles").alias("t")).select("t.*", "rep", "set"))
+    rows = texts.select("rep", "text", "tiles", "leaders", "own").mapInArrow(run, f"rep long, f1 long, size long, tiles array<{tile}>, leaders array<long>, set array<long>")
+    rows = rows.select("rep", "f1", "size", "leaders", "set", F.explode("tiles").alias("t"))
+    lower = F.filter("leaders", lambda x: x < F.col("t.leader")).alias("lower")
+    return _tile_links(rows.select("t.*", "rep", "f1", "size", lower, "set"), write)
 
 
-def join(docs: DataFrame, size: int = SIZE) -> DataFrame:
-    """doc_id, n_shingles, component_id of every row."""
-    store = Store(docs.sparkSession)
+def _classes(docs: DataFrame, store: Store, size: int) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
+    """Sketches, classes (f1, f2, n, rep, size), heads and members."""
     known = store.put("sketches", sketches(docs, frequencies(docs, size), size))
     own = known.where("n > 0 AND doc_id IS NOT NULL")
-    classes = store.put("classes", own.groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep")))
+    classes = store.put("classes", own.groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"), F.countDistinct("doc_id").alias("size")))
     same = ["f1", "f2", "n"]
     first = classes.select("rep", *[F.col(c).alias(f"__{c}") for c in same])
     heads = own.join(_small(first), (F.col("doc_id") == F.col("rep")) & (F.col("f1") == F.col("__f1")) & (F.col("f2") == F.col("__f2")))
     heads = heads.select("rep", "n", "prefix")
     entries = heads.select("rep", "n", F.explode("prefix").alias("h"))
     others = store.put("members", _members(entries))
-    members = others.unionByName(others.select("leader", F.col("leader").alias("rep")).distinct())
-    found = components(links(docs, heads, members, store, size), store)
-    labelled = classes.join(found.withColumnRenamed("node", "rep"), "rep", "left")
-    labelled = labelled.select(F.col("f1").alias("g1"), F.col("f2").alias("g2"), F.col("n").alias("m"), F.coalesce("component", "rep").alias("c"))
+    return known, classes, heads, others.unionByName(others.select("leader", F.col("leader").alias("rep")).distinct())
+
+
+def pairs(docs: DataFrame, size: int = SIZE) -> tuple[DataFrame, DataFrame]:
+    """All links, whole: membership (doc_id, rep, f1, n) and pairs (a, f1_a, b, f1_b, overlap).
+
+    A class (rep, f1) holds the doc_ids of one shingle set of n shingles, which all link with
+    each other; a pair links every doc_id of one class with every doc_id of the other.
+    """
+    store = Store(docs.sparkSession)
+    known, classes, heads, members = _classes(docs, store, size)
+    same = classes.select(F.col("f1").alias("g1"), F.col("f2").alias("g2"), F.col("n").alias("m"), "rep")
+    rows = known.where("doc_id IS NOT NULL").join(same, (F.col("f1") == F.col("g1")) & (F.col("f2") == F.col("g2")) & (F.col("n") == F.col("m")))
+    return rows.select("doc_id", "rep", "f1", "n").distinct(), links(docs, heads, members, classes, store, size, True)
+
+
+def join(docs: DataFrame, size: int = SIZE) -> DataFrame:
+    """doc_id, n_shingles, component_id, n_links (other documents that link with it) of every row."""
+    store = Store(docs.sparkSession)
+    known, classes, heads, members = _classes(docs, store, size)
+    tiles = store.put("links", links(docs, heads, members, classes, store, size))
+    found = components(tiles.where("b IS NOT NULL").select("a", "b"), store)
+    degrees = tiles.where("b IS NULL").groupBy(F.col("a").alias("rep"), "f1").agg(F.sum("links").alias("links"))
+    labelled = classes.join(found.withColumnRenamed("node", "rep"), "rep", "left").join(degrees, ["rep", "f1"], "left")
+    count = (F.col("size") - 1 + F.coalesce("links", F.lit(0))).alias("k")
+    labelled = labelled.select(F.col("f1").alias("g1"), F.col("f2").alias("g2"), F.col("n").alias("m"), F.coalesce("component", "rep").alias("c"), count)
     rows = known.select("doc_id", "n", "f1", "f2").join(labelled, (F.col("f1") == F.col("g1")) & (F.col("f2") == F.col("g2")) & (F.col("n") == F.col("m")), "left")
-    return rows.select("doc_id", F.col("n").alias("n_shingles"), F.when(F.col("n") > 0, F.when(F.col("doc_id").isNotNull(), F.col("c"))).otherwise(F.col("doc_id")).alias("component_id"))
+    component = F.when(F.col("n") > 0, F.when(F.col("doc_id").isNotNull(), F.col("c"))).otherwise(F.col("doc_id"))
+    n_links = F.when(F.col("doc_id").isNotNull(), F.coalesce("k", F.lit(0))).otherwise(0)
+    return rows.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), n_links.alias("n_links"))
 
 
 def dedupe(docs: DataFrame, size: int = SIZE) -> DataFrame:

@@ -166,6 +166,46 @@ def test_tiles_and_runs_of_any_size(spark, monkeypatch):
         spark.conf.unset("spark.sql.execution.arrow.maxRecordsPerBatch")
 
 
+def brute_links(data):
+    """Linked nodes (doc_id, set) of each node, by all pairs."""
+    nodes = set()
+    for i, t in data:
+        w = SPACED.findall((t or "").translate(LOWER))
+        if i is not None and w:
+            nodes.add((i, frozenset(tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4)))))
+    out = {x: set() for x in nodes}
+    for x, y in itertools.combinations(nodes, 2):
+        if 100 * len(x[1] & y[1]) >= 75 * len(x[1] | y[1]):
+            out[x].add(y)
+            out[y].add(x)
+    return out
+
+
+@pytest.mark.parametrize("side", [1024, 7])
+def test_every_link_is_counted_and_written(spark, docs, monkeypatch, side):
+    near = [(k, edited(7, k % 12)) for k in range(2000, 2060)] + [(2100 + 20 * k + e, edited(k, e)) for k in range(3) for e in range(1, 14)] + [(2000, edited(2, 3)), (2000, edited(7, 1))]
+    data = [(r["doc_id"], r["text"]) for r in docs.collect()] + near
+    d = spark.createDataFrame(data, "doc_id long, text string")
+    monkeypatch.setattr(ngram_join, "SIDE", side)
+    wanted = brute_links(data)
+    got = [(r["doc_id"], r["n_links"]) for r in ngram_join.join(d).collect()]
+    rows = []
+    for i, t in data:
+        w = SPACED.findall((t or "").translate(LOWER))
+        node = (i, frozenset(tuple(w[k : k + 5]) for k in range(max(1, len(w) - 4))))
+        rows.append((i, len(wanted[node]) if node in wanted else 0))
+    assert Counter(got) == Counter(rows) and max(n for _, n in rows) > 20
+    membership, pairs = ngram_join.pairs(d)
+    held = defaultdict(set)
+    for r in membership.collect():
+        held[r["rep"], r["f1"]].add((r["doc_id"], r["f1"]))
+    edges = Counter(frozenset((x, y)) for c in held.values() for x, y in itertools.combinations(sorted(c), 2))
+    for r in pairs.collect():
+        edges.update(frozenset((x, y)) for x in held[r["a"], r["f1_a"]] for y in held[r["b"], r["f1_b"]])
+        assert r["overlap"] > 0
+    assert set(edges.values()) == {1} and len(edges) == sum(map(len, wanted.values())) // 2
+
+
 def test_product_and_bands():
     r = np.random.default_rng(3)
     sets = [np.unique(r.integers(0, 60, r.integers(1, 50)).astype(np.uint64)) for _ in range(40)]
