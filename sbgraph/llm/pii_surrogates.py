@@ -62,6 +62,11 @@ _AT = re.compile(_EMAIL)
 _TITLED = re.compile(r"\b(?P<title>" + "|".join(TITLES) + r")\b\.? (?P<name>[^\W\d_][\w'’\-]*(?: [^\W\d_][\w'’\-]*)?)")
 _HAS_DIGIT, _HAS_TITLE = re.compile(r"\d{2}"), re.compile("|".join(TITLES))
 
+_RUN = re.compile(r"[^\W_]+")
+#: Digits of a national number by country prefix, and lengths of IBANs by country.
+NATIONAL = {"1": (10,), "7": (10,), "30": (10,), "31": (9,), "32": (8, 9), "33": (9,), "34": (9,), "41": (9,), "44": (9, 10), "45": (8,), "47": (8,), "48": (9,), "52": (10,), "55": (10, 11), "61": (9,), "81": (9, 10), "86": (10, 11), "91": (10,), "351": (9,), "353": (7, 8, 9), "420": (9,)}
+IBANS = dict(x.split(":") for x in "AD:24 AE:23 AL:28 AT:20 AZ:28 BA:20 BE:16 BG:22 BH:22 BR:29 BY:28 CH:21 CR:22 CY:28 CZ:24 DE:22 DK:18 DO:28 EE:20 EG:29 ES:24 FI:18 FO:18 FR:27 GB:22 GE:22 GI:23 GL:18 GR:27 GT:28 HR:21 HU:28 IE:22 IL:23 IQ:23 IS:26 IT:27 JO:30 KW:30 KZ:20 LB:28 LC:32 LI:21 LT:20 LU:20 LV:21 MC:27 MD:24 ME:22 MK:19 MR:27 MT:31 MU:30 NL:18 NO:15 PK:24 PL:28 PS:29 PT:25 QA:29 RO:24 RS:22 SA:24 SC:31 SE:24 SI:19 SK:24 SM:27 ST:25 SV:28 TL:23 TN:24 TR:26 UA:29 VA:22 VG:24 XK:20".split())
+
 
 @dataclass(frozen=True)
 class Mention:
@@ -91,25 +96,45 @@ def script(text: str) -> str:
     return "LATIN"
 
 
+def _valid(kind: str, value: str) -> int:
+    """Length of the valid entity that a match begins with (0: none); ends are ends of digit or letter runs."""
+    digits = re.sub(r"\D", "", value)
+    if kind == "ip":
+        return len(value) if max(map(int, value.split("."))) <= 255 else 0
+    if kind == "card":
+        return len(value) if luhn(digits) or len(digits) == 16 else 0
+    ends = [m.end() for m in _RUN.finditer(value)][::-1]
+    if kind == "phone":
+        counts = {e: sum(map(str.isdigit, value[:e])) for e in ends}
+        if value[0] == "+":
+            for k in (1, 2, 3):
+                wanted = [k + n for n in NATIONAL.get(digits[:k], ())]
+                if fits := [e for e in ends if counts[e] in wanted]:
+                    return fits[0]
+        return next((e for e in ends if 7 <= counts[e] <= 15), 0)
+    if kind == "iban":
+        exact = int(IBANS.get(value[:2], 0))
+        fits = [e for e in ends if len(value[:e].replace(" ", "")) == exact] if exact else ends
+        return next((e for e in (*fits, len(value)) if e > 4 and _mod97(value[:e].replace(" ", "")) == 1), 0)
+    return len(value)
+
+
 def mentions(text: str) -> list[Mention]:
     """Entities of a text, by start, not overlapping."""
     found: list[Mention] = []
     if "@" in text:
         found += [Mention(m.start(), m.end(), "email", m[0].lower()) for m in _AT.finditer(text)]
     if _HAS_DIGIT.search(text):
-        for m in _DIGITS.finditer(text):
-            kind, value = m.lastgroup, m[0]
-            digits = re.sub(r"\D", "", value)
-            if kind == "ip" and max(map(int, value.split("."))) > 255:
-                continue
-            if kind == "card" and not (luhn(digits) or len(digits) == 16):
-                continue
-            if kind == "phone" and not 7 <= len(digits) <= 15:
-                continue
-            if kind == "iban" and _mod97(value.replace(" ", "")) != 1:
+        at = 0
+        while m := _DIGITS.search(text, at):
+            kind = m.lastgroup
+            end = m.start() + _valid(kind, m[0])
+            if end == m.start():  # go on behind the first token
+                at = _RUN.search(text, end).end()
                 continue
-            canon = value if kind == "ip" else value.replace(" ", "") if kind == "iban" else digits
-            found.append(Mention(m.start(), m.end(), kind, canon))
+            value, at = text[m.start() : end], end
+            canon = value if kind == "ip" else value.replace(" ", "") if kind == "iban" else re.sub(r"\D", "", value)
+            found.append(Mention(m.start(), end, kind, canon))
     if _HAS_TITLE.search(text):
         for m in _TITLED.finditer(text):
             words = m["name"].split(" ")

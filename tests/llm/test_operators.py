@@ -320,6 +320,24 @@ def test_surrogates(spark):
     assert again == {k: r["text"] for k, r in got.items()}
 
 
+@pytest.mark.parametrize(
+    ("said", "wanted"),
+    [
+        ("IBAN BE68 5390 0754 7034 BIC GEBABEBB", ["BE68 5390 0754 7034"]),
+        ("ES91 2100 0418 4502 0005 1332 2024", ["ES91 2100 0418 4502 0005 1332"]),
+        ("AB12 DE89 3704 0044 0532 0130 00 EUR", ["DE89 3704 0044 0532 0130 00"]),
+        ("+1 (743) 555-3824 12 34 56", ["+1 (743) 555-3824"]),
+        ("+1 (743) 555-3824 2024 or +1-743-555-3824", ["+1 (743) 555-3824", "+1-743-555-3824"]),
+        ("+999 1234 1234 1234 1234 10.0.0.1", ["+999 1234 1234 1234", "10.0.0.1"]),
+        ("DE00 3704 0044 0532 01 and 999.1.1.1", []),
+    ],
+)
+def test_surrogates_end_where_the_entity_ends(said, wanted):
+    found = pii_surrogates.mentions(said)
+    assert [said[m.start : m.end] for m in found] == wanted
+    assert len({m.canon for m in found if m.kind == "phone"}) <= 1
+
+
 def test_surrogates_stay_distinct(spark, monkeypatch):
     known = spark.createDataFrame([("ip", f"192.168.0.{k}") for k in range(256)] + [("phone", f"555000{k:04d}"[:7]) for k in range(10)], "kind string, canon string").distinct()
     done = pii_surrogates.resolve(known, store.Store(spark)).collect()
