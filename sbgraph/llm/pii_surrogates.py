@@ -8,6 +8,9 @@
   network's prefix; an IBAN's country and check digits; a domain's surrogate is that of
   the domain, so addresses of one domain stay together; a name keeps its title's gender
   and its script.
+* A name is detected behind a title.  In the same text every other mention of that full
+  name, given name or family name gets the matching part of its surrogate, and a title
+  with a family name alone means the full name before it (or else the first one).
 * Collision checks run over the distinct entities of all documents: two entities never
   share a surrogate, and no surrogate is itself an entity of the corpus.  Losers draw
   again with the next attempt.  Only entities with an attempt above 0 need a table.
@@ -19,6 +22,7 @@ rows are rewritten alike; very long texts are scanned whole; other columns pass
 
 from __future__ import annotations
 
+import bisect
 import hashlib
 import hmac
 import re
@@ -37,8 +41,10 @@ KEY = b"surrogate-key"
 #: Entities with an attempt above 0 that may be broadcast; attempts before a longer form is drawn.
 SMALL, ROUNDS = 200_000, 12
 
-#: Titles that show gender.
+#: Titles and the gender they show (n: none).
 TITLES = {"Mr": "m", "Mrs": "f", "Ms": "f", "Herr": "m", "Frau": "f", "Monsieur": "m", "Madame": "f", "Señor": "m", "Señora": "f", "Господин": "m", "Госпожа": "f", "Κύριος": "m", "Κυρία": "f"}
+TITLES |= {"Miss": "f", "Mme": "f", "Mlle": "f", "Mademoiselle": "f", "Sir": "m", "Sr": "m", "Sra": "f", "Srta": "f", "Señorita": "f", "Signor": "m", "Signora": "f"}
+TITLES |= dict.fromkeys(["Dr", "Dra", "Dott", "Prof", "Professor", "Доктор", "Профессор"], "n")
 #: Given names by script and gender.
 GIVEN = {
     ("LATIN", "m"): "Adam Bruno Carl David Emil Felix Hugo Jonas Leon Martin Oscar Paul".split(),
@@ -59,7 +65,9 @@ _CARD = r"(?P<card>(?<![\w\-])(?:\d{13,19}|\d{4}(?:[ \-]\d{4}){3}|\d{4}[ \-]\d{6
 _PHONE = r"(?P<phone>(?<![\w+])(?:\+\d{1,3}[ .\-]?(?:\(\d{1,4}\)[ .\-]?)?\d{2,4}(?:[ .\-]?\d{2,4}){1,4}|\(\d{3}\)[ .\-]?\d{3}[ .\-]\d{4}|\d{3}[.\-]\d{3}[.\-]\d{4})(?![\w]))"
 _DIGITS = re.compile("|".join((_IP, _SSN, _CARD, _PHONE, _IBAN)))
 _AT = re.compile(_EMAIL)
-_TITLED = re.compile(r"\b(?P<title>" + "|".join(TITLES) + r")\b\.? (?P<name>[^\W\d_][\w'’\-]*(?: [^\W\d_][\w'’\-]*)?)")
+_TITLE = r"(?:" + "|".join(TITLES) + r")\b\.? "
+_TITLED = re.compile(r"\b(?P<titles>(?:" + _TITLE + r")+)(?P<name>[^\W\d_][\w'’\-]*(?: [^\W\d_][\w'’\-]*)?)")
+_NAME = re.compile(r"[^\W\d_][\w'’\-]*")
 _HAS_DIGIT, _HAS_TITLE = re.compile(r"\d{2}"), re.compile("|".join(TITLES))
 
 _RUN = re.compile(r"[^\W_]+")
@@ -119,6 +127,66 @@ def _valid(kind: str, value: str) -> int:
     return len(value)
 
 
+def _bare(word: str) -> str:
+    """A name without its possessive ending."""
+    return word[:-2] if len(word) > 2 and word[-2:] in ("'s", "’s") else word
+
+
+def _names(text: str) -> list[Mention]:
+    """Titled names, and all other mentions of these persons or of a part of their names."""
+    titled = []
+    for m in _TITLED.finditer(text):
+        words = m["name"].split(" ")
+        if not words[0][0].isupper():
+            continue
+        name = _bare(words[0] if len(words) == 1 or not words[1][0].isupper() else m["name"])
+        gender = next((g for t in _NAME.findall(m["titles"]) if (g := TITLES[t]) != "n"), "n")
+        titled.append((m.start("name"), m.start("name") + len(name), gender, name.casefold()))
+    shown = {}  # the first gender that a full name's titles show
+    for _, _, gender, name in titled:
+        if gender != "n" or name not in shown:
+            shown[name] = gender if shown.get(name, "n") == "n" else shown[name]
+    full = [(at, f"{shown[name] if gender == 'n' else gender}:{name}") for at, _, gender, name in titled if " " in name]
+
+    def fitting(gender: str, canon: str) -> bool:
+        return "n" in (gender, canon[0]) or gender == canon[0]
+
+    def person(at: int, among: list[tuple[int, str]]) -> str | None:
+        """The last one before a place, or else the first one."""
+        k = bisect.bisect_right(among, at, key=lambda x: x[0])
+        return among[max(0, k - 1)][1] if among else None
+
+    families: dict[str, list[tuple[int, str]]] = {}
+    parts: dict[str, list[tuple[int, str]]] = {}
+    for at, canon in full:
+        given, family = canon[2:].split(" ")
+        families.setdefault(family, []).append((at, canon))
+        for part in (given, family, canon[2:]):
+            parts.setdefault(part, []).append((at, canon))
+    found, named = [], []
+    for at, end, gender, name in titled:
+        if " " in name:
+            canon = f"{shown[name] if gender == 'n' else gender}:{name}"
+        else:
+            same = [x for x in families.get(name, ()) if fitting(gender, x[1])] if name in families else []
+            canon = person(at, same) or f"{shown[name] if gender == 'n' else gender}:{name}"
+            named.append((at, name, canon))
+        found.append(Mention(at, end, "name", canon))
+    for at, name, canon in named:
+        parts.setdefault(name, []).append((at, canon))
+    for own in parts.values():
+        own.sort()
+    starts, last = {m.start for m in found}, None
+    for m in _NAME.finditer(text) if parts else ():
+        word = _bare(m[0])
+        if last and text[last.end() : m.start()] == " " and (both := f"{last[0]} {word}".casefold()) in parts and last[0][0].isupper() and last.start() not in starts:
+            found.append(Mention(last.start(), m.start() + len(word), "name", person(m.start(), parts[both])))
+        if len(word) > 1 and word[0].isupper() and m.start() not in starts and (word.casefold() in parts):
+            found.append(Mention(m.start(), m.start() + len(word), "name", person(m.start(), parts[word.casefold()])))
+        last = m
+    return found
+
+
 def mentions(text: str) -> list[Mention]:
     """Entities of a text, by start, not overlapping."""
     found: list[Mention] = []
@@ -136,12 +204,7 @@ def mentions(text: str) -> list[Mention]:
             canon = value if kind == "ip" else value.replace(" ", "") if kind == "iban" else re.sub(r"\D", "", value)
             found.append(Mention(m.start(), end, kind, canon))
     if _HAS_TITLE.search(text):
-        for m in _TITLED.finditer(text):
-            words = m["name"].split(" ")
-            if not words[0][0].isupper():
-                continue
-            name = words[0] if len(words) == 1 or not words[1][0].isupper() else m["name"]
-            found.append(Mention(m.start("name"), m.start("name") + len(name), "name", f"{TITLES[m['title']]}:{name.casefold()}"))
+        found += _names(text)
     out: list[Mention] = []
     for m in sorted(found, key=lambda m: (m.start, -m.end)):
         if not out or m.start >= out[-1].end:
@@ -193,7 +256,8 @@ def surrogate(kind: str, canon: str, attempt: int = 0, key: bytes = KEY) -> str:
         return canon[:2] + f"{98 - _mod97(canon[:2] + '00' + body):02d}" + body
     gender, name = canon.split(":", 1)
     form, words = script(name), name.split(" ")
-    given = GIVEN[form, gender][draw.below(len(GIVEN[form, gender]))]
+    known = gender if gender != "n" else "mf"[draw.below(2)]
+    given = GIVEN[form, known][draw.below(len(GIVEN[form, known]))]
     family = "".join(SYLLABLES[form][draw.below(len(SYLLABLES[form]))] for _ in range(4 + len(longer)))
     return f"{gender}:{(given + ' ' + family if len(words) > 1 else family).casefold()}"
 
@@ -203,6 +267,9 @@ def render(mention: str, kind: str, canon: str, fake: str) -> str:
     if kind == "name":
         words, like = fake.split(":", 1)[1].split(" "), mention.split(" ")
         upper = mention.isupper() and len(mention) > 1
+        own = canon.split(":", 1)[1].split(" ")
+        if len(like) == 1 and len(own) > 1 and like[0].casefold() == own[0] != own[-1]:
+            words = words[:1]
         return " ".join(w.upper() if upper else w.capitalize() for w in words[-len(like) :])
     if kind in ("email", "ip"):
         return "".join(c.upper() if k < len(mention) and mention[k].isupper() else c for k, c in enumerate(fake)) if kind == "email" else fake

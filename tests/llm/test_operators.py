@@ -338,6 +338,27 @@ def test_surrogates_end_where_the_entity_ends(said, wanted):
     assert len({m.canon for m in found if m.kind == "phone"}) <= 1
 
 
+def test_every_mention_of_a_named_person(spark):
+    said = [
+        "Mrs Anna Schmidt came. Anna Schmidt left, and SCHMIDT's dog with Anna.",
+        "Mr John Smith met Dr. Wu; then Mr Smith and Mr. Brown saw Wu. John Smith slept.",
+        "Frau Prof. Dr. Eva Lang and Dr Eva Lang; Miss Jones, Mr Lang.",
+        "Mr Adam Reed and Mr Otto Reed: Mr Reed is the second. No smith or schmidt here.",
+    ]
+    d = spark.createDataFrame(list(enumerate(said)), "doc_id long, text string")
+    got = {r["doc_id"]: r for r in pii_surrogates.rewrite(d).collect()}
+    for k, gone in enumerate(["anna|schmidt", "john|smith|wu|brown", "eva|lang|jones", "adam|reed|otto"]):
+        assert not re.search(rf"(?i)\b({gone})\b", got[k]["text"].replace("No smith or schmidt here.", ""))
+    given, family = re.match(r"Mrs (\w+) (\w+) came", got[0]["text"]).groups()
+    assert got[0]["text"] == f"Mrs {given} {family} came. {given} {family} left, and {family.upper()}'s dog with {given}." and got[0]["n_name"] == 4
+    m = re.fullmatch(r"Mr (\w+) (\w+) met Dr\. (\w+); then Mr (\w+) and Mr\. \w+ saw (\w+)\. (\w+) (\w+) slept\.", got[1]["text"])
+    assert m[2] == m[4] == m[7] and m[1] == m[6] and m[3] == m[5] and m[2] != m[3]
+    m = re.fullmatch(r"Frau Prof\. Dr\. (\w+ \w+) and Dr (\w+ \w+); Miss (\w+), Mr (\w+)\.", got[2]["text"])
+    assert m[1] == m[2] and m[4] != m[1].split()[1]
+    m = re.fullmatch(r"Mr \w+ (\w+) and Mr \w+ (\w+): Mr (\w+) is the second\. No smith or schmidt here\.", got[3]["text"])
+    assert m[2] == m[3] != m[1]
+
+
 def test_surrogates_stay_distinct(spark, monkeypatch):
     known = spark.createDataFrame([("ip", f"192.168.0.{k}") for k in range(256)] + [("phone", f"555000{k:04d}"[:7]) for k in range(10)], "kind string, canon string").distinct()
     done = pii_surrogates.resolve(known, store.Store(spark)).collect()
