@@ -1,12 +1,18 @@
 """Vectorised word kernels over Arrow string columns.
 
 A batch's UTF-8 bytes are read in place.  Words are found with a 256-entry byte
-class table and hashed with one prefix sum per chunk; chunks are cut at separators,
-so memory depends on the chunk size and the longest word only.
+class table and hashed eight bytes at a time, all words of a chunk together; chunks
+are cut at separators, so memory depends on the chunk size and the longest word only.
+
+Hashes have 64 bits.  Two words of different lengths or bytes clash by chance only
+(2**-64 a pair): a word of up to ``LONG`` bytes runs through two chained, non-linear
+lanes whose 128 bits are folded at the end, so no step can be solved for a clash; a
+longer one is hashed by BLAKE2b.
 """
 
 from __future__ import annotations
 
+import hashlib
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -15,7 +21,8 @@ import pyarrow as pa
 
 CHUNK = 1 << 20
 _U = np.uint64
-_BASE = 0x9E3779B97F4A7C15 | 1
+#: Bytes of the longest word that is hashed with all others of its chunk.
+LONG = 64
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
@@ -41,20 +48,29 @@ ALNUM = byte_class(bytes([*range(0x00, 0x30), *range(0x3A, 0x61), *range(0x7B, 0
 
 _LOWER = np.arange(256, dtype=np.uint8)
 _LOWER[65:91] += 32
-_SALT = mix64(np.arange(1, 257, dtype=np.uint64) * _U(0xD6E8FEB86659FD93))
-_POWERS: list[np.ndarray] = []
-
-
-def _powers(n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Powers of the base and of its inverse modulo 2**64, up to n."""
-    if not _POWERS or len(_POWERS[0]) < n:
-        size, made = max(n, CHUNK + 1), []
-        for b in (_BASE, pow(_BASE, -1, 1 << 64)):
-            step = np.full(size, b, dtype=np.uint64)
-            step[0] = 1
-            made.append(np.cumprod(step, dtype=np.uint64))
-        _POWERS[:] = made
-    return _POWERS[0][:n], _POWERS[1][:n]
+#: Masks that keep the first 0 to 8 bytes of a block.
+_KEEP = np.array([(1 << 8 * k) - 1 for k in range(9)], dtype=np.uint64)
+
+
+def word_hashes(data: np.ndarray, starts: np.ndarray, ends: np.ndarray) -> np.ndarray:
+    """64-bit hashes of byte spans of at least one byte."""
+    size = ends - starts
+    padded = np.concatenate([data, np.zeros(8, np.uint8)])
+    eight = np.ndarray(len(data) + 1, "<u8", padded, strides=(1,))  # the eight bytes from any place on
+    one = mix64(size.astype(np.uint64) * _U(0x9E3779B97F4A7C15))
+    two = ~one
+    block = eight[starts] & _KEEP[np.minimum(size, 8)]
+    one, two = mix64(one ^ block), mix64(two + block * _U(0xD6E8FEB86659FD93))
+    live = np.arange(len(size))
+    for k in range(8, min(LONG, int(size.max(initial=0))), 8):
+        live = live[size[live] > k]
+        block = eight[starts[live] + k] & _KEEP[np.minimum(size[live] - k, 8)]
+        one[live] = mix64(one[live] ^ block)
+        two[live] = mix64(two[live] + block * _U(0xD6E8FEB86659FD93))
+    out = mix64(one * _U(0xC2B2AE3D27D4EB4F) + (two << _U(23) | two >> _U(41)))
+    for w in np.flatnonzero(size > LONG).tolist():
+        out[w] = int.from_bytes(hashlib.blake2b(data[starts[w] : ends[w]].tobytes(), digest_size=8).digest(), "little")
+    return out
 
 
 @dataclass
@@ -117,10 +133,7 @@ def words_of(data: np.ndarray, offsets: np.ndarray, word: np.ndarray, lower: boo
         before[cut] = False
         after[cut - 1] = False
         s, e = np.flatnonzero(inside & ~before), np.flatnonzero(inside & ~after) + 1
-        power, inverse = _powers(len(b) + 1)
-        total = np.zeros(len(b) + 1, dtype=np.uint64)
-        np.cumsum((_SALT if table is None else _SALT[table])[b] * power[:-1], out=total[1:])
-        hashes.append(mix64((total[e] - total[s]) * inverse[s]))
+        hashes.append(word_hashes(b if table is None else table[b], s, e))
         starts.append(s + at)
         ends.append(e + at)
     join = lambda x, t: np.concatenate(x) if x else np.zeros(0, t)

@@ -14,28 +14,36 @@ their sizes.  Only blocks of that product that can hold a link are formed:
    the block of some leader, and no pair is written out.
 4. A block is multiplied by column slices: overlap counts accumulate, and pairs
    whose size bound or remaining columns rule a link out are discarded.  A block
-   too large for one task becomes tiles of member groups.  A tile returns a
-   spanning forest of its links and each member's number of links; a pair that meets
+   too large for one task becomes tiles of member groups; the sides of a tile grow with
+   its block, and a task multiplies a tile in squares of ``CELL`` members.  A tile returns
+   a spanning forest of its links and each member's number of links; a pair that meets
    under several leaders counts under the least of them.
 5. Connected components of the forests give ``component_id``; the numbers of links,
    weighted by class sizes, give ``n_links``.  ``pairs`` writes the links themselves out.
 
+Nothing whose size follows the input is broadcast by hand: joins are planned by Spark
+from the sizes of the tables, and what spares most texts the third step is a bitmap of at
+most ``BITS`` bits.
+
 Defined cases: a null or blank text has an empty set and links with nothing; a
 null doc_id links with nothing and keeps a null component_id; rows that share a
-doc_id are one node of a component (``n_links`` counts a doc_id once for each of its
-different sets); an empty table gives an empty result; other columns of the
-input are ignored, so their names cannot clash.
+doc_id are one node of a component, so all of them have its component_id, and different
+texts of one doc_id join what they link with (``n_links`` is that of the row's own text,
+and counts a doc_id once for each of its different sets); an empty table gives an empty
+result; other columns of the input are ignored, so their names cannot clash.
 """
 
 from __future__ import annotations
 
 import hashlib
+import itertools
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
+import pandas as pd
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
@@ -47,12 +55,14 @@ SIZE = 5
 CELL_BITS, CELL_BLOCKS, RUN = 23, 32, 2_000_000
 #: A cell's count in one task stops here; a shingle that frequent is last in any case.
 MOST = 65_535
-#: Shingles and sets of one tile side, and columns of one slice of the product.
-TILE, SIDE, SLICE = 1_500_000, 1024, 8192
-#: Members of one leader held at a time.
-HELD = 4_000_000
-#: Rows (16 bytes each) of a table that may be broadcast.
-SMALL = 1 << 20
+#: Shingles of one tile side, columns of one slice of the product, members of one square of it.
+TILE, SLICE, CELL = 3_000_000, 8192, 1024
+#: A block's tiles have an eighth of its members on a side, but not fewer or more than these.
+SIDES = (256, 8192)
+#: Level from which a shingle's classes are led by an aggregate and a join (about 8,000 holders).
+HOT = 8 * 13
+#: Most bits of the bitmap of wanted doc_ids.
+BITS = 1 << 28
 
 
 def prefix_length(n: int) -> int:
@@ -171,73 +181,70 @@ def _band(n: np.ndarray) -> np.ndarray:
 _EDGES = np.array([(4**k) // (3**k) + 1 for k in range(140) if (4**k) // (3**k) < 2**60], dtype=np.int64)
 
 
-def _members(entries: DataFrame) -> DataFrame:
-    """(leader, other member) of every shingle and pair of size bands that two classes or more hold.
+def _filed(h: np.ndarray, rep: np.ndarray, mark: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Rows (shingle, file, rep, mark, size): a class of band b is filed under b and b + 1."""
+    band = _band(n)
+    return np.stack([np.tile(h, 2), np.concatenate([band, band + 1]), np.tile(rep, 2), np.tile(mark, 2), np.tile(n, 2)])
+
+
+MEMBERS = "leader long, rep long, f1 long, n long"
 
-    Rows arrive sorted by shingle and size.  A class of band b is filed under b and
-    b + 1, so two classes of linkable sizes are filed together; the first row of a file
-    leads it.  What is kept between batches is one row per open file of a single shingle,
-    however long its run is.
+
+def _led(entries: DataFrame) -> DataFrame:
+    """Members of the files of shingles of moderate frequency, in one sorted pass.
+
+    Rows arrive sorted by shingle and size, and the first row of a file leads it.  What is
+    kept between batches is one row per open file of a single shingle.
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kept = np.zeros((4, 0), np.int64)  # shingle, file, rep, size of the open files' leaders
+        kept = np.zeros((5, 0), np.int64)  # the open files' leaders
         for batch in batches:
             if not batch.num_rows:
                 continue
-            h, rep, n = (batch.column(k).to_numpy() for k in range(3))
+            h, rep, mark, n = (batch.column(k).to_numpy() for k in range(4))
             single = np.concatenate([[True], h[1:] != h[:-1]]) & np.concatenate([h[1:] != h[:-1], [True]])
             single[[0, -1]] = False  # their runs may go on in another batch
-            h, rep, n = h[~single], rep[~single], n[~single]
-            band = _band(n)
-            rows = np.concatenate([kept, np.stack([np.tile(h, 2), np.concatenate([band, band + 1]), np.tile(rep, 2), np.tile(n, 2)])], axis=1)
+            rows = np.concatenate([kept, _filed(h[~single], rep[~single], mark[~single], n[~single])], axis=1)
             # Stable: leaders kept from before come first, then smaller sets.
-            order = np.lexsort((np.concatenate([np.zeros(kept.shape[1], np.int64), rows[3, kept.shape[1] :]]), rows[1], rows[0]))
+            order = np.lexsort((np.concatenate([np.zeros(kept.shape[1], np.int64), rows[4, kept.shape[1] :]]), rows[1], rows[0]))
             rows = rows[:, order]
             new = np.concatenate([[True], (rows[:2, 1:] != rows[:2, :-1]).any(axis=0)])
             heads = np.flatnonzero(new)
             sizes = np.diff(np.append(heads, rows.shape[1]))
-            many = sizes > 1
-            ends = np.concatenate([[0], np.cumsum(sizes[many])]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([pa.array(rows[2][heads[many]]), pa.ListArray.from_arrays(pa.array(ends), pa.array(rows[2][np.repeat(many, sizes)]))], names=["leader", "reps"])
+            many = np.repeat(sizes > 1, sizes)
+            yield pa.RecordBatch.from_arrays([pa.array(x[many]) for x in (np.repeat(rows[2][heads], sizes), rows[2], rows[3], rows[4])], names=["leader", "rep", "f1", "n"])
             kept = rows[:, new & (rows[0] == batch.column(0)[-1].as_py())]
 
-    dealt = entries.repartition("h").sortWithinPartitions("h", "n", "rep").select("h", "rep", "n")
-    return _distinct(dealt.mapInArrow(run, "leader long, reps array<long>"))
+    dealt = entries.repartition("h").sortWithinPartitions("h", "n", "rep", "f1").select("h", "rep", "f1", "n")
+    return dealt.mapInArrow(run, MEMBERS)
+
 
+def _led_hot(entries: DataFrame) -> DataFrame:
+    """The same for shingles that very many classes hold.
 
-def _distinct(files: DataFrame) -> DataFrame:
-    """(leader, rep) of files that arrive one after another; what is held is one leader's members."""
+    The leader is an aggregate, combined before its shuffle, and reaches the classes by a
+    join whose other side has one row per file, so that Spark can split a hot shingle.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        leader, held, waiting = None, [], 0
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in _filed(*(batch.column(k).to_numpy() for k in range(4)))], names=["h", "file", "rep", "f1", "n"])
 
-        def close() -> pa.RecordBatch:
-            own = np.unique(np.concatenate(held))
-            own = own[own != leader]
-            return pa.RecordBatch.from_arrays([pa.array(np.full(len(own), leader)), pa.array(own)], names=["leader", "rep"])
+    filed = entries.select("h", "rep", "f1", "n").mapInArrow(run, "h long, file long, rep long, f1 long, n long")
+    first = filed.groupBy("h", "file").agg(F.min(F.struct("n", "rep")).alias("first"), F.count(F.lit(1)).alias("held")).where("held > 1")
+    first = first.select(F.col("h").alias("__h"), F.col("file").alias("__file"), F.col("first.rep").alias("leader"))
+    return filed.join(first, (F.col("h") == F.col("__h")) & (F.col("file") == F.col("__file"))).select("leader", "rep", "f1", "n")
 
-        for batch in batches:
-            flat, ends = batch.column(1).values.to_numpy(), batch.column(1).offsets.to_numpy()
-            leaders = batch.column(0).to_numpy()
-            edges = np.flatnonzero(np.concatenate([[True], leaders[1:] != leaders[:-1], [True]])) if len(leaders) else ()
-            for a, b in zip(edges[:-1], edges[1:], strict=True):
-                if leaders[a] != leader:
-                    if held:
-                        yield close()
-                    leader, held, waiting = leaders[a], [], 0
-                held.append(flat[ends[a] : ends[b]])
-                waiting += len(held[-1])
-                if waiting > HELD:  # members that come again are no harm
-                    held = [np.unique(np.concatenate(held))]
-                    waiting = len(held[0])
-                    if waiting > HELD // 2:
-                        yield close()
-                        held, waiting = [], 0
-        if held:
-            yield close()
-
-    return files.repartition("leader").sortWithinPartitions("leader").mapInArrow(run, "leader long, rep long")
+
+def _members(entries: DataFrame) -> DataFrame:
+    """(leader, rep, f1, n) of every shingle and pair of size bands that two classes or more hold.
+
+    Two classes of linkable sizes share a file of every shingle that both hold, and the
+    file's leader has both as members (itself included).
+    """
+    hot = F.shiftrightunsigned("h", 56) >= HOT
+    return _led(entries.where(~hot)).unionByName(_led_hot(entries.where(hot))).distinct()
 
 
 def _linkable(n: np.ndarray, side: np.ndarray | None) -> tuple[np.ndarray, np.ndarray]:
@@ -349,9 +356,38 @@ def _groups(batches: Iterator[pa.RecordBatch], keys: tuple[str, ...]) -> Iterato
         yield key, held
 
 
-def _side(key: tuple, held: dict[str, list]) -> np.ndarray | None:
-    """Tiles off the diagonal only multiply one member group with the other."""
-    return np.array(held["side"]) == key[1] if key[1] != key[2] else None
+def _squares(key: tuple, side: np.ndarray) -> Iterator[tuple[np.ndarray, np.ndarray | None]]:
+    """A tile in squares: places of its members, and which of them are on one side (None: all meet all).
+
+    Tiles off the diagonal only multiply one member group with the other.
+    """
+    cut = lambda at: np.array_split(at, max(1, -(-len(at) // CELL)))
+    if key[1] != key[2]:
+        pairs = itertools.product(cut(np.flatnonzero(side == key[1])), cut(np.flatnonzero(side != key[1])))
+    else:
+        pairs = itertools.combinations_with_replacement(cut(np.arange(len(side))), 2)
+    for a, b in pairs:
+        if a is b:
+            yield a, None
+        elif len(a) and len(b):
+            yield np.concatenate([a, b]), np.arange(len(a) + len(b)) < len(a)
+
+
+def _pick(rows: list, at: np.ndarray) -> list:
+    return [rows[k] for k in at.tolist()]
+
+
+def _roots(n: int, edges: np.ndarray) -> np.ndarray:
+    """The least place of each place's component."""
+    root = np.arange(n)
+    while True:
+        low = root.copy()
+        np.minimum.at(low, edges[:, 0], root[edges[:, 1]])
+        np.minimum.at(low, edges[:, 1], root[edges[:, 0]])
+        low = low[low]
+        if (low == root).all():
+            return root
+        root = low
 
 
 def _candidates(rows: DataFrame) -> DataFrame:
@@ -359,18 +395,18 @@ def _candidates(rows: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for key, held in _groups(batches, TILE_KEY):
-            if len(held["rep"]) < 2:
-                continue
-            open_ = survivors(held["prefix"], np.array(held["n"], dtype=np.int64), _side(key, held))
-            pairs = forest(open_, np.arange(len(open_)))
-            sub = {int(a): int(b) for a, b in pairs} | {int(b): int(b) for _, b in pairs}
-            if sub:
-                at = sorted(sub)
+            n, side = np.array(held["n"], dtype=np.int64), np.array(held["side"])
+            edges = [np.zeros((0, 2), np.int64)]
+            for at, one in _squares(key, side):
+                edges.append(at[forest(survivors(_pick(held["prefix"], at), n[at], one), np.arange(len(at)))])
+            pairs = np.concatenate(edges)
+            if at := np.unique(pairs).tolist():
+                sub = _roots(len(n), pairs)
                 fixed = {k: pa.array(np.full(len(at), v)) for k, v in zip(TILE_KEY, key, strict=True)}
-                yield pa.RecordBatch.from_pydict({"rep": pa.array([held["rep"][k] for k in at], pa.int64()), **fixed, "side": pa.array([held["side"][k] for k in at], pa.int64()), "sub": pa.array([sub[k] for k in at], pa.int64())})
+                yield pa.RecordBatch.from_pydict({"rep": pa.array([held["rep"][k] for k in at], pa.int64()), "f1": pa.array([held["f1"][k] for k in at], pa.int64()), **fixed, "side": pa.array(side[at]), "sub": pa.array(sub[at])})
 
     dealt = rows.repartition(*TILE_KEY).sortWithinPartitions(*TILE_KEY)
-    return dealt.mapInArrow(run, "rep long, leader long, i long, j long, side long, sub long")
+    return dealt.mapInArrow(run, "rep long, f1 long, leader long, i long, j long, side long, sub long")
 
 
 def _met_before(lower: list[np.ndarray]) -> np.ndarray:
@@ -396,23 +432,33 @@ def _tile_links(rows: DataFrame, write: bool = False) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for key, held in _groups(batches, keys):
-            found, names, marks = multiply(held["set"], _side(key, held)), np.array(held["rep"]), np.array(held["f1"])
-            if not write:
-                edges = forest(found, names)
-                none = pa.nulls(len(edges), pa.int64())
-                yield pa.RecordBatch.from_arrays([pa.array(edges[:, 0].copy()), pa.array(edges[:, 1].copy()), none, none], names=["a", "b", "f1", "links"])
-            first = np.zeros(len(names), bool)  # rows of one class may come again
+            names, marks, side = np.array(held["rep"]), np.array(held["f1"]), np.array(held["side"])
+            sizes, first = np.array(held["size"], dtype=np.float64), np.zeros(len(names), bool)  # rows of one class may come again
             first[np.unique(np.stack([names, marks]), axis=1, return_index=True)[1]] = True
-            found = found & first & first[:, None]
-            if not found.any():
-                continue
-            found &= ~_met_before(held["lower"])
+            links, edges = np.zeros(len(names)), [np.zeros((0, 2), np.int64)]
+            for at, one in _squares(key, side):
+                sets = _pick(held["set"], at)
+                found = multiply(sets, one)
+                edges.append(at[forest(found, np.arange(len(at)))])
+                found = found & first[at] & first[at][:, None]
+                if not found.any():
+                    continue
+                found &= ~_met_before(_pick(held["lower"], at))
+                links[at] += found @ sizes[at]
+                if write:
+                    a, b = np.nonzero(np.triu(found))
+                    overlap = [len(np.intersect1d(sets[i], sets[j], assume_unique=True)) for i, j in zip(a.tolist(), b.tolist(), strict=True)]
+                    a, b = at[a], at[b]
+                    yield pa.RecordBatch.from_arrays([pa.array(x) for x in (names[a], marks[a], names[b], marks[b], np.array(overlap, np.int64))], names=["a", "f1_a", "b", "f1_b", "overlap"])
             if write:
-                a, b = np.nonzero(np.triu(found))
-                overlap = [len(np.intersect1d(held["set"][i], held["set"][j], assume_unique=True)) for i, j in zip(a.tolist(), b.tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array(x) for x in (names[a], marks[a], names[b], marks[b], np.array(overlap, np.int64))], names=["a", "f1_a", "b", "f1_b", "overlap"])
                 continue
-            links = found.astype(np.float64) @ np.array(held["size"], dtype=np.float64)
+            pairs = np.concatenate(edges)
+            root = _roots(len(names), pairs)
+            least = np.full(len(names), np.iinfo(np.int64).max)
+            np.minimum.at(least, root, names)
+            at = np.unique(pairs)
+            none = pa.nulls(len(at), pa.int64())
+            yield pa.RecordBatch.from_arrays([pa.array(names[at]), pa.array(least[root[at]]), none, none], names=["a", "b", "f1", "links"])
             at = np.flatnonzero(links)
             yield pa.RecordBatch.from_arrays([pa.array(names[at]), pa.nulls(len(at), pa.int64()), pa.array(marks[at]), pa.array(links[at].astype(np.int64))], names=["a", "b", "f1", "links"])
 
@@ -420,55 +466,67 @@ def _tile_links(rows: DataFrame, write: bool = False) -> DataFrame:
     return rows.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, schema)
 
 
-def _small(rows: DataFrame) -> DataFrame:
-    """Broadcast behind a check of the size; a shuffled join beyond it."""
-    return F.broadcast(rows) if rows.count() <= SMALL else rows
+def _bitmap(rows: DataFrame, key: str) -> tuple[np.ndarray, int]:
+    """A bitmap of the hashes of a key, of about sixteen bits a row; and its number of bits."""
+    bits = 1 << min(BITS.bit_length() - 1, max(16, (16 * rows.count()).bit_length()))
+    at = F.pmod(F.xxhash64(key), F.lit(bits))
+    words = rows.select(at.alias("at")).select(F.shiftright("at", 6).alias("word"), F.expr("shiftleft(1L, CAST(at & 63 AS INT))").alias("bit"))
+    held = words.groupBy("word").agg(F.bit_or("bit").alias("bit")).toArrow()  # BITS / 64 rows at most
+    out = np.zeros(bits >> 6, np.int64)
+    out[held.column("word").to_numpy()] = held.column("bit").to_numpy()
+    return np.unpackbits(out.view(np.uint8), bitorder="little"), bits
 
 
 def links(docs: DataFrame, heads: DataFrame, members: DataFrame, classes: DataFrame, store: Store, size: int = SIZE, write: bool = False) -> DataFrame:
     """What ``_tile_links`` finds among class representatives.
 
-    heads: rep, n, prefix; members: leader, rep; classes: rep, f1, size.
+    heads: rep, f1, prefix; members: leader, rep, f1, n; classes: rep, f1, size.
     """
-    sized = members.join(_small(heads.select("rep", "n")), "rep")
-    groups = F.greatest(F.lit(1), F.ceil(F.sum("n") / TILE), F.ceil(F.count(F.lit(1)) / SIDE))
-    blocks = store.put("blocks", sized.groupBy("leader").agg(groups.cast("int").alias("groups")))
-    own = F.pmod(F.xxhash64("rep", F.lit("tile")), F.col("groups"))
-    tiled = members.join(_small(blocks), "leader").withColumn("side", own).withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("groups").cast("long") - 1)))
-    tiled = tiled.select("rep", F.struct("leader", F.least("side", "other").alias("i"), F.greatest("side", "other").alias("j"), "side").alias("tile"))
-    wanted = store.put("tiles", tiled.groupBy("rep").agg(F.collect_list("tile").alias("tiles")))
-    exploded = heads.join(_small(wanted), "rep").select("rep", "n", "prefix", F.explode("tiles").alias("t"))
-    found = store.put("candidates", _candidates(exploded.select("t.*", "rep", "n", "prefix")))
-    listed = found.groupBy("rep").agg(F.collect_list(F.struct(*TILE_KEY, "sub", "side")).alias("tiles"), F.collect_set("leader").alias("leaders"))
-    own = classes.groupBy("rep").agg(F.collect_list(F.struct("f1", "size")).alias("own"))
-    texts = _texts(docs).withColumnRenamed("doc_id", "rep").join(_small(store.put("listed", listed.join(own, "rep"))), "rep")
+    count = F.count(F.lit(1))
+    side = F.least(F.greatest(F.ceil(count / 8), F.lit(SIDES[0])), F.lit(SIDES[1]))
+    groups = F.greatest(F.lit(1), F.ceil(F.sum("n") / TILE), F.ceil(count / side))
+    large = members.groupBy("leader").agg(groups.cast("long").alias("groups")).where("groups > 1").withColumnRenamed("leader", "__leader")
+    tiled = members.join(large, F.col("leader") == F.col("__leader"), "left").withColumn("groups", F.coalesce("groups", F.lit(1).cast("long")))
+    tiled = tiled.withColumn("side", F.pmod(F.xxhash64("rep", "f1", F.lit("tile")), F.col("groups")))
+    tiled = tiled.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("groups") - 1)))
+    tiled = tiled.select("rep", "f1", "n", "leader", F.least("side", "other").alias("i"), F.greatest("side", "other").alias("j"), "side")
+    found = store.put("candidates", _candidates(tiled.join(heads.select("rep", "f1", "prefix"), ["rep", "f1"])))
+    own = found.groupBy("rep", "f1").agg(F.collect_set("leader").alias("leaders")).join(classes.select("rep", "f1", "size"), ["rep", "f1"])
+    wanted, bits = _bitmap(own, "rep")
+    shared = docs.sparkSession.sparkContext.broadcast(np.packbits(wanted))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for part, sets in _sets(batches, size):
-            marks = _marks(sets)[:, 0].tolist()
-            sizes = [next((c["size"] for c in o if c["f1"] == m), None) for o, m in zip(part.column("own").to_pylist(), marks, strict=True)]
-            rows = pa.RecordBatch.from_arrays([part.column("rep"), pa.array(marks, pa.int64()), pa.array(sizes, pa.int64()), part.column("tiles"), part.column("leaders"), _lists(sets)], names=["rep", "f1", "size", "tiles", "leaders", "set"])
-            yield rows.filter(rows.column("size").is_valid())  # other texts of a representative's doc_id belong to other classes
+        bit = np.unpackbits(shared.value).astype(bool)
+        chosen = (batch.filter(pa.array(bit[batch.column("at").to_numpy()])) for batch in batches)
+        for part, sets in _sets(chosen, size):
+            yield pa.RecordBatch.from_arrays([part.column("rep"), pa.array(_marks(sets)[:, 0].copy()), _lists(sets)], names=["rep", "f1", "set"])
 
-    tile = "struct<leader: bigint, i: bigint, j: bigint, sub: bigint, side: bigint>"
-    rows = texts.select("rep", "text", "tiles", "leaders", "own").mapInArrow(run, f"rep long, f1 long, size long, tiles array<{tile}>, leaders array<long>, set array<long>")
-    rows = rows.select("rep", "f1", "size", "leaders", "set", F.explode("tiles").alias("t"))
-    lower = F.filter("leaders", lambda x: x < F.col("t.leader")).alias("lower")
-    return _tile_links(rows.select("t.*", "rep", "f1", "size", lower, "set"), write)
+    texts = _texts(docs).where("doc_id IS NOT NULL").select(F.col("doc_id").alias("rep"), F.pmod(F.xxhash64("doc_id"), F.lit(bits)).alias("at"), "text")
+    rows = texts.mapInArrow(run, "rep long, f1 long, set array<long>").join(own, ["rep", "f1"]).join(found, ["rep", "f1"])
+    lower = F.filter("leaders", lambda x: x < F.col("leader")).alias("lower")
+    return _tile_links(rows.select(*TILE_KEY, "sub", "side", "rep", "f1", "size", lower, "set"), write)
 
 
 def _classes(docs: DataFrame, store: Store, size: int) -> tuple[DataFrame, DataFrame, DataFrame, DataFrame]:
     """Sketches, classes (f1, f2, n, rep, size), heads and members."""
     known = store.put("sketches", sketches(docs, frequencies(docs, size), size))
     own = known.where("n > 0 AND doc_id IS NOT NULL")
-    classes = store.put("classes", own.groupBy("f1", "f2", "n").agg(F.min("doc_id").alias("rep"), F.countDistinct("doc_id").alias("size")))
     same = ["f1", "f2", "n"]
+    # Counted in two steps: a class's copies are combined before they meet.
+    classes = store.put("classes", own.groupBy(*same, "doc_id").agg(F.lit(1).alias("one")).groupBy(*same).agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("size")))
     first = classes.select("rep", *[F.col(c).alias(f"__{c}") for c in same])
-    heads = own.join(_small(first), (F.col("doc_id") == F.col("rep")) & (F.col("f1") == F.col("__f1")) & (F.col("f2") == F.col("__f2")))
-    heads = heads.select("rep", "n", "prefix")
-    entries = heads.select("rep", "n", F.explode("prefix").alias("h"))
-    others = store.put("members", _members(entries))
-    return known, classes, heads, others.unionByName(others.select("leader", F.col("leader").alias("rep")).distinct())
+    heads = own.join(first, (F.col("doc_id") == F.col("rep")) & (F.col("f1") == F.col("__f1")) & (F.col("f2") == F.col("__f2")) & (F.col("n") == F.col("__n")))
+    heads = heads.select("rep", "f1", "n", "prefix")
+    entries = heads.select("rep", "f1", "n", F.explode("prefix").alias("h"))
+    return known, classes, heads, store.put("members", _members(entries))
+
+
+def _several(known: DataFrame, classes: DataFrame) -> DataFrame:
+    """(doc_id, rep) of every set of a doc_id of more than one row (rep is null for an empty set)."""
+    same = ["f1", "f2", "n"]
+    many = known.where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.count(F.lit(1)).alias("rows")).where("rows > 1").select(F.col("doc_id").alias("id"))
+    sets = known.join(many, F.col("id") == F.col("doc_id")).select("doc_id", *same).distinct()
+    return sets.join(classes.select(*same, "rep"), same, "left").select("doc_id", "rep")
 
 
 def pairs(docs: DataFrame, size: int = SIZE) -> tuple[DataFrame, DataFrame]:
@@ -489,30 +547,54 @@ def join(docs: DataFrame, size: int = SIZE) -> DataFrame:
     store = Store(docs.sparkSession)
     known, classes, heads, members = _classes(docs, store, size)
     tiles = store.put("links", links(docs, heads, members, classes, store, size))
-    found = components(tiles.where("b IS NOT NULL").select("a", "b"), store)
+    store.drop("members", "candidates")
+    several = store.put("several", _several(known, classes))
+    both = several.where("rep IS NOT NULL").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")).where("a <> b")
+    found = components(tiles.where("b IS NOT NULL").select("a", "b").unionByName(both), store)
     degrees = tiles.where("b IS NULL").groupBy(F.col("a").alias("rep"), "f1").agg(F.sum("links").alias("links"))
     labelled = classes.join(found.withColumnRenamed("node", "rep"), "rep", "left").join(degrees, ["rep", "f1"], "left")
     count = (F.col("size") - 1 + F.coalesce("links", F.lit(0))).alias("k")
     labelled = labelled.select(F.col("f1").alias("g1"), F.col("f2").alias("g2"), F.col("n").alias("m"), F.coalesce("component", "rep").alias("c"), count)
     rows = known.select("doc_id", "n", "f1", "f2").join(labelled, (F.col("f1") == F.col("g1")) & (F.col("f2") == F.col("g2")) & (F.col("n") == F.col("m")), "left")
-    component = F.when(F.col("n") > 0, F.when(F.col("doc_id").isNotNull(), F.col("c"))).otherwise(F.col("doc_id"))
+    # The rows of a doc_id without words have the component of its other texts.
+    own = several.where("rep IS NOT NULL").select(F.col("doc_id").alias("id"), F.col("rep").alias("node")).join(found, "node", "left")
+    own = own.groupBy("id").agg(F.min(F.coalesce("component", "node")).alias("other"))
+    rows = rows.join(own, F.col("doc_id") == F.col("id"), "left")
+    component = F.when(F.col("n") > 0, F.when(F.col("doc_id").isNotNull(), F.col("c"))).otherwise(F.coalesce("other", "doc_id"))
     n_links = F.when(F.col("doc_id").isNotNull(), F.coalesce("k", F.lit(0))).otherwise(0)
     return rows.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), n_links.alias("n_links"))
 
 
+def _flag(spark: SparkSession, wanted: np.ndarray) -> Callable[[Column], Column]:
+    """Whether a bit of a bitmap is set, as a column function."""
+    shared = spark.sparkContext.broadcast(np.packbits(wanted))
+    held: list[np.ndarray] = []
+
+    @F.pandas_udf("boolean")
+    def flag(at: pd.Series) -> pd.Series:
+        if not held:
+            held.append(np.unpackbits(shared.value).astype(bool))
+        return pd.Series(held[0][at.to_numpy()])
+
+    return flag
+
+
 def dedupe(docs: DataFrame, size: int = SIZE) -> DataFrame:
     """One document of each component (same columns): the row of the least doc_id.
 
     Rows with a null doc_id are kept; of rows that share the least doc_id one is kept.
+    Only rows that a bitmap of the dropped and the repeated doc_ids lets past are joined
+    with those ids; all other rows stay where they are.
     """
-    cols = docs.columns
+    cols, spark = docs.columns, docs.sparkSession
+    store = Store(spark)
+    decided = join(docs, size).where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min(F.col("doc_id") == F.col("component_id")).alias("keep"), F.count(F.lit(1)).alias("rows"))
+    odd = store.put("odd", decided.where("rows > 1 OR NOT keep").select(F.col("doc_id").alias("id"), "keep"))
+    wanted, bits = _bitmap(odd, "id")
+    marked = F.coalesce(_flag(spark, wanted)("at"), F.lit(False))
     named = docs.select(F.struct(*[F.col(f"`{c}`") for c in cols]).alias("row"), F.col("`doc_id`").cast("long").alias("doc_id"))
-    store = Store(docs.sparkSession)
-    first = store.put("kept", join(docs, size).where("doc_id = component_id").select(F.col("doc_id").alias("__keep")).distinct())
-    twice = store.put("twice", named.groupBy("doc_id").count().where("count > 1 AND doc_id IS NOT NULL").select(F.col("doc_id").alias("__twice")))
-    kept = named.join(_small(first), F.col("doc_id") == F.col("__keep"), "left_semi")
-    single = kept.join(_small(twice), F.col("doc_id") == F.col("__twice"), "left_anti")
-    repeated = kept.join(_small(twice), F.col("doc_id") == F.col("__twice"), "left_semi")
-    one = repeated.groupBy("doc_id").agg(F.min_by("row", F.xxhash64("row")).alias("row"))
-    rows = single.select("row").unionByName(one.select("row")).unionByName(named.where("doc_id IS NULL").select("row"))
+    named = named.withColumn("at", F.pmod(F.xxhash64("doc_id"), F.lit(bits))).withColumn("marked", marked & F.col("doc_id").isNotNull())
+    met = named.where("marked").select("row", "doc_id").join(odd, F.col("doc_id") == F.col("id"), "left")
+    one = met.where("keep").groupBy("doc_id").agg(F.min_by("row", F.xxhash64("row")).alias("row"))
+    rows = named.where("NOT marked").select("row").unionByName(met.where("id IS NULL").select("row")).unionByName(one.select("row"))
     return rows.select(*[F.col("row")[c].alias(c) for c in cols])

@@ -29,8 +29,9 @@ o AS (SELECT a.doc_id AS a, b.doc_id AS b, count(*) AS k FROM s a JOIN s b ON a.
 l AS (SELECT a, b FROM o JOIN n x ON x.doc_id = a JOIN n y ON y.doc_id = b WHERE 100 * k >= 75 * (x.n + y.n - k)),
 e AS (SELECT a, b FROM l UNION ALL SELECT b, a FROM l),
 reach AS (SELECT a AS root, a AS node FROM e UNION SELECT r.root, e.b FROM reach r JOIN e ON e.a = r.node),
-c AS (SELECT node, min(root) AS c FROM reach GROUP BY node)
-SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(c.c, d.doc_id) AS component_id FROM d LEFT JOIN n ON n.doc_id = d.doc_id LEFT JOIN c ON c.node = d.doc_id
+c AS (SELECT node, min(root) AS c FROM reach GROUP BY node),
+m AS (SELECT a, count(*) AS k FROM e GROUP BY a)
+SELECT d.doc_id, coalesce(n.n, 0) AS n_shingles, coalesce(c.c, d.doc_id) AS component_id, coalesce(m.k, 0) AS n_links FROM d LEFT JOIN n ON n.doc_id = d.doc_id LEFT JOIN c ON c.node = d.doc_id LEFT JOIN m ON m.a = d.doc_id
 """
 
 _WORDS = "regexp_extract_all(translate(coalesce(text, ''), '{0}', '{1}'), '{2}')".format(_UPPER, _LOWER, _ALNUM)

@@ -156,8 +156,9 @@ def test_tiles_and_runs_of_any_size(spark, monkeypatch):
     near = [(k, edited(7, k % 12)) for k in range(60)] + [(100 + k, edited(8, k)) for k in range(9)]
     d = spark.createDataFrame(near, "doc_id long, text string")
     wanted = brute_components(near)
-    monkeypatch.setattr(ngram_join, "SIDE", 7)
-    monkeypatch.setattr(ngram_join, "SMALL", 0)
+    monkeypatch.setattr(ngram_join, "SIDES", (7, 9))
+    monkeypatch.setattr(ngram_join, "CELL", 5)
+    monkeypatch.setattr(ngram_join, "HOT", 8 * 3)
     monkeypatch.setattr(ngram_join, "RUN", 500)
     spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", 11)
     try:
@@ -181,12 +182,13 @@ def brute_links(data):
     return out
 
 
-@pytest.mark.parametrize("side", [1024, 7])
-def test_every_link_is_counted_and_written(spark, docs, monkeypatch, side):
+@pytest.mark.parametrize("sides", [(256, 8192), (7, 7)])
+def test_every_link_is_counted_and_written(spark, docs, monkeypatch, sides):
     near = [(k, edited(7, k % 12)) for k in range(2000, 2060)] + [(2100 + 20 * k + e, edited(k, e)) for k in range(3) for e in range(1, 14)] + [(2000, edited(2, 3)), (2000, edited(7, 1))]
     data = [(r["doc_id"], r["text"]) for r in docs.collect()] + near
     d = spark.createDataFrame(data, "doc_id long, text string")
-    monkeypatch.setattr(ngram_join, "SIDE", side)
+    monkeypatch.setattr(ngram_join, "SIDES", sides)
+    monkeypatch.setattr(ngram_join, "CELL", sides[0] // 2)
     wanted = brute_links(data)
     got = [(r["doc_id"], r["n_links"]) for r in ngram_join.join(d).collect()]
     rows = []
@@ -206,6 +208,45 @@ def test_every_link_is_counted_and_written(spark, docs, monkeypatch, side):
     assert set(edges.values()) == {1} and len(edges) == sum(map(len, wanted.values())) // 2
 
 
+def test_texts_of_one_doc_id_are_one_node(spark):
+    a, b, c = edited(1, 0), edited(2, 0), edited(3, 0)
+    data = [(3, a), (5, a), (5, b), (9, b), (11, c), (12, c), (11, ""), (12, None), (20, c), (20, a + " end"), (30, " ")]
+    got = [(r["doc_id"], r["component_id"]) for r in ngram_join.join(spark.createDataFrame(data, "doc_id long, text string")).collect()]
+    wanted = brute_components(data)
+    assert sorted(got) == sorted((i, wanted[i]) for i, _ in data) and wanted[9] == wanted[12] == 3
+    kept = ngram_join.dedupe(spark.createDataFrame(data, "doc_id long, text string")).collect()
+    assert sorted(r["doc_id"] for r in kept) == [3, 30]
+
+
+def test_built_word_clashes(spark):
+    """Words that any polynomial hash modulo a power of two takes for one."""
+    swap, one = str.maketrans("ab", "ba"), "a"
+    for _ in range(10):
+        one += one.translate(swap)
+        other = one.translate(swap)
+        own = kernels.words_of(*kernels.text_buffer(pa.array([f"{one} {other}"])), kernels.SPACED).hashes
+        assert own[0] != own[1]
+    d = spark.createDataFrame([(1, one), (2, other)], "doc_id long, text string")
+    assert sorted(r["component_id"] for r in ngram_join.join(d).collect()) == [1, 2]
+    item = spark.createDataFrame([(1, other)], "item_id long, text string")
+    assert [r["contaminated"] for r in decontamination.report(d, item).orderBy("doc_id").collect()] == [False, True]
+
+
+@pytest.mark.parametrize("n", [1, 4, 5, 23])
+def test_squares_hold_every_pair_once(monkeypatch, n):
+    monkeypatch.setattr(ngram_join, "CELL", 5)
+    side = np.arange(n) % 2
+    for key, wanted in (((0, 1, 1), n * (n - 1) // 2), ((0, 0, 1), (n // 2) * (n - n // 2))):
+        met = Counter()
+        for at, one in ngram_join._squares(key, side):
+            for i, j in itertools.combinations(range(len(at)), 2):
+                met.update([frozenset((at[i], at[j]))] if one is None or one[i] != one[j] else [])
+        # Squares off the diagonal of one group hold pairs of both parts only.
+        assert set(met.values()) <= {1} and len(met) == wanted
+    edges = np.array([[3, 1], [2, 3], [0, 4]])
+    assert ngram_join._roots(6, edges).tolist() == [0, 1, 1, 1, 0, 5]
+
+
 def test_product_and_bands():
     r = np.random.default_rng(3)
     sets = [np.unique(r.integers(0, 60, r.integers(1, 50)).astype(np.uint64)) for _ in range(40)]
