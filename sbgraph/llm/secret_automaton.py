@@ -7,15 +7,20 @@ minimisation by partition refinement, into one transition array over byte classe
 A scan makes one pass over the bytes of all texts of a batch, all rules at once and
 many texts in lockstep (a state per text, one table lookup per step).  The automaton
 looks for each rule's *trigger*, the shortest part that decides that a match begins
-(the unanchored search ``.*trigger``), and reports the byte where it ends.  Around
+(the unanchored search ``.*trigger``), and reports the byte where it ends; of a rule whose
+matches are runs of one class of bytes, only where the trigger first ends in a run.  Around
 each report the rule's span is then resolved: an anchored automaton of the reversed
 trigger walks back to the leftmost start, and the anchored automaton of the rule walks
 forward to the longest end.  Spans of one rule do not overlap and are taken from the
 left; spans that fail the rule's length test are dropped but still consume their text.
 
+Time is linear in the text: where a forward walk ran on without a further accepting state,
+its states are marked, and a later walk of the rule that comes to the same state at the same
+byte ends there, since it cannot accept any more either.
+
 Defined cases: null texts are empty; empty texts have no spans; very long texts are
-scanned whole (once few texts are left in lockstep, a plain loop takes over); repeated
-rows are scanned row by row; other columns are ignored; an empty table gives an
+scanned whole (once few texts are left in lockstep, a plain loop takes over), in a few
+bytes of memory per byte; repeated rows are scanned row by row; other columns are ignored; an empty table gives an
 empty result.  Spans are in code points, end exclusive.
 """
 
@@ -23,6 +28,7 @@ from __future__ import annotations
 
 import functools
 import hashlib
+from array import array
 from collections.abc import Iterator
 from dataclasses import dataclass
 
@@ -40,7 +46,7 @@ class Rule:
 
     ``pattern`` is the whole rule; ``trigger`` a pattern that every match begins with.
     A match counts when it has ``least`` characters, or its tail behind the part that
-    ``head`` matches has ``least_tail``.
+    ``head`` matches has ``least_tail``.  ``run``: matches are runs of one class of bytes.
     """
 
     kind: str
@@ -50,6 +56,7 @@ class Rule:
     least: int = 0
     least_tail: int = 0
     fold: bool = False
+    run: bool = False
 
 
 #: The kinds every scan has, in this order.
@@ -57,7 +64,7 @@ ASSIGN_HEAD = "(password|passwd|secret|token|api_?key)[\"']?\\x20*[:=]\\x20*[\"'
 BASE: tuple[Rule, ...] = (
     Rule("assign", ASSIGN_HEAD + "[A-Za-z0-9+/_.=\\-]", ASSIGN_HEAD + "[A-Za-z0-9+/_.=\\-]+", head=ASSIGN_HEAD, least_tail=6, fold=True),
     Rule("access", "AKIA[A-Z0-9]", "AKIA[A-Z0-9]+", least=20),
-    Rule("hex", "[0-9a-f]{24}", "[0-9a-f]+", least=24),
+    Rule("hex", "[0-9a-f]{24}", "[0-9a-f]+", least=24, run=True),
 )
 #: Kinds the method adds: publicly documented token shapes.
 EXTRA: tuple[Rule, ...] = (
@@ -65,7 +72,7 @@ EXTRA: tuple[Rule, ...] = (
     Rule("jwt", "eyJ[A-Za-z0-9_\\-]", "eyJ[A-Za-z0-9_\\-]+\\.[A-Za-z0-9_\\-]+\\.[A-Za-z0-9_\\-]+", least=30),
     Rule("bearer", "bearer\\x20+[A-Za-z0-9]", "bearer\\x20+[A-Za-z0-9._~+/\\-]+=*", least=27, fold=True),
     Rule("pat", "gh[pousr]_[A-Za-z0-9]", "gh[pousr]_[A-Za-z0-9]+", least=40),
-    Rule("url", "://[!-.0-9A-Z\\[-~]+:[!-.0-9A-Z\\[-~]", "://[!-.0-9;-?A-Z\\[-~]+:[!-.0-9;-?A-Z\\[-~]+@"),
+    Rule("url", "://[!-.0-9;-?A-Z\\[-~]+:[!-.0-9;-?A-Z\\[-~]", "://[!-.0-9;-?A-Z\\[-~]+:[!-.0-9;-?A-Z\\[-~]+@"),
 )
 RULES = BASE + EXTRA
 
@@ -265,38 +272,94 @@ def _minimal(table: np.ndarray, byte_class: np.ndarray, accepts: np.ndarray) ->
     return Dfa(rank[block[table[chosen]]], byte_class, accepts[chosen])
 
 
+@dataclass
+class Walker:
+    """An anchored automaton as plain lists, for single walks."""
+
+    rows: list[list[int]]
+    classes: bytes
+    accepts: list[bool]
+    dead: int
+
+
+def walker(tree: tuple) -> Walker:
+    dfa = build([tree], False)
+    same = np.flatnonzero((dfa.table == np.arange(len(dfa.table))[:, None]).all(axis=1) & (dfa.accepts == 0))
+    return Walker(dfa.table.tolist(), bytes(dfa.byte_class.tolist()), (dfa.accepts != 0).tolist(), int(same[0]) if len(same) else -1)
+
+
 @functools.cache
-def compiled(rules: tuple[Rule, ...] = RULES) -> tuple[Dfa, list[tuple[Dfa, Dfa, Dfa | None]]]:
+def compiled(rules: tuple[Rule, ...] = RULES) -> tuple[Dfa, list[tuple[Walker, Walker, Walker | None]]]:
     """The combined trigger automaton, and per rule: reversed trigger, whole rule, head."""
     triggers = [parse(r.trigger, r.fold) for r in rules]
-    own = [(build([reverse(t)], False), build([parse(r.pattern, r.fold)], False), build([parse(r.head, r.fold)], False) if r.head else None) for r, t in zip(rules, triggers, strict=True)]
+    own = [(walker(reverse(t)), walker(parse(r.pattern, r.fold)), walker(parse(r.head, r.fold)) if r.head else None) for r, t in zip(rules, triggers, strict=True)]
     return build(triggers, True), own
 
 
-def _walk(dfa: Dfa, data: bytes, at: int, stop: int, step: int) -> int:
-    """The longest accepted walk from ``at`` (exclusive end), or -1."""
-    state, best, rows, classes = 0, -1, dfa.table, dfa.byte_class
-    dead = _dead(dfa)
-    while at != stop:
-        state = rows[state, classes[data[at]]]
-        at += step
-        if dfa.accepts[state]:
+#: A walk that went on for so many bytes behind its last accepting state leaves marks.
+STRAY = 64
+
+
+def _walk(dfa: Walker, data: bytes, start: int, stop: int, marks: dict[int, bytearray]) -> int:
+    """The longest accepted walk from ``start`` (exclusive end), or -1.
+
+    ``marks[state][byte]``: from that state at that byte on, no state accepts.
+    """
+    rows, classes, accepts, dead = dfa.rows, dfa.classes, dfa.accepts, dfa.dead
+    state, best, at = 0, -1, start
+    while at < stop:
+        state = rows[state][classes[data[at]]]
+        at += 1
+        if accepts[state]:
             best = at
-        elif state == dead:
+        elif state == dead or (marks and state in marks and marks[state][at - 1]):
             break
+    if at - max(best, start) > STRAY:
+        state, end = 0, at
+        for at in range(start, end):
+            state = rows[state][classes[data[at]]]
+            if at >= best and state != dead:
+                if state not in marks:
+                    marks[state] = bytearray(len(data))
+                marks[state][at] = 1
     return best
 
 
-def _dead(dfa: Dfa) -> int:
-    same = np.flatnonzero((dfa.table == np.arange(len(dfa.table))[:, None]).all(axis=1) & (dfa.accepts == 0))
-    return int(same[0]) if len(same) else -1
+#: With fewer live texts than this, each is scanned in a loop of its own.
+FEW = 24
 
 
-FEW = 24
+class _Found:
+    """Positions and bits, gathered in pieces that are joined now and then."""
+
+    def __init__(self) -> None:
+        self.done: list[tuple[np.ndarray, np.ndarray]] = []
+        self.open: list[tuple[np.ndarray, np.ndarray]] = []
+
+    def add(self, ends: np.ndarray, bits: np.ndarray) -> None:
+        self.open.append((ends, bits))
+        if len(self.open) >= 4096:
+            self.close()
 
+    def close(self) -> None:
+        if self.open:
+            self.done.append((np.concatenate([e for e, _ in self.open]), np.concatenate([b for _, b in self.open])))
+            self.open = []
 
-def reports(dfa: Dfa, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """Byte positions behind which a trigger ends, and the rule bits; one pass over the bytes."""
+    def sorted(self) -> tuple[np.ndarray, np.ndarray]:
+        self.close()
+        if not self.done:
+            return np.zeros(0, np.int64), np.zeros(0, np.int64)
+        where, what = np.concatenate([e for e, _ in self.done]), np.concatenate([b for _, b in self.done])
+        order = np.argsort(where, kind="stable")
+        return where[order], what[order]
+
+
+def reports(dfa: Dfa, data: np.ndarray, offsets: np.ndarray, runs: int = 0) -> tuple[np.ndarray, np.ndarray]:
+    """Byte positions behind which a trigger ends, and the rule bits; one pass over the bytes.
+
+    Of the rules in ``runs`` (bits) only the first of consecutive positions is reported.
+    """
     classes = len(dfa.table[0])
     ranked = np.argsort(dfa.accepts != 0, kind="stable")  # accepting states last: one comparison finds them
     rank = np.empty_like(ranked)
@@ -309,35 +372,34 @@ def reports(dfa: Dfa, data: np.ndarray, offsets: np.ndarray) -> tuple[np.ndarray
     order = np.argsort(-length, kind="stable")
     at, left = offsets[:-1][order].copy(), length[order]
     state = np.full(len(order), rank[0] * classes, dtype=np.int32)
-    ends, bits, step = [], [], 0
+    found, step = _Found(), 0
     live = int((left > 0).sum())
     while live > FEW:
         stop = int(left[live - 1])
         s, p = state[:live], at[:live]
         for _ in range(stop - step):
-            s = flat.take(s + symbol.take(p))
+            was, s = s, flat.take(s + symbol.take(p))
             p = p + 1
             if int(s.max()) >= first:
                 hit = np.flatnonzero(s >= first)
-                ends.append(p[hit])
-                bits.append(accepts[s[hit] // classes])
+                bits = accepts[s[hit] // classes] & ~(accepts[was[hit] // classes] & runs)
+                if bits.any():
+                    found.add(p[hit][bits != 0], bits[bits != 0])
         state[:live], at[:live], step = s, p, stop
         live = int((left > step).sum())
-    rows = [[int(x) for x in flat[k * classes : (k + 1) * classes]] for k in range(len(ranked))] if live else []
-    rows = [[v // classes for v in r] for r in rows]
-    last = first // classes
+    rows = [[int(x) // classes for x in flat[k * classes : (k + 1) * classes]] for k in range(len(ranked))] if live else []
+    last, masks = first // classes, accepts.tolist()
     for k in range(live):
         now, base = int(state[k]) // classes, int(at[k])
+        ends, bits = array("q"), array("q")
         for i, c in enumerate(symbol[base : base + int(left[k]) - step].tobytes(), base + 1):
-            now = rows[now][c]
-            if now >= last:
-                ends.append(np.array([i]))
-                bits.append(accepts[[now]])
-    if not ends:
-        return np.zeros(0, np.int64), np.zeros(0, np.int64)
-    where, what = np.concatenate(ends), np.concatenate(bits)
-    order = np.argsort(where, kind="stable")
-    return where[order], what[order]
+            was, now = now, rows[now][c]
+            if now >= last and (new := masks[now] & ~(masks[was] & runs)):
+                ends.append(i)
+                bits.append(new)
+        if ends:
+            found.add(np.array(ends, np.int64), np.array(bits, np.int64))
+    return found.sorted()
 
 
 def resolve(rules: tuple[Rule, ...], own: list, data: bytes, ends: list[tuple[int, int]]) -> list[tuple[int, int, int]]:
@@ -345,35 +407,45 @@ def resolve(rules: tuple[Rule, ...], own: list, data: bytes, ends: list[tuple[in
     found = []
     for k, rule in enumerate(rules):
         back, forward, head = own[k]
-        done = 0
+        done, marks = 0, {}
         for end, bits in ends:
             if not bits >> k & 1 or end <= done:
                 continue
             start = _leftmost(back, data, end, done)
             if start < 0:
                 continue
-            stop = _walk(forward, data, start, len(data), 1)
+            stop = _walk(forward, data, start, len(data), marks)
             if stop < 0:
                 continue
             done = stop
-            tail = stop - _walk(head, data, start, stop, 1) if head else stop - start
+            tail = stop - _walk(head, data, start, stop, {}) if head else stop - start
             if stop - start >= rule.least and tail >= rule.least_tail:
                 found.append((start, k, stop))
     return sorted(found)
 
 
-def _leftmost(back: Dfa, data: bytes, end: int, floor: int) -> int:
+def _leftmost(back: Walker, data: bytes, end: int, floor: int) -> int:
     """The leftmost start, at ``floor`` or behind it, of a trigger that ends at ``end``."""
-    state, best, dead = 0, -1, _dead(back)
+    state, best, rows, classes = 0, -1, back.rows, back.classes
     for at in range(end - 1, floor - 1, -1):
-        state = back.table[state, back.byte_class[data[at]]]
+        state = rows[state][classes[data[at]]]
         if back.accepts[state]:
             best = at
-        elif state == dead:
+        elif state == back.dead:
             break
     return best
 
 
+def _points(text: np.ndarray, places: list[int]) -> dict[int, int]:
+    """Code points before byte places."""
+    begins = (text & 0xC0) != 0x80
+    out, at, n = {}, 0, 0
+    for p in sorted(set(places)):
+        n += int(np.count_nonzero(begins[at:p]))
+        out[p], at = n, p
+    return out
+
+
 SCHEMA = "doc_id long, spans array<struct<kind: string, start: long, end: long>>"
 _SPAN = pa.list_(pa.struct([("kind", pa.string()), ("start", pa.int64()), ("end", pa.int64())]))
 
@@ -383,10 +455,11 @@ def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         dfa, own = compiled(rules)
+        runs = sum(1 << k for k, r in enumerate(rules) if r.run)
         for batch in batches:
             for part in K.slices(batch, "text", 16 << 20):
                 data, offsets = K.text_buffer(part.column("text"))
-                where, what = reports(dfa, data, offsets)
+                where, what = reports(dfa, data, offsets, runs)
                 doc = np.searchsorted(offsets, where - 1, "right") - 1
                 spans: list[list[dict]] = [[] for _ in range(part.num_rows)]
                 cuts = np.flatnonzero(np.diff(doc)) + 1
@@ -396,8 +469,8 @@ def scan(docs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
                     k, base = int(d[0]), int(offsets[d[0]])
                     text = data[base : int(offsets[d[0] + 1])]
                     found = resolve(rules, own, text.tobytes(), list(zip((ends - base).tolist(), bits.tolist(), strict=True)))
-                    points = np.concatenate([[0], np.cumsum((text & 0xC0) != 0x80)]) if found else ()
-                    spans[k] = [{"kind": rules[r].kind, "start": int(points[a]), "end": int(points[b])} for a, r, b in found]
+                    points = _points(text, [x for a, _, b in found for x in (a, b)]) if found else {}
+                    spans[k] = [{"kind": rules[r].kind, "start": points[a], "end": points[b]} for a, r, b in found]
                 yield pa.RecordBatch.from_arrays([part.column("doc_id"), pa.array(spans, _SPAN)], names=["doc_id", "spans"])
 
     return docs.select(F.col("`doc_id`").cast("long").alias("doc_id"), F.col("`text`").alias("text")).mapInArrow(run, SCHEMA)
