@@ -5,24 +5,30 @@
 windows over the sources only).  A document of a source with ratio
 ``target / size`` is taken ``floor(ratio)`` times, and once more with probability
 ``frac(ratio)``.  Those fractional probabilities are rounded by the cube method:
-a *flight* moves three undecided documents at a time along the null space of the
-two balance constraints (words and documents), so both totals stay as they are,
-until at most two documents per group are undecided.  Groups are hash bins of
-bounded size within a source; what they leave undecided flies again in the next
-round, and the last round *lands* what remains of each source (two documents and
-twelve of all sizes that waited) on the corner nearest to the word total.
+a *flight* moves undecided documents along the null space of the two balance
+constraints (words and documents), so both totals stay as they are.  The large
+documents of a group are settled first, each against small changes of all others;
+then three documents at a time move, until at most two per group are undecided.
+Groups are hash bins of bounded size within a source; what they leave undecided flies
+again in the next round, and the last round *lands* what remains of each source (two
+documents and twelve of no great size that waited) on the corner nearest to the word
+total, and among corners as near in words, to the document total.  Where a document too
+large to be offset leaves that corner far off, single decisions are changed.
+
+Rows equal in id, source and size are one unit: of ``m`` rows, ``floor(m * frac)`` are
+taken once more for certain, and one at most is left to the flight.
 
 Draws come from hashes of the rows, so reruns agree.  Defined cases: null or
 blank texts have size 0 and are taken 0 words; a null source is the last source;
-a null doc_id is drawn like any other value; rows equal in
-id, source and size are one unit with one decision; an empty table gives an empty mix; a source of only empty texts has target 0.
+a null doc_id is drawn like any other value; an empty table gives an empty mix; a source
+of only empty texts has target 0.
 """
 
 from __future__ import annotations
 
 import numpy as np
 import pandas as pd
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 from .exprs import n_words_of
@@ -34,8 +40,10 @@ CAP = 3
 GROUP = 4096
 #: Documents of a source that wait for the landing.
 LANDING = 12
-#: Rows of a table that may be broadcast.
-SMALL = 1 << 19
+#: A document above so many times its group's median size is large.
+LARGE = 4
+#: Sources whose targets may be broadcast; rows that one task writes of one unit, bins of a unit's rows.
+SMALL, SPREAD, BINS = 1 << 16, 1024, 256
 EPS = 1e-9
 
 
@@ -59,18 +67,36 @@ def targets(sizes: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: int = C
     return per.withColumn("target", F.coalesce(share, F.lit(0.0))).select("source", "source_size", "source_docs", "target")
 
 
-def _null(s: tuple[float, ...], m: tuple[float, ...]) -> tuple[float, float, float]:
-    """A vector along which three entries keep both totals."""
-    (a, b, c), (d, e, f) = s, m
-    u = (b * f - c * e, c * d - a * f, a * e - b * d)
-    if any(u):
-        return u
-    return (b, -a, 0.0) if a or b else (e, -d, 0.0)
+def _settle(x: np.ndarray, sizes: np.ndarray, large: np.ndarray, rng: np.random.Generator) -> np.ndarray:
+    """Decides the given entries one by one; all undecided entries move a little to keep both totals."""
+    x, s = x.copy(), sizes / max(sizes.mean(), 1e-9)
+    for a in large.tolist():
+        while EPS < x[a] < 1 - EPS:
+            at = np.flatnonzero((x > EPS) & (x < 1 - EPS))
+            at = at[at != a]
+            room = np.minimum(x[at], 1 - x[at])  # entries near a bound move less
+            basis = np.stack([room, room * s[at]])
+            system = basis @ np.stack([np.ones(len(at)), s[at]]).T
+            if len(at) > 2 and np.linalg.cond(system) < 1e9:
+                v = -np.linalg.solve(system.T, np.array([1.0, s[a]])) @ basis
+            elif system[1, 1] > 0:  # all others are of one size: the words alone are kept
+                v = -s[a] / system[1, 1] * basis[1]
+            else:
+                break
+            v = np.concatenate([[1.0], v])
+            own = np.concatenate([[a], at])
+            with np.errstate(divide="ignore", invalid="ignore"):
+                up = np.min(np.where(v > 0, (1 - x[own]) / v, np.where(v < 0, x[own] / -v, np.inf)))
+                down = np.min(np.where(v > 0, x[own] / v, np.where(v < 0, (1 - x[own]) / -v, np.inf)))
+            x[own] += (up if rng.random() * (up + down) < down else -down) * v
+            near = np.round(x[own])
+            x[own] = np.where(np.abs(x[own] - near) <= EPS, near, x[own])
+    return x
 
 
-def flight(x: np.ndarray, sizes: np.ndarray, counts: np.ndarray, rng: np.random.Generator) -> np.ndarray:
-    """Cube flight: x with the same totals of ``sizes * x`` and ``counts * x``, two entries undecided at most."""
-    x, s, m = x.astype(float).tolist(), sizes.astype(float).tolist(), counts.astype(float).tolist()
+def flight(x: np.ndarray, sizes: np.ndarray, rng: np.random.Generator) -> np.ndarray:
+    """Cube flight: x with the same totals of ``sizes * x`` and ``x``, two entries undecided at most."""
+    x, s = x.astype(float).tolist(), sizes.astype(float).tolist()
     waiting = [k for k, v in enumerate(x) if EPS < v < 1 - EPS]
     draws, used = rng.random(len(waiting) + 4), 0
     hand, at = [], 0
@@ -80,7 +106,8 @@ def flight(x: np.ndarray, sizes: np.ndarray, counts: np.ndarray, rng: np.random.
             at += 1
         if len(hand) < 3:
             break
-        u = _null(tuple(s[k] for k in hand), tuple(m[k] for k in hand))
+        a, b, c = (s[k] for k in hand)
+        u = (b - c, c - a, a - b) if a != b or b != c else (1.0, -1.0, 0.0)  # keeps both totals
         up = min((1 - x[k]) / v if v > 0 else x[k] / -v for k, v in zip(hand, u, strict=True) if v)
         down = min(x[k] / v if v > 0 else (1 - x[k]) / -v for k, v in zip(hand, u, strict=True) if v)
         move = up if draws[used] * (up + down) < down else -down
@@ -93,31 +120,44 @@ def flight(x: np.ndarray, sizes: np.ndarray, counts: np.ndarray, rng: np.random.
     return np.array(x)
 
 
-def land(x: np.ndarray, sizes: np.ndarray, counts: np.ndarray) -> np.ndarray:
+def land(x: np.ndarray, sizes: np.ndarray) -> np.ndarray:
     """Rounds the last undecided entries (LANDING + 2 at most) together: the corner nearest
-    in words among those within one document of the count."""
+    in words (steps of a two-thousandth of all words), then in documents."""
     x, left = x.copy(), np.flatnonzero((x > EPS) & (x < 1 - EPS))
     corners = (np.arange(1 << len(left))[:, None] >> np.arange(len(left)) & 1).astype(float)
     words = np.round(np.abs((corners - x[left]) @ sizes[left]), 6)
-    docs = np.abs((corners - x[left]) @ counts[left])
-    best = np.lexsort((docs, words, docs > max(1.0, docs.min())))[0]
+    docs = np.round(np.abs((corners - x[left]).sum(axis=1)), 6)
+    best = np.lexsort((words, docs, np.floor(words / (1 + (sizes @ x) / 2000))))[0]
     x[left] = corners[best]
     return np.round(x)
 
 
+def mend(x: np.ndarray, sizes: np.ndarray, wanted: float) -> np.ndarray:
+    """Where the corner is off by over a two-thousandth, decisions are changed, large documents first.
+
+    That happens where one document outweighs all that others can offset.
+    """
+    x, off = x.copy(), float(sizes @ x) - wanted
+    if abs(off) > 1 + wanted / 2000:
+        for k in np.argsort(-sizes, kind="stable").tolist():
+            if 0 < sizes[k] <= abs(off) and x[k] == (off > 0):
+                off -= sizes[k] if off > 0 else -sizes[k]
+                x[k] = 1 - x[k]
+    return x
+
+
 def _fly(last: bool):
     def run(rows: pd.DataFrame) -> pd.DataFrame:
-        # Large documents fly first, so that what stays undecided is small.
+        # Large documents come first, so that what stays undecided is small.
         rows = rows.sort_values(["size", "draw"], ascending=[False, True], kind="stable", ignore_index=True)
         rng = np.random.default_rng(int(np.bitwise_xor.reduce(rows["draw"].to_numpy())) & (2**63 - 1))
-        x, m = rows["x"].to_numpy(), rows["m"].to_numpy()
-        size = rows["size"].to_numpy() * m
-        fly = np.ones(len(x), bool)
-        if last:  # documents of all sizes wait for the landing
-            fly[np.linspace(0, len(x) - 1, min(LANDING, len(x))).astype(int)] = False
-        x = x.copy()
-        x[fly] = flight(x[fly], size[fly], m[fly], rng)
-        return rows.assign(x=land(x, size, m) if last else x)
+        size = rows["size"].to_numpy()
+        x = _settle(rows["x"].to_numpy(), size, np.flatnonzero(size > LARGE * np.median(size)), rng)
+        open_ = np.flatnonzero((x > EPS) & (x < 1 - EPS))
+        if last:  # documents of all sizes that are left wait for the landing
+            open_ = np.delete(open_, np.linspace(0, len(open_) - 1, min(LANDING, len(open_))).astype(int))
+        x[open_] = flight(x[open_], size[open_], rng)
+        return rows.assign(x=mend(land(x, size), size, float(size @ rows["x"].to_numpy())) if last else x)
 
     return run
 
@@ -130,8 +170,7 @@ def _round(rows: DataFrame, bins, last: bool) -> DataFrame:
 def inclusions(rows: DataFrame, store: Store, group: int = GROUP) -> DataFrame:
     """Rows with ``x`` (a probability) rounded to 0 or 1, balanced per source.
 
-    Input: source, n (rows of the source), size, m (equal documents), x, draw and any
-    other columns.
+    Input: source, n (rows of the source), size, x, draw and any other columns.
     """
     most = rows.agg(F.max("n")).first()[0] or 0
     done, level = [], 0
@@ -163,32 +202,55 @@ def mix(docs: DataFrame, weights: tuple[float, ...] = WEIGHTS, cap: int = CAP, g
     """
     store = Store(docs.sparkSession)
     base = docs.select(F.col("`doc_id`").alias("doc_id"), F.col("`source`").alias("source"), n_words_of(F.col("`text`")).alias("size"))
-    # Rows equal in id, source and size are one unit: they take one decision.
     units = store.put("units", base.groupBy("doc_id", "source", "size").agg(F.count(F.lit(1)).alias("m")))
     wanted = store.put("targets", targets(units.select("source", (F.col("size") * F.col("m")).alias("size")), weights, cap)).withColumnRenamed("source", "__source")
-    rows = units.join(_small(wanted), F.col("source").eqNullSafe(F.col("__source"))).drop("__source")
+    rows = units.join(F.broadcast(wanted) if wanted.count() <= SMALL else wanted, F.col("source").eqNullSafe(F.col("__source"))).drop("__source")
     ratio = F.when(F.col("source_size") > 0, F.least(F.col("target") / F.col("source_size"), F.lit(float(cap)))).otherwise(0.0)
     draw = F.xxhash64(F.coalesce(F.col("doc_id").cast("string"), F.lit("null")), "source", "size", F.lit("cube"))
-    rows = rows.withColumn("draw", draw).withColumn("whole", F.floor(ratio + F.lit(EPS)).cast("int")).withColumn("x", ratio - F.col("whole"))
+    rows = rows.withColumn("draw", draw).withColumn("whole", F.floor(ratio + F.lit(EPS)).cast("int")).withColumn("x", (ratio - F.col("whole")) * F.col("m"))
+    # Rows of a unit that are taken once more in any case, and the share that is left of one row.
+    rows = rows.withColumn("more", F.greatest(F.lit(0), F.floor(F.col("x") + F.lit(EPS))).cast("long")).withColumn("x", F.col("x") - F.col("more"))
     rows = rows.withColumn("x", F.when(F.col("x") > EPS, F.col("x")).otherwise(0.0)).withColumnRenamed("source_docs", "n")
-    copies = (F.col("whole") + F.col("x")).cast("int").alias("copies")
-    flown = inclusions(rows, store, group)
+    flown = inclusions(rows, store, group).withColumn("more", F.col("more") + F.col("x").cast("long"))
     if keep_rows:
-        return _copies(docs, flown.select("doc_id", "source", "size", copies))
-    many = flown.withColumn("no", F.explode(F.sequence(F.lit(1).cast("long"), F.col("m"))))
+        return _copies(docs, flown.select("doc_id", "source", "size", "m", "whole", "more"))
+    many = _spread(flown, F.col("m"))
+    copies = (F.col("whole") + F.when(F.col("no") <= F.col("more"), 1).otherwise(0)).cast("int").alias("copies")
     return many.select("doc_id", "size", "source_size", "target", (F.col("size") * copies).alias("taken"), copies)
 
 
+def _spread(rows: DataFrame, times: Column) -> DataFrame:
+    """Every row as often as ``times`` says, with ``no`` from 1; a row of very many is dealt to several tasks."""
+    step = F.lit(SPREAD).cast("long")
+    held = rows.withColumn("__n", times.cast("long"))
+    few = held.where(F.col("__n") <= step).withColumn("__k", F.lit(0).cast("long"))
+    lots = held.where(F.col("__n") > step).withColumn("__k", F.explode(F.sequence(F.lit(0).cast("long"), F.floor((F.col("__n") - 1) / step))))
+    lots = lots.repartition(F.xxhash64("__k", *[F.col(f"`{c}`") for c, t in rows.dtypes if not t.startswith("map")]))
+    both = few.unionByName(lots).where("__n > 0")
+    no = F.sequence(F.col("__k") * step + 1, F.least((F.col("__k") + 1) * step, F.col("__n")))
+    return both.withColumn("no", F.explode(no)).drop("__n", "__k")
+
+
 def _copies(docs: DataFrame, decided: DataFrame) -> DataFrame:
-    """The rows of the documents, each as often as its unit is taken."""
+    """The rows of the documents, each as often as it is taken.
+
+    Of a unit of several rows, those of the least hashes are taken once more; equal rows are
+    counted, not numbered.
+    """
     cols = docs.columns
-    decided = decided.where("copies > 0").select(F.col("doc_id").alias("__d"), F.col("source").alias("__s"), F.col("size").alias("__z"), "copies")
+    decided = decided.where("whole > 0 OR more > 0").select(F.col("doc_id").alias("__d"), F.col("source").alias("__s"), F.col("size").alias("__z"), "m", "whole", "more")
     rows = docs.select(F.struct(*[F.col(f"`{c}`") for c in cols]).alias("row"), F.col("`doc_id`").alias("doc_id"), F.col("`source`").alias("source"), n_words_of(F.col("`text`")).alias("size"))
-    both = rows.join(_small(decided), F.col("doc_id").eqNullSafe(F.col("__d")) & F.col("source").eqNullSafe(F.col("__s")) & (F.col("size") == F.col("__z")))
-    many = both.select("row", F.explode(F.sequence(F.lit(1), F.col("copies"))).alias("copy"))
+    both = rows.join(decided, F.col("doc_id").eqNullSafe(F.col("__d")) & F.col("source").eqNullSafe(F.col("__s")) & (F.col("size") == F.col("__z")))
+    single = both.where("m = 1").select("row", (F.col("whole") + F.col("more")).alias("times"))
+    unit, place = ["__d", "__s", "__z"], F.xxhash64("row")
+    equal = both.where("m > 1").groupBy("row", *unit, "whole", "more").agg(F.count(F.lit(1)).alias("c"))
+    equal = equal.withColumn("bin", F.pmod(place, F.lit(BINS)))
+    # Rows of a unit are numbered inside hash bins, and a bin goes on where the bins before it end.
+    before = lambda w: F.coalesce(F.sum("c").over(w.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0))
+    bins = equal.groupBy(*unit, "bin").agg(F.sum("c").alias("c")).select(*[F.col(c).alias(f"{c}_b") for c in (*unit, "bin")], before(Window.partitionBy(*unit).orderBy("bin")).alias("base"))
+    met = equal.join(bins, [F.col(c).eqNullSafe(F.col(f"{c}_b")) for c in (*unit, "bin")])
+    met = met.withColumn("base", F.col("base") + before(Window.partitionBy(*unit, "bin").orderBy(place, "row")))
+    more = F.least(F.greatest(F.col("more") - F.col("base"), F.lit(0)), F.col("c"))
+    several = met.select("row", (F.col("whole") * F.col("c") + more).alias("times"))
+    many = _spread(single.unionByName(several), F.col("times"))
     return many.select(*[F.col("row")[c].alias(c) for c in cols])
-
-
-def _small(rows: DataFrame) -> DataFrame:
-    """Broadcast behind a check of the size; a shuffled join beyond it."""
-    return F.broadcast(rows) if rows.count() <= SMALL else rows

@@ -626,9 +626,42 @@ def test_flight_keeps_totals():
     r = np.random.default_rng(4)
     for _ in range(30):
         n = int(r.integers(1, 60))
-        x, s, m = r.random(n), r.integers(0, 50, n), r.integers(1, 3, n)
-        y = mixing.flight(x, s, m, r)
-        assert ((y > 0) & (y < 1)).sum() <= 2 and abs((y - x) @ s) < 1e-6 and abs((y - x) @ m) < 1e-6
+        x, s = r.random(n), r.integers(0, 50, n)
+        y = mixing.flight(x, s, r)
+        assert ((y > 0) & (y < 1)).sum() <= 2 and abs((y - x) @ s) < 1e-6 and abs((y - x).sum()) < 1e-6
+
+
+def test_large_documents_are_settled_and_totals_kept():
+    for k in range(20):
+        r = np.random.default_rng(k)
+        s = np.sort(np.concatenate([r.integers(2000, 5000, 3), r.integers(20, 300, 400)]))[::-1]
+        x = r.random(403)
+        y = mixing._settle(x, s, np.arange(3), r)
+        assert set(y[:3]) <= {0.0, 1.0} and abs((y - x) @ s) < 1e-4 and abs((y - x).sum()) < 1e-6 and y.min() >= 0 and y.max() <= 1
+    draws = [mixing._settle(np.full(301, 0.3), np.array([2000] + [100 + j for j in range(300)]), np.array([0]), np.random.default_rng(k))[0] for k in range(600)]
+    assert set(draws) == {0.0, 1.0} and 0.22 < np.mean(draws) < 0.38
+
+
+def test_sources_come_near_their_targets(spark, sf):
+    rows = spark.read.parquet(f"{sf.replace('0.001', '0.1')}/documents.parquet").select("doc_id", "text", "source")
+    got = mixing.mix(rows).groupBy("source_size", "target").agg(F.sum("taken").alias("taken")).collect()
+    assert len(got) > 3 and all(abs(r["taken"] - r["target"]) <= 0.005 * r["target"] for r in got)
+
+
+@pytest.mark.parametrize("spread", [1024, 3])
+def test_equal_rows_share_what_they_are_taken(spark, monkeypatch, spread):
+    """500 equal rows, and 300 rows that share id, source and size but not their text."""
+    monkeypatch.setattr(mixing, "SPREAD", spread)
+    data = [(1, "a b c", "s")] * 500 + [(2, f"w{k} x", "s") for k in range(300)] + [(k, "one two three four", "t") for k in range(3, 203)]
+    d = spark.createDataFrame(data, "doc_id long, text string, source string").repartition(5)
+    got = mixing.mix(d).collect()
+    assert Counter(r["doc_id"] for r in got) == Counter(i for i, *_ in data)
+    assert all(abs(sum(r["taken"] for r in got if r["target"] == t) - t) < 5 for t in {r["target"] for r in got})
+    kept = mixing.mix(d, keep_rows=True).collect()
+    assert Counter(r["doc_id"] for r in kept) == Counter({i: sum(r["copies"] for r in got if r["doc_id"] == i) for i in {i for i, *_ in data}} | {})
+    per = Counter(r["text"] for r in kept if r["doc_id"] == 2)
+    assert not per or max(per.values()) - min(per[f"w{k} x"] for k in range(300)) <= 1
+    assert sorted(map(tuple, mixing.mix(d.repartition(2), keep_rows=True).collect())) == sorted(map(tuple, kept))
 
 
 @pytest.mark.parametrize("group", [4096, 40])
