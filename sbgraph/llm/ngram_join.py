@@ -21,9 +21,9 @@ their sizes.  Only blocks of that product that can hold a link are formed:
 5. Connected components of the forests give ``component_id``; the numbers of links,
    weighted by class sizes, give ``n_links``.  ``pairs`` writes the links themselves out.
 
-Nothing whose size follows the input is broadcast by hand: joins are planned by Spark
-from the sizes of the tables, and what spares most texts the third step is a bitmap of at
-most ``BITS`` bits.
+Nothing whose size follows the input is broadcast by hand: joins are planned by Spark from
+the sizes of the tables, and bitmaps of at most ``BITS`` bits spare most rows with long
+columns their shuffle (a bit that is set by chance costs a shuffled row, nothing else).
 
 Defined cases: a null or blank text has an empty set and links with nothing; a
 null doc_id links with nothing and keeps a null component_id; rows that share a
@@ -43,7 +43,7 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pandas as pd
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
@@ -57,8 +57,8 @@ CELL_BITS, CELL_BLOCKS, RUN = 23, 32, 2_000_000
 MOST = 65_535
 #: Shingles of one tile side, columns of one slice of the product, members of one square of it.
 TILE, SLICE, CELL = 3_000_000, 8192, 1024
-#: A block's tiles have an eighth of its members on a side, but not fewer or more than these.
-SIDES = (256, 8192)
+#: A block's tiles have a twelfth of its members on a side, but not fewer or more than these.
+SHARE, SIDES = 12, (192, 8192)
 #: Level from which a shingle's classes are led by an aggregate and a join (about 8,000 holders).
 HOT = 8 * 13
 #: Most bits of the bitmap of wanted doc_ids.
@@ -181,13 +181,13 @@ def _band(n: np.ndarray) -> np.ndarray:
 _EDGES = np.array([(4**k) // (3**k) + 1 for k in range(140) if (4**k) // (3**k) < 2**60], dtype=np.int64)
 
 
-def _filed(h: np.ndarray, rep: np.ndarray, mark: np.ndarray, n: np.ndarray) -> np.ndarray:
-    """Rows (shingle, file, rep, mark, size): a class of band b is filed under b and b + 1."""
+def _filed(h: np.ndarray, mark: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Rows (shingle, file, mark, size): a class of band b is filed under b and b + 1."""
     band = _band(n)
-    return np.stack([np.tile(h, 2), np.concatenate([band, band + 1]), np.tile(rep, 2), np.tile(mark, 2), np.tile(n, 2)])
+    return np.stack([np.tile(h, 2), np.concatenate([band, band + 1]), np.tile(mark, 2), np.tile(n, 2)])
 
 
-MEMBERS = "leader long, rep long, f1 long, n long"
+MEMBERS = "leader long, f1 long, n long"
 
 
 def _led(entries: DataFrame) -> DataFrame:
@@ -198,25 +198,25 @@ def _led(entries: DataFrame) -> DataFrame:
     """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        kept = np.zeros((5, 0), np.int64)  # the open files' leaders
+        kept = np.zeros((4, 0), np.int64)  # the open files' leaders
         for batch in batches:
             if not batch.num_rows:
                 continue
-            h, rep, mark, n = (batch.column(k).to_numpy() for k in range(4))
+            h, mark, n = (batch.column(k).to_numpy() for k in range(3))
             single = np.concatenate([[True], h[1:] != h[:-1]]) & np.concatenate([h[1:] != h[:-1], [True]])
             single[[0, -1]] = False  # their runs may go on in another batch
-            rows = np.concatenate([kept, _filed(h[~single], rep[~single], mark[~single], n[~single])], axis=1)
+            rows = np.concatenate([kept, _filed(h[~single], mark[~single], n[~single])], axis=1)
             # Stable: leaders kept from before come first, then smaller sets.
-            order = np.lexsort((np.concatenate([np.zeros(kept.shape[1], np.int64), rows[4, kept.shape[1] :]]), rows[1], rows[0]))
+            order = np.lexsort((np.concatenate([np.zeros(kept.shape[1], np.int64), rows[3, kept.shape[1] :]]), rows[1], rows[0]))
             rows = rows[:, order]
             new = np.concatenate([[True], (rows[:2, 1:] != rows[:2, :-1]).any(axis=0)])
             heads = np.flatnonzero(new)
             sizes = np.diff(np.append(heads, rows.shape[1]))
             many = np.repeat(sizes > 1, sizes)
-            yield pa.RecordBatch.from_arrays([pa.array(x[many]) for x in (np.repeat(rows[2][heads], sizes), rows[2], rows[3], rows[4])], names=["leader", "rep", "f1", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array(x[many]) for x in (np.repeat(rows[2][heads], sizes), rows[2], rows[3])], names=["leader", "f1", "n"])
             kept = rows[:, new & (rows[0] == batch.column(0)[-1].as_py())]
 
-    dealt = entries.repartition("h").sortWithinPartitions("h", "n", "rep", "f1").select("h", "rep", "f1", "n")
+    dealt = entries.repartition("h").sortWithinPartitions("h", "n", "f1").select("h", "f1", "n")
     return dealt.mapInArrow(run, MEMBERS)
 
 
@@ -229,19 +229,20 @@ def _led_hot(entries: DataFrame) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            yield pa.RecordBatch.from_arrays([pa.array(x) for x in _filed(*(batch.column(k).to_numpy() for k in range(4)))], names=["h", "file", "rep", "f1", "n"])
+            yield pa.RecordBatch.from_arrays([pa.array(x) for x in _filed(*(batch.column(k).to_numpy() for k in range(3)))], names=["h", "file", "f1", "n"])
 
-    filed = entries.select("h", "rep", "f1", "n").mapInArrow(run, "h long, file long, rep long, f1 long, n long")
-    first = filed.groupBy("h", "file").agg(F.min(F.struct("n", "rep")).alias("first"), F.count(F.lit(1)).alias("held")).where("held > 1")
-    first = first.select(F.col("h").alias("__h"), F.col("file").alias("__file"), F.col("first.rep").alias("leader"))
-    return filed.join(first, (F.col("h") == F.col("__h")) & (F.col("file") == F.col("__file"))).select("leader", "rep", "f1", "n")
+    filed = entries.select("h", "f1", "n").mapInArrow(run, "h long, file long, f1 long, n long")
+    first = filed.groupBy("h", "file").agg(F.min(F.struct("n", "f1")).alias("first"), F.count(F.lit(1)).alias("held")).where("held > 1")
+    first = first.select(F.col("h").alias("__h"), F.col("file").alias("__file"), F.col("first.f1").alias("leader"))
+    return filed.join(first, (F.col("h") == F.col("__h")) & (F.col("file") == F.col("__file"))).select("leader", "f1", "n")
 
 
 def _members(entries: DataFrame) -> DataFrame:
-    """(leader, rep, f1, n) of every shingle and pair of size bands that two classes or more hold.
+    """(leader, f1, n) of every shingle and pair of size bands that two classes or more hold.
 
     Two classes of linkable sizes share a file of every shingle that both hold, and the
-    file's leader has both as members (itself included).
+    file's leader has both as members (itself included).  Classes and leaders go by ``f1``
+    here; classes whose marks clash share their places, and are told apart by their reps later.
     """
     hot = F.shiftrightunsigned("h", 56) >= HOT
     return _led(entries.where(~hot)).unionByName(_led_hot(entries.where(hot))).distinct()
@@ -467,36 +468,49 @@ def _tile_links(rows: DataFrame, write: bool = False) -> DataFrame:
 
 
 def _bitmap(rows: DataFrame, key: str) -> tuple[np.ndarray, int]:
-    """A bitmap of the hashes of a key, of about sixteen bits a row; and its number of bits."""
+    """A bitmap (bytes) of the hashes of a key, of about sixteen bits a row; and its number of bits."""
     bits = 1 << min(BITS.bit_length() - 1, max(16, (16 * rows.count()).bit_length()))
-    at = F.pmod(F.xxhash64(key), F.lit(bits))
-    words = rows.select(at.alias("at")).select(F.shiftright("at", 6).alias("word"), F.expr("shiftleft(1L, CAST(at & 63 AS INT))").alias("bit"))
+    words = rows.select(F.pmod(F.xxhash64(key), F.lit(bits)).alias("at")).select(F.shiftright("at", 6).alias("word"), F.expr("shiftleft(1L, CAST(at & 63 AS INT))").alias("bit"))
     held = words.groupBy("word").agg(F.bit_or("bit").alias("bit")).toArrow()  # BITS / 64 rows at most
     out = np.zeros(bits >> 6, np.int64)
     out[held.column("word").to_numpy()] = held.column("bit").to_numpy()
-    return np.unpackbits(out.view(np.uint8), bitorder="little"), bits
+    return out.view(np.uint8), bits
+
+
+def _among(rows: DataFrame, key: str) -> Callable[[str], Column]:
+    """Whether a column's value may be one of a key's: never false for one that is."""
+    wanted, bits = _bitmap(rows, key)
+    shared = rows.sparkSession.sparkContext.broadcast(wanted)
+
+    @F.pandas_udf("boolean")
+    def flag(at: pd.Series) -> pd.Series:
+        place = at.to_numpy()
+        return pd.Series((shared.value[place >> 3] >> (place & 7).astype(np.uint8) & 1).astype(bool))
+
+    return lambda name: flag(F.pmod(F.xxhash64(name), F.lit(bits)))
 
 
 def links(docs: DataFrame, heads: DataFrame, members: DataFrame, classes: DataFrame, store: Store, size: int = SIZE, write: bool = False) -> DataFrame:
     """What ``_tile_links`` finds among class representatives.
 
-    heads: rep, f1, prefix; members: leader, rep, f1, n; classes: rep, f1, size.
+    heads: rep, f1, n, prefix; members: leader, f1, n; classes: rep, f1, size.
     """
     count = F.count(F.lit(1))
-    side = F.least(F.greatest(F.ceil(count / 8), F.lit(SIDES[0])), F.lit(SIDES[1]))
+    side = F.least(F.greatest(F.ceil(count / SHARE), F.lit(SIDES[0])), F.lit(SIDES[1]))
     groups = F.greatest(F.lit(1), F.ceil(F.sum("n") / TILE), F.ceil(count / side))
     large = members.groupBy("leader").agg(groups.cast("long").alias("groups")).where("groups > 1").withColumnRenamed("leader", "__leader")
     tiled = members.join(large, F.col("leader") == F.col("__leader"), "left").withColumn("groups", F.coalesce("groups", F.lit(1).cast("long")))
-    tiled = tiled.withColumn("side", F.pmod(F.xxhash64("rep", "f1", F.lit("tile")), F.col("groups")))
+    tiled = tiled.withColumn("side", F.pmod(F.xxhash64("f1", F.lit("tile")), F.col("groups")))
     tiled = tiled.withColumn("other", F.explode(F.sequence(F.lit(0).cast("long"), F.col("groups") - 1)))
-    tiled = tiled.select("rep", "f1", "n", "leader", F.least("side", "other").alias("i"), F.greatest("side", "other").alias("j"), "side")
-    found = store.put("candidates", _candidates(tiled.join(heads.select("rep", "f1", "prefix"), ["rep", "f1"])))
+    tiled = tiled.select("f1", "leader", F.least("side", "other").alias("i"), F.greatest("side", "other").alias("j"), "side")
+    paired = heads.where(_among(members.select("f1").distinct(), "f1")("f1"))  # the others stay where they are
+    found = store.put("candidates", _candidates(tiled.join(paired, "f1")))
     own = found.groupBy("rep", "f1").agg(F.collect_set("leader").alias("leaders")).join(classes.select("rep", "f1", "size"), ["rep", "f1"])
     wanted, bits = _bitmap(own, "rep")
-    shared = docs.sparkSession.sparkContext.broadcast(np.packbits(wanted))
+    shared = docs.sparkSession.sparkContext.broadcast(wanted)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        bit = np.unpackbits(shared.value).astype(bool)
+        bit = np.unpackbits(shared.value, bitorder="little").astype(bool)
         chosen = (batch.filter(pa.array(bit[batch.column("at").to_numpy()])) for batch in batches)
         for part, sets in _sets(chosen, size):
             yield pa.RecordBatch.from_arrays([part.column("rep"), pa.array(_marks(sets)[:, 0].copy()), _lists(sets)], names=["rep", "f1", "set"])
@@ -514,10 +528,14 @@ def _classes(docs: DataFrame, store: Store, size: int) -> tuple[DataFrame, DataF
     same = ["f1", "f2", "n"]
     # Counted in two steps: a class's copies are combined before they meet.
     classes = store.put("classes", own.groupBy(*same, "doc_id").agg(F.lit(1).alias("one")).groupBy(*same).agg(F.min("doc_id").alias("rep"), F.count(F.lit(1)).alias("size")))
-    first = classes.select("rep", *[F.col(c).alias(f"__{c}") for c in same])
-    heads = own.join(first, (F.col("doc_id") == F.col("rep")) & (F.col("f1") == F.col("__f1")) & (F.col("f2") == F.col("__f2")) & (F.col("n") == F.col("__n")))
-    heads = heads.select("rep", "f1", "n", "prefix")
-    entries = heads.select("rep", "f1", "n", F.explode("prefix").alias("h"))
+    marked = classes.select("rep", *[F.col(c).alias(f"__{c}") for c in same])
+    equal = [F.col(c) == F.col(f"__{c}") for c in same]
+    copies = own.select("doc_id", *same).join(marked, equal).where("doc_id <> rep").select("doc_id").distinct()
+    # What may be a copy is looked up; all other rows are heads.
+    own = own.withColumn("copy", _among(store.put("copies", copies), "doc_id")("doc_id"))
+    firsts = own.where("copy").join(marked, [F.col("doc_id") == F.col("rep"), *equal])
+    heads = own.where("NOT copy").select(F.col("doc_id").alias("rep"), "f1", "n", "prefix").unionByName(firsts.select("rep", "f1", "n", "prefix"))
+    entries = heads.select("f1", "n", F.explode("prefix").alias("h"))
     return known, classes, heads, store.put("members", _members(entries))
 
 
@@ -565,20 +583,6 @@ def join(docs: DataFrame, size: int = SIZE) -> DataFrame:
     return rows.select("doc_id", F.col("n").alias("n_shingles"), component.alias("component_id"), n_links.alias("n_links"))
 
 
-def _flag(spark: SparkSession, wanted: np.ndarray) -> Callable[[Column], Column]:
-    """Whether a bit of a bitmap is set, as a column function."""
-    shared = spark.sparkContext.broadcast(np.packbits(wanted))
-    held: list[np.ndarray] = []
-
-    @F.pandas_udf("boolean")
-    def flag(at: pd.Series) -> pd.Series:
-        if not held:
-            held.append(np.unpackbits(shared.value).astype(bool))
-        return pd.Series(held[0][at.to_numpy()])
-
-    return flag
-
-
 def dedupe(docs: DataFrame, size: int = SIZE) -> DataFrame:
     """One document of each component (same columns): the row of the least doc_id.
 
@@ -586,14 +590,11 @@ def dedupe(docs: DataFrame, size: int = SIZE) -> DataFrame:
     Only rows that a bitmap of the dropped and the repeated doc_ids lets past are joined
     with those ids; all other rows stay where they are.
     """
-    cols, spark = docs.columns, docs.sparkSession
-    store = Store(spark)
+    cols, store = docs.columns, Store(docs.sparkSession)
     decided = join(docs, size).where("doc_id IS NOT NULL").groupBy("doc_id").agg(F.min(F.col("doc_id") == F.col("component_id")).alias("keep"), F.count(F.lit(1)).alias("rows"))
     odd = store.put("odd", decided.where("rows > 1 OR NOT keep").select(F.col("doc_id").alias("id"), "keep"))
-    wanted, bits = _bitmap(odd, "id")
-    marked = F.coalesce(_flag(spark, wanted)("at"), F.lit(False))
     named = docs.select(F.struct(*[F.col(f"`{c}`") for c in cols]).alias("row"), F.col("`doc_id`").cast("long").alias("doc_id"))
-    named = named.withColumn("at", F.pmod(F.xxhash64("doc_id"), F.lit(bits))).withColumn("marked", marked & F.col("doc_id").isNotNull())
+    named = named.withColumn("marked", F.col("doc_id").isNotNull() & _among(odd, "id")("doc_id"))
     met = named.where("marked").select("row", "doc_id").join(odd, F.col("doc_id") == F.col("id"), "left")
     one = met.where("keep").groupBy("doc_id").agg(F.min_by("row", F.xxhash64("row")).alias("row"))
     rows = named.where("NOT marked").select("row").unionByName(met.where("id IS NULL").select("row")).unionByName(one.select("row"))
