@@ -14,8 +14,10 @@ shingle: the window's rarest one, by its count over all documents.
 4. Verify exact containment: all words of the window are compared, in order, over
    the item-sized window of the document.
 
-The benchmark's index is sent to the executors in parts of at most ``INDEX_WORDS``
-window words; a larger benchmark takes several passes, whose hits are merged.
+Windows are made by Spark and kept in a table, with the items that hold each in another.
+The driver holds one part of the windows at a time, of about ``INDEX_WORDS`` words, which it
+sends to the executors; a larger benchmark takes several passes, whose hits are merged.
+The items of a document are joined to the windows that it holds.
 
 Defined cases: null and blank texts have no words and are never contaminated; items
 without words have no window; repeated items and items with equal windows all count;
@@ -31,45 +33,54 @@ from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from . import kernels as K
+from .store import Store
 
 WINDOW, SHINGLE = 10, 3
-#: Words of all windows of one index part (8 bytes each), and characters of a benchmark held on the driver.
-INDEX_WORDS, DRIVER_CHARS = 4_000_000, 256_000_000
+#: Words of all windows of one index part (8 bytes each), and windows of one row batch.
+INDEX_WORDS, ROWS = 4_000_000, 100_000
 _MASK = np.uint64((1 << 20) - 1)
 
 
 @dataclass
 class Windows:
-    """Distinct windows of equal length: word hashes, and the items that hold each."""
+    """Distinct windows of equal length, as word hashes."""
 
     length: int
     words: np.ndarray
-    items: list[list[int]]
-
-
-def read_items(benchmark: DataFrame) -> tuple[list, list[Windows]]:
-    """Item ids and their windows by length, behind a check of the benchmark's size."""
-    rows = benchmark.select(F.col("`item_id`").alias("item_id"), F.col("`text`").alias("text"))
-    chars = rows.agg(F.sum(F.length("text"))).first()[0] or 0
-    if chars > DRIVER_CHARS:
-        raise ValueError(f"the benchmark has {chars} characters; split it into parts of {DRIVER_CHARS}")
-    items = rows.collect()
-    words = K.words_of(*K.text_buffer(pa.array([r["text"] for r in items], pa.large_string())), K.ALNUM)
-    by_length: dict[int, dict[bytes, list[int]]] = {}
-    for k in range(len(items)):
-        own = words.hashes[words.first[k] : words.first[k + 1]]
-        if len(own):
-            length = min(WINDOW, len(own))
-            for at in range(len(own) - length + 1):
-                held = by_length.setdefault(length, {}).setdefault(own[at : at + length].tobytes(), [])
-                if not held or held[-1] != k:
-                    held.append(k)
-    found = [Windows(n, np.frombuffer(b"".join(w), dtype=np.uint64).reshape(-1, n), list(w.values())) for n, w in sorted(by_length.items())]
-    return [r["item_id"] for r in items], found
+
+
+def windows(benchmark: DataFrame) -> DataFrame:
+    """item (its id as a string) and words (the hashes of one window) of all windows of all items."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch, words in _words(batches):
+            for k, (a, b) in enumerate(zip(words.first[:-1].tolist(), words.first[1:].tolist(), strict=True)):
+                own, length = words.hashes[a:b], min(WINDOW, b - a)
+                for at in range(0, b - a - length + 1 if b > a else 0, ROWS):
+                    rows = np.lib.stride_tricks.sliding_window_view(own[at : at + ROWS + length - 1], length)
+                    flat = np.ascontiguousarray(rows, dtype="<u8").tobytes()
+                    held = sorted({flat[i : i + 8 * length] for i in range(0, len(flat), 8 * length)})
+                    yield pa.RecordBatch.from_arrays([pa.array([batch.column("item")[k].as_py()] * len(held), pa.string()), pa.array(held, pa.binary())], names=["item", "words"])
+
+    rows = benchmark.select(F.col("`item_id`").cast("string").alias("item"), F.col("`text`").alias("text"))
+    return rows.mapInArrow(run, "item string, words binary").distinct()
+
+
+def index_parts(found: DataFrame) -> Iterator[list[Windows]]:
+    """The distinct windows, a part at a time."""
+    distinct = found.select("words").distinct()
+    size = distinct.agg(F.sum(F.octet_length("words"))).first()[0] or 0
+    parts = max(1, -(-size // (8 * INDEX_WORDS)))
+    for k in range(parts if size else 0):
+        held = distinct.where(F.pmod(F.xxhash64("words"), F.lit(parts)) == k).toArrow().column("words").to_pylist()
+        by_length: dict[int, list[bytes]] = {}
+        for w in sorted(held):
+            by_length.setdefault(len(w) // 8, []).append(w)
+        yield [Windows(n, np.frombuffer(b"".join(w), dtype=np.uint64).reshape(-1, n)) for n, w in sorted(by_length.items())]
 
 
 class Probe:
@@ -135,28 +146,21 @@ class Index:
     length: int
     size: int
     words: np.ndarray
-    items: list[list[int]]
     prefix: np.ndarray
     offset: np.ndarray
 
 
-def build_index(groups: list[Windows], counts: dict[int, tuple[np.ndarray, np.ndarray]]) -> list[list[Index]]:
-    """Index parts of at most INDEX_WORDS window words each."""
-    parts, now, room = [], [], INDEX_WORDS
+def build_index(groups: list[Windows], counts: dict[int, tuple[np.ndarray, np.ndarray]]) -> list[Index]:
+    """Each window under its rarest shingle."""
+    out = []
     for w in groups:
         size, own = _window_shingles(w)
         known, n = counts[size]
         offset = np.argmin(n[np.searchsorted(known, own)], axis=1)
         prefix = own[np.arange(len(own)), offset]
         order = np.argsort(prefix, kind="stable")
-        at = 0
-        while at < len(order):
-            take = order[at : at + max(1, room // w.length)]
-            now.append(Index(w.length, size, w.words[take], [w.items[k] for k in take], prefix[take], offset[take]))
-            at, room = at + len(take), room - len(take) * w.length
-            if room < WINDOW:
-                parts, now, room = [*parts, now], [], INDEX_WORDS
-    return [*parts, now] if now else parts
+        out.append(Index(w.length, size, w.words[order], prefix[order], offset[order]))
+    return out
 
 
 def _occurrences(words: K.Words, index: Index, probe: Probe) -> tuple[np.ndarray, np.ndarray]:
@@ -173,60 +177,68 @@ def _occurrences(words: K.Words, index: Index, probe: Probe) -> tuple[np.ndarray
     return start[held], window[held]
 
 
-def _hits(words: K.Words, parts: list[Index], probes: list[Probe]) -> tuple[np.ndarray, list[set[int]]]:
-    """Hit mark of every word, and the items of every document."""
+def _hits(words: K.Words, parts: list[Index], probes: list[Probe]) -> tuple[np.ndarray, list[set[bytes]]]:
+    """Hit mark of every word, and the windows that occur in every document."""
     change = np.zeros(len(words.hashes) + 1, np.int32)
-    items: list[set[int]] = [set() for _ in range(len(words.first) - 1)]
+    held: list[set[bytes]] = [set() for _ in range(len(words.first) - 1)]
     for index, probe in zip(parts, probes, strict=True):
         start, window = _occurrences(words, index, probe)
         np.add.at(change, start, 1)
         np.add.at(change, start + index.length, -1)
         for d, w in zip((np.searchsorted(words.first, start, "right") - 1).tolist(), window.tolist(), strict=True):
-            items[d].update(index.items[w])
-    return np.cumsum(change[:-1]) > 0, items
+            held[d].add(index.words[w].tobytes())
+    return np.cumsum(change[:-1]) > 0, held
 
 
-SCAN = "doc_id long, text_key long, n_words long, runs array<struct<start: long, end: long>>, items array<string>"
+SCAN = "doc_id long, text_key long, n_words long, runs array<struct<start: long, end: long>>, windows array<binary>"
 
 
-def _scan(docs: DataFrame, names: list, part: list[Index]) -> DataFrame:
-    shared = docs.sparkSession.sparkContext.broadcast((names, part))
+def _scan(docs: DataFrame, part: list[Index]) -> DataFrame:
+    shared = docs.sparkSession.sparkContext.broadcast(part)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        known, parts = shared.value
+        parts = shared.value
         probes = [Probe(np.unique(p.prefix)) for p in parts]
         run_type = pa.list_(pa.struct([("start", pa.int64()), ("end", pa.int64())]))
         for batch, words in _words(batches):
-            hit, items = _hits(words, parts, probes)
+            hit, held = _hits(words, parts, probes)
             runs = []
             for a, b in zip(words.first[:-1].tolist(), words.first[1:].tolist(), strict=True):
                 edge = np.flatnonzero(np.diff(np.concatenate([[0], hit[a:b].view(np.int8), [0]]))).reshape(-1, 2) if hit[a:b].any() else ()
                 runs.append([{"start": int(s), "end": int(e)} for s, e in edge])
-            ids = [sorted({str(known[k]) for k in own}) for own in items]
-            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), pa.array(words.counts(), pa.int64()), pa.array(runs, run_type), pa.array(ids, pa.list_(pa.string()))], names=["doc_id", "text_key", "n_words", "runs", "items"])
+            yield pa.RecordBatch.from_arrays([batch.column("doc_id"), batch.column("text_key"), pa.array(words.counts(), pa.int64()), pa.array(runs, run_type), pa.array([sorted(w) for w in held], pa.list_(pa.binary()))], names=["doc_id", "text_key", "n_words", "runs", "windows"])
 
     return docs.select(F.col("`doc_id`").cast("long").alias("doc_id"), F.xxhash64("`text`").alias("text_key"), F.col("`text`").alias("text")).mapInArrow(run, SCAN)
 
 
 def scan(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """doc_id, text_key, n_words, runs (hit words, [start, end)) and items of every row."""
-    names, groups = read_items(benchmark)
-    parts = build_index(groups, shingle_counts(docs, groups)) if groups else []
-    if len(parts) <= 1:
-        return _scan(docs, names, parts[0] if parts else [])
-    first, *rest = [_scan(docs, names, p) for p in parts]
-    more = rest[0]
-    for r in rest[1:]:
-        more = more.unionByName(r)
-    # Equal (doc_id, text) rows have equal hits, so they are merged once and joined back.
-    more = more.where(F.size("items") > 0).groupBy("doc_id", "text_key").agg(F.flatten(F.collect_set("runs")).alias("more_runs"), F.flatten(F.collect_set("items")).alias("more_items"))
-    more = more.withColumnRenamed("doc_id", "__d").withColumnRenamed("text_key", "__k")
-    both = first.join(more, F.col("doc_id").eqNullSafe(F.col("__d")) & F.col("text_key").eqNullSafe(F.col("__k")), "left")
-    empty = lambda c: F.coalesce(F.col(c), F.expr(f"filter({c.removeprefix('more_')}, x -> false)"))
-    ordered = F.sort_array(F.concat("runs", empty("more_runs")))
-    grow = lambda done, r: F.when((F.size(done) > 0) & (F.element_at(done, -1)["end"] >= r["start"]), F.concat(F.slice(done, 1, F.size(done) - 1), F.array(F.struct(F.element_at(done, -1)["start"].alias("start"), F.greatest(F.element_at(done, -1)["end"], r["end"]).alias("end"))))).otherwise(F.concat(done, F.array(r)))
-    merged = F.aggregate(ordered, F.expr("filter(runs, x -> false)"), grow)
-    return both.select("doc_id", "text_key", "n_words", merged.alias("runs"), F.sort_array(F.array_union("items", empty("more_items"))).alias("items"))
+    store = Store(docs.sparkSession)
+    found = store.put("windows", windows(benchmark))
+    first, *rest = [store.put(f"scan{k}", _scan(docs, build_index(p, shingle_counts(docs, p)))) for k, p in enumerate(index_parts(found))] or [_scan(docs, [])]
+    # Equal (doc_id, text) rows have equal hits, so hits are merged once and joined back.
+    key = ["doc_id", "text_key"]
+    held = [r.where(F.size("windows") > 0).select(*key, "runs", "windows") for r in (first, *rest)]
+    met = held[0]
+    for h in held[1:]:
+        met = met.unionByName(h)
+    items = met.select(*key, F.explode("windows").alias("words")).distinct().join(found, "words").groupBy(*key).agg(F.sort_array(F.collect_set("item")).alias("items"))
+    items = items.select(*[F.col(c).alias(f"__{c}") for c in key], "items")
+    same = lambda p: [F.col(c).eqNullSafe(F.col(f"{p}{c}")) for c in key]
+    rows = first.select(*key, "n_words", "runs")
+    if rest:
+        more = met.groupBy(*key).agg(F.flatten(F.collect_set("runs")).alias("more")).select(*[F.col(c).alias(f"_m_{c}") for c in key], "more")
+        rows = rows.join(more, same("_m_"), "left").select(*key, "n_words", F.coalesce(_merged(F.col("more")), F.col("runs")).alias("runs"))
+    none = F.array().cast("array<string>")
+    return rows.join(items, same("__"), "left").select(*key, "n_words", "runs", F.coalesce("items", none).alias("items"))
+
+
+def _merged(runs: Column) -> Column:
+    """Runs that overlap or touch become one."""
+    last = lambda done: F.element_at(done, -1)
+    joined = lambda done, r: F.struct(last(done)["start"].alias("start"), F.greatest(last(done)["end"], r["end"]).alias("end"))
+    grow = lambda done, r: F.when((F.size(done) > 0) & (last(done)["end"] >= r["start"]), F.concat(F.slice(done, 1, F.size(done) - 1), F.array(joined(done, r)))).otherwise(F.concat(done, F.array(r)))
+    return F.aggregate(F.sort_array(runs), F.expr("filter(runs, x -> false)"), grow)
 
 
 def report(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
@@ -238,11 +250,9 @@ def report(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
 def drop_contaminated(docs: DataFrame, benchmark: DataFrame) -> DataFrame:
     """The rows (same columns) in which no window occurs."""
     cols = docs.columns
-    names, groups = read_items(benchmark)
-    parts = build_index(groups, shingle_counts(docs, groups)) if groups else []
     kept = docs.select(F.struct(*[F.col(f"`{c}`") for c in cols]).alias("row"), F.col("`text`").alias("text"))
-    for part in parts:
-        kept = _filter(kept, part)
+    for part in index_parts(Store(docs.sparkSession).put("windows", windows(benchmark))):
+        kept = _filter(kept, build_index(part, shingle_counts(docs, part)))
     return kept.select(*[F.col("row")[c].alias(c) for c in cols])
 
 
