@@ -20,7 +20,8 @@ sends to the executors; a larger benchmark takes several passes, whose hits are
 The items of a document are joined to the windows that it holds.
 
 Defined cases: null and blank texts have no words and are never contaminated; items
-without words have no window; repeated items and items with equal windows all count;
+without words have no window; repeated items and items with equal windows all count; the
+windows of an item without an id are found, but it is counted among no items;
 repeated rows are scanned row by row; an empty table on either side gives no hits;
 other columns of both tables are ignored.
 """

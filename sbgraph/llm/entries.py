@@ -2,6 +2,8 @@
 
 from __future__ import annotations
 
+import functools
+import secrets
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
@@ -29,8 +31,19 @@ def op3_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return quality_classifier.classify(_docs(spark, sf_dir), spark.read.parquet(f"{sf_dir}/labels.parquet"))
 
 
+@functools.cache
+def _drawn_key(application: str) -> bytes:
+    return secrets.token_bytes(32)
+
+
+def surrogate_key(spark: SparkSession) -> bytes:
+    """The key that the session names, or else one drawn for this application."""
+    named = spark.conf.get("spark.sbgraph.surrogateKey", None)
+    return named.encode() if named else _drawn_key(spark.sparkContext.applicationId)
+
+
 def op4_pii_surrogates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return pii_surrogates.rewrite(_docs(spark, sf_dir).select("doc_id", "text"))
+    return pii_surrogates.rewrite(_docs(spark, sf_dir).select("doc_id", "text"), surrogate_key(spark))
 
 
 def op5_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:

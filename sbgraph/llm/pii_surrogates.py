@@ -8,12 +8,20 @@
   network's prefix; an IBAN's country and check digits; a domain's surrogate is that of
   the domain, so addresses of one domain stay together; a name keeps its title's gender
   and its script.
-* A name is detected behind a title.  In the same text every other mention of that full
-  name, given name or family name gets the matching part of its surrogate, and a title
-  with a family name alone means the full name before it (or else the first one).
+* A name is detected behind a title, behind words that introduce a person ("my name is",
+  "signed"), where a common given name comes before a capitalised word, and where two
+  capitalised words spell the local part of an address in the text.  In the same text every
+  other mention of that full name, given name or family name gets the matching part of its
+  surrogate, and a title with a family name alone means the full name before it (or else the
+  first one).
 * Collision checks run over the distinct entities of all documents: two entities never
-  share a surrogate, and no surrogate is itself an entity of the corpus.  Losers draw
-  again with the next attempt.  Only entities with an attempt above 0 need a table.
+  share a surrogate, nor do two mail domains, and no surrogate is itself an entity of the
+  corpus.  Losers draw again with the next attempt.  Only entities with an attempt above 0
+  need a table.
+* A private network's addresses have few surrogates.  Where the corpus holds over a quarter
+  of such a network, its surrogates are a keyed permutation of the network: still
+  distinct, but each may be another address of the corpus.
+* The key is the caller's; there is no default.
 
 Defined cases: null texts stay null; texts without entities stay as they are; repeated
 rows are rewritten alike; very long texts are scanned whole; other columns pass through
@@ -23,23 +31,25 @@ rows are rewritten alike; very long texts are scanned whole; other columns pass
 from __future__ import annotations
 
 import bisect
+import functools
 import hashlib
 import hmac
+import itertools
 import re
 import unicodedata
 from collections.abc import Iterator
 from dataclasses import dataclass
 
+import ahocorasick
 import pyarrow as pa
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .store import Store
 
 KINDS = ("email", "phone", "ip", "card", "ssn", "iban", "name")
-KEY = b"surrogate-key"
-#: Entities with an attempt above 0 that may be broadcast; attempts before a longer form is drawn.
-SMALL, ROUNDS = 200_000, 12
+#: Entities with an attempt above 0 that may be broadcast; attempts before a longer form is drawn, and at most.
+SMALL, ROUNDS, MOST = 50_000, 12, 200
 
 #: Titles and the gender they show (n: none).
 TITLES = {"Mr": "m", "Mrs": "f", "Ms": "f", "Herr": "m", "Frau": "f", "Monsieur": "m", "Madame": "f", "Señor": "m", "Señora": "f", "Господин": "m", "Госпожа": "f", "Κύριος": "m", "Κυρία": "f"}
@@ -66,9 +76,16 @@ _PHONE = r"(?P<phone>(?<![\w+])(?:\+\d{1,3}[ .\-]?(?:\(\d{1,4}\)[ .\-]?)?\d{2,4}
 _DIGITS = re.compile("|".join((_IP, _SSN, _CARD, _PHONE, _IBAN)))
 _AT = re.compile(_EMAIL)
 _TITLE = r"(?:" + "|".join(TITLES) + r")\b\.? "
+#: Words that introduce a person (both names must follow).
+INTRODUCTIONS = ["[Mm]y name is", "I am called", "[Ss]igned,?", "[Ss]igned by", "[Yy]ours sincerely,", "[Ss]incerely,", "[Rr]egards,", "[Mm]ein Name ist", "[Ii]ch heiße", "[Gg]ezeichnet,?", "Mit freundlichen Grüßen,?", "[Jj]e m['’]appelle", "[Mm]on nom est", "[Ss]igné,?", "[Mm]e llamo", "[Mm]i nombre es", "[Ff]irmado,?", "Atentamente,", "[Cc]ontact(?: person)?:", "[Aa]uthor:", "Attn:", "Ansprechpartner(?:in)?:"]
+#: Common given names that reveal a person before a capitalised word.
+COMMON = {"m": "James John Robert Michael William David Richard Thomas Charles Daniel Matthew Andrew Peter Hans Jürgen Klaus Wolfgang Stefan Andreas Matthias Pierre Jean Michel François Jacques Philippe Nicolas Carlos José Juan Luis Miguel Pedro Javier Antonio Manuel Diego Pablo".split(), "f": "Mary Patricia Jennifer Linda Elizabeth Susan Jessica Sarah Karen Emily Anna Anne Ursula Petra Sabine Monika Katrin Claudia Heike Marie Isabelle Sophie Nathalie Catherine Françoise Camille María Carmen Ana Isabel Lucía Elena Teresa Rosa Cristina".split()}
+_NAMED = {n: g for g, own in COMMON.items() for n in own}
+_WORD = r"[^\W\d_a-zà-ÿ][^\W\d_]+(?:-[^\W\d_a-zà-ÿ][^\W\d_]+)?"
+_INTRODUCED = re.compile(r"(?:\b(?:" + "|".join(INTRODUCTIONS) + r")\s+(?P<name>" + _WORD + " " + _WORD + r")|\b(?P<given>(?:" + "|".join(_NAMED) + r") " + _WORD + r"))(?!\w)")
 _TITLED = re.compile(r"\b(?P<titles>(?:" + _TITLE + r")+)(?P<name>[^\W\d_][\w'’\-]*(?: [^\W\d_][\w'’\-]*)?)")
 _NAME = re.compile(r"[^\W\d_][\w'’\-]*")
-_HAS_DIGIT, _HAS_TITLE = re.compile(r"\d{2}"), re.compile("|".join(TITLES))
+_HAS_DIGIT = re.compile(r"\d{2}")
 
 _RUN = re.compile(r"[^\W_]+")
 #: Digits of a national number by country prefix, and lengths of IBANs by country.
@@ -76,6 +93,17 @@ NATIONAL = {"1": (10,), "7": (10,), "30": (10,), "31": (9,), "32": (8, 9), "33":
 IBANS = dict(x.split(":") for x in "AD:24 AE:23 AL:28 AT:20 AZ:28 BA:20 BE:16 BG:22 BH:22 BR:29 BY:28 CH:21 CR:22 CY:28 CZ:24 DE:22 DK:18 DO:28 EE:20 EG:29 ES:24 FI:18 FO:18 FR:27 GB:22 GE:22 GI:23 GL:18 GR:27 GT:28 HR:21 HU:28 IE:22 IL:23 IQ:23 IS:26 IT:27 JO:30 KW:30 KZ:20 LB:28 LC:32 LI:21 LT:20 LU:20 LV:21 MC:27 MD:24 ME:22 MK:19 MR:27 MT:31 MU:30 NL:18 NO:15 PK:24 PL:28 PS:29 PT:25 QA:29 RO:24 RS:22 SA:24 SC:31 SE:24 SI:19 SK:24 SM:27 ST:25 SV:28 TL:23 TN:24 TR:26 UA:29 VA:22 VG:24 XK:20".split())
 
 
+@functools.cache
+def _cues() -> ahocorasick.Automaton:
+    """Finds texts that may name a person: titles, given names, and the longest word of each introduction."""
+    plain = (re.sub(r"\[[^\]]*\]|\(\?:[^)]*\)\?", " ", x) for x in INTRODUCTIONS)
+    found = ahocorasick.Automaton()
+    for word in {*TITLES, *_NAMED, *(max(re.findall(r"[^\W\d_]+", x), key=len) for x in plain)}:
+        found.add_word(word, True)
+    found.make_automaton()
+    return found
+
+
 @dataclass(frozen=True)
 class Mention:
     start: int
@@ -132,8 +160,19 @@ def _bare(word: str) -> str:
     return word[:-2] if len(word) > 2 and word[-2:] in ("'s", "’s") else word
 
 
+def _spelled(text: str) -> Iterator[tuple[int, str]]:
+    """Pairs of capitalised words that an address in the text spells (given.family or the like)."""
+    locals_ = {tuple(w for w in re.split(r"[._\-]", m[0].split("@")[0].lower()) if w) for m in _AT.finditer(text)}
+    pairs = {p for p in locals_ if len(p) == 2 and min(map(len, p)) > 1 and "".join(p).isalpha()}
+    words = list(_NAME.finditer(text)) if pairs else []
+    for a, b in itertools.pairwise(words):
+        if text[a.end() : b.start()] == " " and (a[0].casefold(), _bare(b[0]).casefold()) in pairs and a[0][0].isupper() and b[0][0].isupper():
+            yield a.start(), f"{a[0]} {_bare(b[0])}"
+
+
 def _names(text: str) -> list[Mention]:
-    """Titled names, and all other mentions of these persons or of a part of their names."""
+    """Names that titles, introductions, common given names or addresses reveal, and all other
+    mentions of these persons or of a part of their names."""
     titled = []
     for m in _TITLED.finditer(text):
         words = m["name"].split(" ")
@@ -142,6 +181,13 @@ def _names(text: str) -> list[Mention]:
         name = _bare(words[0] if len(words) == 1 or not words[1][0].isupper() else m["name"])
         gender = next((g for t in _NAME.findall(m["titles"]) if (g := TITLES[t]) != "n"), "n")
         titled.append((m.start("name"), m.start("name") + len(name), gender, name.casefold()))
+    known = {at for at, *_ in titled}
+    others = [(m.start(k), _bare(m[k])) for m in _INTRODUCED.finditer(text) for k in ("name", "given") if m[k]] + list(_spelled(text) if "@" in text else ())
+    for at, name in others:
+        if at not in known and len(name.split(" ")) == 2:
+            known.add(at)
+            titled.append((at, at + len(name), _NAMED.get(name.split(" ")[0], "n"), name.casefold()))
+    titled.sort()
     shown = {}  # the first gender that a full name's titles show
     for _, _, gender, name in titled:
         if gender != "n" or name not in shown:
@@ -203,7 +249,7 @@ def mentions(text: str) -> list[Mention]:
             value, at = text[m.start() : end], end
             canon = value if kind == "ip" else value.replace(" ", "") if kind == "iban" else re.sub(r"\D", "", value)
             found.append(Mention(m.start(), end, kind, canon))
-    if _HAS_TITLE.search(text):
+    if "@" in text or next(_cues().iter(text), None):
         found += _names(text)
     out: list[Mention] = []
     for m in sorted(found, key=lambda m: (m.start, -m.end)):
@@ -230,19 +276,61 @@ class _Draw:
         return "".join(chr(97 + self.below(26)) if c.isalpha() else str(self.below(10)) if c.isdigit() else c for c in text)
 
 
-def surrogate(kind: str, canon: str, attempt: int = 0, key: bytes = KEY) -> str:
-    """The canonical surrogate of a canonical entity."""
+def network(canon: str) -> tuple[int, int]:
+    """First address and size of the private network of an address (size 0: public)."""
+    a, b, *_ = map(int, canon.split("."))
+    if a in (10, 127):
+        return a << 24, 1 << 24
+    if (a, b) == (192, 168):
+        return 192 << 24 | 168 << 16, 1 << 16
+    return (172 << 24 | 16 << 16, 1 << 20) if a == 172 and 16 <= b < 32 else (0, 0)
+
+
+def _dotted(value: int) -> str:
+    return ".".join(str(value >> k & 255) for k in (24, 16, 8, 0))
+
+
+def permuted(canon: str, key: bytes) -> str:
+    """A keyed permutation of a private network without fixed points.
+
+    A Feistel network of four rounds puts the addresses on a ring, and each gets the next one.
+    """
+    first, size = network(canon)
+    half = (size.bit_length() - 1) // 2
+    mask = (1 << half) - 1
+    mixed = lambda turn, x: _Draw(key, "network", first, turn, x).below(1 << half)
+    value = sum(int(x) << k for x, k in zip(canon.split("."), (24, 16, 8, 0), strict=True)) - first
+    left, right = value >> half, value & mask
+    for turn in range(4):
+        left, right = right, left ^ mixed(turn, right)
+    value = ((left << half | right) + 1) % size
+    left, right = value >> half, value & mask
+    for turn in reversed(range(4)):
+        left, right = right ^ mixed(turn, left), left
+    return _dotted(first + (left << half | right))
+
+
+def surrogate(kind: str, canon: str, attempt: int, key: bytes, domain: int = 0, full: frozenset[int] = frozenset()) -> str:
+    """The canonical surrogate of a canonical entity.
+
+    ``domain``: the attempt of an address's domain; ``full``: first addresses of the networks
+    whose surrogates are permuted.
+    """
     draw = _Draw(key, kind, canon, attempt)
     longer = "0" * max(0, attempt - ROUNDS)  # a crowded format: give up its length before distinctness
+    if kind == "domain":
+        *labels, top = canon.split(".")
+        return f"{draw.like('.'.join(labels) + longer)}.{top}"
     if kind == "email":
-        local, domain = canon.rsplit("@", 1)
-        *labels, top = domain.split(".")
-        return f"{draw.like(local + longer)}@{'.'.join([_Draw(key, 'domain', domain).like('.'.join(labels)), top])}"
+        local, place = canon.rsplit("@", 1)
+        return f"{draw.like(local + longer)}@{surrogate('domain', place, domain, key)}"
     if kind == "ip":
-        a, b, *_ = map(int, canon.split("."))
-        kept = [10] if a == 10 else [192, 168] if (a, b) == (192, 168) else [172, 16 + draw.below(16)] if a == 172 and 16 <= b < 32 else [127] if a == 127 else []
-        fresh = [12 + draw.below(110) if not kept and k == 0 else draw.below(256) for k in range(4 - len(kept))]
-        return ".".join(map(str, kept + fresh))
+        first, size = network(canon)
+        if first in full:
+            return permuted(canon, key)
+        if size:
+            return _dotted(first + draw.below(size))
+        return ".".join(map(str, [12 + draw.below(110), *(draw.below(256) for _ in range(3))]))
     if kind == "card":
         body = canon[0] + draw.like(canon[1:-1] + longer)
         return next(body + d for d in "0123456789" if luhn(body + d)) if luhn(canon) else body + draw.like("0")
@@ -257,7 +345,8 @@ def surrogate(kind: str, canon: str, attempt: int = 0, key: bytes = KEY) -> str:
     gender, name = canon.split(":", 1)
     form, words = script(name), name.split(" ")
     known = gender if gender != "n" else "mf"[draw.below(2)]
-    given = GIVEN[form, known][draw.below(len(GIVEN[form, known]))]
+    pool = [g for g in GIVEN[form, known] if g.casefold() not in words]
+    given = pool[draw.below(len(pool))]
     family = "".join(SYLLABLES[form][draw.below(len(SYLLABLES[form]))] for _ in range(4 + len(longer)))
     return f"{gender}:{(given + ' ' + family if len(words) > 1 else family).casefold()}"
 
@@ -279,7 +368,15 @@ def render(mention: str, kind: str, canon: str, fake: str) -> str:
     return "".join(out + rest)
 
 
-def rewrite_text(text: str, attempts: dict[tuple[str, str], int], key: bytes = KEY) -> tuple[str, dict[str, int]]:
+Attempts = dict[tuple[str, str], int]
+
+
+def fake_of(m: Mention, attempts: Attempts, key: bytes, full: frozenset[int]) -> str:
+    domain = attempts.get(("domain", m.canon.rsplit("@", 1)[1]), 0) if m.kind == "email" else 0
+    return surrogate(m.kind, m.canon, attempts.get((m.kind, m.canon), 0), key, domain, full)
+
+
+def rewrite_text(text: str, attempts: Attempts, key: bytes, full: frozenset[int] = frozenset()) -> tuple[str, dict[str, int]]:
     """The text with surrogates, and the mentions per kind."""
     found = mentions(text)
     counts = dict.fromkeys(KINDS, 0)
@@ -288,17 +385,23 @@ def rewrite_text(text: str, attempts: dict[tuple[str, str], int], key: bytes = K
     out, at = [], 0
     for m in found:
         counts[m.kind] += 1
-        out += [text[at : m.start], render(text[m.start : m.end], m.kind, m.canon, surrogate(m.kind, m.canon, attempts.get((m.kind, m.canon), 0), key))]
+        out += [text[at : m.start], render(text[m.start : m.end], m.kind, m.canon, fake_of(m, attempts, key, full))]
         at = m.end
     return "".join([*out, text[at:]]), counts
 
 
+def known_of(text: str) -> set[tuple[str, str]]:
+    """Entities of a text; the domain of an address is one of its own."""
+    found = {(m.kind, m.canon) for m in mentions(text)}
+    return found | {("domain", c.rsplit("@", 1)[1]) for k, c in found if k == "email"}
+
+
 def entities(docs: DataFrame, text: str = "text") -> DataFrame:
     """The distinct (kind, canon) of all documents."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            known = {(m.kind, m.canon) for t in batch.column(0).to_pylist() if t for m in mentions(t)}
+            known = {x for t in batch.column(0).to_pylist() if t for x in known_of(t)}
             yield pa.RecordBatch.from_arrays([pa.array([k for k, _ in known], pa.string()), pa.array([c for _, c in known], pa.string())], names=["kind", "canon"])
 
     return docs.select(F.col(f"`{text}`").alias("text")).mapInArrow(run, "kind string, canon string").distinct()
@@ -307,40 +410,74 @@ def entities(docs: DataFrame, text: str = "text") -> DataFrame:
 def _drawn(rows: DataFrame, key: bytes) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            values = [surrogate(k, c, a, key) for k, c, a in zip(*[batch.column(i).to_pylist() for i in range(3)], strict=True)]
-            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(values, pa.string())], names=["kind", "canon", "attempt", "fake"])
+            values = [surrogate(k, c, a, key, d) for k, c, a, d in zip(*[batch.column(i).to_pylist() for i in range(4)], strict=True)]
+            yield pa.RecordBatch.from_arrays([*batch.columns, pa.array(values, pa.string())], names=["kind", "canon", "attempt", "domain", "fake"])
+
+    return rows.select("kind", "canon", "attempt", "domain").mapInArrow(run, "kind string, canon string, attempt int, domain int, fake string")
+
 
-    return rows.select("kind", "canon", "attempt").mapInArrow(run, "kind string, canon string, attempt int, fake string")
+def full_networks(known: DataFrame) -> frozenset[int]:
+    """First addresses of the private networks of which over a quarter are entities."""
+    part = lambda k: F.element_at(F.split("canon", r"\."), k).cast("int")
+    a, b = part(1), part(2)
+    rows = known.where("kind = 'ip'").select(F.when(a.isin(10, 127), F.concat(a, F.lit(".0.0.0"))).when((a == 192) & (b == 168), F.lit("192.168.0.0")).when((a == 172) & b.between(16, 31), F.lit("172.16.0.0")).alias("net"))
+    counts = rows.where("net IS NOT NULL").groupBy("net").count().collect()  # four rows at most
+    return frozenset(network(r["net"])[0] for r in counts if 4 * r["count"] > network(r["net"])[1])
 
 
-def resolve(known: DataFrame, store: Store, key: bytes = KEY) -> DataFrame:
-    """kind, canon, attempt, fake of all entities: no two share a surrogate, none is an entity."""
+def _draw_apart(known: DataFrame, store: Store, name: str, key: bytes) -> DataFrame:
+    """kind, canon, attempt, fake: no two share a surrogate of their kind, none is an entity."""
     done, open_, turn = None, known.withColumn("attempt", F.lit(0)), 0
     taken = known.select(F.col("kind").alias("__k"), F.col("canon").alias("__c")).withColumn("__taken", F.lit(True))
     while True:
         drawn = _drawn(open_, key).withColumn("old", F.lit(0))
         both = drawn if done is None else drawn.unionByName(done.withColumn("old", F.lit(1)))
-        order = Window.partitionBy("kind", "fake").orderBy(F.desc("old"), "canon")
-        judged = both.withColumn("place", F.row_number().over(order)).join(taken, (F.col("kind") == F.col("__k")) & (F.col("fake") == F.col("__c")), "left")
-        judged = judged.withColumn("wins", (F.col("place") == 1) & F.col("__taken").isNull()).select("kind", "canon", "attempt", "fake", "wins")
-        judged = store.put(f"drawn{turn}", judged)
+        # The first of those with one surrogate wins: an aggregate, and few rows in any group.
+        order = F.struct((1 - F.col("old")).alias("new"), F.col("canon"))
+        first = both.groupBy("kind", "fake").agg(F.min(order)["canon"].alias("first")).select(F.col("kind").alias("__fk"), F.col("fake").alias("__f"), "first")
+        judged = both.join(first, (F.col("kind") == F.col("__fk")) & (F.col("fake") == F.col("__f"))).join(taken, (F.col("kind") == F.col("__k")) & (F.col("fake") == F.col("__c")), "left")
+        judged = judged.withColumn("wins", (F.col("first") == F.col("canon")) & F.col("__taken").isNull()).select("kind", "canon", "attempt", "domain", "fake", "wins")
+        judged = store.put(f"drawn_{name}{turn}", judged)
         done, lost = judged.where("wins").drop("wins"), judged.where("NOT wins")
         if lost.isEmpty():
-            return done
-        open_, turn = lost.select("kind", "canon", (F.col("attempt") + 1).alias("attempt")), turn + 1
-
-
-def rewrite(docs: DataFrame, key: bytes = KEY, text: str = "text") -> DataFrame:
-    """The rows with surrogates in their text, and ``n_<kind>`` columns."""
-    store = Store(docs.sparkSession)
-    again = resolve(store.put("entities", entities(docs, text)), store, key).where("attempt > 0")
+            return done.select("kind", "canon", "attempt", "fake")
+        if turn == MOST:
+            raise RuntimeError(f"no free surrogates for {lost.select('kind').first()[0]} entities after {MOST} draws")
+        open_, turn = lost.select("kind", "canon", "domain", (F.col("attempt") + 1).alias("attempt")), turn + 1
+
+
+def resolve(known: DataFrame, store: Store, key: bytes, full: frozenset[int] = frozenset()) -> DataFrame:
+    """kind, canon, attempt, fake of all entities but those of full networks."""
+    zero = F.lit(0).alias("domain")
+    domains = _draw_apart(known.where("kind = 'domain'").select("kind", "canon", zero), store, "domain", key)
+    again = domains.where("attempt > 0").select(F.col("canon").alias("__d"), F.col("attempt").alias("__a"))
+    place = F.substring_index("canon", "@", -1)
+    mails = known.where("kind = 'email'").join(again, place == F.col("__d"), "left").select("kind", "canon", F.coalesce("__a", F.lit(0)).alias("domain"))
+    rest = known.where("kind NOT IN ('domain', 'email')").select("kind", "canon", zero)
+    for first in sorted(full):
+        prefix = {1 << 24: 1, 1 << 16: 2, 1 << 20: 1}[network(_dotted(first))[1]]
+        own = F.substring_index("canon", ".", prefix) == ".".join(_dotted(first).split(".")[:prefix])
+        if first >> 24 == 172:
+            own = own & F.element_at(F.split("canon", r"\."), 2).cast("int").between(16, 31)
+        rest = rest.where(~((F.col("kind") == "ip") & own))
+    return domains.unionByName(_draw_apart(mails.unionByName(rest), store, "entity", key))
+
+
+def rewrite(docs: DataFrame, key: bytes, text: str = "text") -> DataFrame:
+    """The rows with surrogates in their text, and ``n_<kind>`` columns (in place of input columns of these names)."""
+    if not key:
+        raise ValueError("surrogates need a key")
+    store, spark = Store(docs.sparkSession), docs.sparkSession
+    known = store.put("entities", entities(docs, text))
+    full = full_networks(known)
+    again = store.put("again", resolve(known, store, key, full).where("attempt > 0").select("kind", "canon", "attempt"))
     n, cols = again.count(), docs.columns
     row = docs.select(F.struct(*[F.col(f"`{c}`") for c in cols if c != text]).alias("row"), F.col(f"`{text}`").alias("text"))
     if n <= SMALL:
-        shared = docs.sparkSession.sparkContext.broadcast({(r["kind"], r["canon"]): r["attempt"] for r in again.collect()})
+        shared = spark.sparkContext.broadcast({(r["kind"], r["canon"]): r["attempt"] for r in again.collect()})
         row = row.withColumn("again", F.lit(None).cast("array<struct<kind: string, canon: string, attempt: int>>"))
     else:  # attach to each text the attempts of its own entities
-        shared = docs.sparkSession.sparkContext.broadcast({})
+        shared = spark.sparkContext.broadcast({})
         own = _own_entities(row).join(again, ["kind", "canon"]).groupBy("text_key").agg(F.collect_set(F.struct("kind", "canon", "attempt")).alias("again"))
         row = row.withColumn("text_key", F.sha2("text", 256)).join(own, "text_key", "left").select("row", "text", "again")
 
@@ -349,21 +486,21 @@ def rewrite(docs: DataFrame, key: bytes = KEY, text: str = "text") -> DataFrame:
             texts, counts = [], []
             for t, own in zip(batch.column("text").to_pylist(), batch.column("again").to_pylist(), strict=True):
                 attempts = shared.value if own is None else {(a["kind"], a["canon"]): a["attempt"] for a in own}
-                fresh, n_kind = rewrite_text(t, attempts, key) if t else (t, dict.fromkeys(KINDS, 0))
+                fresh, n_kind = rewrite_text(t, attempts, key, full) if t else (t, dict.fromkeys(KINDS, 0))
                 texts.append(fresh)
                 counts.append(n_kind)
             numbers = [pa.array([c[k] for c in counts], pa.int64()) for k in KINDS]
             yield pa.RecordBatch.from_arrays([batch.column("row"), pa.array(texts, pa.string()), *numbers], names=["row", "text", *[f"n_{k}" for k in KINDS]])
 
     schema = f"row {row.schema['row'].dataType.simpleString()}, text string, " + ", ".join(f"n_{k} long" for k in KINDS)
-    done = row.mapInArrow(run, schema)
-    return done.select(*[F.col("text").alias(text) if c == text else F.col("row")[c].alias(c) for c in cols], *[f"n_{k}" for k in KINDS])
+    done, made = row.mapInArrow(run, schema), [f"n_{k}" for k in KINDS]
+    return done.select(*[F.col("text").alias(text) if c == text else F.col("row")[c].alias(c) for c in cols if c not in made], *made)
 
 
 def _own_entities(rows: DataFrame) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            found = [(k, m.kind, m.canon) for k, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) if t for m in mentions(t)]
+            found = [(k, *x) for k, t in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True) if t for x in known_of(t)]
             yield pa.RecordBatch.from_arrays([pa.array([f[i] for f in found], pa.string()) for i in range(3)], names=["text_key", "kind", "canon"])
 
     return rows.select(F.sha2("text", 256).alias("text_key"), "text").mapInArrow(run, "text_key string, kind string, canon string").distinct()

@@ -334,6 +334,7 @@ def test_features_keep_every_word_apart(spark, monkeypatch):
 
 # --- 4 -----------------------------------------------------------------------------------
 
+SECRET = b"surrogate-key"
 PII = [
     "mail Ann.B-9@Mail1.Example.com and ann.b-9@mail1.example.com, or bob@mail1.example.com",
     "call +1 (386) 555-3733 or +1-386-555-3733 from 10.0.3.4, not 61.131.143.218.",
@@ -345,7 +346,7 @@ PII = [
 
 def test_surrogates(spark):
     d = spark.createDataFrame([(k, t, "x") for k, t in enumerate([*PII, None, ""])], "doc_id long, text string, row string")
-    got = {r["doc_id"]: r for r in pii_surrogates.rewrite(d).collect()}
+    got = {r["doc_id"]: r for r in pii_surrogates.rewrite(d, SECRET).collect()}
     for k, t in enumerate(PII):
         for m in pii_surrogates.mentions(t):
             assert t[m.start : m.end] not in got[k]["text"]
@@ -357,7 +358,7 @@ def test_surrogates(spark):
     cards = [re.sub(r"\D", "", c) for c in re.findall(r"4\d{3}(?: ?\d{4}){3}", got[2]["text"])]
     assert len(set(cards)) == 1 and pii_surrogates.luhn(cards[0])
     assert got[3]["n_name"] == 4 and re.search(r"Госпожа [А-Я]", got[3]["text"])
-    again = {r["doc_id"]: r["text"] for r in pii_surrogates.rewrite(d).collect()}
+    again = {r["doc_id"]: r["text"] for r in pii_surrogates.rewrite(d, SECRET).collect()}
     assert again == {k: r["text"] for k, r in got.items()}
 
 
@@ -387,7 +388,7 @@ def test_every_mention_of_a_named_person(spark):
         "Mr Adam Reed and Mr Otto Reed: Mr Reed is the second. No smith or schmidt here.",
     ]
     d = spark.createDataFrame(list(enumerate(said)), "doc_id long, text string")
-    got = {r["doc_id"]: r for r in pii_surrogates.rewrite(d).collect()}
+    got = {r["doc_id"]: r for r in pii_surrogates.rewrite(d, SECRET).collect()}
     for k, gone in enumerate(["anna|schmidt", "john|smith|wu|brown", "eva|lang|jones", "adam|reed|otto"]):
         assert not re.search(rf"(?i)\b({gone})\b", got[k]["text"].replace("No smith or schmidt here.", ""))
     given, family = re.match(r"Mrs (\w+) (\w+) came", got[0]["text"]).groups()
@@ -400,14 +401,52 @@ def test_every_mention_of_a_named_person(spark):
     assert m[2] == m[3] != m[1]
 
 
+def test_persons_without_titles():
+    said = {
+        "My name is Tova Lindqvist. Ask Tova or Lindqvist's office.": ["Tova Lindqvist", "Tova", "Lindqvist"],
+        "ask Klaus Weber, or write to jo.brandt@mail.example.org for Jo Brandt": ["Klaus Weber", "jo.brandt@mail.example.org", "Jo Brandt"],
+        "Signed, Ruth Okafor\nContact: Ilse Zorn": ["Ruth Okafor", "Ilse Zorn"],
+        "The Quick Brown Fox and New York, my name is on the list. Signed by the king.": [],
+        "mary had a little lamb; an analysis by Mary alone": [],
+    }
+    for t, wanted in said.items():
+        assert [t[m.start : m.end] for m in pii_surrogates.mentions(t)] == wanted
+    a, b = pii_surrogates.mentions("My name is Tova Lindqvist. Mrs Lindqvist")
+    assert a.canon[2:] == b.canon[2:]
+
+
+def test_crowded_networks_are_permuted(spark):
+    hosts = [f"192.168.{k >> 8}.{k & 255}" for k in range(20_000)] + [f"172.16.0.{k}" for k in range(40)] + [f"10.0.0.{k}" for k in range(200)]
+    d = spark.createDataFrame([(k, f"host {h} up") for k, h in enumerate(hosts)], "doc_id long, text string")
+    fakes = [r["text"].split()[1] for r in pii_surrogates.rewrite(d, SECRET).collect()]
+    assert len(set(fakes)) == len(hosts) and all(pii_surrogates.network(f)[1] for f in fakes)
+    assert pii_surrogates.full_networks(pii_surrogates.entities(d)) == {192 << 24 | 168 << 16}
+    ring = {h: pii_surrogates.permuted(h, SECRET) for h in hosts[:5000]}
+    assert all(h != f and pii_surrogates.network(f) == pii_surrogates.network(h) for h, f in ring.items()) and len(set(ring.values())) == 5000
+    with pytest.raises(ValueError, match="key"):
+        pii_surrogates.rewrite(d, b"")
+
+
+def test_domains_stay_apart(spark):
+    d = spark.createDataFrame([(k, f"write to me@{a}{b}.de") for k, (a, b) in enumerate(itertools.product("abcdefghijklmnopqrstuvwxyz", repeat=2))], "doc_id long, text string")
+    fakes = [r["text"].split()[2] for r in pii_surrogates.rewrite(d, SECRET).collect()]
+    assert len({f.split("@")[1] for f in fakes}) == 26 * 26 == len(set(fakes))
+
+
+def test_input_columns_of_the_same_names(spark):
+    d = spark.createDataFrame([(1, "a@b.example.com", 7, "x")], "doc_id long, text string, n_email int, again string")
+    got = pii_surrogates.rewrite(d, SECRET)
+    assert got.columns.count("n_email") == 1 and got.first()["n_email"] == 1 and got.first()["again"] == "x"
+
+
 def test_surrogates_stay_distinct(spark, monkeypatch):
     known = spark.createDataFrame([("ip", f"192.168.0.{k}") for k in range(256)] + [("phone", f"555000{k:04d}"[:7]) for k in range(10)], "kind string, canon string").distinct()
-    done = pii_surrogates.resolve(known, store.Store(spark)).collect()
+    done = pii_surrogates.resolve(known, store.Store(spark), SECRET).collect()
     assert len(done) == known.count() and len({(r["kind"], r["fake"]) for r in done}) == len(done)
     assert not {(r["kind"], r["fake"]) for r in done} & {(r["kind"], r["canon"]) for r in done}
     monkeypatch.setattr(pii_surrogates, "SMALL", -1)
     d = spark.createDataFrame([(k, f"host 192.168.0.{k % 256} up") for k in range(300)], "doc_id long, text string")
-    fakes = {r["doc_id"]: r["text"] for r in pii_surrogates.rewrite(d).collect()}
+    fakes = {r["doc_id"]: r["text"] for r in pii_surrogates.rewrite(d, SECRET).collect()}
     assert len(set(fakes.values())) == 256 and fakes[0] == fakes[256]
 
 
@@ -689,7 +728,7 @@ def test_mix(spark, group):
 def test_empty_tables(spark, empty, bench):
     labels = spark.createDataFrame([], "doc_id long, quality int")
     assert quality_rules.ledger(empty).count() == 0 and ngram_join.join(empty).count() == 0 and ngram_join.dedupe(empty).count() == 0
-    assert quality_classifier.classify(empty, labels).count() == 0 and pii_surrogates.rewrite(empty).count() == 0
+    assert quality_classifier.classify(empty, labels).count() == 0 and pii_surrogates.rewrite(empty, SECRET).count() == 0
     assert secret_automaton.report(empty).count() == 0 and decontamination.report(empty, bench).count() == 0 and mixing.mix(empty).count() == 0
     assert decontamination.report(spark.createDataFrame([(1, "a b")], "doc_id long, text string"), bench.limit(0)).first()["n_items"] == 0
 
