@@ -8,6 +8,10 @@ from pyspark.sql import functions as F
 from .store import Store
 
 
+#: Parts into which a node's larger neighbours are dealt, so that a hub is no single key.
+SALTS = 16
+
+
 def _stars(edges: DataFrame, large: bool) -> DataFrame:
     """One star step over edges (a, b) with a > b.
 
@@ -17,7 +21,9 @@ def _stars(edges: DataFrame, large: bool) -> DataFrame:
     if large:
         both = edges.unionByName(edges.select(F.col("b").alias("a"), F.col("a").alias("b")))
         least = both.groupBy("a").agg(F.least(F.min("b"), F.first("a")).alias("m"))
-        linked = both.where("b > a").join(least, "a").select(F.col("b").alias("a"), F.col("m").alias("b"))
+        least = least.withColumn("salt", F.explode(F.sequence(F.lit(0), F.lit(SALTS - 1))))
+        salted = both.where("b > a").withColumn("salt", F.pmod(F.xxhash64("b"), F.lit(SALTS)).cast("int"))
+        linked = salted.join(least, ["a", "salt"]).select(F.col("b").alias("a"), F.col("m").alias("b"))
     else:
         least = edges.groupBy("a").agg(F.min("b").alias("m"))
         joined = edges.join(least, "a")

@@ -57,8 +57,8 @@ CELL_BITS, CELL_BLOCKS, RUN = 23, 32, 2_000_000
 MOST = 65_535
 #: Shingles of one tile side, columns of one slice of the product, members of one square of it.
 TILE, SLICE, CELL = 3_000_000, 8192, 1024
-#: A block's tiles have a twelfth of its members on a side, but not fewer or more than these.
-SHARE, SIDES = 12, (192, 8192)
+#: A block's tiles have a sixth of its members on a side, but not fewer or more than these.
+SHARE, SIDES = 6, (384, 8192)
 #: Level from which a shingle's classes are led by an aggregate and a join (about 8,000 holders).
 HOT = 8 * 13
 #: Most bits of the bitmap of wanted doc_ids.

@@ -15,7 +15,8 @@ the end of each document) and ``codes``, a byte string::
 
 Defined cases: a null text is empty; an empty text has the end id only; a document of
 any length is one block at least as long as itself; repeated rows are documents of
-their own, ordered by id and text; null doc_ids come first; other columns are ignored;
+their own, ordered by id and a hash of the text, and those of one id may lie in several
+parts; null doc_ids come first; other columns are ignored;
 an empty table writes an empty file.
 """
 
@@ -124,7 +125,6 @@ def blocks(docs: DataFrame, vocabulary: str = VOCABULARY, end_id: int | None = E
             return pa.RecordBatch.from_arrays(columns, names=["part", "block", "doc_ids", "ends", "codes"])
 
         for batch in batches:
-            parts.turn()
             for name, text in zip(batch.column("doc_id").to_pylist(), batch.column("text"), strict=True):
                 names.append(name)
                 held.append(parts.joined(text.as_py() or "") + end)
@@ -136,8 +136,10 @@ def blocks(docs: DataFrame, vocabulary: str = VOCABULARY, end_id: int | None = E
             yield close()
 
     rows = docs.select(F.col("`doc_id`").cast("long").alias("doc_id"), F.col("`text`").alias("text"))
-    ordered = rows.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text")
-    return ordered.mapInArrow(run, BLOCKS)
+    # Texts of one id follow a hash, and equal rows any order, so that ranges can cut a much repeated id.
+    rows = rows.withColumn("mark", F.xxhash64("text")).withColumn("tie", F.monotonically_increasing_id())
+    ordered = rows.repartitionByRange("doc_id", "mark", "tie").sortWithinPartitions("doc_id", "mark", "text")
+    return ordered.select("doc_id", "text").mapInArrow(run, BLOCKS)
 
 
 def write(docs: DataFrame, path: str, vocabulary: str = VOCABULARY, end_id: int | None = END_ID) -> None:
@@ -145,16 +147,42 @@ def write(docs: DataFrame, path: str, vocabulary: str = VOCABULARY, end_id: int
     blocks(docs, vocabulary, end_id).write.parquet(path)
 
 
-def read(file: DataFrame) -> DataFrame:
-    """doc_id, start, n_tokens, ids_crc32 of every document of a file."""
+def _starts(file: DataFrame) -> DataFrame:
+    """__p, __b, start (ids before the block), n (its ids) of every block."""
     n = F.coalesce(F.element_at("ends", -1), F.lit(0))
     sizes = file.groupBy("part").agg(F.sum(n).alias("n"))
     # One row per written part: windows over parts and over the blocks of a part only.
     before = lambda w: w.rowsBetween(Window.unboundedPreceding, -1)
     parts = sizes.select(F.col("part").alias("__part"), F.coalesce(F.sum("n").over(before(Window.orderBy("part"))), F.lit(0)).alias("base"))
     inner = file.select("part", "block", n.alias("n"))
-    inner = inner.select(F.col("part").alias("__p"), F.col("block").alias("__b"), F.coalesce(F.sum("n").over(before(Window.partitionBy("part").orderBy("block"))), F.lit(0)).alias("inner"))
-    starts = inner.join(parts, F.col("__p") == F.col("__part")).select("__p", "__b", (F.col("base") + F.col("inner")).alias("start"))
+    inner = inner.select(F.col("part").alias("__p"), F.col("block").alias("__b"), F.coalesce(F.sum("n").over(before(Window.partitionBy("part").orderBy("block"))), F.lit(0)).alias("inner"), "n")
+    return inner.join(parts, F.col("__p") == F.col("__part")).select("__p", "__b", (F.col("base") + F.col("inner")).alias("start"), "n")
+
+
+def lookup(file: DataFrame, places: DataFrame, place: str = "place") -> DataFrame:
+    """place and id of every token that is asked for by its place in the whole file.
+
+    Places meet their blocks by equal ranges of places; of a block, only the chunks, bits and
+    ranks of the tokens asked for are read.  Places outside the file have no row.
+    """
+    spans = _starts(file).where("n > 0").withColumn("range", F.explode(F.sequence(F.floor(F.col("start") / BLOCK), F.floor((F.col("start") + F.col("n") - 1) / BLOCK))))
+    asked = places.select(F.col(f"`{place}`").cast("long").alias("place")).distinct().withColumn("range", F.floor(F.col("place") / BLOCK))
+    met = asked.join(spans, "range").where("place >= start AND place < start + n")
+    wanted = met.groupBy("__p", "__b", "start").agg(F.collect_list("place").alias("places"))  # a block's ids at most
+    rows = file.select("part", "block", "codes").join(wanted, (F.col("part") == F.col("__p")) & (F.col("block") == F.col("__b")))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for codes, start, own in zip(*[batch.column(k).to_pylist() for k in range(3)], strict=True):
+                held = Codes(codes)
+                yield pa.RecordBatch.from_arrays([pa.array(own, pa.int64()), pa.array([held[i - start] for i in own], pa.int64())], names=["place", "id"])
+
+    return rows.select("codes", "start", "places").mapInArrow(run, "place long, id long")
+
+
+def read(file: DataFrame) -> DataFrame:
+    """doc_id, start, n_tokens, ids_crc32 of every document of a file."""
+    starts = _starts(file).drop("n")
     # Broadcast behind a check of the size, so that the codes stay where they are read.
     side = F.broadcast(starts) if file.select("block").count() <= SMALL else starts
     placed = file.join(side, (F.col("part") == F.col("__p")) & (F.col("block") == F.col("__b")))

@@ -71,7 +71,6 @@ def attribute(docs: DataFrame, rule: str = "most", sections: str | None = None,
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         parts = span_parts(vocabulary)
         for batch in batches:
-            parts.turn()
             texts = [t or "" for t in batch.column("text").to_pylist()]
             given = batch.column("starts").to_pylist() if sections else [None] * len(texts)
             counts, crossing, total = [], [], []

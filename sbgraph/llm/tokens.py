@@ -3,7 +3,8 @@
 A text is cut before every single space that follows a character other than white
 space.  The byte-level pre-tokenizer always ends a piece there, and nothing before the
 cut changes what follows it, so the ids of a text are the ids of its parts in order.
-Parts repeat; each is encoded by the library once per cache.  A text in which white
+Parts repeat; short ones are encoded by the library once per cache, which is bounded by
+its bytes.  A text in which white
 space precedes a space, or that holds the string of an added token, is encoded whole.
 """
 
@@ -18,8 +19,9 @@ from collections.abc import Callable, Sequence
 
 import numpy as np
 
-#: The default vocabulary file, and the number of parts of each of a cache's two generations.
-VOCABULARY, PARTS = "byte_bpe_50k.json", 500_000
+#: The default vocabulary file, bytes of each of a cache's two generations, bytes of an entry
+#: besides its contents, and characters of the longest part that is kept.
+VOCABULARY, CACHE, ENTRY, KEPT = "byte_bpe_50k.json", 100 << 20, 200, 64
 #: White space that makes a text unsafe to cut, before a space or anywhere.
 _BEFORE_SPACE = ("  ", "\n ", "\t ", "\r ")
 _ANYWHERE = tuple(map(chr, [0x0B, 0x0C, *range(0x1C, 0x20), 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]))
@@ -53,26 +55,31 @@ def span_tokenizer(name: str = VOCABULARY):
 
 
 class _Values(dict):
-    """Values by part; a missing one is taken from the generation before or made."""
+    """Values by part; a missing one is taken from the generation before or made.
 
-    def __init__(self, make: Callable[[str], bytes], before: dict[str, bytes]) -> None:
+    Long parts are not kept, and none is once the generation is full.
+    """
+
+    def __init__(self, make: Callable[[str], bytes], before: dict[str, bytes], room: int) -> None:
         super().__init__()
-        self.make, self.before = make, before
+        self.make, self.before, self.room = make, before, room
 
     def __missing__(self, part: str) -> bytes:
         found = self.before.get(part)
         if found is None:
             found = self.make(f" {part}")
-        self[part] = found
+        if self.room > 0 and len(part) <= KEPT:
+            self[part] = found
+            self.room -= ENTRY + len(part) + len(found)
         return found
 
 
 class Parts:
     """Values of texts' parts; ``whole`` maps any text to bytes, ``part`` one without added tokens."""
 
-    def __init__(self, whole: Callable[[str], bytes], special: Sequence[str], size: int = PARTS) -> None:
+    def __init__(self, whole: Callable[[str], bytes], special: Sequence[str], size: int = CACHE) -> None:
         self.whole, self.special, self.size = whole, tuple(special), size
-        self.known = _Values(self.part, {})
+        self.known = _Values(self.part, {}, size)
 
     def part(self, string: str) -> bytes:
         return self.whole(string)
@@ -90,18 +97,20 @@ class Parts:
                 return [text]
         return text.split(" ")
 
-    def turn(self) -> None:
+    def _turn(self) -> None:
         """Starts a new generation when the present one is full."""
-        if len(self.known) > self.size:
-            self.known = _Values(self.part, dict(self.known))
+        if self.known.room <= 0:
+            self.known = _Values(self.part, dict(self.known), self.size)
 
     def of(self, text: str) -> tuple[list[str], list[bytes]]:
         """The parts of a text and their values."""
+        self._turn()
         parts = self.split(text)
         return parts, [self.whole(parts[0]), *map(self.known.__getitem__, parts[1:])]
 
     def joined(self, text: str) -> bytes:
         """The values of a text's parts, one behind the other."""
+        self._turn()
         parts = self.split(text)
         head = self.whole(parts[0])
         return head + b"".join(map(self.known.__getitem__, parts[1:])) if len(parts) > 1 else head
@@ -126,7 +135,7 @@ class IdParts(Parts):
     PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
     PLAIN = re.compile("[\\t\\n\\r -~\u00a1-\u024f]*")
 
-    def __init__(self, name: str, size: int = PARTS) -> None:
+    def __init__(self, name: str, size: int = CACHE) -> None:
         import regex
 
         if array("I").itemsize != 4 or sys.byteorder != "little":
@@ -136,7 +145,7 @@ class IdParts(Parts):
         self.find, self.match, self.tokenize = regex.compile(self.PATTERN).findall, self.PLAIN.fullmatch, tok.model.tokenize
         self.letters = _byte_letters()
         self.space = self.letters[0x20]
-        self.inner: dict[str, bytes] = {}
+        self.inner, self.inner_room = {}, size // 4
 
     def piece(self, piece: str) -> bytes:
         if piece.isascii() and piece[0] == " " and piece[1:].isalnum():
@@ -158,9 +167,12 @@ class IdParts(Parts):
             else:
                 value = self.inner.get(p)
                 if value is None:
-                    if len(self.inner) > self.size // 4:
-                        self.inner.clear()
-                    value = self.inner[p] = self.piece(p)
+                    value = self.piece(p)
+                    if len(p) <= KEPT:
+                        if self.inner_room <= 0:
+                            self.inner, self.inner_room = {}, self.size // 4
+                        self.inner[p] = value
+                        self.inner_room -= ENTRY + len(p) + len(value)
                 out.append(value)
         return b"".join(out)
 

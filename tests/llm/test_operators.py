@@ -486,10 +486,63 @@ def test_codes_round_trip(ids):
     assert [codes[i] for i in range(0, len(ids), max(1, len(ids) // 50))] == ids[:: max(1, len(ids) // 50)]
 
 
+def test_caches_are_bounded_by_bytes(monkeypatch):
+    parts = tokens.IdParts(tokens.VOCABULARY, 20_000)
+    r = np.random.default_rng(2)
+    for _ in range(4):
+        t = " ".join([*(f"w{k}" for k in r.integers(0, 5000, 800).tolist()), "x" * 3000])
+        assert np.frombuffer(parts.joined(t), "<u4").tolist() == plain_ids(t)
+        assert len(parts.known) <= 110 and len(parts.known.before) <= 110 and len(parts.inner) <= 30 and max(map(len, parts.known)) <= tokens.KEPT
+
+
+def test_tokens_of_the_whole_file(spark, docs):
+    file = store.Store(spark).put("codes", token_codes.blocks(docs))
+    wanted = sorted(((i, t) for i, t, *_ in rows()), key=lambda r: (r[0] is not None, r[0] or 0, r[1] or ""))
+    ids = [x for _, t in wanted for x in (*plain_ids(t), 2)]
+    asked = [0, 5, 77, len(ids) // 2, len(ids) - 1, 5]
+    got = token_codes.lookup(file, spark.createDataFrame([(i,) for i in [*asked, len(ids), -1]], "place long")).collect()
+    assert {r["place"]: r["id"] for r in got} == {i: ids[i] for i in asked} and len(got) == 5
+
+
+def test_a_much_repeated_id_is_cut(spark):
+    d = spark.createDataFrame([(7, "a b c")] * 3000 + [(k, "d e") for k in range(20)], "doc_id long, text string")
+    spark.conf.set("spark.sql.adaptive.coalescePartitions.enabled", "false")
+    try:
+        file = store.Store(spark).put("codes", token_codes.blocks(d))
+    finally:
+        spark.conf.unset("spark.sql.adaptive.coalescePartitions.enabled")
+    got = sorted(map(tuple, token_codes.read(file).collect()), key=lambda r: r[1])
+    assert [r[0] for r in got] == sorted([7] * 3000 + list(range(20))) and file.where(F.array_contains("doc_ids", 7)).select("part").distinct().count() > 1
+
+
+@pytest.mark.parametrize("rule", token_counts.RULES)
+def test_attribution_against_owners_of_characters(spark, rule):
+    r = np.random.default_rng(12)
+    data = []
+    for k in range(40):
+        t = (text(k, 50) + "\nÜñï 🙂🙂 漢字漢字 x") * int(r.integers(1, 4))
+        data.append((k, t, sorted(r.integers(0, len(t), int(r.integers(1, 9))).tolist())))
+    got = {x["doc_id"]: x for x in token_counts.attribute(spark.createDataFrame(data, "doc_id long, text string, marks array<long>"), rule, "marks").collect()}
+    for k, t, marks in data:
+        starts = sorted(set(marks))
+        owner = lambda c: max(0, sum(s <= c for s in starts) - 1)  # noqa: E731, B023
+        held, crossing = [0.0] * len(starts), 0
+        for a, b in tokens.span_tokenizer().encode(t, add_special_tokens=False).offsets:
+            own = [owner(c) for c in range(a, max(b, a + 1))]
+            crossing += own[0] != own[-1]
+            share = Counter(own)
+            if rule == "split":
+                for x, n in share.items():
+                    held[x] += n / len(own)
+            else:
+                held[{"first": own[0], "last": own[-1], "most": max(sorted(share), key=share.get)}[rule]] += 1
+        assert got[k]["n_crossing"] == crossing and got[k]["section_tokens"] == pytest.approx(held)
+
+
 def test_token_codes(docs, empty, monkeypatch):
     monkeypatch.setattr(token_codes, "BLOCK", 200)
     got = token_codes.round_trip(docs).collect()
-    wanted = sorted(((i, t) for i, t, *_ in rows()), key=lambda r: (r[0] is not None, r[0] or 0, r[1] or ""))
+    wanted = sorted(((i, t) for i, t, *_ in rows()), key=lambda r: (r[0] is not None, r[0] or 0, r[1] or ""))  # texts of one id are equal
     at, expected = 0, []
     for i, t in wanted:
         ids = np.array([*plain_ids(t), 2], "<u4")
