@@ -32,9 +32,15 @@ def higher(a_deg: Column, a_gid: Column, b_deg: Column, b_gid: Column) -> Column
     return (a_deg > b_deg) | ((a_deg == b_deg) & (a_gid > b_gid))
 
 
-def owner(value: Column, parts: int) -> Column:
-    """The owner of an id among ``parts``."""
-    return F.pmod(F.xxhash64(value), F.lit(parts)).cast("int")
+#: Modulus and multiplier of the owner hash (a prime, and its golden section).
+PRIME, GOLDEN = 2_147_483_647, 1_327_217_885
+
+
+def owner(value: Column, parts: int | Column) -> Column:
+    """The owner of an id among ``parts``: a multiplicative hash, by its high part."""
+    mixed = F.pmod(F.pmod(value.cast("long"), F.lit(PRIME)) * F.lit(GOLDEN), F.lit(PRIME))
+    n = parts if isinstance(parts, Column) else F.lit(parts)
+    return F.floor(mixed * n / F.lit(PRIME)).cast("int")
 
 
 def packed(rank: Column, sign: Column) -> Column:

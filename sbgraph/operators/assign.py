@@ -4,10 +4,11 @@ from __future__ import annotations
 
 import heapq
 
-from pyspark.sql import DataFrame, Window
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import owner
+from .index import in_order
 
 #: Pivots that the exact greedy assigner may hold on the driver.
 DRIVER_PIVOTS = 5_000_000
@@ -26,9 +27,9 @@ def greedy(loads: list[tuple[int, int]], bins: int) -> list[tuple[int, int, int]
 
 
 def assign_lpt(work: DataFrame, bins: int, cap: int = DRIVER_PIVOTS) -> DataFrame:
-    """Exact greedy bin packing on the driver behind a check of the number of pivots."""
-    if work.count() > cap:
-        return assign_lpt_scalable(work, bins)
+    """Exact greedy bin packing on the driver; refuses more than ``cap`` pivots."""
+    if (n := work.count()) > cap:
+        raise ValueError(f"{n} pivots are more than {cap}; use lpt_scalable")
     return work.sparkSession.createDataFrame(greedy([(r["pivot"], r["load"]) for r in work.toLocalIterator()], bins), ASSIGNMENT)
 
 
@@ -41,21 +42,19 @@ def assign_lpt_scalable(work: DataFrame, bins: int, buckets: int | None = None,
     """
     buckets = buckets or 64 * bins
     spark, mean = work.sparkSession, (work.agg(F.sum("load")).first()[0] or 0) / bins
-    heavy = F.col("load") > F.lit(share * mean)
-    top = [(r["pivot"], r["load"]) for r in work.where(heavy).collect()]
-    slot = owner(F.col("pivot"), buckets)
-    rest = [(-1 - r["slot"], r["load"]) for r in work.where(~heavy).groupBy(slot.alias("slot")).agg(F.sum("load").cast("long").alias("load")).collect()]
-    packed = greedy(top + rest, bins)
+    heavy, slot = F.col("load") > F.lit(share * mean), owner(F.col("pivot"), buckets)
+    units = work.withColumn("unit", F.when(heavy, F.col("pivot")).otherwise(-1 - slot.cast("long")))
+    sums = units.groupBy("unit").agg(F.sum("load").cast("long").alias("load")).collect()  # bins / share + buckets rows at most
+    packed = greedy([(r["unit"], r["load"]) for r in sums], bins)
     side = F.broadcast(spark.createDataFrame([(k, b) for k, b, _ in packed], "unit long, bin int"))
-    unit = F.when(heavy, F.col("pivot")).otherwise(-1 - slot.cast("long"))
-    return work.withColumn("unit", unit).join(side, "unit").select("pivot", "bin", "load")
+    return units.join(side, "unit").select("pivot", "bin", "load")
 
 
 def assign_blocks(work: DataFrame, bins: int) -> DataFrame:
     """Consecutive pivots in blocks of equal size; loads are ignored."""
-    place = F.row_number().over(Window.orderBy("pivot")) - 1
-    n = F.count(F.lit(1)).over(Window.partitionBy(F.lit(0)))
-    return work.withColumn("place", place).withColumn("n", n).select("pivot", F.floor(F.col("place") * bins / F.col("n")).cast("int").alias("bin"), "load")
+    placed = in_order(work.select("pivot", "load"), ["pivot"])
+    n = placed.agg(F.count(F.lit(1)).alias("n"))  # one row
+    return placed.crossJoin(F.broadcast(n)).select("pivot", F.floor(F.col("place") * bins / F.col("n")).cast("int").alias("bin"), "load")
 
 
 def assign_hash(work: DataFrame, bins: int) -> DataFrame:
@@ -64,9 +63,9 @@ def assign_hash(work: DataFrame, bins: int) -> DataFrame:
 
 def assign_snake(work: DataFrame, bins: int) -> DataFrame:
     """Bins in turn, back and forth, by falling load."""
-    place = F.row_number().over(Window.orderBy(F.desc("load"), "pivot")) - 1
-    turn, at = F.floor(place / bins), F.pmod(place, F.lit(bins))
-    return work.select("pivot", F.when(turn % 2 == 0, at).otherwise(bins - 1 - at).cast("int").alias("bin"), "load")
+    turn, at = F.floor(F.col("place") / bins), F.pmod(F.col("place"), F.lit(bins))
+    placed = in_order(work.select("pivot", "load"), ["load", "pivot"], descending=("load",))
+    return placed.select("pivot", F.when(turn % 2 == 0, at).otherwise(bins - 1 - at).cast("int").alias("bin"), "load")
 
 
 ASSIGNERS = {"lpt": assign_lpt, "lpt_scalable": assign_lpt_scalable, "blocks": assign_blocks, "hash": assign_hash, "snake": assign_snake}
@@ -75,10 +74,11 @@ ASSIGNERS = {"lpt": assign_lpt, "lpt_scalable": assign_lpt_scalable, "blocks": a
 def split_hot(assignment: DataFrame, bins: int, max_load: int) -> DataFrame:
     """pivot, bin, load, shard, shards: a pivot above ``max_load`` is cut by end vertex.
 
-    Counters are per end, so the shards' counts add up without a merge.
+    Counters are per end, so the shards' counts add up without a merge.  A pivot may have more
+    shards than there are bins; a bin then holds several of them.
     """
     shards = F.greatest(F.lit(1), F.ceil(F.col("load") / F.lit(max_load))).cast("int")
-    cut = assignment.withColumn("shards", F.least(shards, F.lit(bins))).withColumn("shard", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)))
+    cut = assignment.withColumn("shards", shards).withColumn("shard", F.explode(F.sequence(F.lit(0), F.col("shards") - 1)))
     return cut.select("pivot", F.pmod(F.col("bin") + F.col("shard"), F.lit(bins)).cast("int").alias("bin"), (F.col("load") / F.col("shards")).cast("long").alias("load"), "shard", "shards")
 
 

@@ -10,14 +10,18 @@ from __future__ import annotations
 
 import time
 from collections.abc import Iterator
+from dataclasses import dataclass
+from decimal import Decimal
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..functions import choose2, higher, owner, total
+from ..functions import choose2, higher, owner, packed, total
 from ..model import SignedGraph
+from ..schemas import TOTAL
 from . import index
 from .assign import ASSIGNERS, split_hot
 
@@ -28,7 +32,7 @@ LOCAL_EDGES = 20_000_000
 
 
 def _answer(pairs: DataFrame) -> DataFrame:
-    return pairs.agg(total(choose2(F.col("b1")) + choose2(F.col("b2"))).cast("long").alias("balanced"))
+    return pairs.agg(total(choose2(F.col("b1")) + choose2(F.col("b2"))).alias("balanced"))
 
 
 # --- wedge aggregation -------------------------------------------------------------
@@ -65,113 +69,235 @@ def count_wedge_agg(graph: SignedGraph, order: str = "priority") -> DataFrame:
 
 
 # --- pivot-partitioned counting ----------------------------------------------------
+#
+# Edges and lists speak of ranks (dense ids in the order of priority), so an end is below
+# a pivot when its rank is smaller; a list entry is the rank above one bit of sign.
 
 
-def adjacency(oriented: DataFrame, chunk: int = CHUNK) -> DataFrame:
-    """mid, ends: all neighbours of a vertex as sorted (deg, gid, sign), ``chunk`` per row at most in expectation."""
-    both = oriented.select(F.col("lo").alias("mid"), F.col("lo_deg").alias("d"), F.struct(F.col("hi_deg").alias("d"), F.col("hi").alias("g"), F.col("sign").alias("s")).alias("e")).unionByName(oriented.select(F.col("hi").alias("mid"), F.col("hi_deg").alias("d"), F.struct(F.col("lo_deg").alias("d"), F.col("lo").alias("g"), F.col("sign").alias("s")).alias("e")))
-    part = F.pmod(F.xxhash64(F.col("e.g")), F.ceil(F.col("d") / chunk))
-    return both.groupBy("mid", part.alias("part")).agg(F.sort_array(F.collect_list("e")).alias("ends"))
+def adjacency(ranked: DataFrame, chunk: int = CHUNK) -> DataFrame:
+    """mid, codes: a vertex's neighbours, in rows of about ``chunk`` entries each."""
+    side = lambda mid, deg, end: ranked.select(F.col(mid).alias("mid"), F.col(deg).alias("d"), packed(F.col(end), F.col("sign")).alias("code"))
+    both = side("lo", "lo_deg", "hi").unionByName(side("hi", "hi_deg", "lo"))
+    part = F.pmod(F.xxhash64("code"), F.ceil(F.col("d") / chunk))
+    return both.groupBy("mid", part.cast("int").alias("part")).agg(F.collect_list("code").alias("codes")).select("mid", "codes")
 
 
-def route_one_hop(oriented: DataFrame, assignment: DataFrame) -> DataFrame:
-    """Edges at the bins of their pivots: pivot, mid, sign, bin, shard, shards."""
-    cols = [c for c in ("shard", "shards") if c in assignment.columns]
-    own = assignment.select(F.col("pivot").alias("hi"), "bin", *cols)
-    routed = oriented.join(own, "hi").select(F.col("hi").alias("pivot"), F.col("hi_deg").alias("pd"), F.col("lo").alias("mid"), F.col("sign").alias("s1"), "bin", *cols)
-    return routed if cols else routed.withColumn("shard", F.lit(0)).withColumn("shards", F.lit(1))
+def route_one_hop(ranked: DataFrame, assignment: DataFrame) -> DataFrame:
+    """Edges at the bins of their pivots: bin, pivot, mid, sign, shard, shards."""
+    split = "shard" in assignment.columns
+    own = assignment.select(F.col("pivot").alias("hi"), "bin", *((F.col(c).cast("long") if split else F.lit(n).cast("long")).alias(c) for c, n in (("shard", 0), ("shards", 1))))
+    return ranked.join(own, "hi").select("bin", F.col("hi").alias("pivot"), F.col("lo").alias("mid"), "sign", "shard", "shards")
 
 
-def route_two_hop(oriented: DataFrame, assignment: DataFrame, prune_ends: bool = True) -> DataFrame:
-    """bin, pivot, s1, ends: the middle vertices' neighbours that a pivot can end at.
+def route_two_hop(ranked: DataFrame, assignment: DataFrame) -> tuple[DataFrame, DataFrame]:
+    """Edges at their bins, and the lists that the bins need: bin, mid, codes.
 
-    ``prune_ends=False`` keeps whole lists, for comparing the volume.
+    A middle vertex's list goes to a bin once, however many of the bin's pivots meet there,
+    and is cut at the greatest of them.
     """
-    met = route_one_hop(oriented, assignment).join(adjacency(oriented), "mid")
-    below = lambda e: (e["d"] < F.col("pd")) | ((e["d"] == F.col("pd")) & (e["g"] < F.col("pivot")))
-    own = lambda e: F.pmod(F.xxhash64(e["g"]), F.col("shards")) == F.col("shard")
-    ends = F.filter("ends", lambda e: below(e) & own(e)) if prune_ends else F.col("ends")
-    return met.select("bin", "pivot", "pd", F.col("s1").cast("long").alias("s1"), ends.alias("ends")).where(F.size("ends") > 0)
+    edges = route_one_hop(ranked, assignment)
+    # By mid once, with the session's number of tasks: little data here is much work behind it.
+    parts = int(ranked.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    need = edges.groupBy("bin", "mid").agg(F.max("pivot").alias("top")).repartition(parts, "mid")
+    below = F.filter("codes", lambda c: F.shiftright(c, 1) < F.col("top"))
+    lists = need.join(adjacency(ranked), "mid").select("bin", "mid", below.alias("codes"))
+    return edges, lists.where(F.size("codes") > 0)
 
 
-def _place(rows: DataFrame, bins: int, threads: int) -> DataFrame:
-    """Rows at their bin's partition; a bin's pivots are spread over ``threads`` sub-bins."""
-    slot = F.col("bin") * threads + owner(F.col("pivot"), threads)
-    return rows.withColumn("slot", slot.cast("int")).repartitionById(bins * threads, F.col("slot"))
+BINS = "bin int, balanced decimal(38,0), wedges long, nanos long, peak_kb long"
 
 
-def bins_sql(rows: DataFrame, bins: int, threads: int) -> DataFrame:
-    """Per-bin counts with built-in operators; nothing moves behind the placement."""
-    flat = _place(rows, bins, threads).select("slot", "bin", "pivot", "s1", F.explode("ends").alias("e"))
-    same = F.when(F.col("s1") == F.col("e.s"), 1).otherwise(0)
-    held = flat.groupBy("slot", "bin", "pivot", F.col("e.g").alias("end")).agg(F.sum(same).cast("long").alias("b1"), F.sum(1 - same).cast("long").alias("b2"))
-    per = held.groupBy("slot", "bin").agg(total(choose2(F.col("b1")) + choose2(F.col("b2"))).alias("balanced"), F.sum(F.col("b1") + F.col("b2")).cast("long").alias("wedges"))
-    return per.groupBy("bin").agg(F.sum("balanced").cast("long").alias("balanced"), F.sum("wedges").cast("long").alias("wedges"), F.lit(None).cast("long").alias("nanos"), F.lit(None).cast("long").alias("peak_kb"))
+def bins_sql(edges: DataFrame, lists: DataFrame, bins: int) -> DataFrame:
+    """Per-bin counts with built-in operators; nothing moves behind the placement of edges and lists."""
+    met = edges.repartitionById(bins, F.col("bin")).join(lists.repartitionById(bins, F.col("bin")), ["bin", "mid"])
+    code = F.explode(F.filter("codes", lambda c: (F.shiftright(c, 1) < F.col("pivot")) & (F.pmod(F.xxhash64(F.shiftright(c, 1)), F.col("shards")) == F.col("shard"))))
+    flat = met.select("bin", "pivot", "sign", code.alias("code"))
+    same = F.when(F.col("code").bitwiseAND(F.lit(1).cast("long")) == F.col("sign"), 1).otherwise(0)
+    held = flat.groupBy("bin", "pivot", F.shiftright("code", 1).alias("end")).agg(F.sum(same).cast("long").alias("b1"), F.sum(1 - same).cast("long").alias("b2"))
+    none = F.lit(None).cast("long")
+    return held.groupBy("bin").agg(total(choose2(F.col("b1")) + choose2(F.col("b2"))).alias("balanced"), F.sum(F.col("b1") + F.col("b2")).cast("long").alias("wedges"), F.first(none).alias("nanos"), F.first(none).alias("peak_kb"))
 
 
-def bins_arrow(rows: DataFrame, bins: int, threads: int) -> DataFrame:
-    """Per-bin counts with an Arrow kernel that also reports time and memory."""
+#: Wedges that a thread sorts at a time.
+PIECE = 1 << 20
+
+
+@dataclass
+class Lists:
+    """The lists of a bin, one behind the other: segments sorted by middle vertex."""
+
+    mid: np.ndarray
+    start: np.ndarray
+    stop: np.ndarray
+    codes: np.ndarray
+
+
+def _tally(pivot: np.ndarray, code: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Distinct (pivot, code) with their numbers, by pivot and code; pivots arrive in order."""
+    place = np.cumsum(np.concatenate([[0], (pivot[1:] != pivot[:-1]).astype(np.int64)]))
+    span = int(code.max()) + 1
+    if (int(place[-1]) + 1) * span < 1 << 62:  # both in one number
+        key = np.sort(place * span + code)
+        first = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]]))
+        names = pivot[np.searchsorted(place, key[first] // span)]
+        return names, key[first] % span, np.diff(np.append(first, len(key)))
+    order = np.lexsort((code, place))
+    pivot, code = pivot[order], code[order]
+    first = np.flatnonzero(np.concatenate([[True], (pivot[1:] != pivot[:-1]) | (code[1:] != code[:-1])]))
+    return pivot[first], code[first], np.diff(np.append(first, len(code)))
+
+
+def _pairs_of(n: np.ndarray) -> int:
+    return int((n * (n - 1) // 2).sum())
+
+
+def count_edges(lists: Lists, pivot: np.ndarray, mid: np.ndarray, sign: np.ndarray, shard: np.ndarray, shards: np.ndarray, piece: int = PIECE) -> tuple[int, int]:
+    """Balanced butterflies and wedges of edges that come by pivot.
+
+    Wedges are gathered and sorted by pivot, end and class in pieces; what a piece holds of
+    its last pivot is carried on as counts.
+    """
+    low, high = np.searchsorted(lists.mid, mid, "left"), np.searchsorted(lists.mid, mid, "right")
+    many = high - low
+    edge = np.repeat(np.arange(len(pivot)), many)
+    segment = np.arange(len(edge)) - np.repeat(np.cumsum(many) - many, many) + np.repeat(low, many)
+    size = (lists.stop - lists.start)[segment]
+    until = np.cumsum(size)
+    balanced = wedges = at = 0
+    last, codes, counts = None, np.zeros(0, np.int64), np.zeros(0, np.int64)
+    while at < len(edge):
+        to = max(at + 1, int(np.searchsorted(until, (until[at - 1] if at else 0) + piece, "right")))
+        n = size[at:to]
+        place = np.arange(int(n.sum())) + np.repeat(lists.start[segment[at:to]] - np.cumsum(n) + n, n)
+        own = np.repeat(edge[at:to], n)
+        code, p, at = lists.codes[place], pivot[own], to
+        keep = code >> 1 < p
+        if int(shards.max()) > 1:
+            mixed = ((code >> 1).astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) >> np.uint64(33)).astype(np.int64)
+            keep &= mixed % shards[own] == shard[own]
+        code, p = (code ^ sign[own])[keep], p[keep]  # equal signs end in 0, different ones in 1
+        if not len(code):
+            continue
+        wedges += len(code)
+        names, code, n = _tally(p, code)
+        if names[0] == last:
+            head = int(np.searchsorted(names, last, "right"))
+            codes, back = np.unique(np.concatenate([codes, code[:head]]), return_inverse=True)
+            counts = np.bincount(back, weights=np.concatenate([counts, n[:head]])).astype(np.int64)
+            names, code, n = names[head:], code[head:], n[head:]
+        if len(names):
+            balanced += _pairs_of(counts)
+            tail = int(np.searchsorted(names, names[-1], "left"))
+            balanced += _pairs_of(n[:tail])
+            last, codes, counts = names[-1], code[tail:], n[tail:]
+    return balanced + _pairs_of(counts), wedges
+
+
+def bins_arrow(edges: DataFrame, lists: DataFrame, bins: int, threads: int) -> DataFrame:
+    """Per-bin counts with an Arrow kernel that also reports time and memory.
+
+    A task holds one bin: its lists, which all threads read, and its edges.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         import resource
+        from concurrent.futures import ThreadPoolExecutor
 
-        done: dict[int, list[int]] = {}
-        open_: tuple | None = None
+        lists_, flat_, bin_ = [], [], None
+        for batch in batches:
+            if not batch.num_rows:
+                continue
+            bin_ = batch.column(0)[0].as_py()
+            is_list = pa.array(batch.column(1).to_numpy() == 0)
+            held, flat = batch.filter(is_list), batch.filter(pc.invert(is_list))
+            if held.num_rows:
+                own = held.column(7)
+                lists_.append((held.column(2).to_numpy(), np.diff(own.offsets.to_numpy()).astype(np.int64), own.flatten().to_numpy(zero_copy_only=False)))
+            if flat.num_rows:
+                flat_.append(np.stack([flat.column(k).to_numpy() for k in range(2, 7)]))
+        if bin_ is None:
+            return
+        began = time.perf_counter_ns()
+        mid, size, codes = (np.concatenate(x) for x in zip(*lists_, strict=True)) if lists_ else (np.zeros(0, np.int64),) * 3
+        order, stop = np.argsort(mid, kind="stable"), np.cumsum(size)
+        held = Lists(mid[order], (stop - size)[order], stop[order], codes)
+        found = [(0, 0)]
+        if flat_:
+            rows = np.concatenate(flat_, axis=1)
+            pivot, mid, sign, shard, shards = rows[:, np.argsort(rows[0], kind="stable")]
+            heads = np.flatnonzero(np.concatenate([[True], pivot[1:] != pivot[:-1]]))
+            cuts = np.unique(heads[np.linspace(0, len(heads), 4 * threads, endpoint=False).astype(int)])
+            parts = [slice(a, b) for a, b in zip(cuts, [*cuts[1:], len(pivot)], strict=True)] if threads > 1 else [slice(None)]
+            with ThreadPoolExecutor(threads) as pool:
+                found = list(pool.map(lambda k: count_edges(held, pivot[k], mid[k], sign[k], shard[k], shards[k]), parts))
+        nanos, peak = time.perf_counter_ns() - began, resource.getrusage(resource.RUSAGE_SELF).ru_maxrss
+        values = [pa.array([bin_], pa.int32()), pa.array([Decimal(sum(f[0] for f in found))], pa.decimal128(38, 0)), *(pa.array([v], pa.int64()) for v in (sum(f[1] for f in found), nanos, peak))]
+        yield pa.RecordBatch.from_arrays(values, names=["bin", "balanced", "wedges", "nanos", "peak_kb"])
+
+    none = F.lit(None)
+    left = lists.select("bin", F.lit(0).alias("kind"), F.col("mid").alias("a"), *(none.cast("long").alias(c) for c in ("b", "sign", "shard", "shards")), "codes")
+    right = edges.select("bin", F.lit(1).alias("kind"), F.col("pivot").alias("a"), F.col("mid").alias("b"), "sign", "shard", "shards", none.cast("array<long>").alias("codes"))
+    return left.unionByName(right).repartitionById(bins, F.col("bin")).mapInArrow(run, BINS)
+
+
+@dataclass
+class Prepared:
+    """Ranked edges and the assignment of ranks to bins, both kept until ``release``."""
+
+    ranked: DataFrame
+    assignment: DataFrame
+    held: tuple[DataFrame, ...]
+
+    def release(self) -> None:
+        for x in self.held:
+            x.unpersist()
+
+
+def prepare(graph: SignedGraph, bins: int, assigner: str = "lpt_scalable", workload: str = "full", max_load: int | None = None) -> Prepared:
+    """Index and assignment.  A pivot above ``max_load`` (default: a bin's mean load) is split by ends."""
+    edges = graph.edges.persist()
+    held = SignedGraph(edges, graph.name)
+    ids = index.compact_ids(index.degrees(held))
+    ranked = index.ranked(held, ids).persist()
+    work = index.rank_workload(ranked, workload).join(ids.select("gid", "rank_id"), F.col("pivot") == F.col("rank_id"), "right")
+    work = work.select(F.col("gid").alias("pivot"), F.coalesce("load", F.lit(0)).cast("long").alias("load")).persist()
+    if max_load is None:
+        max_load = max(1, (work.agg(F.sum("load")).first()[0] or 0) // bins)
+    assignment = split_hot(ASSIGNERS[assigner](work, bins), bins, max_load)
+    by_rank = assignment.join(ids.select(F.col("gid").alias("__gid"), "rank_id"), F.col("pivot") == F.col("__gid"))
+    return Prepared(ranked, by_rank.select(F.col("rank_id").alias("pivot"), "bin", "load", "shard", "shards"), (edges, ranked, work))
+
+
+def count_prepared(ready: Prepared, bins: int, threads: int = 1, form: str = "sql") -> DataFrame:
+    """Per-bin rows of the pivot-partitioned counter.
+
+    The SQL form has no threads inside a task: there ``threads`` sub-bins take a bin's pivots.
+    """
+    if form == "arrow":
+        return bins_arrow(*route_two_hop(ready.ranked, ready.assignment), bins, threads)
+    spread = ready.assignment.withColumn("bin", (F.col("bin") * threads + owner(F.col("pivot"), threads)).cast("int")) if threads > 1 else ready.assignment
+    per = bins_sql(*route_two_hop(ready.ranked, spread), bins * threads)
+    if threads == 1:
+        return per
+    per = per.withColumn("bin", F.floor(F.col("bin") / threads).cast("int"))
+    return per.groupBy("bin").agg(F.sum("balanced").cast(TOTAL).alias("balanced"), F.sum("wedges").cast("long").alias("wedges"), F.max("nanos").alias("nanos"), F.max("peak_kb").alias("peak_kb"))
 
-        def close(bin_: int, codes: list[np.ndarray]) -> None:
-            flat = np.concatenate(codes)
-            _, n = np.unique(flat, return_counts=True)  # one code per end and class
-            got = done.setdefault(bin_, [0, 0, 0])
-            got[0] += int((n.astype(np.int64) * (n - 1) // 2).sum())
-            got[1] += len(flat)
 
-        for batch in batches:
-            began = time.perf_counter_ns()
-            bin_, pivot, s1 = (batch.column(k).to_numpy() for k in (1, 2, 3))
-            ends = batch.column(4)
-            flat, cuts = ends.values.to_numpy(zero_copy_only=False), ends.offsets.to_numpy()
-            for k in range(batch.num_rows):
-                if open_ is None or open_[:2] != (bin_[k], pivot[k]):
-                    if open_:
-                        close(open_[0], open_[2])
-                    open_ = (bin_[k], pivot[k], [])
-                own = flat[cuts[k] : cuts[k + 1]]
-                open_[2].append(own ^ s1[k])  # packed end and sign: equal signs give 0, different ones 1
-            if len(bin_):
-                done.setdefault(int(bin_[-1]), [0, 0, 0])[2] += time.perf_counter_ns() - began
-        if open_:
-            close(open_[0], open_[2])
-        peak = resource.getrusage(resource.RUSAGE_SELF).ru_maxrss
-        for b, (balanced, n, nanos) in done.items():
-            yield pa.RecordBatch.from_arrays([pa.array([int(b)], pa.int32()), *[pa.array([v], pa.int64()) for v in (balanced, n, nanos, peak)]], names=["bin", "balanced", "wedges", "nanos", "peak_kb"])
-
-    entry = F.transform("ends", lambda e: F.shiftleft(e["g"], 1) + e["s"].cast("long"))
-    flat = rows.select("bin", "pivot", "s1", entry.alias("ends"))
-    placed = _place(flat, bins, threads).sortWithinPartitions("bin", "pivot").select("slot", "bin", "pivot", "s1", "ends")
-    per = placed.mapInArrow(run, "bin int, balanced long, wedges long, nanos long, peak_kb long")
-    return per.groupBy("bin").agg(F.sum("balanced").cast("long").alias("balanced"), F.sum("wedges").cast("long").alias("wedges"), F.max("nanos").alias("nanos"), F.max("peak_kb").alias("peak_kb"))
-
-
-def count_pivot_local(graph: SignedGraph, bins: int = 8, threads: int = 1, assigner: str = "lpt", workload: str = "full", form: str = "sql", return_: str = "total", max_load: int | None = None) -> DataFrame:
-    """The pivot-partitioned counter.
-
-    Pivots are assigned to bins by load, the neighbourhoods they need are placed there
-    once, and every bin counts on its own.  ``return_="bins"`` gives per-bin rows.  With
+def count_pivot_local(graph: SignedGraph, bins: int = 8, threads: int = 1, assigner: str = "lpt_scalable", workload: str = "full", form: str = "sql", return_: str = "total", max_load: int | None = None) -> DataFrame:
+    """The pivot-partitioned counter, run at once: what comes back is one row, or one per bin.
+
+    Pivots are assigned to bins by load, the lists they need are placed there once a bin, and
+    every bin counts on its own.  ``return_="bins"`` gives per-bin rows.  With
     ``threads=1`` and more bins this is the flat form, with ``assigner="blocks"`` the one
     without load awareness.
     """
-    graph = graph.cached()  # the assignment and the count both read the edges
-    oriented = index.orient(graph)
-    assignment = ASSIGNERS[assigner](index.workload(graph, workload), bins)
-    if max_load:
-        assignment = split_hot(assignment, bins, max_load)
-    rows = route_two_hop(oriented, assignment)
-    per = (bins_sql if form == "sql" else bins_arrow)(rows, bins, threads)
+    ready = prepare(graph, bins, assigner, workload, max_load)
+    found = {r["bin"]: r for r in count_prepared(ready, bins, threads, form).collect()}  # a row per bin
+    ready.release()
     if return_ == "bins":
-        every = graph.spark.range(bins).select(F.col("id").cast("int").alias("bin"))
-        zero = [F.coalesce(c, F.lit(0)).cast("long").alias(c) for c in ("balanced", "wedges")]
-        return every.join(per, "bin", "left").select("bin", *zero, "nanos", "peak_kb")
-    return per.agg(total(F.col("balanced")).cast("long").alias("balanced"))
+        rows = [(k, *(tuple(found[k])[1:] if k in found else (Decimal(0), 0, None, None))) for k in range(bins)]
+        return graph.spark.createDataFrame(rows, BINS)
+    return graph.spark.createDataFrame([(sum((r["balanced"] for r in found.values()), Decimal(0)),)], f"balanced {TOTAL}")
 
 
 # --- counters that hold the graph in one process ------------------------------------
@@ -220,7 +346,7 @@ def count_shared(graph: SignedGraph, threads: int = 8, cap: int = LOCAL_EDGES) -
 
     pivots = graph.spark.range(len(csr["start"]) - 1)
     dealt = pivots.repartition(threads, F.xxhash64("id")) if threads > 1 else pivots.coalesce(1)
-    return dealt.mapInArrow(run, "n long").agg(total(F.col("n")).cast("long").alias("balanced"))
+    return dealt.mapInArrow(run, "n long").agg(total(F.col("n")).alias("balanced"))
 
 
 def count_serial(graph: SignedGraph, cap: int = LOCAL_EDGES) -> DataFrame:
@@ -245,7 +371,7 @@ def count_no_separation(graph: SignedGraph) -> DataFrame:
     """One list of wedges per pair of ends; every two of them are tested."""
     lists = wedges(graph, "priority").groupBy("pivot", "end").agg(F.collect_list("pos").alias("w"))
     inner = F.aggregate("w", F.struct(F.lit(0).cast("long").alias("n"), F.lit(0).alias("k")), lambda s, x: F.struct((s["n"] + F.size(F.filter(F.slice(F.col("w"), F.lit(1), s["k"]), lambda y: (x + y) % 2 == 0))).alias("n"), (s["k"] + 1).alias("k")), lambda s: s["n"])
-    return lists.agg(total(inner).cast("long").alias("balanced"))
+    return lists.agg(total(inner).alias("balanced"))
 
 
 def count_bruteforce(graph: SignedGraph) -> DataFrame:

@@ -5,12 +5,14 @@ from __future__ import annotations
 from collections.abc import Iterator
 
 import pyarrow as pa
+import pyarrow.compute as pc
 from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
-from ..functions import higher
+from ..functions import higher, owner
 from ..model import SignedGraph
+from ..sources import cut
 
 
 def degrees(graph: SignedGraph) -> DataFrame:
@@ -34,32 +36,73 @@ def orient(graph: SignedGraph, deg: DataFrame | None = None) -> DataFrame:
     return e.select(pick("gu", "gv").alias("hi"), pick("du", "dv").alias("hi_deg"), pick("gv", "gu").alias("lo"), pick("dv", "du").alias("lo_deg"), "sign")
 
 
-def compact_ids(vertices: DataFrame, order: str = "priority", parts: int = 32) -> DataFrame:
-    """gid, deg, rank_id: dense ids from 0.
+def in_order(rows: DataFrame, keys: list[str], values: tuple[str, ...] = (), descending: tuple[str, ...] = (), parts: int | None = None) -> DataFrame:
+    """Rows with ``place`` (from 0) in the order of the keys, and ``sum_<value>`` up to each row.
 
-    ``priority`` orders by (deg, gid) so that ids compare as priorities; ``hash`` keeps
-    each owner's ids together.  One driver round trip of ``parts`` counts.
+    Rows are dealt by ranges and sorted there; ``parts`` counts and sums put the ranges behind
+    one another, so no task sees all rows.  Ranges are drawn once and kept.
     """
-    if order == "priority":
-        dealt = vertices.select("gid", "deg").repartitionByRange(parts, "deg", "gid").sortWithinPartitions("deg", "gid")
-    else:
-        dealt = vertices.select("gid", "deg").repartition(parts, "gid").sortWithinPartitions("gid")
+    parts = parts or int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    by = [F.desc(k) if k in descending else F.asc(k) for k in keys]
+    dealt = rows.repartitionByRange(parts, *by).sortWithinPartitions(*by)
+    schema = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in rows.schema.fields), "part int, place long", *(f"sum_{v} long" for v in values)])
 
     def number(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        part, at = TaskContext.get().partitionId(), 0
+        part, at, sums = TaskContext.get().partitionId(), 0, dict.fromkeys(values, 0)
         for b in batches:
-            yield pa.RecordBatch.from_arrays([*b.columns, pa.array([part] * b.num_rows, pa.int32()), pa.array(range(at, at + b.num_rows), pa.int64())], names=["gid", "deg", "part", "at"])
+            if not b.num_rows:
+                continue
+            running = [pc.add(pc.cumulative_sum(b.column(v).cast(pa.int64())), sums[v]) for v in values]
+            yield pa.RecordBatch.from_arrays([*b.columns, pa.array([part] * b.num_rows, pa.int32()), pa.array(range(at, at + b.num_rows), pa.int64()), *running], names=[*b.schema.names, "part", "place", *(f"sum_{v}" for v in values)])
             at += b.num_rows
+            sums = {v: r[-1].as_py() for v, r in zip(values, running, strict=True)}
+
+    numbered = cut(dealt.mapInArrow(number, schema))
+    ends = numbered.groupBy("part").agg(F.count(F.lit(1)).alias("n"), *(F.max_by(f"sum_{v}", "place").alias(f"all_{v}") for v in values))
+    before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
+    first = ends.select("part", *(F.coalesce(F.sum(c).over(before), F.lit(0)).alias(f"__{c}") for c in ("n", *(f"all_{v}" for v in values))))
+    met = numbered.join(F.broadcast(first), "part")  # ``parts`` rows
+    return met.select(*rows.columns, (F.col("__n") + F.col("place")).alias("place"), *((F.col(f"__all_{v}") + F.col(f"sum_{v}")).alias(f"sum_{v}") for v in values))
+
+
+def compact_ids(vertices: DataFrame, order: str = "priority", parts: int | None = None) -> DataFrame:
+    """gid, deg, rank_id: dense ids from 0.
+
+    ``priority`` orders by (deg, gid) so that ids compare as priorities; ``hash`` keeps
+    the ids of each of ``parts`` owners together.
+    """
+    rows = vertices.select("gid", "deg")
+    if order == "priority":
+        return in_order(rows, ["deg", "gid"], parts=parts).select("gid", "deg", F.col("place").alias("rank_id"))
+    owned = rows.withColumn("owner", owner(F.col("gid"), parts or int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
+    return in_order(owned, ["owner", "gid"], parts=parts).select("gid", "deg", F.col("place").alias("rank_id"))
 
-    numbered = dealt.mapInArrow(number, "gid long, deg long, part int, at long")
-    counts = numbered.groupBy("part").agg(F.count(F.lit(1)).alias("n"))
-    first = counts.select("part", F.coalesce(F.sum("n").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("first"))
-    return numbered.join(F.broadcast(first), "part").select("gid", "deg", (F.col("first") + F.col("at")).alias("rank_id"))  # ``parts`` rows
+
+def ranked(graph: SignedGraph, ids: DataFrame | None = None) -> DataFrame:
+    """Edges by rank: hi, hi_deg, lo, lo_deg, sign; a greater rank is a higher priority."""
+    ids = compact_ids(degrees(graph)) if ids is None else ids
+    ends = lambda g, r, d: ids.select(F.col("gid").alias(g), F.col("rank_id").alias(r), F.col("deg").alias(d))
+    e = graph.tagged.join(ends("gu", "ru", "du"), "gu").join(ends("gv", "rv", "dv"), "gv")
+    up = F.col("ru") > F.col("rv")
+    pick = lambda a, b: F.when(up, F.col(a)).otherwise(F.col(b))
+    return e.select(pick("ru", "rv").alias("hi"), pick("du", "dv").alias("hi_deg"), pick("rv", "ru").alias("lo"), pick("dv", "du").alias("lo_deg"), F.col("sign").cast("long").alias("sign"))
 
 
 KINDS = ("full", "restricted", "exact")
 
 
+def rank_workload(ranked: DataFrame, kind: str = "full") -> DataFrame:
+    """pivot, load from oriented edges, for vertices with any load."""
+    if kind == "full":
+        both = ranked.select(F.col("hi").alias("pivot"), F.col("lo_deg").alias("d")).unionByName(ranked.select(F.col("lo").alias("pivot"), F.col("hi_deg").alias("d")))
+        return both.groupBy("pivot").agg(F.sum("d").cast("long").alias("load"))
+    if kind == "restricted":
+        return ranked.groupBy(F.col("hi").alias("pivot")).agg(F.sum("lo_deg").cast("long").alias("load"))
+    if kind == "exact":
+        return _below(ranked).groupBy("pivot").agg(F.sum("below").cast("long").alias("load"))
+    raise ValueError(f"kind must be one of {KINDS}")
+
+
 def workload(graph: SignedGraph, kind: str = "full") -> DataFrame:
     """pivot, load of every vertex.
 
@@ -67,22 +110,21 @@ def workload(graph: SignedGraph, kind: str = "full") -> DataFrame:
     pivot; ``exact``: the wedges that survive both priority tests.
     """
     deg = degrees(graph)
-    if kind == "full":
-        mids = deg.select(F.col("gid").alias("mid"), F.col("deg").alias("mid_deg"))
-        ends = graph.directed.select("mid", F.col("end").alias("pivot"))
-        return ends.join(mids, "mid").groupBy("pivot").agg(F.sum("mid_deg").cast("long").alias("load"))
-    o = orient(graph, deg)
-    if kind == "restricted":
-        own = o.groupBy(F.col("hi").alias("pivot")).agg(F.sum("lo_deg").cast("long").alias("load"))
-    elif kind == "exact":
-        both = o.select(F.col("lo").alias("mid"), F.col("hi").alias("end"), F.col("hi_deg").alias("end_deg"), F.lit(True).alias("above")).unionByName(o.select(F.col("hi").alias("mid"), F.col("lo").alias("end"), F.col("lo_deg").alias("end_deg"), F.lit(False).alias("above")))
-        below = F.row_number().over(Window.partitionBy("mid").orderBy("end_deg", "end")) - 1
-        own = both.withColumn("below", below).where("above").groupBy(F.col("end").alias("pivot")).agg(F.sum("below").cast("long").alias("load"))
-    else:
-        raise ValueError(f"kind must be one of {KINDS}")
+    own = rank_workload(orient(graph, deg), kind)
     return deg.select(F.col("gid").alias("pivot")).join(own, "pivot", "left").select("pivot", F.coalesce("load", F.lit(0)).cast("long").alias("load"))
 
 
+def _below(oriented: DataFrame) -> DataFrame:
+    """pivot, below: for every edge, the neighbours of its lower end that the pivot outranks.
+
+    All lists are put in order together by ranges, so that a hub's list is cut like any other.
+    """
+    both = oriented.select(F.col("lo").alias("mid"), F.col("hi").alias("end"), F.col("hi_deg").alias("end_deg"), F.lit(True).alias("above")).unionByName(oriented.select(F.col("hi").alias("mid"), F.col("lo").alias("end"), F.col("lo_deg").alias("end_deg"), F.lit(False).alias("above")))
+    placed = in_order(both, ["mid", "end_deg", "end"])
+    first = placed.groupBy("mid").agg(F.min("place").alias("first"))
+    return placed.where("above").join(first, "mid").select(F.col("end").alias("pivot"), (F.col("place") - F.col("first")).alias("below"))
+
+
 def work_bounds(graph: SignedGraph) -> DataFrame:
     """One row: edges, sum of smaller degrees, full workload, surviving wedges."""
     o = orient(graph)

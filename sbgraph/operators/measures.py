@@ -2,36 +2,24 @@
 
 from __future__ import annotations
 
-import tempfile
+import itertools
 
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..functions import choose2, gid, total
 from ..model import SignedGraph
+from ..schemas import TOTAL
+from ..sources import cut
 from . import count, index
 
 SIDES = {"U": ("gu", "gv"), "V": ("gv", "gu")}
 
 
-def cut(rows: DataFrame) -> DataFrame:
-    """Rows behind a checkpoint, where the session names a folder for them (loops need one)."""
-    context = rows.sparkSession.sparkContext
-    if context._jsc.sc().getCheckpointDir().isDefined():
-        return rows.checkpoint()
-    if folder := rows.sparkSession.conf.get("spark.checkpoint.dir", None):
-        context.setCheckpointDir(folder)
-        return rows.checkpoint()
-    if context.master.startswith("local["):
-        context.setCheckpointDir(tempfile.mkdtemp(prefix="checkpoints_"))
-        return rows.checkpoint()
-    raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
-
-
 def balance_summary(graph: SignedGraph, order: str = "priority") -> DataFrame:
     """One row: total, balanced, unbalanced, ratio."""
     b1, b2 = F.col("b1"), F.col("b2")
-    rows = count.pairs(graph, order).agg(total(choose2(b1 + b2)).cast("long").alias("total"), total(choose2(b1) + choose2(b2)).cast("long").alias("balanced"), total(b1 * b2).cast("long").alias("unbalanced"))
+    rows = count.pairs(graph, order).agg(total(choose2(b1 + b2)).alias("total"), total(choose2(b1) + choose2(b2)).alias("balanced"), total(b1 * b2).alias("unbalanced"))
     return rows.withColumn("ratio", F.round(F.col("balanced") / F.nullif(F.col("total"), F.lit(0)), 6))
 
 
@@ -53,22 +41,22 @@ def pattern_census(graph: SignedGraph, ends: str = "U") -> DataFrame:
     pp, nn, pn, np_ = (F.col(c) for c in ("pp", "nn", "pn", "np"))
     on_mid, on_end = ("two_on_v", "two_on_u") if ends == "U" else ("two_on_u", "two_on_v")
     shapes = {"none": choose2(pp), "four": choose2(nn), on_mid: pp * nn, on_end: choose2(pn) + choose2(np_), "two_diagonal": pn * np_, "one": pp * (pn + np_), "three": nn * (pn + np_)}
-    rows = four_counters(graph, ends).agg(*[total(v).cast("long").alias(k) for k, v in shapes.items()])
+    rows = four_counters(graph, ends).agg(*[total(v).alias(k) for k, v in shapes.items()])
     return rows.select("none", "four", "two_on_v", "two_on_u", "two_diagonal", "one", "three")
 
 
 def class_split(graph: SignedGraph, ends: str = "U") -> DataFrame:
     """One row: balanced butterflies closed by symmetric and by asymmetric wedges, for one end side."""
-    return count.pairs(graph, ends).agg(total(choose2(F.col("b1"))).cast("long").alias("symmetric"), total(choose2(F.col("b2"))).cast("long").alias("asymmetric"))
+    return count.pairs(graph, ends).agg(total(choose2(F.col("b1"))).alias("symmetric"), total(choose2(F.col("b2"))).alias("asymmetric"))
 
 
 def vertex_counts(graph: SignedGraph, side: str = "U") -> DataFrame:
     """key, balanced of every vertex of a side."""
     n = choose2(F.col("b1")) + choose2(F.col("b2"))
     own = count.pairs(graph, side).withColumn("n", n)
-    held = own.select(F.col("pivot").alias("g"), "n").unionByName(own.select(F.col("end").alias("g"), "n")).groupBy("g").agg(total(F.col("n")).cast("long").alias("balanced"))
+    held = own.select(F.col("pivot").alias("g"), "n").unionByName(own.select(F.col("end").alias("g"), "n")).groupBy("g").agg(total(F.col("n")).alias("balanced"))
     keys = graph.edges.select(F.col(side.lower()).alias("key")).distinct()
-    return keys.join(held.select(F.shiftright("g", 1).alias("key"), "balanced"), "key", "left").select("key", F.coalesce("balanced", F.lit(0)).cast("long").alias("balanced"))
+    return keys.join(held.select(F.shiftright("g", 1).alias("key"), "balanced"), "key", "left").select("key", F.coalesce("balanced", F.lit(0)).cast(TOTAL).alias("balanced"))
 
 
 def edge_counts(graph: SignedGraph, side: str = "U") -> DataFrame:
@@ -90,7 +78,7 @@ def top_pairs(graph: SignedGraph, k: int = 10, side: str = "U") -> DataFrame:
 
 def clustering(graph: SignedGraph) -> DataFrame:
     """One row: butterflies per path of three edges, all and balanced."""
-    paths = index.attach_degrees(graph).agg(total((F.col("du") - 1) * (F.col("dv") - 1)).cast("long").alias("paths"))
+    paths = index.attach_degrees(graph).agg(total((F.col("du") - 1) * (F.col("dv") - 1)).alias("paths"))
     rows = balance_summary(graph).crossJoin(paths)  # one row each
     share = lambda c: F.round(4 * F.col(c) / F.nullif(F.col("paths"), F.lit(0)), 6)
     return rows.select("paths", "total", "balanced", share("total").alias("coefficient"), share("balanced").alias("balanced_coefficient"))
@@ -101,7 +89,13 @@ def is_biclique(graph: SignedGraph, us: list[int], vs: list[int]) -> bool:
     return graph.edges.where(F.col("u").isin(us) & F.col("v").isin(vs)).count() == len(set(us)) * len(set(vs))
 
 
-def tip_decomposition(graph: SignedGraph, side: str = "U", max_rounds: int = 10_000) -> DataFrame:
+def _gather(done: DataFrame | None, named: DataFrame, turn: int) -> DataFrame:
+    """What is peeled so far, cut now and then so that the plan stays short."""
+    both = named if done is None else done.unionByName(named)
+    return cut(both) if turn % 50 == 0 else both
+
+
+def tip_decomposition(graph: SignedGraph, side: str = "U") -> DataFrame:
     """key, tip: the greatest k such that the vertex is in a set of one side whose members
     each have k balanced butterflies inside the set.
 
@@ -112,7 +106,7 @@ def tip_decomposition(graph: SignedGraph, side: str = "U", max_rounds: int = 10_
     now = cut(w.unionByName(w.select(F.col("b").alias("a"), F.col("a").alias("b"), "n")))
     everyone = graph.edges.select(gid(F.col(side.lower()), 0 if side == "U" else 1).alias("a")).distinct()
     left, done, level = cut(everyone), None, 0
-    for _ in range(max_rounds):
+    for turn in itertools.count(1):  # ends with the last vertex
         held = left.join(now.groupBy("a").agg(F.sum("n").alias("n")), "a", "left").select("a", F.coalesce("n", F.lit(0)).alias("n"))
         least = held.agg(F.min("n")).first()[0]
         if least is None:
@@ -120,17 +114,17 @@ def tip_decomposition(graph: SignedGraph, side: str = "U", max_rounds: int = 10_
         level = max(level, int(least))
         gone = cut(held.where(F.col("n") <= level).select("a"))
         named = gone.select(F.shiftright("a", 1).alias("key"), F.lit(level).cast("long").alias("tip"))
-        done = named if done is None else done.unionByName(named)
+        done = _gather(done, named, turn)
         left = cut(left.join(gone, "a", "left_anti"))
         now = cut(now.join(gone, "a", "left_anti").join(gone.withColumnRenamed("a", "b"), "b", "left_anti").select("a", "b", "n"))
-    return done
+    return everyone.select(F.col("a").alias("key"), F.col("a").alias("tip")) if done is None else done
 
 
-def wing_decomposition(graph: SignedGraph, max_rounds: int = 10_000) -> DataFrame:
+def wing_decomposition(graph: SignedGraph) -> DataFrame:
     """u, v, wing: the greatest k such that the edge is in a subgraph whose edges each have k
     balanced butterflies inside it."""
     left, done, level = cut(graph.edges), None, 0
-    for _ in range(max_rounds):
+    for turn in itertools.count(1):  # ends with the last edge
         held = cut(edge_counts(SignedGraph(left)))
         least = held.agg(F.min("balanced")).first()[0]
         if least is None:
@@ -138,9 +132,9 @@ def wing_decomposition(graph: SignedGraph, max_rounds: int = 10_000) -> DataFram
         level = max(level, int(least))
         gone = held.where(F.col("balanced") <= level)
         named = gone.select("u", "v", F.lit(level).cast("long").alias("wing"))
-        done = named if done is None else done.unionByName(named)
+        done = _gather(done, named, turn)
         left = cut(left.join(gone.select("u", "v"), ["u", "v"], "left_anti"))
-    return done
+    return graph.edges.select("u", "v", F.lit(0).cast("long").alias("wing")) if done is None else done
 
 
 def graph_profile(graph: SignedGraph, approx: bool = False) -> DataFrame:
@@ -148,7 +142,7 @@ def graph_profile(graph: SignedGraph, approx: bool = False) -> DataFrame:
     e = graph.edges
     n = (lambda c: F.approx_count_distinct(c)) if approx else (lambda c: F.count_distinct(F.col(c)))
     base = e.agg(n("u").alias("n_u"), n("v").alias("n_v"), F.count(F.lit(1)).alias("n_e"), F.coalesce(F.sum(1 - F.col("sign")), F.lit(0)).cast("long").alias("negatives"))
-    du, dv = (e.groupBy(c).agg(F.count(F.lit(1)).alias("d")).agg(F.max("d").cast("long").alias(f"max_deg_{c}"), total(choose2(F.col("d"))).cast("long").alias(w)) for c, w in (("u", "wedges_v_ends"), ("v", "wedges_u_ends")))
+    du, dv = (e.groupBy(c).agg(F.count(F.lit(1)).alias("d")).agg(F.max("d").cast("long").alias(f"max_deg_{c}"), total(choose2(F.col("d"))).alias(w)) for c, w in (("u", "wedges_v_ends"), ("v", "wedges_u_ends")))
     rows = base.crossJoin(du).crossJoin(dv).crossJoin(count.count_wedge_agg(graph))  # one row each
     density = F.round(F.col("n_e") / (F.col("n_u") * F.col("n_v")), 6)
     return rows.select("n_u", "n_v", "n_e", density.alias("density"), "negatives", "max_deg_u", "max_deg_v", "wedges_u_ends", "wedges_v_ends", "balanced")

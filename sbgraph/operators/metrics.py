@@ -12,7 +12,6 @@ from pyspark.sql import functions as F
 from ..model import SignedGraph
 from ..sources import noop
 from . import count, index
-from .assign import ASSIGNERS
 
 
 class PhaseTimer:
@@ -31,29 +30,30 @@ class PhaseTimer:
         return spark.createDataFrame([(run, k, v) for k, v in self.seconds.items()], "run string, phase string, seconds double")
 
 
-def run_with_breakdown(graph: SignedGraph, bins: int, threads: int, assigner: str = "lpt", workload: str = "full") -> tuple[int, PhaseTimer, DataFrame]:
+def run_with_breakdown(graph: SignedGraph, bins: int, threads: int, assigner: str = "lpt_scalable", workload: str = "full") -> tuple[int, PhaseTimer, DataFrame]:
     """The pivot-partitioned counter phase by phase: total, timer, per-bin rows."""
     timer = PhaseTimer()
     with timer.phase("io"):
         edges = graph.edges.persist()
         noop(edges)
-    held = SignedGraph(edges, graph.name)
     with timer.phase("index"):
-        oriented = index.orient(held).persist()
-        noop(oriented)
-        assignment = ASSIGNERS[assigner](index.workload(held, workload), bins).persist()
+        ready = count.prepare(SignedGraph(edges, graph.name), bins, assigner, workload)
+        assignment = ready.assignment.persist()
+        noop(ready.ranked)
         noop(assignment)
     with timer.phase("exchange"):
-        rows = count.route_two_hop(oriented, assignment).persist()
-        noop(rows)
+        routed = [x.repartitionById(bins, F.col("bin")).persist() for x in count.route_two_hop(ready.ranked, assignment)]
+        for x in routed:
+            noop(x)
     with timer.phase("count"):
-        per = count.bins_arrow(rows, bins, threads).persist()
+        per = count.bins_arrow(*routed, bins, threads).persist()
         noop(per)
     with timer.phase("reduce"):
         found = int(per.agg(F.coalesce(F.sum("balanced"), F.lit(0))).first()[0])
     every = graph.spark.range(bins).select(F.col("id").cast("int").alias("bin")).join(per, "bin", "left").fillna(0)
     kept = graph.spark.createDataFrame(every.collect(), every.schema)  # ``bins`` rows
-    for x in (per, rows, assignment, oriented, edges):
+    ready.release()
+    for x in (per, *routed, assignment, edges):
         x.unpersist()
     return found, timer, kept
 
@@ -75,16 +75,17 @@ def speedup(times: DataFrame, base: str) -> DataFrame:
 
 
 def exchange_volume(graph: SignedGraph, assignment: DataFrame) -> DataFrame:
-    """bin, edges, entries, bytes: what a bin receives when each vertex's list goes to a bin once.
+    """bin, edges, entries, bytes: what the counter's two exchanges send to a bin.
 
-    An edge is 17 bytes (two ids and a sign), a list entry 8.
+    The rows are those that the counter routes: an edge is 17 bytes (two ids and a sign), a list
+    entry 8, and a list goes to a bin once.
     """
-    oriented = index.orient(graph)
-    routed = count.route_one_hop(oriented, assignment)
-    hop = routed.groupBy("bin").agg(F.count(F.lit(1)).alias("edges"))
-    deg = index.degrees(graph).select(F.col("gid").alias("mid"), "deg")
-    lists = routed.select("bin", "mid").distinct().join(deg, "mid").groupBy("bin").agg(F.sum("deg").cast("long").alias("entries"))
-    rows = hop.join(lists, "bin", "full").select("bin", F.coalesce("edges", F.lit(0)).cast("long").alias("edges"), F.coalesce("entries", F.lit(0)).cast("long").alias("entries"))
+    ids = index.compact_ids(index.degrees(graph)).select(F.col("gid").alias("__gid"), "rank_id", F.col("gid"), F.col("deg"))
+    by_rank = assignment.join(ids.select("__gid", "rank_id"), F.col("pivot") == F.col("__gid")).drop("pivot", "__gid").withColumnRenamed("rank_id", "pivot")
+    edges, lists = count.route_two_hop(index.ranked(graph, ids.select("gid", "deg", "rank_id")), by_rank)
+    hop = edges.groupBy("bin").agg(F.count(F.lit(1)).alias("edges"))
+    sent = lists.groupBy("bin").agg(F.sum(F.size("codes")).cast("long").alias("entries"))
+    rows = hop.join(sent, "bin", "full").select("bin", F.coalesce("edges", F.lit(0)).cast("long").alias("edges"), F.coalesce("entries", F.lit(0)).cast("long").alias("entries"))
     return rows.withColumn("bytes", F.col("edges") * 17 + F.col("entries") * 8)
 
 
@@ -93,13 +94,23 @@ def peak_memory() -> int:
     return resource.getrusage(resource.RUSAGE_SELF).ru_maxrss
 
 
-def shuffle_bytes(spark: SparkSession) -> int:
-    """Shuffle bytes written by all stages so far, from the status store."""
+def _stages(spark: SparkSession) -> list:
+    """What the status store knows of all stages so far."""
     store = spark.sparkContext._jsc.sc().statusStore()
     gateway = spark.sparkContext._gateway
     none = spark.sparkContext._jvm.java.util.ArrayList()
     stages = store.stageList(none, False, False, gateway.new_array(gateway.jvm.double, 0), none)
-    return sum(stages.apply(k).shuffleWriteBytes() for k in range(stages.size()))
+    return [stages.apply(k) for k in range(stages.size())]
+
+
+def shuffle_bytes(spark: SparkSession) -> int:
+    """Shuffle bytes written by all stages so far."""
+    return sum(x.shuffleWriteBytes() for x in _stages(spark))
+
+
+def jvm_peak_bytes(spark: SparkSession) -> int:
+    """The greatest execution memory that the tasks of one stage took in the JVM (never added to Python's)."""
+    return max((x.peakExecutionMemory() for x in _stages(spark)), default=0)
 
 
 def assert_exact(found: int, expected: int) -> None:

@@ -7,6 +7,7 @@ from pyspark.sql import functions as F
 
 from ..model import SignedGraph
 from . import measures
+from .index import in_order
 
 
 def lost_edges(old: SignedGraph, new: SignedGraph) -> DataFrame:
@@ -25,16 +26,27 @@ def changed_edges(old: SignedGraph, new: SignedGraph) -> DataFrame:
 
 
 def degree_ranks(graph: SignedGraph, tiles: int = 4) -> DataFrame:
-    """gid, deg, rank, dense_rank, tile within each side, by falling degree."""
-    w = Window.partitionBy("side").orderBy(F.desc("deg"), "gid")
-    by_deg = Window.partitionBy("side").orderBy(F.desc("deg"))
-    return graph.vertices.select("gid", "deg", F.rank().over(by_deg).alias("rank"), F.dense_rank().over(by_deg).alias("dense_rank"), F.ntile(tiles).over(w).alias("tile"))
+    """gid, deg, rank, dense_rank, tile within each side, by falling degree.
+
+    Ranks come from the table of distinct degrees (of a side with E edges, no more than the
+    root of 2 E), tiles from places in the whole order.
+    """
+    v = graph.vertices.select("gid", "side", "deg")
+    held = v.groupBy("side", "deg").agg(F.count(F.lit(1)).alias("n"))
+    down = Window.partitionBy("side").orderBy(F.desc("deg"))
+    ranks = held.select(F.col("side").alias("__side"), F.col("deg").alias("__deg"), (F.sum("n").over(down.rowsBetween(Window.unboundedPreceding, 0)) - F.col("n") + 1).cast("int").alias("rank"), F.row_number().over(down).alias("dense_rank"))
+    sides = held.groupBy(F.col("side").alias("__s")).agg(F.sum("n").alias("size"))  # two rows
+    sides = sides.select("__s", "size", F.coalesce(F.sum("size").over(Window.orderBy("__s").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("first"))
+    placed = in_order(v, ["side", "deg", "gid"], descending=("deg",)).join(F.broadcast(sides), F.col("side") == F.col("__s"))
+    at, small, wide = F.col("place") - F.col("first"), F.floor(F.col("size") / tiles), F.pmod(F.col("size"), F.lit(tiles))
+    tile = F.when(at < wide * (small + 1), F.floor(at / (small + 1))).otherwise(wide + F.floor((at - wide * (small + 1)) / F.greatest(small, F.lit(1)))) + 1
+    return placed.join(ranks, (F.col("side") == F.col("__side")) & (F.col("deg") == F.col("__deg"))).select("gid", "deg", "rank", "dense_rank", tile.cast("int").alias("tile"))
 
 
 def work_cdf(work: DataFrame) -> DataFrame:
     """pivot, load, running: loads summed up from the heaviest pivot on."""
-    w = Window.orderBy(F.desc("load"), "pivot").rowsBetween(Window.unboundedPreceding, 0)
-    return work.select("pivot", "load", F.sum("load").over(w).cast("long").alias("running"))
+    placed = in_order(work.select("pivot", "load"), ["load", "pivot"], ("load",), ("load",))
+    return placed.select("pivot", "load", F.col("sum_load").alias("running"))
 
 
 def degree_quantiles(graph: SignedGraph) -> DataFrame:
@@ -82,9 +94,8 @@ def interval_join(spans: DataFrame, points: DataFrame, bucket: str = "month") ->
     inside = asked.join(closed, "b").where("start <= at AND at < stop").groupBy("label").agg(F.count(F.lit(1)).alias("n"), F.sum(F.col("sign").cast("long")).alias("p"))
     started = spans.where("stop IS NULL").select(F.col("start").alias("t"), F.lit(None).cast("string").alias("label"), F.lit(1).alias("one"), F.col("sign").cast("long").alias("p"))
     marks = started.unionByName(points.select(F.col("at").alias("t"), "label", F.lit(0).alias("one"), F.lit(0).cast("long").alias("p")))
-    days = marks.groupBy("t", "label").agg(F.sum("one").alias("one"), F.sum("p").alias("p"))
-    w = Window.orderBy("t", F.col("label").isNotNull()).rowsBetween(Window.unboundedPreceding, 0)
-    open_ = days.withColumn("n2", F.sum("one").over(w)).withColumn("p2", F.sum("p").over(w)).where("label IS NOT NULL").select("label", "n2", "p2")
+    days = marks.groupBy("t", "label").agg(F.sum("one").cast("long").alias("one"), F.sum("p").cast("long").alias("p")).withColumn("asks", F.col("label").isNotNull())
+    open_ = in_order(days, ["t", "asks", "label"], ("one", "p")).where("asks").select("label", F.col("sum_one").alias("n2"), F.col("sum_p").alias("p2"))
     zero = lambda c: F.coalesce(F.col(c), F.lit(0))
     return open_.join(inside, "label", "left").select("label", (zero("n2") + zero("n")).cast("long").alias("edges"), (zero("p2") + zero("p")).cast("long").alias("positive"))
 

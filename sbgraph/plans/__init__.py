@@ -10,10 +10,17 @@ from pyspark.sql import functions as F
 from ..functions import choose2, total
 from ..model import SignedGraph
 from ..operators import count, index
+from ..schemas import TOTAL
 
-#: Bytes that the wedges of a plan may shuffle before it is refused.
+#: Bytes that a plan may shuffle before it is refused.
 SHUFFLE_BUDGET = 100 * 10**12
-WEDGE_BYTES = 8
+#: Bytes of a combined pair row, of an edge through all shuffles of the index, and of a list entry.
+PAIR_BYTES, EDGE_BYTES, ENTRY_BYTES = 24, 100, 8
+#: What the index's further stages cost before any row moves, as bytes (measured: about two
+#: seconds against wedges at some 10**9 bytes a second).
+STAGES = 2 * 10**9
+#: Wedges per edge from which the priority rule is looked at: only hubs on both sides bring it down.
+HUBS = 64
 
 
 @dataclass(frozen=True)
@@ -22,35 +29,46 @@ class PlanChoice:
     order: str
     wedges: int
     bins: int
+    bytes: int
 
 
 def plan_costs(graph: SignedGraph) -> DataFrame:
-    """One row: wedges with ends on U, with ends on V, and under the priority rule (degrees only)."""
-    sides = [graph.edges.groupBy(mid).agg(F.count(F.lit(1)).alias("d")).agg(total(choose2(F.col("d"))).cast("long").alias(name)) for mid, name in (("v", "u_ends"), ("u", "v_ends"))]
-    exact = index.workload(graph, "exact").agg(F.coalesce(F.sum("load"), F.lit(0)).cast("long").alias("priority"))
-    return sides[0].crossJoin(sides[1]).crossJoin(exact)  # one row each
+    """One row: edges, vertices, wedges with ends on U and with ends on V; degree sums only."""
+    n, pairs = F.count(F.lit(1)), total(choose2(F.col("d")))
+    side = lambda mid, *what: graph.edges.groupBy(mid).agg(n.alias("d")).agg(*what)
+    us = side("u", n.alias("n_u"), F.coalesce(F.sum("d"), F.lit(0)).alias("edges"), pairs.alias("v_ends"))
+    return us.crossJoin(side("v", n.alias("n_v"), pairs.alias("u_ends")))  # one row each
 
 
-def choose_plan(graph: SignedGraph, per_task: int = 200_000_000, budget: int = SHUFFLE_BUDGET) -> PlanChoice:
-    """The cheapest end side or priority order; refuses plans beyond the shuffle budget.
+def choose_plan(graph: SignedGraph, per_task: int = 200_000_000, budget: int = SHUFFLE_BUDGET, tasks: int | None = None) -> PlanChoice:
+    """The method and order that move the fewest bytes; raises beyond the shuffle budget.
 
-    Many wedges per pair of ends favour combining them before the shuffle; few of them
-    favour moving the neighbourhoods once and counting in place.
+    Ends on one side need no index, so they win ties against the priority rule, whose wedges
+    are at most the sum of the smaller degrees over the edges.  Wedges combine by pair of ends
+    in every task before they move; the pivot-partitioned counter moves lists instead, behind
+    an index.
     """
-    costs = plan_costs(graph).first().asDict()
-    order = min(("priority", "v_ends", "u_ends"), key=lambda k: (costs[k], k != "priority"))
-    n_u, n_v = graph.edges.agg(F.approx_count_distinct("u"), F.approx_count_distinct("v")).first()
-    ends = {"u_ends": n_u, "v_ends": n_v, "priority": min(n_u, n_v)}[order]
-    dense = costs[order] > 4 * max(1, ends * (ends - 1) // 2)
-    if costs[order] * WEDGE_BYTES > budget and not dense:
-        raise ValueError(f"{costs[order]} wedges pass the shuffle budget of {budget} bytes")
-    return PlanChoice("wedge_agg" if dense else "pivot_local", {"u_ends": "U", "v_ends": "V"}.get(order, order), costs[order], max(8, -(-costs[order] // per_task)))
+    c = {k: int(v) for k, v in plan_costs(graph).first().asDict().items()}
+    tasks = tasks or int(graph.spark.conf.get("spark.sql.shuffle.partitions"))
+    order, wedges, ends = min((("V", c["v_ends"], c["n_v"]), ("U", c["u_ends"], c["n_u"])), key=lambda x: x[1])
+    if wedges > HUBS * max(1, c["edges"]):
+        least = int(index.orient(graph).agg(F.coalesce(F.sum("lo_deg"), F.lit(0))).first()[0])
+        if least < wedges:
+            order, wedges, ends = "priority", least, max(c["n_u"], c["n_v"])
+    bins = max(8, -(-wedges // per_task))
+    combined = PAIR_BYTES * min(wedges, tasks * (ends * (ends - 1) // 2)) + (EDGE_BYTES * c["edges"] if order == "priority" else 0)
+    local = STAGES + EDGE_BYTES * c["edges"] + ENTRY_BYTES * min(wedges, 2 * bins * c["edges"])
+    method, moved = ("wedge_agg", combined) if combined <= local else ("pivot_local", local)
+    if moved > budget:
+        raise ValueError(f"the cheapest plan moves {moved} bytes, more than the budget of {budget}")
+    return PlanChoice(method, order if method == "wedge_agg" else "priority", wedges, bins, moved)
 
 
 def count_auto(graph: SignedGraph) -> DataFrame:
-    """The balanced total by the chosen plan."""
-    graph = graph.cached()  # the costs and the count both read the edges
-    plan = choose_plan(graph)
-    if plan.method == "wedge_agg":
-        return count.count_wedge_agg(graph, plan.order)
-    return count.count_pivot_local(graph, bins=plan.bins, workload="restricted", form="arrow")
+    """The balanced total by the chosen plan, run at once."""
+    held = graph.cached()  # the costs and the count both read the edges
+    plan = choose_plan(held)
+    rows = count.count_wedge_agg(held, plan.order) if plan.method == "wedge_agg" else count.count_pivot_local(held, bins=plan.bins, workload="restricted", form="arrow")
+    found = rows.first()["balanced"]
+    held.edges.unpersist()
+    return graph.spark.createDataFrame([(found,)], f"balanced {TOTAL}")

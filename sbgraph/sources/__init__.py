@@ -2,6 +2,9 @@
 
 from __future__ import annotations
 
+import tempfile
+from collections.abc import Callable
+
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
@@ -63,7 +66,40 @@ def noop(rows: DataFrame) -> None:
     rows.write.format("noop").mode("overwrite").save()
 
 
-def ingest_audit(edges: DataFrame) -> DataFrame:
-    """One row: rows, key checksum, partitions and the largest partition."""
-    per = edges.groupBy(F.spark_partition_id().alias("p")).agg(F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("u", "v", "sign").cast("decimal(38,0)")).alias("h"))
-    return per.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n_rows"), F.sum("h").cast("string").alias("checksum"), F.count(F.lit(1)).alias("partitions"), F.max("n").alias("largest"))
+def cut(rows: DataFrame) -> DataFrame:
+    """Rows behind a checkpoint, in the folder that the session names (loops and drawn ranges need one).
+
+    They are held while the checkpoint is written, which would compute them twice otherwise.
+    """
+    context = rows.sparkSession.sparkContext
+    if not context._jsc.sc().getCheckpointDir().isDefined():
+        folder = rows.sparkSession.conf.get("spark.checkpoint.dir", None)
+        if not folder and not context.master.startswith("local["):
+            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+        context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="checkpoints_"))
+    held = rows.persist()
+    done = held.checkpoint()
+    held.unpersist()
+    return done
+
+
+def ingest_audit(rows: DataFrame, columns: tuple[str, ...] = ("u", "v", "sign")) -> DataFrame:
+    """One row over rows as they are read: rows, key checksum, files, partitions, the largest partition.
+
+    The checksum is the sum of a hash of the columns, the same for any order and dealing.
+    """
+    mark = F.conv(F.substring(F.md5(F.concat_ws("|", *(F.coalesce(F.col(c).cast("string"), F.lit("")) for c in columns))), 1, 12), 16, 10).cast("decimal(38,0)")
+    per = rows.groupBy(F.spark_partition_id().alias("p"), F.input_file_name().alias("f")).agg(F.count(F.lit(1)).alias("n"), F.sum(mark).alias("h"))
+    sums = per.groupBy("p").agg(F.sum("n").alias("n"), F.sum("h").alias("h"), F.collect_set("f").alias("f"))
+    files = F.size(F.array_distinct(F.flatten(F.collect_set(F.filter("f", lambda x: x != "")))))
+    return sums.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n_rows"), F.coalesce(F.sum("h").cast("string"), F.lit("0")).alias("checksum"), files.cast("long").alias("files"), F.count(F.lit(1)).alias("partitions"), F.max("n").alias("largest"))
+
+
+def to_console(rows: DataFrame, mode: str = "update"):
+    """A stream's rows printed by the driver, until what is there is read."""
+    return rows.writeStream.format("console").outputMode(mode).trigger(availableNow=True).start()
+
+
+def for_each_batch(rows: DataFrame, merge: Callable[[DataFrame, int], None], folder: str, mode: str = "append"):
+    """A stream whose batches are merged by a function of (batch, number); progress is kept in ``folder``."""
+    return rows.writeStream.foreachBatch(merge).outputMode(mode).option("checkpointLocation", folder).trigger(availableNow=True).start()

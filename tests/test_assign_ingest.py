@@ -25,7 +25,10 @@ def test_assigners_cover_all_pivots(spark):
         rows = f(work, 4).collect()
         assert sorted(r["pivot"] for r in rows) == list(range(50)) and {r["bin"] for r in rows} <= set(range(4))
     assert assign.assignment_stats(assign.assign_lpt(work, 4), 4).first()["ratio"] < 1.1
-    assert assign.assign_lpt(work, 4, cap=10).count() == 50
+    with pytest.raises(ValueError, match="lpt_scalable"):
+        assign.assign_lpt(work, 4, cap=10)
+    hot = assign.split_hot(spark.createDataFrame([(1, 0, 100)], assign.ASSIGNMENT), 4, 10)
+    assert hot.count() == 10 and hot.agg(F.max("load")).first()[0] <= 10 and {r["bin"] for r in hot.collect()} == {0, 1, 2, 3}
     cut = assign.split_hot(work.withColumn("bin", F.lit(1)).select("pivot", "bin", "load"), 4, 2)
     assert cut.groupBy("pivot").agg(F.count(F.lit(1)).alias("n"), F.max("shards").alias("s")).where("n <> s").count() == 0
 
@@ -72,7 +75,9 @@ def test_text_source_and_audit(spark, tmp_path):
     (tmp_path / "e.txt").write_text("# c\n% c\n1 2 1\n3\t4 0\n\n")
     e = sources.read_edges(spark, str(tmp_path / "e.txt"), "text")
     assert sorted(map(tuple, e.collect())) == [(1, 2, 1), (3, 4, 0)]
-    assert sources.ingest_audit(e).first()["n_rows"] == 2
+    audit = sources.ingest_audit(e).first()
+    assert (audit["n_rows"], audit["files"]) == (2, 1)
+    assert audit["checksum"] == sources.ingest_audit(e.repartition(3)).first()["checksum"] != sources.ingest_audit(e.limit(1)).first()["checksum"]
 
 
 def test_bucketed_table(spark):
@@ -101,7 +106,18 @@ def test_breakdown_and_scalars(spark, sf):
     assert per.agg(F.sum("balanced")).first()[0] == 690
     assert round(metrics.improvement_pct(5.673, 2.895), 2) == 48.97
     assert metrics.peak_memory() > 0 and metrics.throughput(10, 2) == 5
-    assert metrics.shuffle_bytes(spark) > 0
+    assert metrics.shuffle_bytes(spark) > 0 and metrics.jvm_peak_bytes(spark) >= 0
+
+
+def test_order_by_ranges(spark):
+    rows = spark.createDataFrame([((7 * k) % 101, k % 5) for k in range(101)], "k long, x long").repartition(7)
+    got = index.in_order(rows, ["x", "k"], ("k",), ("x",), 6).collect()
+    wanted, running = sorted(((r["k"], r["x"]) for r in got), key=lambda r: (-r[1], r[0])), 0
+    by_place = {r["place"]: r for r in got}
+    for place, (k, x) in enumerate(wanted):
+        running += k
+        assert (by_place[place]["k"], by_place[place]["x"], by_place[place]["sum_k"]) == (k, x, running)
+    assert index.in_order(rows.limit(0), ["k"]).count() == 0
 
 
 def test_sql_surface(spark):

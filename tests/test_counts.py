@@ -4,7 +4,9 @@ from __future__ import annotations
 
 import itertools
 import random
+from collections import Counter
 
+import numpy as np
 import pytest
 
 from sbgraph import graphs, plans
@@ -138,11 +140,93 @@ def test_validation(spark):
 
 
 def test_nothing_moves_behind_the_placement(spark):
+    ready = count.prepare(from_rows(spark, CASES["random1"]), 4, "hash")
+    edges, lists = count.route_two_hop(ready.ranked, ready.assignment)
+    plan = count.bins_sql(edges, lists, 4)._jdf.queryExecution().executedPlan().toString()
+    ready.release()
+    before = plan.split("shufflepartitionidpassthrough")[0]
+    assert "Exchange hashpartitioning" not in before and plan.count("shufflepartitionidpassthrough") >= 2  # edges and lists meet as placed
+
+
+def test_a_list_goes_to_a_bin_once(spark):
+    for bins in (1, 3):
+        ready = count.prepare(from_rows(spark, CASES["random2"]), bins)
+        _, lists = count.route_two_hop(ready.ranked, ready.assignment)
+        held = lists.groupBy("bin", "mid").count().agg({"count": "max"}).first()[0]
+        ready.release()
+        assert held == 1
+
+
+@pytest.mark.parametrize("piece", [1, 5, 1 << 20])
+def test_pieces_of_any_size(piece):
+    """The kernel against plain counting, with lists in several segments and split pivots."""
+    r = np.random.default_rng(7)
+    mids = np.repeat(np.arange(12), 2)
+    ends = [np.unique(r.integers(0, 40, 9)) for _ in mids]
+    own = [np.unique(np.concatenate(ends[2 * k : 2 * k + 2])) for k in range(12)]
+    signs = [r.integers(0, 2, len(o)) for o in own]
+    halves = [(k, own[k][h::2], signs[k][h::2]) for k in range(12) for h in (0, 1)]
+    size = np.array([len(h[1]) for h in halves])
+    stop = np.cumsum(size)
+    lists = count.Lists(np.array([h[0] for h in halves]), stop - size, stop, np.concatenate([h[1] << 1 | h[2] for h in halves]))
+    pivot = np.sort(r.integers(12, 42, 80))
+    mid, sign = r.integers(0, 14, 80), r.integers(0, 2, 80)
+    wanted, wedges = Counter(), 0
+    for p, m, s in zip(pivot.tolist(), mid.tolist(), sign.tolist(), strict=True):
+        for e, t in zip(own[m].tolist(), signs[m].tolist(), strict=True) if m < 12 else ():
+            if e < p:
+                wanted[p, e, s == t] += 1
+                wedges += 1
+    total = sum(n * (n - 1) // 2 for n in wanted.values())
+    one = np.ones(80, np.int64)
+    assert count.count_edges(lists, pivot, mid, sign, one * 0, one, piece) == (total, wedges)
+    parts = [count.count_edges(lists, pivot, mid, sign, one * k, one * 3, piece) for k in range(3)]
+    assert tuple(map(sum, zip(*parts, strict=True))) == (total, wedges)
+
+
+def test_large_codes_are_sorted_by_two_keys():
+    pivot, code = np.array([5, 5, 5, 9, 9]), np.array([1 << 61, 3, 1 << 61, 3, 3])
+    assert [x.tolist() for x in count._tally(pivot, code)] == [[5, 5, 9], [3, 1 << 61, 3], [1, 2, 2]]
+
+
+def test_totals_are_decimals(spark):
     g = from_rows(spark, CASES["random1"])
-    rows = count.route_two_hop(index.orient(g), assign.assign_hash(index.workload(g), 4))
-    plan = count.bins_sql(rows, 4, 2)._jdf.queryExecution().executedPlan().toString()
-    before = plan.split("Generate explode")[0]
-    assert before.count("Exchange") == 1  # only the sum over a bin's sub-bins, below it nothing up to the placement
+    for d in (count.count_wedge_agg(g), count.count_pivot_local(g, 2), count.count_serial(g), plans.count_auto(g)):
+        assert dict(d.dtypes)["balanced"] == "decimal(38,0)"
+
+
+def test_plans(spark):
+    g = from_rows(spark, CASES["random2"])
+    plan = plans.choose_plan(g)
+    assert plan.method == "wedge_agg" and plan.order in ("U", "V")
+    with pytest.raises(ValueError, match="budget"):
+        plans.choose_plan(g, budget=1)
+
+
+def peel(rows, weight):
+    """Tip or wing numbers by taking the least member away, one at a time."""
+    left, level, out = set(rows), 0, {}
+    while left:
+        counts = {x: weight(x, left) for x in left}
+        level = max(level, min(counts.values()))
+        x = min(left, key=lambda y: (counts[y], y))
+        out[x] = level
+        left.remove(x)
+    return out
+
+
+@pytest.mark.parametrize("name", ["random1", "hub", "one_edge"])
+def test_tips_and_wings_against_peeling(spark, name):
+    rows = CASES[name]
+    g = from_rows(spark, rows)
+    for side, at in (("U", 0), ("V", 1)):
+        def own(x, left, at=at):
+            return brute([r for r in rows if r[at] in left])[1] - brute([r for r in rows if r[at] in left and r[at] != x])[1]
+
+        assert {r["key"]: r["tip"] for r in measures.tip_decomposition(g, side).collect()} == peel({r[at] for r in rows}, own)
+    if len(rows) < 30:
+        wings = peel(rows, lambda x, left: brute(left)[1] - brute(left - {x})[1])
+        assert {(r["u"], r["v"]): r["wing"] for r in measures.wing_decomposition(g).collect()} == {(u, v): w for (u, v, _), w in wings.items()}
 
 
 def test_local_counters_are_guarded(spark):
