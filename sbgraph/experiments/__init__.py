@@ -9,6 +9,7 @@ import time
 from collections.abc import Iterable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from .. import graphs
 from ..ingest import sign_sweep
@@ -19,6 +20,11 @@ from ..schemas import RESULT
 #: Bins of the twelve configurations; bins times threads stay near one number.
 CONFIGS = (1, 2, 3, 4, 6, 8, 12, 16, 24, 32, 48, 64)
 UNITS = 12
+ALL_GRAPHS = ("g1", "g2", "g3", "g4", "g5", "g6", "g7", "g8")
+#: Metrics that do not depend on the machine or the moment.
+DETERMINISTIC = ("balanced", "total", "wasted", "sum_min", "over_limit", "straggler_wedges", "bytes", "ratio", "symmetric", "asymmetric", "max_tip", "max_wing")
+#: No pivot is split: per-bin work is that of the assignment alone.
+WHOLE = 1 << 62
 
 
 class Rows:
@@ -48,7 +54,7 @@ def _timed(rows: DataFrame) -> tuple[tuple, float]:
     return found, time.perf_counter() - began
 
 
-def profile_table(spark: SparkSession, sf: str, names=("g1", "g2", "g3", "g4", "g5", "g6", "g7")) -> DataFrame:
+def profile_table(spark: SparkSession, sf: str, names=ALL_GRAPHS) -> DataFrame:
     """The dataset table."""
     out = Rows(spark, "profile_table")
     for name, graph in _held(spark, sf, names):
@@ -57,17 +63,21 @@ def profile_table(spark: SparkSession, sf: str, names=("g1", "g2", "g3", "g4", "
     return out.frame()
 
 
-def compare_counters(spark: SparkSession, sf: str, names=("g1", "g3", "g5", "g6"), threads: int = 8, serial_limit: int = 30_000_000) -> DataFrame:
+def compare_counters(spark: SparkSession, sf: str, names=ALL_GRAPHS[:7], threads: int = 8, serial_limit: int = 30_000_000) -> DataFrame:
     """Serial, shared-memory and pivot-partitioned counters: count seconds and speed-ups."""
     out = Rows(spark, "compare_counters")
     for name, graph in _held(spark, sf, names):
         work = index.work_bounds(graph).first()["sum_min"]
-        secs = {}
+        secs, found = {}, {}
         if work <= serial_limit:
-            _, secs["serial"] = _timed(count.count_serial(graph))
-        _, secs["shared"] = _timed(count.count_shared(graph, threads))
-        _, timer, _ = metrics.run_with_breakdown(graph, threads, 1, workload="restricted")
+            found["serial"], secs["serial"] = _timed(count.count_serial(graph))
+        else:
+            out.add(name, "serial", "over_limit", work)
+        found["shared"], secs["shared"] = _timed(count.count_shared(graph, threads))
+        found["pivot_local"], timer, _ = metrics.run_with_breakdown(graph, threads, 1, workload="restricted")
         secs["pivot_local"] = timer.seconds["count"]
+        for method, n in found.items():
+            out.add(name, method, "balanced", n if method == "pivot_local" else n["balanced"])
         for method, s in secs.items():
             out.add(name, method, "seconds", s)
             out.add(name, method, "speedup", s / secs["pivot_local"])
@@ -75,7 +85,7 @@ def compare_counters(spark: SparkSession, sf: str, names=("g1", "g3", "g5", "g6"
     return out.frame()
 
 
-def compare_baseline(spark: SparkSession, sf: str, names=("g3", "g5", "g6"), limit: int = 100_000_000) -> DataFrame:
+def compare_baseline(spark: SparkSession, sf: str, names=("g1", "g2", "g3", "g5", "g6"), limit: int = 100_000_000) -> DataFrame:
     """Pivot-partitioned against the sign-blind counter; beyond ``limit`` butterflies the latter is not run."""
     out = Rows(spark, "compare_baseline")
     for name, graph in _held(spark, sf, names):
@@ -89,7 +99,7 @@ def compare_baseline(spark: SparkSession, sf: str, names=("g3", "g5", "g6"), lim
             out.add(name, "signblind", "over_limit", total)
             continue
         row, seconds = _timed(count.count_signblind(graph))
-        out.add(name, "signblind", "total_seconds", seconds)
+        out.add(name, "signblind", "count_seconds", seconds)  # the edges are held, as they are for the other
         for metric in ("total", "balanced", "wasted"):
             out.add(name, "signblind", metric, row[metric])
     return out.frame()
@@ -112,6 +122,7 @@ def phase_breakdown(spark: SparkSession, sf: str, names=("g1", "g3", "g6"), conf
             out.add(name, config, "straggler_time", metrics.straggler_ratio(per, "nanos"))
             out.add(name, config, "straggler_wedges", metrics.straggler_ratio(per, "wedges"))
             out.add(name, config, "peak_kb", per.agg({"peak_kb": "max"}).first()[0])
+            out.add(name, config, "jvm_peak_bytes", metrics.jvm_peak_bytes(spark))
     return out.frame()
 
 
@@ -120,22 +131,25 @@ def straggler_grid(spark: SparkSession, sf: str, names=("g1", "g3", "g6"), confi
     out = Rows(spark, "straggler_grid")
     for name, graph in _held(spark, sf, names):
         for bins in configs:
-            per = count.count_pivot_local(graph, bins, 1, workload=workload, return_="bins")
+            per = count.count_pivot_local(graph, bins, 1, workload=workload, return_="bins", max_load=WHOLE)
             out.add(name, str(bins), "straggler_wedges", metrics.straggler_ratio(per, "wedges"))
     return out.frame()
 
 
 def volume_vs_bins(spark: SparkSession, sf: str, names=("g1", "g6"), configs=CONFIGS) -> DataFrame:
-    """Bytes received by all bins; grows with their number."""
+    """Bytes that the counter sends to all bins, and the shuffle bytes of a run; both grow with the bins."""
     out = Rows(spark, "volume_vs_bins")
     for name, graph in _held(spark, sf, names):
         for bins in configs:
             held = assign.assign_lpt(index.workload(graph), bins)
             out.add(name, str(bins), "bytes", metrics.exchange_volume(graph, held).agg({"bytes": "sum"}).first()[0])
+            before = metrics.shuffle_bytes(spark)
+            count.count_pivot_local(graph, bins, 1, "lpt", form="arrow", max_load=WHOLE)
+            out.add(name, str(bins), "shuffle_bytes", metrics.shuffle_bytes(spark) - before)
     return out.frame()
 
 
-def executor_scaling(spark: SparkSession, sf: str, name: str = "g1", executors=(1, 2, 4), memory_mb: int = 1024) -> DataFrame:
+def executor_scaling(spark: SparkSession, sf: str, name: str = "g1", executors=(1, 2, 4), memory_mb: int = 1024, limit_s: int = 900) -> DataFrame:
     """Count seconds on local clusters of one-core executors (one host: loopback network only)."""
     out = Rows(spark, "executor_scaling")
     code = (
@@ -143,15 +157,21 @@ def executor_scaling(spark: SparkSession, sf: str, name: str = "g1", executors=(
         "k,sf,name,mb=int(sys.argv[1]),sys.argv[2],sys.argv[3],sys.argv[4]\n"
         "s=SparkSession.builder.master(f'local-cluster[{k},1,{mb}]').config('spark.executor.memory',mb+'m').config('spark.ui.enabled','false').config('spark.sql.shuffle.partitions','8').getOrCreate()\n"
         "from sbgraph import graphs\nfrom sbgraph.operators import metrics\n"
-        "found,timer,_=metrics.run_with_breakdown(graphs.build(s,sf,name),8,1)\n"
-        "print('RESULT',found,timer.seconds['exchange'],timer.seconds['count'])\n"
+        "found,timer,per=metrics.run_with_breakdown(graphs.build(s,sf,name),8,1)\n"
+        "print('RESULT',found,timer.seconds['exchange'],timer.seconds['count'],metrics.shuffle_bytes(s),per.agg({'peak_kb':'max'}).first()[0],metrics.jvm_peak_bytes(s))\n"
     )
+    names = ("balanced", "exchange_seconds", "count_seconds", "shuffle_bytes", "peak_kb", "jvm_peak_bytes")
     for k in executors:
-        run = subprocess.run([sys.executable, "-c", code, str(k), sf, name, str(memory_mb)], capture_output=True, text=True, timeout=900, check=False)
-        line = next((x for x in run.stdout.splitlines() if x.startswith("RESULT")), None)
-        if line:
-            for metric, value in zip(("balanced", "exchange_seconds", "count_seconds"), line.split()[1:], strict=True):
-                out.add(name, f"loopback_{k}", metric, float(value))
+        try:
+            run = subprocess.run([sys.executable, "-c", code, str(k), sf, name, str(memory_mb)], capture_output=True, text=True, timeout=limit_s, check=False)
+            line = next((x for x in run.stdout.splitlines() if x.startswith("RESULT")), None)
+        except subprocess.TimeoutExpired:
+            line = None
+        if line is None:  # the run stays in the table
+            out.add(name, f"loopback_{k}", "failed", None)
+            continue
+        for metric, value in zip(names, line.split()[1:], strict=True):
+            out.add(name, f"loopback_{k}", metric, float(value))
     return out.frame()
 
 
@@ -173,7 +193,7 @@ def partitioning_ablation(spark: SparkSession, sf: str, names=("g1", "g3", "g6")
     for name, graph in _held(spark, sf, names):
         ratios = {}
         for config, assigner, work in (("blocks", "blocks", "full"), ("lpt_full", "lpt", "full"), ("lpt_restricted", "lpt", "restricted"), ("lpt_exact", "lpt", "exact")):
-            per = count.count_pivot_local(graph, bins, 1, assigner, work, return_="bins")
+            per = count.count_pivot_local(graph, bins, 1, assigner, work, return_="bins", max_load=WHOLE)
             ratios[config] = metrics.straggler_ratio(per, "wedges") or math.inf
             out.add(name, config, "straggler_wedges", ratios[config])
             if math.isfinite(ratios["blocks"]):
@@ -181,6 +201,11 @@ def partitioning_ablation(spark: SparkSession, sf: str, names=("g1", "g3", "g6")
     return out.frame()
 
 
+def deterministic(rows: DataFrame) -> DataFrame:
+    """What of an experiment's result does not depend on the machine."""
+    return rows.where(F.col("metric").isin(*DETERMINISTIC))
+
+
 def sign_distribution(spark: SparkSession, sf: str, names=("g1", "g3"), neg_pcts=(10, 30, 50, 70, 90)) -> DataFrame:
     """Seconds and counts over the share of negative edges; time stays flat, counts vary."""
     out = Rows(spark, "sign_distribution")
@@ -219,7 +244,7 @@ def worked_examples(spark: SparkSession, sf: str = "") -> DataFrame:
     return out.frame()
 
 
-def applications(spark: SparkSession, sf: str, names=("g5",)) -> DataFrame:
+def applications(spark: SparkSession, sf: str, names=("g5", "g6")) -> DataFrame:
     """Class splits by end side, and the greatest tip and wing numbers."""
     out = Rows(spark, "applications")
     chosen = [("w2", graphs.worked(spark, "w2")), *_held(spark, sf, names)]

@@ -77,14 +77,17 @@ def random_signs(graph: SignedGraph, neg_pct: int = 30, seed: int = 42) -> Signe
     return SignedGraph(sign_random(graph.edges, neg_pct, seed).select("u", "v", "sign"), f"{graph.name}_neg{neg_pct}")
 
 
+#: The edges of the worked graph of tips and wings.
+W2 = [(ord(e[0]) - 96, int(e[1]), int(e[2] == "+")) for e in "a1- a2+ b1- b2+ c1- c2+ c3- c4- d3- d4- d5+ d6- e5+ e6- f5+ f6- g6+".split()]
+
+
 def worked(spark: SparkSession, name: str) -> SignedGraph:
     """Worked graphs w1 (users and products), w2 (tips and wings), w3 (one butterfly), w4, w5 (single butterflies side by side)."""
     if name == "w1":
         signs = ["+++-", "++++", "-+++", "--++"]
         rows = [(u, v, int(c == "+")) for u, line in enumerate(signs, 1) for v, c in enumerate(line, 1)]
     elif name == "w2":
-        given = "a1- a2+ b1- b2+ c1- c2+ c3- c4- d3- d4- d5+ d6- e5+ e6- f5+ f6- g6+"
-        rows = [(ord(e[0]) - 96, int(e[1]), int(e[2] == "+")) for e in given.split()]
+        rows = W2
     elif name == "w3":
         rows = [(2, 5, 0), (2, 8, 0), (7, 5, 0), (7, 8, 0)]
     else:

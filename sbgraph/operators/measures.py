@@ -4,7 +4,7 @@ from __future__ import annotations
 
 import itertools
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..functions import choose2, gid, total
@@ -100,24 +100,22 @@ def tip_decomposition(graph: SignedGraph, side: str = "U") -> DataFrame:
     each have k balanced butterflies inside the set.
 
     The butterflies of two vertices of a side do not change while others of that side go,
-    so this is a weighted core decomposition of the pair graph.
+    so this is a weighted core decomposition of the pair graph.  Every vertex starts at all its
+    butterflies and falls to the greatest k for which those shared with vertices at k or
+    above are k at least, until none falls: far fewer rounds than there are tip numbers.
     """
     w = count.pairs(graph, side).select(F.col("end").alias("a"), F.col("pivot").alias("b"), (choose2(F.col("b1")) + choose2(F.col("b2"))).alias("n")).where("n > 0")
-    now = cut(w.unionByName(w.select(F.col("b").alias("a"), F.col("a").alias("b"), "n")))
+    near = cut(w.unionByName(w.select(F.col("b").alias("a"), F.col("a").alias("b"), "n")))
     everyone = graph.edges.select(gid(F.col(side.lower()), 0 if side == "U" else 1).alias("a")).distinct()
-    left, done, level = cut(everyone), None, 0
-    for turn in itertools.count(1):  # ends with the last vertex
-        held = left.join(now.groupBy("a").agg(F.sum("n").alias("n")), "a", "left").select("a", F.coalesce("n", F.lit(0)).alias("n"))
-        least = held.agg(F.min("n")).first()[0]
-        if least is None:
-            break
-        level = max(level, int(least))
-        gone = cut(held.where(F.col("n") <= level).select("a"))
-        named = gone.select(F.shiftright("a", 1).alias("key"), F.lit(level).cast("long").alias("tip"))
-        done = _gather(done, named, turn)
-        left = cut(left.join(gone, "a", "left_anti"))
-        now = cut(now.join(gone, "a", "left_anti").join(gone.withColumnRenamed("a", "b"), "b", "left_anti").select("a", "b", "n"))
-    return everyone.select(F.col("a").alias("key"), F.col("a").alias("tip")) if done is None else done
+    now = cut(everyone.join(near.groupBy("a").agg(F.sum("n").alias("tip")), "a", "left").select("a", F.coalesce("tip", F.lit(0)).cast("long").alias("tip")))
+    falling = Window.partitionBy("a").orderBy(F.desc("at")).rowsBetween(Window.unboundedPreceding, 0)
+    while True:  # tips only fall, so this ends
+        levels = near.join(now.select(F.col("a").alias("b"), F.col("tip").alias("at")), "b").groupBy("a", "at").agg(F.sum("n").alias("n"))
+        held = levels.select("a", F.least("at", F.sum("n").over(falling)).alias("k")).groupBy("a").agg(F.max("k").alias("k"))
+        fresh = cut(now.join(held, "a", "left").select("a", F.coalesce("k", F.lit(0)).cast("long").alias("tip"), (F.col("tip") != F.coalesce("k", F.lit(0))).alias("fell")))
+        now = fresh.select("a", "tip")
+        if fresh.where("fell").isEmpty():
+            return now.select(F.shiftright("a", 1).alias("key"), "tip")
 
 
 def wing_decomposition(graph: SignedGraph) -> DataFrame:

@@ -13,9 +13,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import experiments, graphs, ingest, plans, streaming
-from .functions import choose2, total
+from .functions import GOLDEN, PRIME, choose2, owner, total
 from .model import SignedGraph
 from .operators import assign, count, index, measures, metrics, relational
+from .schemas import TOTAL
 from .sources import ingest_audit, table
 
 Query = Callable[[SparkSession, str], DataFrame]
@@ -33,6 +34,8 @@ _RAW = {
 
 def _ctes(g: str) -> str:
     """``raw`` (interactions) and ``e`` (edges) of a graph."""
+    if g.startswith("w"):  # given inline by the caller
+        return "given AS (SELECT 1)"
     if g == "g7":
         return "e AS (SELECT vec_id AS u, i - 1 AS v, CASE WHEN embedding[i] >= 0 THEN 1 ELSE 0 END AS sign FROM embeddings, range(1, 65) t(i))"
     if g == "g8":
@@ -64,13 +67,40 @@ def _bbf(g: str) -> str:
     return f"WITH {_ctes(g)}, {_pairs('U' if g == 'g8' else 'V')} SELECT {_sum(_BAL, 'balanced')} FROM q"
 
 
+def _narrow(rows: DataFrame) -> DataFrame:
+    """Decimal totals as longs, for comparison: these tables' totals fit."""
+    return rows.select(*[F.col(c).cast("long").alias(c) if t == TOTAL else F.col(c) for c, t in rows.dtypes])
+
+
+#: No pivot is split: per-bin rows are those of the assignment alone.
+WHOLE = experiments.WHOLE
+
+
+def _owner(x: str, parts: int) -> str:
+    return f"CAST((({x}) % {PRIME} * {GOLDEN} % {PRIME}) * {parts} // {PRIME} AS INT)"
+
+
+def _greedy(source: str, bins: int, out: str) -> str:
+    """Tables that pack (unit, load) of ``source`` as the greedy assigner does: ``out`` has unit and bin."""
+    best = "list_position(r.sums, list_min(r.sums))"
+    return f"""{out}_s AS (SELECT *, row_number() OVER (ORDER BY load DESC, unit) AS i FROM {source}),
+{out}_r AS (SELECT CAST(0 AS BIGINT) AS i, CAST(0 AS BIGINT) AS unit, 0 AS bin, CAST(list_transform(range({bins}), lambda x: 0) AS BIGINT[]) AS sums UNION ALL
+SELECT s.i, s.unit, CAST({best} - 1 AS INT), list_transform(r.sums, lambda x, j: CASE WHEN j = {best} THEN x + s.load ELSE x END) FROM {out}_r r JOIN {out}_s s ON s.i = r.i + 1),
+{out} AS (SELECT unit, bin FROM {out}_r WHERE i > 0)"""
+
+
+def _melt(experiment: str, graph: str, config: str, sql: str, metrics_: tuple[str, ...]) -> str:
+    """Rows of an experiment from the columns of one row."""
+    return "SELECT '{}' AS experiment, '{}' AS graph, '{}' AS config, unnest([{}]) AS metric, unnest([{}]) AS value FROM ({})".format(experiment, graph, config, ", ".join(f"'{m}'" for m in metrics_), ", ".join(f'CAST("{m}" AS DOUBLE)' for m in metrics_), sql)
+
+
 class _Registry:
     def __init__(self) -> None:
         self.queries: dict[str, Query] = {}
         self.sql: dict[str, str] = {}
 
     def add(self, name: str, query: Query, sql: str | None = None) -> None:
-        self.queries[name] = query
+        self.queries[name] = lambda spark, sf: _narrow(query(spark, sf))
         if sql:
             self.sql[name] = re.sub(r"\bpivot\b", '"pivot"', sql)  # a keyword in DuckDB
 
@@ -82,6 +112,7 @@ def _on(g: str, f: Callable[[SignedGraph], DataFrame]) -> Query:
 def _edges(r: _Registry) -> None:
     for g in ALL:
         r.add(f"edges_{g}", _on(g, lambda x: x.edges.select("u", "v", F.col("sign").cast("int").alias("sign"))), f"WITH {_ctes(g)} SELECT CAST(u AS BIGINT) AS u, CAST(v AS BIGINT) AS v, CAST(sign AS INT) AS sign FROM e")
+        r.add(f"unsigned_{g}", _on(g, ingest.as_unsigned), f"WITH {_ctes(g)} SELECT CAST(u AS BIGINT) AS u, CAST(v AS BIGINT) AS v FROM e")
         wedge = lambda mid, name: f"(SELECT {_sum('d * (d - 1) // 2', name)} FROM (SELECT count(*) AS d FROM e GROUP BY {mid}))"
         r.add(
             f"profile_{g}",
@@ -134,6 +165,8 @@ def _index(r: _Registry) -> None:
         base = f"WITH {_ctes(g)}, {_PRIO}"
         r.add(f"degree_{g}", _on(g, index.degrees), f"{base} SELECT gid, deg FROM d")
         r.add(f"priority_{g}", _on(g, lambda x: index.compact_ids(index.degrees(x)).select("gid", "rank_id")), f"{base} SELECT gid, row_number() OVER (ORDER BY deg, gid) - 1 AS rank_id FROM d")
+        r.add(f"owner_{g}", _on(g, lambda x: index.degrees(x).select("gid", owner(F.col("gid"), 16).alias("owner"))), f"{base} SELECT gid, {_owner('gid', 16)} AS owner FROM d")
+        r.add(f"compact_hash_{g}", _on(g, lambda x: index.compact_ids(index.degrees(x), "hash", 16).select("gid", "rank_id")), f"{base} SELECT gid, row_number() OVER (ORDER BY {_owner('gid', 16)}, gid) - 1 AS rank_id FROM d")
         r.add(f"oriented_{g}", _on(g, lambda x: index.orient(x).select("hi", "lo", F.col("sign").cast("int").alias("sign"))), f"{base} SELECT hi, lo, CAST(sign AS INT) AS sign FROM o")
         r.add(f"workload_full_{g}", _on(g, index.workload), f"{base} SELECT pivot, CAST(sum(l) AS BIGINT) AS load FROM (SELECT gu AS pivot, dv AS l FROM x UNION ALL SELECT gv, du FROM x) GROUP BY pivot")
         r.add(f"workload_restricted_{g}", _on(g, lambda x: index.workload(x, "restricted")), f"{base} SELECT gid AS pivot, CAST(coalesce(sum(lo_deg), 0) AS BIGINT) AS load FROM d LEFT JOIN o ON hi = gid GROUP BY gid")
@@ -162,6 +195,7 @@ def _counts(r: _Registry) -> None:
         r.add(f"bbf_hybrid_{g}", _on(g, lambda x: count.count_pivot_local(x, bins=4, threads=3, assigner="lpt_scalable")), _bbf(g))
         r.add(f"bbf_blocks_{g}", _on(g, lambda x: count.count_pivot_local(x, assigner="blocks")), _bbf(g))
         r.add(f"bbf_snake_{g}", _on(g, lambda x: count.count_pivot_local(x, assigner="snake", workload="exact")), _bbf(g))
+        r.add(f"bbf_lpt_{g}", _on(g, lambda x: count.count_pivot_local(x, bins=4, threads=3, assigner="lpt", form="arrow")), _bbf(g))
         r.add(f"bbf_split_hot_{g}", _on(g, lambda x: count.count_pivot_local(x, assigner="hash", workload="restricted", max_load=5_000)), _bbf(g))
         r.add(f"bbf_shared_{g}", _on(g, count.count_shared), _bbf(g))
         r.add(f"bbf_serial_{g}", _on(g, count.count_serial), _bbf(g))
@@ -180,28 +214,116 @@ def _counts(r: _Registry) -> None:
     r.add("enumerate_g5", _on("g5", count.enumerate_butterflies), f"WITH {_ctes('g5')} SELECT a.u AS u1, c.u AS u2, a.v AS v1, b.v AS v2, CAST(4 - (a.sign + b.sign + c.sign + d.sign) AS INT) AS negatives FROM e a JOIN e b ON a.u = b.u AND a.v < b.v JOIN e c ON a.v = c.v AND a.u < c.u JOIN e d ON d.u = c.u AND d.v = b.v WHERE (a.sign + b.sign + c.sign + d.sign) % 2 = 0")
 
 
+_LOAD = "l AS (SELECT gid AS pivot, CAST(coalesce(sum(lo_deg), 0) AS BIGINT) AS load FROM d LEFT JOIN o ON hi = gid GROUP BY gid)"
+_FULL = "l AS (SELECT pivot, CAST(sum(l) AS BIGINT) AS load FROM (SELECT gu AS pivot, dv AS l FROM x UNION ALL SELECT gv, du FROM x) GROUP BY pivot)"
+_EXACT = "below AS (SELECT g, above, row_number() OVER (PARTITION BY mid ORDER BY gd, g) - 1 AS below FROM n), l AS (SELECT gid AS pivot, CAST(coalesce(sum(below), 0) AS BIGINT) AS load FROM d LEFT JOIN below ON g = gid AND above GROUP BY gid)"
+#: Wedges and balanced butterflies by pivot, then by bin of an assignment ``k``.
+_BY_PIVOT = f"w AS (SELECT p.g AS pivot, b.g AS fin, sum(CASE WHEN p.sign = b.sign THEN 1 ELSE 0 END) AS b1, sum(CASE WHEN p.sign <> b.sign THEN 1 ELSE 0 END) AS b2 FROM n p JOIN n b ON p.mid = b.mid AND p.above AND (b.gd < p.gd OR (b.gd = p.gd AND b.g < p.g)) GROUP BY 1, 2), y AS (SELECT pivot, sum({_BAL}) AS balanced, sum(b1 + b2) AS wedges FROM w GROUP BY pivot)"
+
+
+def _per_bin(bins: int) -> str:
+    return f"SELECT CAST(b AS INT) AS bin, CAST(coalesce(sum(balanced), 0) AS BIGINT) AS balanced, CAST(coalesce(sum(wedges), 0) AS BIGINT) AS wedges FROM range({bins}) t(b) LEFT JOIN k ON bin = b LEFT JOIN y ON y.pivot = k.pivot GROUP BY b"
+
+
+def _blocks(bins: int) -> str:
+    return f"k AS (SELECT pivot, CAST(floor((row_number() OVER (ORDER BY pivot) - 1) * {bins} / count(*) OVER ()) AS INT) AS bin, load FROM l)"
+
+
+def _lpt(bins: int, out: str = "k", source: str = "l") -> str:
+    return f"{out}_u AS (SELECT pivot AS unit, load FROM {source}), {_greedy(f'{out}_u', bins, f'{out}_g')}, {out} AS (SELECT pivot, bin, load FROM {source} JOIN {out}_g ON unit = pivot)"
+
+
+def _volume(k: str = "k") -> str:
+    """Edges and list entries by bin: a list goes to a bin once, cut at the greatest pivot that needs it."""
+    return f"""h AS (SELECT bin, lo AS mid, hi, hi_deg FROM o JOIN {k} ON hi = pivot), a AS (SELECT bin, count(*) AS edges FROM h GROUP BY bin),
+top AS (SELECT bin, mid, max({{'d': hi_deg, 'g': hi}}) AS t FROM h GROUP BY bin, mid), b AS (SELECT bin, count(*) AS entries FROM top JOIN n ON n.mid = top.mid AND (n.gd < t.d OR (n.gd = t.d AND n.g < t.g)) GROUP BY bin)"""
+
+
+def _tip(g: str, side: str) -> str:
+    """Tip numbers by taking all vertices at the least level away, over and over."""
+    return f"""WITH RECURSIVE {_ctes(g)}, {_pairs(side)}, near AS (SELECT a, b, {_BAL} AS n FROM q WHERE {_BAL} > 0), y AS (SELECT a, b, n FROM near UNION ALL SELECT b, a, n FROM near),
+r AS (SELECT DISTINCT CAST({side.lower()} AS BIGINT) AS k, CAST(0 AS BIGINT) AS level, false AS gone FROM e UNION ALL
+SELECT k, greatest(level, m), c <= greatest(level, m) FROM (SELECT k, level, c, min(c) OVER () AS m FROM (SELECT x.k, max(x.level) AS level, CAST(coalesce(sum(CASE WHEN z.k IS NOT NULL THEN y.n END), 0) AS BIGINT) AS c
+FROM r x LEFT JOIN y ON y.a = x.k LEFT JOIN r z ON z.k = y.b AND NOT z.gone WHERE NOT x.gone GROUP BY x.k))) SELECT k AS key, level AS tip FROM r WHERE gone"""
+
+
+def _wing(edges: str) -> str:
+    """Wing numbers likewise, with the butterflies of what is left counted anew each time."""
+    return f"""WITH RECURSIVE {edges}, four AS (SELECT a.u AS u1, c.u AS u2, a.v AS v1, b.v AS v2 FROM e a JOIN e b ON a.u = b.u AND a.v < b.v JOIN e c ON a.v = c.v AND a.u < c.u JOIN e d ON d.u = c.u AND d.v = b.v WHERE (a.sign + b.sign + c.sign + d.sign) % 2 = 0),
+r AS (SELECT CAST(u AS BIGINT) AS u, CAST(v AS BIGINT) AS v, CAST(0 AS BIGINT) AS level, false AS gone FROM e UNION ALL
+SELECT u, v, greatest(level, m), c <= greatest(level, m) FROM (SELECT u, v, level, c, min(c) OVER () AS m FROM (SELECT x.u, x.v, max(x.level) AS level, count(f.u1) AS c FROM r x LEFT JOIN (
+SELECT f.* FROM four f JOIN r a ON a.u = u1 AND a.v = v1 AND NOT a.gone JOIN r b ON b.u = u1 AND b.v = v2 AND NOT b.gone JOIN r c ON c.u = u2 AND c.v = v1 AND NOT c.gone JOIN r d ON d.u = u2 AND d.v = v2 AND NOT d.gone) f
+ON x.u IN (f.u1, f.u2) AND x.v IN (f.v1, f.v2) WHERE NOT x.gone GROUP BY x.u, x.v))) SELECT u, v, level AS wing FROM r WHERE gone"""
+
+
+def _rows_sql(spark_rows: list[tuple[int, int, int]]) -> str:
+    return "e AS (SELECT * FROM (VALUES " + ", ".join(map(str, spark_rows)) + ") t(u, v, sign))"
+
+
 def _assignments(r: _Registry) -> None:
     def work(x: SignedGraph) -> DataFrame:
         return index.workload(x, "restricted")
 
     for g in ("g1", "g6"):
-        load = f"WITH {_ctes(g)}, {_PRIO}, l AS (SELECT gid AS pivot, CAST(coalesce(sum(lo_deg), 0) AS BIGINT) AS load FROM d LEFT JOIN o ON hi = gid GROUP BY gid), k AS (SELECT pivot, CAST(floor((row_number() OVER (ORDER BY pivot) - 1) * 8 / count(*) OVER ()) AS INT) AS bin, load FROM l)"
-        r.add(f"assign_blocks_{g}", _on(g, lambda x: assign.assign_blocks(work(x), 8)), f"{load} SELECT pivot, bin, load FROM k")
-        r.add(f"assign_stats_{g}", _on(g, lambda x: assign.assignment_stats(assign.assign_blocks(work(x), 8), 8)), f"{load}, s AS (SELECT b AS bin, coalesce(sum(load), 0) AS load FROM range(8) t(b) LEFT JOIN k ON bin = b GROUP BY b) SELECT CAST(min(load) AS BIGINT) AS least, CAST(max(load) AS BIGINT) AS greatest, round(max(load) / nullif(min(load), 0), 6) AS ratio FROM s")
-        snake = f"WITH {_ctes(g)}, {_PRIO}, l AS (SELECT gid AS pivot, CAST(coalesce(sum(lo_deg), 0) AS BIGINT) AS load FROM d LEFT JOIN o ON hi = gid GROUP BY gid), k AS (SELECT pivot, load, row_number() OVER (ORDER BY load DESC, pivot) - 1 AS i FROM l) SELECT pivot, CAST(CASE WHEN (i // 8) % 2 = 0 THEN i % 8 ELSE 7 - i % 8 END AS INT) AS bin, load FROM k"
+        base = f"{_ctes(g)}, {_PRIO}, {_LOAD}"
+        hashed = f"k AS (SELECT pivot, {_owner('pivot', 8)} AS bin, load FROM l)"
+        r.add(f"assign_blocks_{g}", _on(g, lambda x: assign.assign_blocks(work(x), 8)), f"WITH {base}, {_blocks(8)} SELECT pivot, bin, load FROM k")
+        r.add(f"assign_hash_{g}", _on(g, lambda x: assign.assign_hash(work(x), 8)), f"WITH {base}, {hashed} SELECT pivot, bin, load FROM k")
+        stats = "s AS (SELECT b AS bin, coalesce(sum(load), 0) AS load FROM range(8) t(b) LEFT JOIN k ON bin = b GROUP BY b) SELECT CAST(min(load) AS BIGINT) AS least, CAST(max(load) AS BIGINT) AS greatest, round(max(load) / nullif(min(load), 0), 6) AS ratio FROM s"
+        r.add(f"assign_stats_{g}", _on(g, lambda x: assign.assignment_stats(assign.assign_blocks(work(x), 8), 8)), f"WITH {base}, {_blocks(8)}, {stats}")
+        r.add(f"assign_lpt_stats_{g}", _on(g, lambda x: assign.assignment_stats(assign.assign_lpt(work(x), 8), 8)), f"WITH RECURSIVE {base}, {_lpt(8)}, {stats}")
+        snake = f"WITH {_ctes(g)}, {_PRIO}, {_LOAD}, k AS (SELECT pivot, load, row_number() OVER (ORDER BY load DESC, pivot) - 1 AS i FROM l) SELECT pivot, CAST(CASE WHEN (i // 8) % 2 = 0 THEN i % 8 ELSE 7 - i % 8 END AS INT) AS bin, load FROM k"
         r.add(f"assign_snake_{g}", _on(g, lambda x: assign.assign_snake(work(x), 8)), snake)
-        per = f"{load}, w AS (SELECT p.g AS pivot, b.g AS fin, sum(CASE WHEN p.sign = b.sign THEN 1 ELSE 0 END) AS b1, sum(CASE WHEN p.sign <> b.sign THEN 1 ELSE 0 END) AS b2 FROM n p JOIN n b ON p.mid = b.mid AND p.above AND (b.gd < p.gd OR (b.gd = p.gd AND b.g < p.g)) GROUP BY 1, 2), y AS (SELECT pivot, sum({_BAL}) AS balanced, sum(b1 + b2) AS wedges FROM w GROUP BY pivot) SELECT CAST(b AS INT) AS bin, CAST(coalesce(sum(balanced), 0) AS BIGINT) AS balanced, CAST(coalesce(sum(wedges), 0) AS BIGINT) AS wedges FROM range(8) t(b) LEFT JOIN k ON bin = b LEFT JOIN y ON y.pivot = k.pivot GROUP BY b"
-        r.add(f"per_bin_counts_{g}", _on(g, lambda x: count.count_pivot_local(x, assigner="blocks", workload="restricted", return_="bins").select("bin", "balanced", "wedges")), per)
-        volume = f"{load}, h AS (SELECT bin, lo AS mid FROM o JOIN k ON hi = pivot), a AS (SELECT bin, count(*) AS edges FROM h GROUP BY bin), b AS (SELECT bin, sum(deg) AS entries FROM (SELECT DISTINCT bin, mid FROM h) JOIN d ON mid = gid GROUP BY bin) SELECT a.bin, CAST(edges AS BIGINT) AS edges, CAST(entries AS BIGINT) AS entries, CAST(edges * 17 + entries * 8 AS BIGINT) AS bytes FROM a JOIN b ON a.bin = b.bin"
-        r.add(f"exchange_volume_{g}", _on(g, lambda x: metrics.exchange_volume(x, assign.assign_blocks(work(x), 8))), volume)
-        r.add(f"assign_lpt_{g}", _on(g, lambda x: assign.assign_lpt(work(x), 8)))
-        r.add(f"assign_lpt_scalable_{g}", _on(g, lambda x: assign.assign_lpt_scalable(work(x), 8)))
-        r.add(f"ingest_audit_{g}", _on(g, lambda x: ingest_audit(x.edges).select("n_rows")), f"WITH {_ctes(g)} SELECT count(*) AS n_rows FROM e")
-    r.add("lpt_example", lambda s, d: s.createDataFrame(assign.greedy(list(enumerate((15, 12, 9, 7, 6, 4))), 3), "item long, bin int, load long"), "SELECT * FROM (VALUES (CAST(0 AS BIGINT), 0, CAST(15 AS BIGINT)), (1, 1, 12), (2, 2, 9), (3, 2, 7), (4, 1, 6), (5, 0, 4)) t(item, bin, load)")
-    r.add("tip_w2", lambda s, d: measures.tip_decomposition(graphs.worked(s, "w2")), "SELECT CAST(k AS BIGINT) AS key, CAST(t AS BIGINT) AS tip FROM (VALUES (1, 2), (2, 2), (3, 2), (4, 2), (5, 2), (6, 2), (7, 0)) x(k, t)")
-    r.add("wing_w2", lambda s, d: measures.wing_decomposition(graphs.worked(s, "w2")).groupBy("wing").agg(F.count(F.lit(1)).alias("edges")), "SELECT CAST(w AS BIGINT) AS wing, CAST(n AS BIGINT) AS edges FROM (VALUES (0, 1), (1, 4), (2, 12)) x(w, n)")
-    r.add("tip_g5", _on("g5", lambda x: measures.tip_decomposition(x, "V")))
-    r.add("worked_examples", experiments.worked_examples)
+        for name, k in (("blocks", _blocks(8)), ("hash", hashed)):
+            r.add(f"per_bin_counts_{name}_{g}", _on(g, lambda x, a=name: count.count_pivot_local(x, assigner=a, workload="restricted", return_="bins", max_load=WHOLE).select("bin", "balanced", "wedges")), f"WITH {base}, {k}, {_BY_PIVOT} {_per_bin(8)}")
+            r.add(f"exchange_volume_{name}_{g}", _on(g, lambda x, a=name: metrics.exchange_volume(x, assign.ASSIGNERS[a](work(x), 8))), f"WITH {base}, {k}, {_volume()} SELECT a.bin, CAST(edges AS BIGINT) AS edges, CAST(coalesce(entries, 0) AS BIGINT) AS entries, CAST(edges * 17 + coalesce(entries, 0) * 8 AS BIGINT) AS bytes FROM a LEFT JOIN b ON a.bin = b.bin")
+        r.add(f"per_bin_counts_lpt_{g}", _on(g, lambda x: count.count_pivot_local(x, assigner="lpt", workload="restricted", form="arrow", return_="bins", max_load=WHOLE).select("bin", "balanced", "wedges")), f"WITH RECURSIVE {base}, {_lpt(8)}, {_BY_PIVOT} {_per_bin(8)}")
+        r.add(f"assign_lpt_{g}", _on(g, lambda x: assign.assign_lpt(work(x), 8)), f"WITH RECURSIVE {base}, {_lpt(8)} SELECT pivot, bin, load FROM k")
+        units = f"z AS (SELECT pivot, load, CASE WHEN load > 0.25 * (SELECT sum(load) / 8 FROM l) THEN pivot ELSE -1 - {_owner('pivot', 512)} END AS unit FROM l), zu AS (SELECT unit, CAST(sum(load) AS BIGINT) AS load FROM z GROUP BY unit)"
+        r.add(f"assign_lpt_scalable_{g}", _on(g, lambda x: assign.assign_lpt_scalable(work(x), 8)), f"WITH RECURSIVE {base}, {units}, {_greedy('zu', 8, 'zg')} SELECT pivot, bin, load FROM z JOIN zg ON z.unit = zg.unit")
+    for name, cols in (("lineitem", ("l_orderkey", "l_linenumber", "l_partkey", "l_suppkey")), ("events", ("event_id", "user_id", "event_type"))):
+        text = ", ".join(f"coalesce(CAST({c} AS VARCHAR), '')" for c in cols)
+        r.add(f"load_audit_{name}", lambda s, d, n=name, c=cols: ingest_audit(table(s, d, n), c).select("n_rows", "checksum", "files"), f"SELECT count(*) AS n_rows, CAST(sum(CAST(CAST('0x' || substr(md5(concat_ws('|', {text})), 1, 12) AS BIGINT) AS DECIMAL(38, 0))) AS VARCHAR) AS checksum, CAST(1 AS BIGINT) AS files FROM {name}")
+    r.add("lpt_example", lambda s, d: s.createDataFrame(assign.greedy(list(enumerate((15, 12, 9, 7, 6, 4))), 3), "item long, bin int, load long"), f"WITH RECURSIVE l AS (SELECT CAST(i AS BIGINT) AS pivot, CAST(w AS BIGINT) AS load FROM (VALUES (0, 15), (1, 12), (2, 9), (3, 7), (4, 6), (5, 4)) t(i, w)), {_lpt(3)} SELECT pivot AS item, bin, load FROM k")
+    r.add("biclique_g7", _on("g7", lambda x: x.spark.createDataFrame([(measures.is_biclique(x, [0, 1, 2], list(range(64))), measures.is_biclique(x, [0], [64]))], "inside boolean, outside boolean")), f"WITH {_ctes('g7')} SELECT count(*) FILTER (u IN (0, 1, 2)) = 192 AS inside, count(*) FILTER (u = 0 AND v = 64) = 1 AS outside FROM e")
+    w2 = _rows_sql(graphs.W2)
+    r.add("tip_w2", lambda s, d: measures.tip_decomposition(graphs.worked(s, "w2")), _tip("w2", "U").replace("WITH RECURSIVE ", f"WITH RECURSIVE {w2}, ", 1))
+    r.add("wing_w2", lambda s, d: measures.wing_decomposition(graphs.worked(s, "w2")), _wing(w2))
+    for g, side in (("g5", "U"), ("g5", "V"), ("g6", "U"), ("g6", "V")):
+        r.add(f"tip_{side}_{g}", _on(g, lambda x, s=side: measures.tip_decomposition(x, s)), _tip(g, side))
+
+
+def _experiments(r: _Registry) -> None:
+    """The experiments' results that do not depend on the machine, on small grids."""
+    only, x = experiments.deterministic, experiments
+    union = " UNION ALL ".join
+    bal = lambda e, g, c, sql=None, m=("balanced",): _melt(e, g, c, sql or _bbf(g), m)
+    columns = ("n_u", "n_v", "n_e", "density", "negatives", "max_deg_u", "max_deg_v", "wedges_u_ends", "wedges_v_ends", "balanced")
+    r.add("x1_profile_table", lambda s, d: x.profile_table(s, d, ALL), union(_melt("profile_table", g, "-", r.sql[f"profile_{g}"], columns) for g in ALL))
+    bounds = lambda g: f"SELECT sum_min FROM ({r.sql[f'work_bounds_{g}']})"
+    r.add("x2_compare_counters", lambda s, d: only(x.compare_counters(s, d, ("g1", "g5", "g6"))), union([*(bal("compare_counters", g, m) for g in ("g1", "g5", "g6") for m in ("serial", "shared", "pivot_local")), *(_melt("compare_counters", g, "all", bounds(g), ("sum_min",)) for g in ("g1", "g5", "g6"))]))
+    blind = lambda g: _melt("compare_baseline", g, "signblind", r.sql[f"bbf_signblind_{g}"], ("total", "balanced", "wasted"))
+    r.add("x3_compare_baseline", lambda s, d: only(x.compare_baseline(s, d, ("g5", "g6"))), union([*(bal("compare_baseline", g, "pivot_local") for g in ("g5", "g6")), *(blind(g) for g in ("g5", "g6"))]))
+    r.add("x4_phase_breakdown", lambda s, d: only(x.phase_breakdown(s, d, ("g6",), (1, 4))).where("metric = 'balanced'"), union(bal("phase_breakdown", "g6", c) for c in ("1x12", "4x3")))
+    lpt = lambda load, bins: f"WITH RECURSIVE {_ctes('g6')}, {_PRIO}, {load}, {_lpt(bins)}"
+    ratio = lambda bins: f"{_BY_PIVOT}, s AS ({_per_bin(bins)}) SELECT max(wedges) / nullif(min(wedges), 0) AS straggler_wedges FROM s"
+    r.add("x6_straggler_grid", lambda s, d: x.straggler_grid(s, d, ("g6",), (2, 4), "restricted"), union(_melt("straggler_grid", "g6", str(b), f"{lpt_scalable(b)}, {ratio(b)}", ("straggler_wedges",)) for b in (2, 4)))
+    r.add("x7_volume_vs_bins", lambda s, d: only(x.volume_vs_bins(s, d, ("g6",), (1, 2, 4))), union(_melt("volume_vs_bins", "g6", str(b), f"{lpt(_FULL, b)}, {_volume()} SELECT sum(edges * 17 + coalesce(entries, 0) * 8) AS bytes FROM a LEFT JOIN b ON a.bin = b.bin", ("bytes",)) for b in (1, 2, 4)))
+    r.add("x9_flat_vs_hybrid", lambda s, d: only(x.flat_vs_hybrid(s, d, ("g6",))), union(bal("flat_vs_hybrid", "g6", c) for c in ("hybrid", "flat")))
+    ablation = [("blocks", f"WITH {_ctes('g6')}, {_PRIO}, {_FULL}, {_blocks(4)}"), *((f"lpt_{n}", lpt(load, 4)) for n, load in (("full", _FULL), ("restricted", _LOAD), ("exact", _EXACT)))]
+    r.add("x10_partitioning_ablation", lambda s, d: x.partitioning_ablation(s, d, ("g6",), 4).where("metric = 'straggler_wedges'"), union(_melt("partitioning_ablation", "g6", c, f"{head}, {_BY_PIVOT}, s AS ({_per_bin(4)}) SELECT coalesce(max(wedges) / nullif(min(wedges), 0), CAST('inf' AS DOUBLE)) AS straggler_wedges FROM s", ("straggler_wedges",)) for c, head in ablation))
+    sweep = lambda n: f"SELECT balanced FROM ({r.sql['sign_sweep_g1']}) WHERE neg_pct = {n}"
+    r.add("x11_sign_distribution", lambda s, d: only(x.sign_distribution(s, d, ("g1",), (30, 50))), union(bal("sign_distribution", "g1", f"neg{n}", sweep(n)) for n in (30, 50)))
+    r.add("x12_class_separation", lambda s, d: only(x.class_separation(s, d)), union(bal("class_separation", g, c) for g in ("g5", "g6") for c in ("separated", "not_separated")))
+    told = {"w1": (16, 36), "w2": (7, 7), "w3": (1, 1), "w4": (4, 4), "w5": (5, 7)}  # fixed values: the worked graphs' totals
+    made = ", ".join(f"('worked_examples', '{w}', '-', '{m}', {n}.0)" for w, t in told.items() for m, n in zip(("balanced", "total"), t, strict=True))
+    r.add("x13_worked_examples", lambda s, d: x.worked_examples(s), f"SELECT experiment, graph, config, metric, CAST(value AS DOUBLE) AS value FROM (VALUES {made}, ('worked_examples', 'loads', 'greedy', 'ratio', 19.0 / 16.0), ('worked_examples', 'loads', 'blocks', 'ratio', 27.0 / 10.0)) t(experiment, graph, config, metric, value)")
+
+
+def lpt_scalable(bins: int) -> str:
+    """The two-level assignment of g6 as a table ``k``."""
+    units = f"z AS (SELECT pivot, load, CASE WHEN load > 0.25 * (SELECT sum(load) / {bins} FROM l) THEN pivot ELSE -1 - {_owner('pivot', 64 * bins)} END AS unit FROM l), zu AS (SELECT unit, CAST(sum(load) AS BIGINT) AS load FROM z GROUP BY unit)"
+    return f"WITH RECURSIVE {_ctes('g6')}, {_PRIO}, {_LOAD}, {units}, {_greedy('zu', bins, 'zg')}, k AS (SELECT pivot, bin, load FROM z JOIN zg ON z.unit = zg.unit)"
 
 
 def _relational(r: _Registry) -> None:
@@ -288,11 +410,11 @@ def _around(r: _Registry) -> None:
 
 def registry() -> _Registry:
     r = _Registry()
-    for part in (_edges, _index, _counts, _assignments, _relational, _around):
+    for part in (_edges, _index, _counts, _assignments, _experiments, _relational, _around):
         part(r)
     return r
 
 
 def entry(spark: SparkSession, sf: str) -> DataFrame:
     """The pivot-partitioned counter on g1, with per-bin rows."""
-    return count.count_pivot_local(graphs.build(spark, sf, "g1"), return_="bins")
+    return _narrow(count.count_pivot_local(graphs.build(spark, sf, "g1"), return_="bins"))
