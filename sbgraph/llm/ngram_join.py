@@ -41,7 +41,6 @@ import zlib
 from collections.abc import Callable, Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -56,7 +55,7 @@ CELL_BITS, CELL_BLOCKS, RUN = 23, 32, 2_000_000
 #: A cell's count in one task stops here; a shingle that frequent is last in any case.
 MOST = 65_535
 #: Shingles of one tile side, columns of one slice of the product, members of one square of it.
-TILE, SLICE, CELL = 3_000_000, 8192, 1024
+TILE, SLICE, CELL = 1_500_000, 4096, 512
 #: A block's tiles have a sixth of its members on a side, but not fewer or more than these.
 SHARE, SIDES = 6, (384, 8192)
 #: Level from which a shingle's classes are led by an aggregate and a join (about 8,000 holders).
@@ -482,10 +481,10 @@ def _among(rows: DataFrame, key: str) -> Callable[[str], Column]:
     wanted, bits = _bitmap(rows, key)
     shared = rows.sparkSession.sparkContext.broadcast(wanted)
 
-    @F.pandas_udf("boolean")
-    def flag(at: pd.Series) -> pd.Series:
+    @F.arrow_udf("boolean")
+    def flag(at: pa.Array) -> pa.Array:
         place = at.to_numpy()
-        return pd.Series((shared.value[place >> 3] >> (place & 7).astype(np.uint8) & 1).astype(bool))
+        return pa.array((shared.value[place >> 3] >> (place & 7).astype(np.uint8) & 1).astype(bool))
 
     return lambda name: flag(F.pmod(F.xxhash64(name), F.lit(bits)))
 
