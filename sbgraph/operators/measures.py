@@ -20,7 +20,7 @@ def balance_summary(graph: SignedGraph, order: str = "priority") -> DataFrame:
     """One row: total, balanced, unbalanced, ratio."""
     b1, b2 = F.col("b1"), F.col("b2")
     rows = count.pairs(graph, order).agg(total(choose2(b1 + b2)).alias("total"), total(choose2(b1) + choose2(b2)).alias("balanced"), total(b1 * b2).alias("unbalanced"))
-    return rows.withColumn("ratio", F.round(F.col("balanced") / F.nullif(F.col("total"), F.lit(0)), 6))
+    return rows.withColumn("ratio", F.round(F.col("balanced").cast("double") / F.nullif(F.col("total").cast("double"), F.lit(0.0)), 6))
 
 
 def four_counters(graph: SignedGraph, ends: str = "U") -> DataFrame:
@@ -80,7 +80,7 @@ def clustering(graph: SignedGraph) -> DataFrame:
     """One row: butterflies per path of three edges, all and balanced."""
     paths = index.attach_degrees(graph).agg(total((F.col("du") - 1) * (F.col("dv") - 1)).alias("paths"))
     rows = balance_summary(graph).crossJoin(paths)  # one row each
-    share = lambda c: F.round(4 * F.col(c) / F.nullif(F.col("paths"), F.lit(0)), 6)
+    share = lambda c: F.round(4 * F.col(c).cast("double") / F.nullif(F.col("paths").cast("double"), F.lit(0.0)), 6)
     return rows.select("paths", "total", "balanced", share("total").alias("coefficient"), share("balanced").alias("balanced_coefficient"))
 
 

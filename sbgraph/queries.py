@@ -315,6 +315,9 @@ def _experiments(r: _Registry) -> None:
     sweep = lambda n: f"SELECT balanced FROM ({r.sql['sign_sweep_g1']}) WHERE neg_pct = {n}"
     r.add("x11_sign_distribution", lambda s, d: only(x.sign_distribution(s, d, ("g1",), (30, 50))), union(bal("sign_distribution", "g1", f"neg{n}", sweep(n)) for n in (30, 50)))
     r.add("x12_class_separation", lambda s, d: only(x.class_separation(s, d)), union(bal("class_separation", g, c) for g in ("g5", "g6") for c in ("separated", "not_separated")))
+    split = [_melt("applications", g, f"ends_{e}", r.sql[f"class_split_{e}_{g}"], ("symmetric", "asymmetric")) for g in ("g5",) for e in "UV"]
+    tips = _melt("applications", "g5", "U", f"SELECT max(tip) AS max_tip FROM ({_tip('g5', 'U')})", ("max_tip",))
+    r.add("x14_applications", lambda s, d: only(x.applications(s, d, ("g5",))).where("graph = 'g5'"), union([*split, tips]))
     told = {"w1": (16, 36), "w2": (7, 7), "w3": (1, 1), "w4": (4, 4), "w5": (5, 7)}  # fixed values: the worked graphs' totals
     made = ", ".join(f"('worked_examples', '{w}', '-', '{m}', {n}.0)" for w, t in told.items() for m, n in zip(("balanced", "total"), t, strict=True))
     r.add("x13_worked_examples", lambda s, d: x.worked_examples(s), f"SELECT experiment, graph, config, metric, CAST(value AS DOUBLE) AS value FROM (VALUES {made}, ('worked_examples', 'loads', 'greedy', 'ratio', 19.0 / 16.0), ('worked_examples', 'loads', 'blocks', 'ratio', 27.0 / 10.0)) t(experiment, graph, config, metric, value)")
@@ -364,8 +367,22 @@ def _relational(r: _Registry) -> None:
     daily = f"WITH raw AS ({_RAW['g6']}), e AS (SELECT {day} AS d, u, v, arg_max(sign, (ts, k1, k2, sign)) AS sign FROM raw GROUP BY 1, 2, 3), p AS (SELECT x.d, x.v AS a, y.v AS b, sum(CASE WHEN x.sign = y.sign THEN 1 ELSE 0 END) AS b1, sum(CASE WHEN x.sign <> y.sign THEN 1 ELSE 0 END) AS b2 FROM e x JOIN e y ON x.d = y.d AND x.u = y.u AND x.v < y.v GROUP BY 1, 2, 3) SELECT strftime(d, '%Y-%m-%d') AS day, CAST(sum({_BAL}) AS BIGINT) AS balanced FROM p GROUP BY d"
     as_day = lambda d: d.select(F.date_format("start", "yyyy-MM-dd").alias("day"), "balanced")
     r.add("window_bbf_daily", lambda s, d: as_day(streaming.windowed_counts(streaming.windowed_graphs(streaming.event_edges(table(s, d, "events"))))), daily)
-    r.add("stream_window_bbf", lambda s, d: as_day(streaming.windowed_counts(streaming.replay(s, f"{d}/events.parquet*", "stream_windows", lambda e: streaming.windowed_graphs(e)))), daily)
-    r.add("stream_latest_sign", lambda s, d: streaming.replay(s, f"{d}/events.parquet*", "stream_latest", streaming.latest_signs).select("u", "v", F.col("sign").cast("int").alias("sign")), f"WITH {_ctes('g6')} SELECT u, v, CAST(sign AS INT) AS sign FROM e")
+    r.add("stream_window_bbf", lambda s, d: as_day(streaming.windowed_counts(streaming.replay(s, f"{d}/events.parquet*", lambda e: streaming.windowed_graphs(e)))), daily)
+    r.add("stream_latest_sign", lambda s, d: streaming.replay(s, f"{d}/events.parquet*", streaming.latest_signs).select("u", "v", F.col("sign").cast("int").alias("sign")), f"WITH {_ctes('g6')} SELECT u, v, CAST(sign AS INT) AS sign FROM e")
+
+
+    def by_window(cut: str, rows: str) -> str:
+        return f"WITH raw AS ({_RAW['g6']}), w AS ({rows}), e AS (SELECT d, u, v, arg_max(sign, (ts, k1, k2, sign)) AS sign FROM w GROUP BY 1, 2, 3), p AS (SELECT x.d, x.v AS a, y.v AS b, sum(CASE WHEN x.sign = y.sign THEN 1 ELSE 0 END) AS b1, sum(CASE WHEN x.sign <> y.sign THEN 1 ELSE 0 END) AS b2 FROM e x JOIN e y ON x.d = y.d AND x.u = y.u AND x.v < y.v GROUP BY 1, 2, 3) SELECT strftime(d, '{cut}') AS start, CAST(sum({_BAL}) AS BIGINT) AS balanced FROM p GROUP BY d"
+
+    told = lambda d: d.select(F.date_format("start", "yyyy-MM-dd HH:mm").alias("start"), "balanced")
+    events = lambda s, d: streaming.event_edges(table(s, d, "events"))
+    slid = "SELECT raw.*, date_trunc('day', ts) - CASE k WHEN 1 THEN INTERVAL 1 DAY ELSE INTERVAL 0 DAY END AS d FROM raw, range(2) t(k)"
+    r.add("window_bbf_sliding", lambda s, d: told(streaming.windowed_counts(streaming.windowed_graphs(events(s, d), "2 days", "1 day"))), by_window("%Y-%m-%d %H:%M", slid))
+    session = "SELECT raw.*, start AS d FROM raw JOIN (SELECT m, min(m) OVER (PARTITION BY session) AS start FROM (SELECT m, sum(fresh) OVER (ORDER BY m) AS session FROM (SELECT m, CASE WHEN m - lag(m) OVER (ORDER BY m) <= INTERVAL 180 MINUTE THEN 0 ELSE 1 END AS fresh FROM (SELECT DISTINCT date_trunc('minute', ts) AS m FROM raw)))) z ON z.m = date_trunc('minute', raw.ts)"
+    r.add("window_bbf_session", lambda s, d: told(streaming.windowed_counts(streaming.session_windows(events(s, d), 180))), by_window("%Y-%m-%d %H:%M", session))
+    last = F.max_by("sign", F.col("batch"))
+    r.add("stream_latest_state", lambda s, d: streaming.replay(s, f"{d}/events.parquet*", streaming.latest_signs_state, "update").groupBy("u", "v").agg(last.cast("int").alias("sign")), f"WITH {_ctes('g6')} SELECT u, v, CAST(sign AS INT) AS sign FROM e")
+    r.add("stream_without_replays", lambda s, d: streaming.replay(s, f"{d}/events.parquet*", lambda e: streaming.without_replays(e).select("event_id", "u", "v"), "append").select("event_id", "u", "v"), f"WITH raw AS ({_RAW['g6']}) SELECT DISTINCT k1 AS event_id, u, v FROM raw WHERE u IS NOT NULL AND v IS NOT NULL")
 
 
 def _around(r: _Registry) -> None:

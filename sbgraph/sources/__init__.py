@@ -66,17 +66,24 @@ def noop(rows: DataFrame) -> None:
     rows.write.format("noop").mode("overwrite").save()
 
 
+def shared_folder(spark: SparkSession) -> str:
+    """The folder for checkpoints that the session names; a temporary one on a local master only."""
+    context = spark.sparkContext
+    if (known := context._jsc.sc().getCheckpointDir()).isDefined():
+        return known.get()
+    folder = spark.conf.get("spark.checkpoint.dir", None)
+    if not folder and not context.master.startswith("local["):
+        raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
+    context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="checkpoints_"))
+    return context._jsc.sc().getCheckpointDir().get()
+
+
 def cut(rows: DataFrame) -> DataFrame:
-    """Rows behind a checkpoint, in the folder that the session names (loops and drawn ranges need one).
+    """Rows behind a checkpoint (loops and drawn ranges need one).
 
     They are held while the checkpoint is written, which would compute them twice otherwise.
     """
-    context = rows.sparkSession.sparkContext
-    if not context._jsc.sc().getCheckpointDir().isDefined():
-        folder = rows.sparkSession.conf.get("spark.checkpoint.dir", None)
-        if not folder and not context.master.startswith("local["):
-            raise RuntimeError("set spark.checkpoint.dir to a folder that driver and executors share")
-        context.setCheckpointDir(folder or tempfile.mkdtemp(prefix="checkpoints_"))
+    shared_folder(rows.sparkSession)
     held = rows.persist()
     done = held.checkpoint()
     held.unpersist()

@@ -134,7 +134,7 @@ def test_sql_surface(spark):
 def test_stream_equals_batch(spark, sf):
     events = sources.table(spark, sf, "events")
     batch = streaming.resolve_stream_batch(streaming.event_edges(events))
-    live = streaming.replay(spark, f"{sf}/events.parquet*", "t_latest", streaming.latest_signs)
+    live = streaming.replay(spark, f"{sf}/events.parquet*", streaming.latest_signs)
     assert sorted(map(tuple, live.collect())) == sorted(map(tuple, batch.collect()))
     assert streaming.without_replays(streaming.event_edges(events.unionByName(events))).count() == events.count()
     assert streaming.session_graphs(streaming.event_edges(events)).agg(F.sum("edges")).first()[0] == events.count()
@@ -142,8 +142,60 @@ def test_stream_equals_batch(spark, sf):
 
 def test_incremental_total(spark):
     start = [(u, v, (u + v) % 2) for u in range(5) for v in range(4)]
-    live = streaming.IncrementalTotal(from_rows(spark, start))
+    live = streaming.IncrementalTotal(from_rows(spark, start), fold=2)
     schema = "u long, v long, sign byte"
-    for batch in ([(0, 0, 1), (7, 1, 0), (7, 2, 1)], [(1, 1, None), (2, 3, 1)]):
+    for batch in ([(0, 0, 1), (7, 1, 0), (7, 2, 1)], [(1, 1, None), (2, 3, 1)], [(1, 1, 0), (0, 0, None)]):
         live.apply(spark.createDataFrame(batch, schema))
         assert live.total == count.count_wedge_agg(SignedGraph(live.edges)).first()["balanced"]
+    with pytest.raises(ValueError, match="twice"):
+        live.apply(spark.createDataFrame([(1, 1, 1), (1, 1, 0)], schema))
+
+
+def test_incremental_total_by_time(spark):
+    """A late row of an earlier time changes nothing, and the order inside a batch is (ts, k1, k2, sign)."""
+    t, hour = dt.datetime(2020, 1, 1), dt.timedelta(hours=1)
+    live = streaming.IncrementalTotal(from_rows(spark, []))
+    schema = "u long, v long, sign byte, ts timestamp, k1 long, k2 long"
+    square = [(u, v, 1, t + hour, 1, 0) for u in (1, 2) for v in (1, 2)]
+    for batch, wanted in ((square, 1), ([(1, 1, 0, t, 1, 0)], 1), ([(1, 1, 1, t + 2 * hour, 1, 0), (1, 1, 0, t + 2 * hour, 2, 0)], 0), ([(2, 1, 0, t + 3 * hour, 1, 0)], 1)):
+        assert live.apply(spark.createDataFrame(batch, schema)) == wanted
+
+
+def test_stream_state_drops_late_rows(spark, tmp_path):
+    """Update mode over three files: an older row inside the lateness changes nothing, one behind it is dropped."""
+    t, minute = dt.datetime(2020, 1, 1, 12), dt.timedelta(minutes=1)
+    files = [[(1, t, "view"), (2, t, "view")], [(1, t - 30 * minute, "error"), (3, t + 300 * minute, "view")], [(4, t - 200 * minute, "error"), (2, t + 301 * minute, "error")]]
+    for k, rows in enumerate(files):
+        data = [(10 * k + i, when, user, kind, 1.0, '{"k": 5}') for i, (user, when, kind) in enumerate(rows)]
+        spark.createDataFrame(data, "event_id long, ts timestamp_ntz, user_id long, event_type string, value double, props string").coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    got = streaming.replay(spark, str(tmp_path / "in"), streaming.latest_signs_state, "update").collect()
+    last = {r["u"]: r["sign"] for r in sorted(got, key=lambda r: r["batch"])}
+    assert last == {1: 1, 2: 0, 3: 1} or last == {1: 1, 2: 0, 3: 1, 4: 0}  # the order in which files are read decides about 4
+    table = streaming.LatestTable(spark, str(tmp_path / "latest"), 4)
+    schema = "u long, v long, sign byte, ts timestamp, k1 long, k2 long"
+    for number, rows in enumerate([[(1, 1, 1, t, 1, 0), (2, 1, 1, t, 2, 0)], [(1, 1, 0, t + minute, 3, 0)], [(2, 1, 0, t - minute, 4, 0)]]):
+        for _ in range(2):  # replayed batches replace themselves
+            table.merge(spark.createDataFrame(rows, schema), number)
+    assert sorted(map(tuple, table.edges().collect())) == [(1, 1, 0), (2, 1, 1)]
+
+
+def test_stream_replays_are_dropped(spark, sf, tmp_path):
+    events = sources.table(spark, sf, "events").limit(200)
+    for _ in range(2):
+        events.coalesce(1).write.mode("append").parquet(str(tmp_path / "in"))
+    kept = streaming.replay(spark, str(tmp_path / "in"), lambda e: streaming.without_replays(e).select("event_id", "u"), "append")
+    assert kept.count() == 200 == kept.select("event_id").distinct().count()
+
+
+def test_stream_beside_a_static_table(spark, sf):
+    users = spark.createDataFrame([(k, f"user{k}") for k in range(5)], "u long, name string")
+    got = streaming.replay(spark, f"{sf}/events.parquet*", lambda e: streaming.with_attributes(e, users).groupBy("name").count())
+    batch = streaming.with_attributes(streaming.event_edges(sources.table(spark, sf, "events")), users).groupBy("name").count()
+    assert sorted(map(str, got.collect())) == sorted(map(str, batch.collect()))
+
+
+def test_times_and_ratios(spark):
+    times = spark.createDataFrame([("g", "a", 4.0), ("g", "b", 2.0)], "graph string, config string, value double")
+    assert {r["config"]: r["value"] for r in metrics.speedup(times, "a").collect()} == {"a": 1.0, "b": 2.0}
+    bins = spark.createDataFrame([(0, 10), (1, 5)], "bin int, nanos long")
+    assert metrics.straggler_ratio(bins) == 2 and metrics.straggler_ratio(bins.withColumn("nanos", F.col("bin"))) is None
