@@ -7,6 +7,7 @@ import secrets
 from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
 
 from . import decontamination, mixing, ngram_join, oracles, pii_surrogates, quality_classifier, quality_rules, secret_automaton, sharding, token_codes, token_counts
 
@@ -70,6 +71,17 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(_docs(spark, sf_dir))
 
 
+def secret_base_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What SQL can express of op6: the base kinds' counts."""
+    return secret_automaton.report(_docs(spark, sf_dir)).select("doc_id", "n_assign", "n_access", "n_hex")
+
+
+def mixing_targets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """What SQL can express of op10: the targets, and the words taken, which come within a hundredth of them."""
+    rows = mixing.mix(_docs(spark, sf_dir)).groupBy("source_size", "target").agg(F.sum("taken").alias("taken"))
+    return rows.select("source_size", F.round("target", 3).alias("target"), (F.abs(F.col("taken") - F.col("target")) <= 0.01 * F.col("target")).alias("near"))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     found = [
         op1_quality_rules,
@@ -82,6 +94,8 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         op8_sharding,
         op9_token_codes,
         op10_mixing,
+        secret_base_counts,
+        mixing_targets,
     ]
     return {f.__name__: f for f in found}
 

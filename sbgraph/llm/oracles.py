@@ -47,4 +47,20 @@ t AS (SELECT r, count(*) AS n_items, string_agg(x, ',' ORDER BY x) AS ids FROM (
 SELECT d.doc_id, CAST(len(ws) AS BIGINT) AS n_words, coalesce(n_hit, 0) AS n_hit, coalesce(n_items, 0) AS n_items, sha256(coalesce(ids, '')) AS items_sha256, coalesce(n_hit, 0) > 0 AS contaminated FROM d LEFT JOIN c ON c.r = d.r LEFT JOIN t ON t.r = d.r
 """
 
-SQL = {"op1_quality_rules": QUALITY, "op2_ngram_join": NGRAM_JOIN, "op7_decontamination": DECONTAMINATION}
+SECRETS = r"""
+SELECT doc_id, CAST(len(list_filter(regexp_extract_all(t, '(?i)(password|passwd|secret|token|api_?key)["'']?\x20*[:=]\x20*["'']?([A-Za-z0-9+/_.=-]+)', 2), lambda x: length(x) >= 6)) AS BIGINT) AS n_assign,
+CAST(len(list_filter(regexp_extract_all(t, 'AKIA[A-Z0-9]+'), lambda x: length(x) >= 20)) AS BIGINT) AS n_access, CAST(len(list_filter(regexp_extract_all(t, '[0-9a-f]+'), lambda x: length(x) >= 24)) AS BIGINT) AS n_hex
+FROM (SELECT doc_id, coalesce(text, '') AS t FROM documents)
+"""
+
+#: A source's share is capped in the order of cap over weight, so sums before it in that order decide.
+TARGETS = rf"""
+WITH s AS (SELECT source, CAST(sum(len(regexp_extract_all(coalesce(text, ''), '{_SPACED}'))) AS BIGINT) AS n FROM documents GROUP BY source),
+w AS (SELECT n, (row_number() OVER (ORDER BY source NULLS LAST) - 1) % 3 + 1 AS w FROM s),
+c AS (SELECT *, sum(n) OVER () AS whole, sum(w) OVER () AS weights, coalesce(sum(3 * n) OVER o, 0) AS spent, coalesce(sum(w) OVER o, 0) AS gone FROM w WINDOW o AS (ORDER BY n / w ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+k AS (SELECT *, (whole - spent) / (weights - gone) * w > 3 * n AS capped FROM c),
+l AS (SELECT n, w, capped, (whole - sum(CASE WHEN capped THEN 3 * n ELSE 0 END) OVER ()) / sum(CASE WHEN capped THEN 0 ELSE w END) OVER () AS level FROM k)
+SELECT n AS source_size, round(CASE WHEN capped THEN 3.0 * n ELSE level * w END, 3) AS target, true AS near FROM l
+"""
+
+SQL = {"op1_quality_rules": QUALITY, "op2_ngram_join": NGRAM_JOIN, "op7_decontamination": DECONTAMINATION, "secret_base_counts": SECRETS, "mixing_targets": TARGETS}
