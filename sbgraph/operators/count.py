@@ -255,9 +255,9 @@ class Prepared:
 
 def prepare(graph: SignedGraph, bins: int, assigner: str = "lpt_scalable", workload: str = "full", max_load: int | None = None) -> Prepared:
     """Index and assignment.  A pivot above ``max_load`` (default: a bin's mean load) is split by ends."""
-    edges = graph.edges.persist()
+    edges, kept = graph.edges.persist(), []
     held = SignedGraph(edges, graph.name)
-    ids = index.compact_ids(index.degrees(held))
+    ids = index.compact_ids(index.degrees(held), held=kept)
     ranked = index.ranked(held, ids).persist()
     work = index.rank_workload(ranked, workload).join(ids.select("gid", "rank_id"), F.col("pivot") == F.col("rank_id"), "right")
     work = work.select(F.col("gid").alias("pivot"), F.coalesce("load", F.lit(0)).cast("long").alias("load")).persist()
@@ -265,7 +265,7 @@ def prepare(graph: SignedGraph, bins: int, assigner: str = "lpt_scalable", workl
         max_load = max(1, (work.agg(F.sum("load")).first()[0] or 0) // bins)
     assignment = split_hot(ASSIGNERS[assigner](work, bins), bins, max_load)
     by_rank = assignment.join(ids.select(F.col("gid").alias("__gid"), "rank_id"), F.col("pivot") == F.col("__gid"))
-    return Prepared(ranked, by_rank.select(F.col("rank_id").alias("pivot"), "bin", "load", "shard", "shards"), (edges, ranked, work))
+    return Prepared(ranked, by_rank.select(F.col("rank_id").alias("pivot"), "bin", "load", "shard", "shards"), (edges, ranked, work, *kept))
 
 
 def count_prepared(ready: Prepared, bins: int, threads: int = 1, form: str = "sql") -> DataFrame:

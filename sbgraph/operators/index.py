@@ -36,11 +36,12 @@ def orient(graph: SignedGraph, deg: DataFrame | None = None) -> DataFrame:
     return e.select(pick("gu", "gv").alias("hi"), pick("du", "dv").alias("hi_deg"), pick("gv", "gu").alias("lo"), pick("dv", "du").alias("lo_deg"), "sign")
 
 
-def in_order(rows: DataFrame, keys: list[str], values: tuple[str, ...] = (), descending: tuple[str, ...] = (), parts: int | None = None) -> DataFrame:
+def in_order(rows: DataFrame, keys: list[str], values: tuple[str, ...] = (), descending: tuple[str, ...] = (), parts: int | None = None, held: list[DataFrame] | None = None) -> DataFrame:
     """Rows with ``place`` (from 0) in the order of the keys, and ``sum_<value>`` up to each row.
 
     Rows are dealt by ranges and sorted there; ``parts`` counts and sums put the ranges behind
-    one another, so no task sees all rows.  Ranges are drawn once and kept.
+    one another, so no task sees all rows.  Ranges are drawn once and kept: behind a checkpoint,
+    or, with ``held``, as a cached table that is put into that list for the caller to release.
     """
     parts = parts or int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     by = [F.desc(k) if k in descending else F.asc(k) for k in keys]
@@ -57,7 +58,11 @@ def in_order(rows: DataFrame, keys: list[str], values: tuple[str, ...] = (), des
             at += b.num_rows
             sums = {v: r[-1].as_py() for v, r in zip(values, running, strict=True)}
 
-    numbered = cut(dealt.mapInArrow(number, schema))
+    numbered = dealt.mapInArrow(number, schema)
+    if held is None:
+        numbered = cut(numbered)
+    else:
+        held.append(numbered := numbered.persist())
     ends = numbered.groupBy("part").agg(F.count(F.lit(1)).alias("n"), *(F.max_by(f"sum_{v}", "place").alias(f"all_{v}") for v in values))
     before = Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)
     first = ends.select("part", *(F.coalesce(F.sum(c).over(before), F.lit(0)).alias(f"__{c}") for c in ("n", *(f"all_{v}" for v in values))))
@@ -65,7 +70,7 @@ def in_order(rows: DataFrame, keys: list[str], values: tuple[str, ...] = (), des
     return met.select(*rows.columns, (F.col("__n") + F.col("place")).alias("place"), *((F.col(f"__all_{v}") + F.col(f"sum_{v}")).alias(f"sum_{v}") for v in values))
 
 
-def compact_ids(vertices: DataFrame, order: str = "priority", parts: int | None = None) -> DataFrame:
+def compact_ids(vertices: DataFrame, order: str = "priority", parts: int | None = None, held: list[DataFrame] | None = None) -> DataFrame:
     """gid, deg, rank_id: dense ids from 0.
 
     ``priority`` orders by (deg, gid) so that ids compare as priorities; ``hash`` keeps
@@ -73,9 +78,9 @@ def compact_ids(vertices: DataFrame, order: str = "priority", parts: int | None
     """
     rows = vertices.select("gid", "deg")
     if order == "priority":
-        return in_order(rows, ["deg", "gid"], parts=parts).select("gid", "deg", F.col("place").alias("rank_id"))
+        return in_order(rows, ["deg", "gid"], parts=parts, held=held).select("gid", "deg", F.col("place").alias("rank_id"))
     owned = rows.withColumn("owner", owner(F.col("gid"), parts or int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))))
-    return in_order(owned, ["owner", "gid"], parts=parts).select("gid", "deg", F.col("place").alias("rank_id"))
+    return in_order(owned, ["owner", "gid"], parts=parts, held=held).select("gid", "deg", F.col("place").alias("rank_id"))
 
 
 def ranked(graph: SignedGraph, ids: DataFrame | None = None) -> DataFrame:

@@ -61,7 +61,7 @@ def latest_signs_state(edges: DataFrame) -> DataFrame:
         best = state.get if state.exists else None
         was = best
         for rows in batches:
-            for row in zip(rows["ts"].dt.to_pydatetime() if len(rows) else (), rows["k1"].tolist(), rows["k2"].tolist(), rows["sign"].tolist(), strict=True):
+            for row in zip([x.to_pydatetime() for x in rows["ts"]], rows["k1"].tolist(), rows["k2"].tolist(), rows["sign"].tolist(), strict=True):
                 best = row if best is None or row > tuple(best) else best
         state.update(tuple(best))
         # Milliseconds; the timeout has to lie behind the watermark.
