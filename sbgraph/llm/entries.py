@@ -10,6 +10,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import decontamination, mixing, ngram_join, oracles, pii_surrogates, quality_classifier, quality_rules, secret_automaton, sharding, token_codes, token_counts
+from .store import Store
 
 SHARDS = 24
 
@@ -71,6 +72,12 @@ def op10_mixing(spark: SparkSession, sf_dir: str) -> DataFrame:
     return mixing.mix(_docs(spark, sf_dir))
 
 
+def quality_ablation(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Op1's ablation over a stored ledger: texts are read once, policies see bits only."""
+    ledger = Store(spark).put("ledger", quality_rules.ledger(_docs(spark, sf_dir).select("doc_id", "text")).drop("text"))
+    return quality_rules.ablation(ledger, quality_rules.STANDARD)
+
+
 def secret_base_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
     """What SQL can express of op6: the base kinds' counts."""
     return secret_automaton.report(_docs(spark, sf_dir)).select("doc_id", "n_assign", "n_access", "n_hex")
@@ -94,6 +101,7 @@ def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
         op8_sharding,
         op9_token_codes,
         op10_mixing,
+        quality_ablation,
         secret_base_counts,
         mixing_targets,
     ]

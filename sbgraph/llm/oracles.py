@@ -21,6 +21,9 @@ f AS (SELECT *, {_BITS} AS failed FROM m)
 SELECT doc_id, CAST(n_words AS BIGINT) AS n_words, CAST(word_chars AS BIGINT) AS word_chars, CAST(n_symbols AS BIGINT) AS n_symbols, CAST(n_dup_lines AS BIGINT) AS n_dup_lines, CAST(n_repeat_words AS BIGINT) AS n_repeat_words, failed & {BASE.mask} <> 0 AS base_failed, failed & {STANDARD.mask} = 0 AS kept, CAST(failed AS BIGINT) AS failed FROM f
 """
 
+_BY_RULE = " UNION ALL ".join(f"SELECT '{r.name}' AS rule, CAST(count(*) FILTER (failed & {1 << k} <> 0) AS BIGINT) AS fails, CAST(count(*) FILTER (failed = {1 << k}) AS BIGINT) AS fails_alone, count(*) AS docs FROM b" for k, r in enumerate(RULES))
+ABLATION = f"WITH b AS ({QUALITY}) {_BY_RULE}"
+
 NGRAM_JOIN = rf"""
 WITH RECURSIVE d AS (SELECT doc_id, regexp_extract_all(translate(coalesce(text, ''), '{_UPPER}', '{_LOWER}'), '{_SPACED}') AS ws FROM documents),
 s AS (SELECT DISTINCT doc_id, CASE WHEN len(ws) >= 5 THEN list_slice(ws, i, i + 4) ELSE ws END AS g FROM d, unnest(range(1, greatest(2, len(ws) - 3))) u(i) WHERE len(ws) > 0),
@@ -63,4 +66,4 @@ l AS (SELECT n, w, capped, (whole - sum(CASE WHEN capped THEN 3 * n ELSE 0 END)
 SELECT n AS source_size, round(CASE WHEN capped THEN 3.0 * n ELSE level * w END, 3) AS target, true AS near FROM l
 """
 
-SQL = {"op1_quality_rules": QUALITY, "op2_ngram_join": NGRAM_JOIN, "op7_decontamination": DECONTAMINATION, "secret_base_counts": SECRETS, "mixing_targets": TARGETS}
+SQL = {"op1_quality_rules": QUALITY, "op2_ngram_join": NGRAM_JOIN, "op7_decontamination": DECONTAMINATION, "quality_ablation": ABLATION, "secret_base_counts": SECRETS, "mixing_targets": TARGETS}

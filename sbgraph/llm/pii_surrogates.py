@@ -471,6 +471,7 @@ def rewrite(docs: DataFrame, key: bytes, text: str = "text") -> DataFrame:
     known = store.put("entities", entities(docs, text))
     full = full_networks(known)
     again = store.put("again", resolve(known, store, key, full).where("attempt > 0").select("kind", "canon", "attempt"))
+    store.keep("again")
     n, cols = again.count(), docs.columns
     row = docs.select(F.struct(*[F.col(f"`{c}`") for c in cols if c != text]).alias("row"), F.col(f"`{text}`").alias("text"))
     if n <= SMALL:

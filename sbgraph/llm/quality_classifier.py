@@ -282,7 +282,8 @@ def train(known_x: DataFrame, labels: DataFrame, label: str = "quality", sample:
     known = labels.select(F.col("`doc_id`").cast("long").alias("__id"), F.col(f"`{label}`").cast("long").alias("y")).where(F.col("y").isin(0, 1) & ~held_out(F.col("__id")))
     # The documented bound: at most ``sample`` labels, in hash order.
     known = known.orderBy(F.xxhash64("__id"), "__id", "y").limit(sample)
-    found = known_x.join(F.broadcast(known), F.col("doc_id") == F.col("__id")).select("y", "x").toPandas()
+    # Of the texts of one doc_id one is fitted, so that no more rows than labels come to the driver.
+    found = known_x.join(F.broadcast(known), F.col("doc_id") == F.col("__id")).groupBy("__id", "y").agg(F.min("x").alias("x")).select("y", "x").toPandas()
     x = np.frombuffer(b"".join(found["x"]), np.float32).reshape(-1, WIDTH) if len(found) else np.zeros((0, WIDTH), np.float32)
     y = found["y"].to_numpy(np.int64)
     order = np.lexsort((*x.T, y)) if len(y) else slice(0)  # the order of rows from a join is not fixed
