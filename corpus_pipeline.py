@@ -56,9 +56,12 @@ ORACLE_SQL: str | None = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """All stages over ``documents``."""
+    """All stages over ``documents``; a stage's own tables and its input go when its rows are written."""
     store = Store(spark)
     docs = spark.read.parquet(f"{sf_dir}/documents.parquet")
     for k, (name, stage) in enumerate(STAGES):
+        before = len(Store.made)
         docs = store.put(f"{k}_{name}", stage(spark, docs, sf_dir))
+        Store.sweep(before)
+        store.keep(f"{k}_{name}")
     return docs
