@@ -170,11 +170,12 @@ def _spelled(text: str) -> Iterator[tuple[int, str]]:
             yield a.start(), f"{a[0]} {_bare(b[0])}"
 
 
-def _names(text: str) -> list[Mention]:
+def _names(text: str, cued: bool) -> list[Mention]:
     """Names that titles, introductions, common given names or addresses reveal, and all other
-    mentions of these persons or of a part of their names."""
+    mentions of these persons or of a part of their names.  ``cued``: the text may hold more than
+    addresses."""
     titled = []
-    for m in _TITLED.finditer(text):
+    for m in _TITLED.finditer(text) if cued else ():
         words = m["name"].split(" ")
         if not words[0][0].isupper():
             continue
@@ -182,7 +183,7 @@ def _names(text: str) -> list[Mention]:
         gender = next((g for t in _NAME.findall(m["titles"]) if (g := TITLES[t]) != "n"), "n")
         titled.append((m.start("name"), m.start("name") + len(name), gender, name.casefold()))
     known = {at for at, *_ in titled}
-    others = [(m.start(k), _bare(m[k])) for m in _INTRODUCED.finditer(text) for k in ("name", "given") if m[k]] + list(_spelled(text) if "@" in text else ())
+    others = [(m.start(k), _bare(m[k])) for m in (_INTRODUCED.finditer(text) if cued else ()) for k in ("name", "given") if m[k]] + list(_spelled(text) if "@" in text else ())
     for at, name in others:
         if at not in known and len(name.split(" ")) == 2:
             known.add(at)
@@ -249,8 +250,9 @@ def mentions(text: str) -> list[Mention]:
             value, at = text[m.start() : end], end
             canon = value if kind == "ip" else value.replace(" ", "") if kind == "iban" else re.sub(r"\D", "", value)
             found.append(Mention(m.start(), end, kind, canon))
-    if "@" in text or next(_cues().iter(text), None):
-        found += _names(text)
+    cued = next(_cues().iter(text), None) is not None
+    if cued or any(m.kind == "email" for m in found):
+        found += _names(text, cued)
     out: list[Mention] = []
     for m in sorted(found, key=lambda m: (m.start, -m.end)):
         if not out or m.start >= out[-1].end:
