@@ -3,10 +3,12 @@
 from __future__ import annotations
 
 import math
+import os
 import subprocess
 import sys
 import time
 from collections.abc import Iterable
+from pathlib import Path
 
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -153,17 +155,18 @@ def executor_scaling(spark: SparkSession, sf: str, name: str = "g1", executors=(
     """Count seconds on local clusters of one-core executors (one host: loopback network only)."""
     out = Rows(spark, "executor_scaling")
     code = (
-        "import sys,time\nfrom pyspark.sql import SparkSession\n"
+        "import sys,tempfile\nfrom pyspark.sql import SparkSession\n"
         "k,sf,name,mb=int(sys.argv[1]),sys.argv[2],sys.argv[3],sys.argv[4]\n"
-        "s=SparkSession.builder.master(f'local-cluster[{k},1,{mb}]').config('spark.executor.memory',mb+'m').config('spark.ui.enabled','false').config('spark.sql.shuffle.partitions','8').getOrCreate()\n"
+        "s=SparkSession.builder.master(f'local-cluster[{k},1,{mb}]').config('spark.executor.memory',mb+'m').config('spark.ui.enabled','false').config('spark.sql.shuffle.partitions','8').config('spark.checkpoint.dir',tempfile.mkdtemp()).getOrCreate()\n"
         "from sbgraph import graphs\nfrom sbgraph.operators import metrics\n"
         "found,timer,per=metrics.run_with_breakdown(graphs.build(s,sf,name),8,1)\n"
         "print('RESULT',found,timer.seconds['exchange'],timer.seconds['count'],metrics.shuffle_bytes(s),per.agg({'peak_kb':'max'}).first()[0],metrics.jvm_peak_bytes(s))\n"
     )
+    root = str(Path(__file__).resolve().parents[2])
     names = ("balanced", "exchange_seconds", "count_seconds", "shuffle_bytes", "peak_kb", "jvm_peak_bytes")
     for k in executors:
         try:
-            run = subprocess.run([sys.executable, "-c", code, str(k), sf, name, str(memory_mb)], capture_output=True, text=True, timeout=limit_s, check=False)
+            run = subprocess.run([sys.executable, "-c", code, str(k), sf, name, str(memory_mb)], capture_output=True, text=True, timeout=limit_s, check=False, env=os.environ | {"PYTHONPATH": os.pathsep.join([root, os.environ.get("PYTHONPATH", "")])})
             line = next((x for x in run.stdout.splitlines() if x.startswith("RESULT")), None)
         except subprocess.TimeoutExpired:
             line = None

@@ -7,7 +7,7 @@ import datetime as dt
 import pytest
 from pyspark.sql import functions as F
 
-from sbgraph import functions, graphs, ingest, sources, sql, streaming
+from sbgraph import experiments, functions, graphs, ingest, sources, sql, streaming
 from sbgraph.model import SignedGraph, from_rows
 from sbgraph.operators import assign, count, index, metrics
 from sbgraph.schemas import INTERACTIONS
@@ -199,3 +199,10 @@ def test_times_and_ratios(spark):
     assert {r["config"]: r["value"] for r in metrics.speedup(times, "a").collect()} == {"a": 1.0, "b": 2.0}
     bins = spark.createDataFrame([(0, 10), (1, 5)], "bin int, nanos long")
     assert metrics.straggler_ratio(bins) == 2 and metrics.straggler_ratio(bins.withColumn("nanos", F.col("bin"))) is None
+
+
+def test_failed_runs_stay_in_the_table(spark, sf):
+    got = {r["config"]: r for r in experiments.executor_scaling(spark, sf, "g5", (1,)).collect() if r["metric"] in ("balanced", "failed")}
+    assert got["loopback_1"]["value"] == 690
+    late = experiments.executor_scaling(spark, sf, "g5", (1,), limit_s=1).collect()
+    assert [(r["metric"], r["value"]) for r in late] == [("failed", None)]
