@@ -135,9 +135,9 @@ def frequencies(docs: DataFrame, size: int = SIZE) -> np.ndarray:
                     held += np.frombuffer(zlib.decompress(data), np.uint16)
         yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([_levels(v).tobytes() for v in sums.values()], pa.binary())], names=["k", "part"])
 
-    partial = _texts(docs).select("text").mapInArrow(count, "k int, sparse boolean, part binary")
+    partial = _texts(docs).select("text").mapInArrow(K.released(count), "k int, sparse boolean, part binary")
     out = np.zeros(n_cells, np.uint8)
-    for r in partial.repartition("k").mapInArrow(add, "k int, part binary").collect():  # CELL_BLOCKS rows of a fixed size
+    for r in partial.repartition("k").mapInArrow(K.released(add), "k int, part binary").collect():  # CELL_BLOCKS rows of a fixed size
         out[r["k"] * step : (r["k"] + 1) * step] = np.frombuffer(r["part"], np.uint8)
     return out
 
@@ -169,7 +169,7 @@ def sketches(docs: DataFrame, table: np.ndarray, size: int = SIZE) -> DataFrame:
             }
             yield pa.RecordBatch.from_pydict(columns)
 
-    return _texts(docs).mapInArrow(run, "doc_id long, n long, f1 long, f2 long, prefix array<long>")
+    return _texts(docs).mapInArrow(K.released(run), "doc_id long, n long, f1 long, f2 long, prefix array<long>")
 
 
 def _band(n: np.ndarray) -> np.ndarray:
@@ -216,7 +216,7 @@ def _led(entries: DataFrame) -> DataFrame:
             kept = rows[:, new & (rows[0] == batch.column(0)[-1].as_py())]
 
     dealt = entries.repartition("h").sortWithinPartitions("h", "n", "f1").select("h", "f1", "n")
-    return dealt.mapInArrow(run, MEMBERS)
+    return dealt.mapInArrow(K.released(run), MEMBERS)
 
 
 def _led_hot(entries: DataFrame) -> DataFrame:
@@ -230,7 +230,7 @@ def _led_hot(entries: DataFrame) -> DataFrame:
         for batch in batches:
             yield pa.RecordBatch.from_arrays([pa.array(x) for x in _filed(*(batch.column(k).to_numpy() for k in range(3)))], names=["h", "file", "f1", "n"])
 
-    filed = entries.select("h", "f1", "n").mapInArrow(run, "h long, file long, f1 long, n long")
+    filed = entries.select("h", "f1", "n").mapInArrow(K.released(run), "h long, file long, f1 long, n long")
     first = filed.groupBy("h", "file").agg(F.min(F.struct("n", "f1")).alias("first"), F.count(F.lit(1)).alias("held")).where("held > 1")
     first = first.select(F.col("h").alias("__h"), F.col("file").alias("__file"), F.col("first.f1").alias("leader"))
     return filed.join(first, (F.col("h") == F.col("__h")) & (F.col("file") == F.col("__file"))).select("leader", "f1", "n")
@@ -406,7 +406,7 @@ def _candidates(rows: DataFrame) -> DataFrame:
                 yield pa.RecordBatch.from_pydict({"rep": pa.array([held["rep"][k] for k in at], pa.int64()), "f1": pa.array([held["f1"][k] for k in at], pa.int64()), **fixed, "side": pa.array(side[at]), "sub": pa.array(sub[at])})
 
     dealt = rows.repartition(*TILE_KEY).sortWithinPartitions(*TILE_KEY)
-    return dealt.mapInArrow(run, "rep long, f1 long, leader long, i long, j long, side long, sub long")
+    return dealt.mapInArrow(K.released(run), "rep long, f1 long, leader long, i long, j long, side long, sub long")
 
 
 def _met_before(lower: list[np.ndarray]) -> np.ndarray:
@@ -463,7 +463,7 @@ def _tile_links(rows: DataFrame, write: bool = False) -> DataFrame:
             yield pa.RecordBatch.from_arrays([pa.array(names[at]), pa.nulls(len(at), pa.int64()), pa.array(marks[at]), pa.array(links[at].astype(np.int64))], names=["a", "b", "f1", "links"])
 
     schema = "a long, f1_a long, b long, f1_b long, overlap long" if write else "a long, b long, f1 long, links long"
-    return rows.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(run, schema)
+    return rows.repartition(*keys).sortWithinPartitions(*keys).mapInArrow(K.released(run), schema)
 
 
 def _bitmap(rows: DataFrame, key: str) -> tuple[np.ndarray, int]:
@@ -515,7 +515,7 @@ def links(docs: DataFrame, heads: DataFrame, members: DataFrame, classes: DataFr
             yield pa.RecordBatch.from_arrays([part.column("rep"), pa.array(_marks(sets)[:, 0].copy()), _lists(sets)], names=["rep", "f1", "set"])
 
     texts = _texts(docs).where("doc_id IS NOT NULL").select(F.col("doc_id").alias("rep"), F.pmod(F.xxhash64("doc_id"), F.lit(bits)).alias("at"), "text")
-    rows = texts.mapInArrow(run, "rep long, f1 long, set array<long>").join(own, ["rep", "f1"]).join(found, ["rep", "f1"])
+    rows = texts.mapInArrow(K.released(run), "rep long, f1 long, set array<long>").join(own, ["rep", "f1"]).join(found, ["rep", "f1"])
     lower = F.filter("leaders", lambda x: x < F.col("leader")).alias("lower")
     return _tile_links(rows.select(*TILE_KEY, "sub", "side", "rep", "f1", "size", lower, "set"), write)
 
@@ -533,7 +533,8 @@ def _classes(docs: DataFrame, store: Store, size: int) -> tuple[DataFrame, DataF
     # What may be a copy is looked up; all other rows are heads.
     own = own.withColumn("copy", _among(store.put("copies", copies), "doc_id")("doc_id"))
     firsts = own.where("copy").join(marked, [F.col("doc_id") == F.col("rep"), *equal])
-    heads = own.where("NOT copy").select(F.col("doc_id").alias("rep"), "f1", "n", "prefix").unionByName(firsts.select("rep", "f1", "n", "prefix"))
+    # Written once: it is read twice, and a task looks up one bitmap at a time.
+    heads = store.put("heads", own.where("NOT copy").select(F.col("doc_id").alias("rep"), "f1", "n", "prefix").unionByName(firsts.select("rep", "f1", "n", "prefix")))
     entries = heads.select("f1", "n", F.explode("prefix").alias("h"))
     return known, classes, heads, store.put("members", _members(entries))
 
@@ -564,7 +565,7 @@ def join(docs: DataFrame, size: int = SIZE) -> DataFrame:
     store = Store(docs.sparkSession)
     known, classes, heads, members = _classes(docs, store, size)
     tiles = store.put("links", links(docs, heads, members, classes, store, size))
-    store.drop("members", "candidates")
+    store.drop("members", "candidates", "heads", "copies")
     several = store.put("several", _several(known, classes))
     both = several.where("rep IS NOT NULL").select(F.col("doc_id").alias("a"), F.col("rep").alias("b")).where("a <> b")
     found = components(tiles.where("b IS NOT NULL").select("a", "b").unionByName(both), store)
