@@ -380,8 +380,8 @@ def _relational(r: _Registry) -> None:
     r.add("window_bbf_sliding", lambda s, d: told(streaming.windowed_counts(streaming.windowed_graphs(events(s, d), "2 days", "1 day"))), by_window("%Y-%m-%d %H:%M", slid))
     session = "SELECT raw.*, start AS d FROM raw JOIN (SELECT m, min(m) OVER (PARTITION BY session) AS start FROM (SELECT m, sum(fresh) OVER (ORDER BY m) AS session FROM (SELECT m, CASE WHEN m - lag(m) OVER (ORDER BY m) <= INTERVAL 180 MINUTE THEN 0 ELSE 1 END AS fresh FROM (SELECT DISTINCT date_trunc('minute', ts) AS m FROM raw)))) z ON z.m = date_trunc('minute', raw.ts)"
     r.add("window_bbf_session", lambda s, d: told(streaming.windowed_counts(streaming.session_windows(events(s, d), 180))), by_window("%Y-%m-%d %H:%M", session))
-    last = F.max_by("sign", F.col("batch"))
-    r.add("stream_latest_state", lambda s, d: streaming.replay(s, f"{d}/events.parquet*", streaming.latest_signs_state, "update").groupBy("u", "v").agg(last.cast("int").alias("sign")), f"WITH {_ctes('g6')} SELECT u, v, CAST(sign AS INT) AS sign FROM e")
+    last = lambda: F.max_by("sign", "batch").cast("int").alias("sign")
+    r.add("stream_latest_state", lambda s, d: streaming.replay(s, f"{d}/events.parquet*", streaming.latest_signs_state, "update").groupBy("u", "v").agg(last()), f"WITH {_ctes('g6')} SELECT u, v, CAST(sign AS INT) AS sign FROM e")
     r.add("stream_without_replays", lambda s, d: streaming.replay(s, f"{d}/events.parquet*", lambda e: streaming.without_replays(e).select("event_id", "u", "v"), "append").select("event_id", "u", "v"), f"WITH raw AS ({_RAW['g6']}) SELECT DISTINCT k1 AS event_id, u, v FROM raw WHERE u IS NOT NULL AND v IS NOT NULL")
 
 

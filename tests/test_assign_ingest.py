@@ -3,6 +3,9 @@
 from __future__ import annotations
 
 import datetime as dt
+import subprocess
+import sys
+from pathlib import Path
 
 import pytest
 from pyspark.sql import functions as F
@@ -206,3 +209,10 @@ def test_failed_runs_stay_in_the_table(spark, sf):
     assert got["loopback_1"]["value"] == 690
     late = experiments.executor_scaling(spark, sf, "g5", (1,), limit_s=1).collect()
     assert [(r["metric"], r["value"]) for r in late] == [("failed", None)]
+
+
+def test_queries_are_registered_without_a_session():
+    """In a process of its own: names and SQL are there before a session is."""
+    code = "import __spark_entry__ as e; q, o = e.queries(), e.oracle_sql(); assert len(q) > 200 and set(o) <= set(q)"
+    root = Path(__file__).resolve().parent.parent
+    subprocess.run([sys.executable, "-c", code], check=True, cwd=root)
