@@ -9,7 +9,7 @@ from collections import Counter
 import numpy as np
 import pytest
 
-from sbgraph import graphs, plans
+from sbgraph import experiments, graphs, plans
 from sbgraph.model import SignedGraph, from_rows, validate
 from sbgraph.operators import assign, count, index, measures
 
@@ -232,3 +232,26 @@ def test_tips_and_wings_against_peeling(spark, name):
 def test_local_counters_are_guarded(spark):
     with pytest.raises(ValueError, match="edges"):
         count.count_serial(from_rows(spark, CASES["random1"]), cap=3)
+
+
+@pytest.mark.parametrize("n", (1, 2, 63, 64, 65, 130, 1000))
+def test_every_two_bits_are_compared(n):
+    bits = np.array([random.Random(n).random() < 0.4 for _ in range(n)]).astype(np.uint8)
+    assert count.unequal_pairs(bits) == int(bits.sum()) * (n - int(bits.sum()))
+
+
+def test_untold_pairs_are_tested_in_long_lists(spark, monkeypatch):
+    monkeypatch.setattr(count, "PACK", 50)
+    rows = [(u, v, int((u * v + v // 3) % 4 > 0)) for u in range(3) for v in range(150)] + [(u, v, u % 2) for u in range(3, 20) for v in range(3)]
+    g = from_rows(spark, rows).cached()
+    s = measures.balance_summary(g).first()
+    blind = count.count_signblind(g).first()
+    assert (blind["total"], blind["balanced"], blind["wasted"]) == (s["total"], s["balanced"], s["unbalanced"])
+
+
+def test_baseline_is_compared_however_many_butterflies(spark, monkeypatch):
+    """Two users with 15,000 products each: over a hundred million butterflies."""
+    rows = spark.range(30_000).selectExpr("id % 2 AS u", "id div 2 AS v", "CAST(id % 3 > 0 AS BYTE) AS sign")
+    monkeypatch.setattr(experiments.graphs, "build", lambda *_: SignedGraph(rows))
+    got = {r["metric"]: r["value"] for r in experiments.compare_baseline(spark, "", ("g",)).collect() if r["config"] == "signblind"}
+    assert got["total"] == 15_000 * 14_999 // 2 and got["balanced"] + got["wasted"] == got["total"]
