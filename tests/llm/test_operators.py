@@ -869,3 +869,30 @@ def test_pipeline(spark, sf):
 
     out = corpus_pipeline.run(spark, sf)
     assert 0 < out.count() and {"doc_id", "shard", "slot"} <= set(out.columns)
+
+
+def test_sums_of_neighbours_need_few_bytes_a_word():
+    """A bucket's sums, equal to those formed word by word, in memory that two tasks of an executor have."""
+    import tracemalloc
+
+    import numpy as np
+
+    from sbgraph.llm import quality_classifier as Q
+
+    rng = np.random.default_rng(3)
+    vocabulary = rng.integers(1, 1 << 63, 50).astype(np.uint64)
+    words = vocabulary[rng.integers(0, 50, 400_000)]
+    first = np.array([0, 100, 100, 250_000, 400_000])
+    names = np.unique(words)
+    tracemalloc.start()
+    got = Q._sums([(None, words, first)], names)
+    peak = tracemalloc.get_traced_memory()[1]
+    tracemalloc.stop()
+    want = np.zeros((50, Q.DIM), np.int64)
+    vectors = np.rint(Q.index_vectors(names) * np.sqrt(Q.NONZERO)).astype(np.int64)
+    at = np.searchsorted(names, words)
+    for a, b in zip(first, first[1:]):
+        np.add.at(want, at[a : b - 1] if b > a else at[:0], vectors[at[a + 1 : b]])
+        np.add.at(want, at[a + 1 : b], vectors[at[a : b - 1] if b > a else at[:0]])
+    assert (got[:, : Q.DIM] == want).all() and (got[:, Q.DIM] == np.bincount(at, minlength=50)).all()
+    assert peak < 80 * len(words)
