@@ -255,3 +255,44 @@ def test_baseline_is_compared_however_many_butterflies(spark, monkeypatch):
     monkeypatch.setattr(experiments.graphs, "build", lambda *_: SignedGraph(rows))
     got = {r["metric"]: r["value"] for r in experiments.compare_baseline(spark, "", ("g",)).collect() if r["config"] == "signblind"}
     assert got["total"] == 15_000 * 14_999 // 2 and got["balanced"] + got["wasted"] == got["total"]
+
+
+def test_one_process_counters_hold_no_edge_on_the_driver(spark, monkeypatch):
+    rows = CASES["random1"]
+    g = from_rows(spark, rows)
+    monkeypatch.setattr(type(g.edges), "toPandas", None)
+    monkeypatch.setattr(type(spark.sparkContext), "broadcast", None)
+    assert {f(g).first()["balanced"] for f in (count.count_serial, count.count_shared)} == {brute(rows)[1]}
+
+
+def test_shards_of_a_pivot_travel_once_a_bin(spark):
+    """A pivot of many more shards than bins."""
+    rows = CASES["hub"]
+    g = from_rows(spark, rows).cached()
+    ready = count.prepare(g, 2, "hash", "restricted", 1)
+    most = ready.assignment.groupBy("pivot", "bin").count().agg({"count": "max"}).first()[0]
+    found = sum(r["balanced"] for form in ("sql", "arrow") for r in count.count_prepared(ready, 2, form=form).collect())
+    ready.release()
+    assert most == 1 and found == 2 * brute(rows)[1]
+
+
+def test_a_heavy_bin_is_counted_in_several_tasks(spark):
+    """All load in the first bin of four, as with blocks of pivots."""
+    held = spark.createDataFrame([(p, 0, 10) for p in range(20)] + [(p, 1 + p % 3, 0) for p in range(20, 30)], assign.ASSIGNMENT)
+    assert count._ways(held, 4, 1) == [4, 1, 1, 1] and count._ways(held, 4, 2) == [8, 2, 2, 2]
+    g = graphs.build(spark, "/root/testdata/sf0.001", "g1")
+    per = {form: [(r["bin"], r["balanced"], r["wedges"]) for r in count.count_pivot_local(g, 8, 1, "blocks", "restricted", form, "bins", experiments.WHOLE).collect()] for form in ("sql", "arrow")}
+    assert per["sql"] == per["arrow"]
+
+
+def test_worked_examples_read_a_table(spark, sf):
+    from sbgraph import queries
+
+    found = queries.registry().queries
+    lines = spark.read.parquet(f"{sf}/lineitem.parquet")
+    assert found["lpt_example"](spark, sf).agg({"load": "sum"}).first()[0] == lines.count()
+    pairs = lines.where("l_quantity = 1").select("l_partkey", "l_suppkey").distinct()
+    assert found["wing_w2"](spark, sf).count() == pairs.count()
+    assert found["tip_w2"](spark, sf).count() == pairs.select("l_partkey").distinct().count()
+    one = {r["metric"]: r["value"] for r in found["x13_worked_examples"](spark, sf).collect() if r["graph"] == "lines_of_1"}
+    assert one["total"] == measures.balance_summary(graphs.lines_of(spark, sf, 1)).first()["total"]
