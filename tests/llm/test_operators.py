@@ -896,3 +896,15 @@ def test_sums_of_neighbours_need_few_bytes_a_word():
         np.add.at(want, at[a + 1 : b], vectors[at[a : b - 1] if b > a else at[:0]])
     assert (got[:, : Q.DIM] == want).all() and (got[:, Q.DIM] == np.bincount(at, minlength=50)).all()
     assert peak < 80 * len(words)
+
+
+def test_texts_go_to_their_buckets_compressed():
+    import pyarrow as pa
+
+    from sbgraph.llm import quality_classifier as Q
+
+    texts = [None, "", "ä b"] + ["the same words over and over " * 20] * 200
+    batch = pa.record_batch({"bucket": pa.array([k % 3 for k in range(203)], pa.int64()), "doc_id": pa.array(range(203), pa.int64()), "text": pa.array(texts)})
+    sent = pa.Table.from_batches(Q._texts_packed([batch]))
+    back = {r["doc_id"]: r["text"] for k in range(3) for r in Q._texts(sent.filter(pa.compute.equal(sent["bucket"], k))).to_pylist()}
+    assert back == dict(enumerate(texts)) and sum(map(len, sent["texts"].to_pylist())) < batch.nbytes // 10
