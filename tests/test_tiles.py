@@ -48,3 +48,16 @@ def test_split_follows_from_the_other_side(spark, monkeypatch):
     formed, plain = [], count.wedges
     monkeypatch.setattr(count, "wedges", lambda x, order="priority": formed.append(order) or plain(x, order))
     assert tuple(measures.class_split(g, "U").first()) == tuple(want) and "U" not in formed
+
+
+@pytest.mark.parametrize("word", (1, 7, 64))
+def test_bruteforce_tests_quads_where_blocks_meet(spark, monkeypatch, word):
+    g = graph(spark, 3, 37, 13, 0.4)
+    held = {(r["u"], r["v"]): r["sign"] for r in g.edges.collect()}
+    four = [[held.get(x) for x in ((a, c), (a, d), (b, c), (b, d))] for a in range(37) for b in range(a) for c in range(13) for d in range(c)]
+    found = [sum(x) for x in four if None not in x]
+    for name, value in (("LEAST", 50), ("WORD", word), ("TESTS", 64)):
+        monkeypatch.setattr(tiles, name, value)
+    rows = count.count_bruteforce(g)
+    assert "NestedLoopJoin" not in rows._jdf.queryExecution().toString() and "Cartesian" not in rows._jdf.queryExecution().toString()
+    assert tuple(rows.first()) == (len(found), sum(x % 2 == 0 for x in found))
