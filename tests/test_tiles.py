@@ -61,3 +61,21 @@ def test_bruteforce_tests_quads_where_blocks_meet(spark, monkeypatch, word):
     rows = count.count_bruteforce(g)
     assert "NestedLoopJoin" not in rows._jdf.queryExecution().toString() and "Cartesian" not in rows._jdf.queryExecution().toString()
     assert tuple(rows.first()) == (len(found), sum(x % 2 == 0 for x in found))
+
+
+@pytest.mark.parametrize("balanced", (True, False, None))
+def test_enumeration_forms_the_fewer_wedges(spark, monkeypatch, balanced):
+    """Many users of few types: the pairs of users are far more than the pairs of types."""
+    g = graph(spark, 4, 60, 4, 0.6)
+    held = {(r["u"], r["v"]): r["sign"] for r in g.edges.collect()}
+    want = set()
+    for a, b, c, d in ((a, b, c, d) for b in range(60) for a in range(b) for d in range(4) for c in range(d)):
+        signs = [held.get(x) for x in ((a, c), (a, d), (b, c), (b, d))]
+        if None not in signs and balanced in (None, sum(signs) % 2 == 0):
+            want.add((a, b, c, d, 4 - sum(signs)))
+    formed, plain = [], count.wedges
+    monkeypatch.setattr(count, "wedges", lambda x, order="priority": formed.append(order) or plain(x, order))
+    for h, swap in ((g, False), (g.swapped(), True)):
+        rows = [tuple(r) for r in count.enumerate_butterflies(h, balanced).collect()]
+        assert len(rows) == len(want) and {(r[2], r[3], r[0], r[1], r[4]) if swap else r for r in rows} == want
+    assert formed == ["V", "U"]
