@@ -4,6 +4,8 @@ from __future__ import annotations
 
 import random
 
+import numpy as np
+import pyarrow as pa
 import pytest
 from pyspark.sql import functions as F
 
@@ -79,3 +81,16 @@ def test_enumeration_forms_the_fewer_wedges(spark, monkeypatch, balanced):
         rows = [tuple(r) for r in count.enumerate_butterflies(h, balanced).collect()]
         assert len(rows) == len(want) and {(r[2], r[3], r[0], r[1], r[4]) if swap else r for r in rows} == want
     assert formed == ["V", "U"]
+
+
+def test_blocks_are_packed_small():
+    """An edge of a block with a mid for every second edge takes under four bytes, and comes back as it was."""
+    r = np.random.default_rng(5)
+    block = tiles.Block.of(r.integers(0, 4_000, 200_000) * 2 + 10**9, r.integers(0, 100_000, 200_000) * 2 + 1, r.integers(0, 2, 200_000))
+    blob = block.pack()
+    back = tiles.Block.unpack(pa.py_buffer(blob))
+    for name in ("ends", "mids", "start", "end", "mask"):
+        assert np.array_equal(getattr(back, name), getattr(block, name)) and getattr(back, name).dtype == getattr(block, name).dtype
+    assert len(blob) < 4 * 200_000
+    empty = tiles.Block.of(*(np.zeros(0, np.int64),) * 3)
+    assert len(tiles.Block.unpack(pa.py_buffer(empty.pack())).start) == 1
