@@ -33,8 +33,9 @@ from pyspark import TaskContext
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from .kernels import give_back, released
 from .store import Store
-from .tokens import VOCABULARY, id_parts
+from .tokens import VOCABULARY, forget, id_parts
 
 WIDTH, STEP = 8, 512
 #: Ids after which a block is closed.
@@ -61,7 +62,7 @@ def encode_ids(ids: np.ndarray) -> bytes:
 class Codes:
     """Random access to a block."""
 
-    def __init__(self, data: bytes) -> None:
+    def __init__(self, data: bytes | memoryview) -> None:
         if data[:4] != b"DAC1":
             raise ValueError("not a block of directly addressable codes")
         self.size, n_levels = struct.unpack_from("<II", data, 4)
@@ -139,7 +140,7 @@ def blocks(docs: DataFrame, vocabulary: str = VOCABULARY, end_id: int | None = E
     # Texts of one id follow a hash, and equal rows any order, so that ranges can cut a much repeated id.
     rows = rows.withColumn("mark", F.xxhash64("text")).withColumn("tie", F.monotonically_increasing_id())
     ordered = rows.repartitionByRange("doc_id", "mark", "tie").sortWithinPartitions("doc_id", "mark", "text")
-    return ordered.select("doc_id", "text").mapInArrow(run, BLOCKS)
+    return ordered.select("doc_id", "text").mapInArrow(released(run), BLOCKS)
 
 
 def write(docs: DataFrame, path: str, vocabulary: str = VOCABULARY, end_id: int | None = END_ID) -> None:
@@ -188,12 +189,15 @@ def read(file: DataFrame) -> DataFrame:
     placed = file.join(side, (F.col("part") == F.col("__p")) & (F.col("block") == F.col("__b")))
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        forget()  # the worker may have encoded before
+        give_back()
         for batch in batches:
-            for names, ends, codes, start in zip(*[batch.column(k).to_pylist() for k in range(4)], strict=True):
-                ids = Codes(codes).decode().astype("<u4")
-                edges = np.concatenate([[0], ends]).astype(np.int64)
+            for row in range(batch.num_rows):  # one block at a time
+                names, ends, codes, start = (batch.column(k)[row] for k in range(4))
+                ids = Codes(memoryview(codes.as_buffer())).decode().astype("<u4")
+                edges = np.concatenate([[0], ends.values.to_numpy()]).astype(np.int64)
                 crc = [zlib.crc32(ids[a:b]) for a, b in zip(edges[:-1].tolist(), edges[1:].tolist(), strict=True)]
-                yield pa.RecordBatch.from_arrays([pa.array(names, pa.int64()), pa.array(edges[:-1] + start), pa.array(np.diff(edges)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
+                yield pa.RecordBatch.from_arrays([names.values, pa.array(edges[:-1] + start.as_py()), pa.array(np.diff(edges)), pa.array(crc, pa.int64())], names=["doc_id", "start", "n_tokens", "ids_crc32"])
 
     return placed.select("doc_ids", "ends", "codes", "start").mapInArrow(run, "doc_id long, start long, n_tokens long, ids_crc32 long")
 

@@ -131,8 +131,9 @@ class IdParts(Parts):
     version, are encoded by the library as a whole.
     """
 
-    #: The byte-level pre-tokenizer's pattern, and the plain range.
+    #: The byte-level pre-tokenizer's pattern, marks that begin no other piece behind letters, and the plain range.
     PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
+    MARKS = ".,;:!?"
     PLAIN = re.compile("[\\t\\n\\r -~\u00a1-\u024f]*")
 
     def __init__(self, name: str, size: int = CACHE) -> None:
@@ -154,27 +155,29 @@ class IdParts(Parts):
             spelled = piece.encode().decode("latin-1").translate(self.letters)
         return array("I", [t.id for t in self.tokenize(spelled)]).tobytes()
 
+    def within(self, piece: str) -> bytes:
+        """A piece that is no part of its own."""
+        value = self.inner.get(piece)
+        if value is None:
+            value = self.piece(piece)
+            if len(piece) <= KEPT:
+                if self.inner_room <= 0:
+                    self.inner, self.inner_room = {}, self.size // 4
+                self.inner[piece] = value
+                self.inner_room -= ENTRY + len(piece) + len(value)
+        return value
+
     def part(self, string: str) -> bytes:
         if not self.match(string):
             return self.whole(string)
+        # Letters, or letters and marks behind them, need no search for their pieces.
+        word = string.rstrip(self.MARKS)
+        if string[0] == " " and word[1:].isalpha():
+            return self.piece(string) if len(word) == len(string) else self.known[word[1:]] + self.within(string[len(word) :])
         pieces = self.find(string)
         if len(pieces) == 1:
             return self.piece(string)
-        out, known = [], self.known
-        for p in pieces:
-            if p[0] == " " and len(p) > 1:  # a part of its own
-                out.append(known[p[1:]])
-            else:
-                value = self.inner.get(p)
-                if value is None:
-                    value = self.piece(p)
-                    if len(p) <= KEPT:
-                        if self.inner_room <= 0:
-                            self.inner, self.inner_room = {}, self.size // 4
-                        self.inner[p] = value
-                        self.inner_room -= ENTRY + len(p) + len(value)
-                out.append(value)
-        return b"".join(out)
+        return b"".join([self.known[p[1:]] if p[0] == " " and len(p) > 1 else self.within(p) for p in pieces])
 
 
 def added_tokens(tok) -> list[str]:
@@ -187,6 +190,11 @@ def id_parts(name: str = VOCABULARY) -> Parts:
     return IdParts(name)
 
 
+def forget() -> None:
+    """Drops this process's caches of ids: idle workers stay, with what they hold."""
+    id_parts.cache_clear()
+
+
 @functools.cache
 def span_parts(name: str = VOCABULARY) -> Parts:
     """Parts whose values are their tokens' (start, end) characters, int32 pairs; one cache per worker process."""

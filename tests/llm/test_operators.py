@@ -495,6 +495,32 @@ def test_caches_are_bounded_by_bytes(monkeypatch):
         assert len(parts.known) <= 110 and len(parts.known.before) <= 110 and len(parts.inner) <= 30 and max(map(len, parts.known)) <= tokens.KEPT
 
 
+def test_readers_drop_the_encoders_caches(spark, docs):
+    def held(batches):
+        tokens.id_parts().joined("some words that stay")
+        yield from batches
+
+    file = store.Store(spark).put("kept", token_codes.blocks(docs.coalesce(1)))
+    spark.range(1, numPartitions=1).mapInArrow(held, "id long").collect()
+    read = token_codes.read(file).coalesce(1)
+
+    def caches(batches):
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array([tokens.id_parts.cache_info().currsize] * batch.num_rows, pa.int64())], names=["n"])
+
+    assert {r["n"] for r in read.mapInArrow(caches, "n long").collect()} == {0}
+
+
+def test_words_with_marks_equal_the_library():
+    words = ["plain", "Ünïcode", "word.", "word,!?", "x'll.", "ab'", "a1.", "1a", ".,", "ª", "µ:", "a\u0301.", "word...\nNext", "naïve;", "don't,", "²", "a.b"]
+    parts = tokens.IdParts(tokens.VOCABULARY)
+    sought = []
+    parts.find = lambda s, find=parts.find: sought.append(s) or find(s)
+    for w in words:
+        assert np.frombuffer(parts.joined(f"x {w} {w} y"), "<u4").tolist() == plain_ids(f"x {w} {w} y"), w
+    assert not {" word.", " word,!?", " naïve;", " plain"} & set(sought)
+
+
 def test_tokens_of_the_whole_file(spark, docs):
     file = store.Store(spark).put("codes", token_codes.blocks(docs))
     wanted = sorted(((i, t) for i, t, *_ in rows()), key=lambda r: (r[0] is not None, r[0] or 0, r[1] or ""))
