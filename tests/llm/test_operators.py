@@ -924,6 +924,19 @@ def test_sums_of_neighbours_need_few_bytes_a_word():
     assert peak < 80 * len(words)
 
 
+def test_larger_buckets_send_fewer_words():
+    """Hashes and sums of a bucket come back, in fewer bytes than the hashes alone have."""
+    import numpy as np
+
+    from sbgraph.llm import quality_classifier as Q
+
+    names = np.unique(np.random.default_rng(5).integers(0, 1 << 63, 50_000).astype(np.uint64) * np.uint64(2))
+    for some in (names, names[:1], names[:0]):
+        assert (Q._unpack_names(Q._pack_names(some)) == some).all()
+    assert len(Q._pack_names(names)) < 7 * len(names)
+    assert Q.BUCKET >= 128 << 20 and Q._rows([np.ones(Q.WIDTH, k).tobytes() for k in (np.float16,) * 2]).tolist() == Q._rows([np.ones(Q.WIDTH, np.float32).tobytes()] * 2).tolist()
+
+
 def test_texts_go_to_their_buckets_compressed():
     import pyarrow as pa
 
