@@ -126,9 +126,9 @@ def blocks(docs: DataFrame, vocabulary: str = VOCABULARY, end_id: int | None = E
             return pa.RecordBatch.from_arrays(columns, names=["part", "block", "doc_ids", "ends", "codes"])
 
         for batch in batches:
-            for name, text in zip(batch.column("doc_id").to_pylist(), batch.column("text"), strict=True):
+            for name, own in zip(batch.column("doc_id").to_pylist(), parts.each(batch.column("text").to_pylist()), strict=True):
                 names.append(name)
-                held.append(parts.joined(text.as_py() or "") + end)
+                held.append(own + end)
                 size += len(held[-1]) // 4
                 if size >= BLOCK:
                     yield close()

@@ -11,17 +11,20 @@ space precedes a space, or that holds the string of an added token, is encoded w
 from __future__ import annotations
 
 import functools
+import itertools
 import os
 import re
 import sys
 from array import array
-from collections.abc import Callable, Sequence
+from collections.abc import Callable, Iterator, Sequence
 
 import numpy as np
+import pyarrow as pa
+import pyarrow.compute as pc
 
 #: The default vocabulary file, bytes of each of a cache's two generations, bytes of an entry
-#: besides its contents, and characters of the longest part that is kept.
-VOCABULARY, CACHE, ENTRY, KEPT = "byte_bpe_50k.json", 100 << 20, 200, 64
+#: besides its contents, characters of the longest part that is kept, and of texts whose parts are told apart together.
+VOCABULARY, CACHE, ENTRY, KEPT, TOGETHER = "byte_bpe_50k.json", 100 << 20, 200, 64, 4 << 20
 #: White space that makes a text unsafe to cut, before a space or anywhere.
 _BEFORE_SPACE = ("  ", "\n ", "\t ", "\r ")
 _ANYWHERE = tuple(map(chr, [0x0B, 0x0C, *range(0x1C, 0x20), 0x85, 0xA0, 0x1680, *range(0x2000, 0x200B), 0x2028, 0x2029, 0x202F, 0x205F, 0x3000]))
@@ -57,7 +60,8 @@ def span_tokenizer(name: str = VOCABULARY):
 class _Values(dict):
     """Values by part; a missing one is taken from the generation before or made.
 
-    Long parts are not kept, and none is once the generation is full.
+    Long parts are not kept, and none is once the generation is full.  ``make`` gets a part
+    without the space before it.
     """
 
     def __init__(self, make: Callable[[str], bytes], before: dict[str, bytes], room: int) -> None:
@@ -67,40 +71,61 @@ class _Values(dict):
     def __missing__(self, part: str) -> bytes:
         found = self.before.get(part)
         if found is None:
-            found = self.make(f" {part}")
+            found = self.make(part)
         if self.room > 0 and len(part) <= KEPT:
             self[part] = found
             self.room -= ENTRY + len(part) + len(found)
         return found
 
 
+    def take(self, fresh: dict[str, bytes]) -> None:
+        """Keeps values that were made elsewhere, as far as there is room."""
+        short = {part: value for part, value in fresh.items() if len(part) <= KEPT}
+        size = ENTRY * len(short) + sum(map(len, short)) + sum(map(len, short.values()))
+        if size > max(self.room, 0):
+            short = dict(itertools.islice(short.items(), max(self.room, 0) * len(short) // size))
+            size = self.room
+        self.update(short)
+        self.room -= size
+
+
 class Parts:
     """Values of texts' parts; ``whole`` maps any text to bytes, ``part`` one without added tokens."""
 
     def __init__(self, whole: Callable[[str], bytes], special: Sequence[str], size: int = CACHE) -> None:
         self.whole, self.special, self.size = whole, tuple(special), size
-        self.known = _Values(self.part, {}, size)
+        self.known = _Values(self.behind, {}, size)
 
     def part(self, string: str) -> bytes:
         return self.whole(string)
 
-    def split(self, text: str) -> list[str]:
-        """The text's parts without their leading space (the first has none); an unsafe text is one."""
+    def behind(self, part: str) -> bytes:
+        """The value of a part behind its space."""
+        return self.part(f" {part}")
+
+    def safe(self, text: str) -> bool:
+        """Whether the text may be cut."""
         for x in _BEFORE_SPACE:
             if x in text:
-                return [text]
+                return False
         for x in _ANYWHERE:
             if x in text:
-                return [text]
+                return False
         for x in self.special:
             if x in text:
-                return [text]
-        return text.split(" ")
+                return False
+        return True
+
+    def split(self, text: str) -> list[str]:
+        """The text's parts without their leading space (the first has none); an unsafe text is one."""
+        return text.split(" ") if self.safe(text) else [text]
 
     def _turn(self) -> None:
         """Starts a new generation when the present one is full."""
         if self.known.room <= 0:
-            self.known = _Values(self.part, dict(self.known), self.size)
+            full = self.known
+            full.before = {}
+            self.known = _Values(self.behind, full, self.size)
 
     def of(self, text: str) -> tuple[list[str], list[bytes]]:
         """The parts of a text and their values."""
@@ -131,9 +156,8 @@ class IdParts(Parts):
     version, are encoded by the library as a whole.
     """
 
-    #: The byte-level pre-tokenizer's pattern, marks that begin no other piece behind letters, and the plain range.
+    #: The byte-level pre-tokenizer's pattern and the plain range.
     PATTERN = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"
-    MARKS = ".,;:!?"
     PLAIN = re.compile("[\\t\\n\\r -~\u00a1-\u024f]*")
 
     def __init__(self, name: str, size: int = CACHE) -> None:
@@ -146,14 +170,22 @@ class IdParts(Parts):
         self.find, self.match, self.tokenize = regex.compile(self.PATTERN).findall, self.PLAIN.fullmatch, tok.model.tokenize
         self.letters = _byte_letters()
         self.space = self.letters[0x20]
+        plain = [c for c in map(chr, range(0x250)) if self.match(c)]
+        self.spelled = {ord(c): c.encode().decode("latin-1").translate(self.letters) for c in plain}
+        self.word = re.compile(f" [{''.join(c for c in plain if c.isalpha())}]+").match
         self.inner, self.inner_room = {}, size // 4
 
     def piece(self, piece: str) -> bytes:
-        if piece.isascii() and piece[0] == " " and piece[1:].isalnum():
-            spelled = self.space + piece[1:]
-        else:
-            spelled = piece.encode().decode("latin-1").translate(self.letters)
-        return array("I", [t.id for t in self.tokenize(spelled)]).tobytes()
+        return array("I", [t.id for t in self.tokenize(piece.translate(self.spelled))]).tobytes()
+
+    def behind(self, part: str) -> bytes:
+        # Letters are one piece.
+        if part.isalpha():
+            if part.isascii():
+                return array("I", [t.id for t in self.tokenize(self.space + part)]).tobytes()
+            if self.match(part):
+                return array("I", [t.id for t in self.tokenize(self.space + part.translate(self.spelled))]).tobytes()
+        return self.part(f" {part}")
 
     def within(self, piece: str) -> bytes:
         """A piece that is no part of its own."""
@@ -167,17 +199,86 @@ class IdParts(Parts):
                 self.inner_room -= ENTRY + len(piece) + len(value)
         return value
 
+    def each(self, texts: Sequence[str | None]) -> Iterator[bytes]:
+        """What ``joined`` gives for every text; a part is looked up once for all texts of a chunk."""
+        at = 0
+        while at < len(texts):
+            heads, tails, held = [], [], 0
+            while at < len(texts) and held < TOGETHER:
+                text = texts[at] or ""
+                cut = text.find(" ") if self.safe(text) else -1
+                heads.append(self.whole(text if cut < 0 else text[:cut]))
+                tails.append(None if cut < 0 else text[cut + 1 :])
+                held += len(text)
+                at += 1
+            yield from self._together(heads, tails)
+
+    def _values(self, names: list[str]) -> list[bytes]:
+        """The values of distinct parts; those without one get theirs together."""
+        known, before, fresh = self.known, self.known.before, {}
+        values = list(map(known.get, names))
+        absent = [k for k, v in enumerate(values) if v is None]
+        for k in absent:
+            if (found := before.get(names[k])) is not None:
+                values[k] = fresh[names[k]] = found
+        absent = [k for k in absent if values[k] is None]
+        words = [k for k in absent if names[k].isalpha() and self.match(names[k])]
+        spelled = " ".join([names[k] for k in words]).translate(self.spelled).split(self.space)
+        tokens = [self.tokenize(self.space + x) for x in spelled] if words else []
+        ids, at = array("I", [t.id for x in tokens for t in x]).tobytes(), 0
+        for k, x in zip(words, tokens, strict=True):
+            to = at + 4 * len(x)
+            values[k] = fresh[names[k]] = ids[at:to]
+            at = to
+        known.take(fresh)
+        for k in absent:
+            if values[k] is None:
+                values[k] = known[names[k]]
+        return values
+
+    def _together(self, heads: list[bytes], tails: list[str | None]) -> Iterator[bytes]:
+        self._turn()
+        split = pc.split_pattern(pa.array(tails, pa.string()), " ")
+        many = pc.fill_null(pc.list_value_length(split), 0).to_numpy(zero_copy_only=False)
+        parts = split.flatten().dictionary_encode()
+        # No part holds a space: one string of all is cut faster than they are read one by one.
+        distinct = parts.dictionary
+        names = pc.binary_join(pa.ListArray.from_arrays([0, len(distinct)], distinct), " ")[0].as_py().split(" ") if len(distinct) else []
+        values = [*self._values(names), *heads]
+        size = np.fromiter(map(len, values), np.int64, len(values)) // 4
+        first = np.cumsum(size) - size
+        # A text's head, then its parts.
+        entry = np.empty(len(parts) + len(heads), np.int64)
+        ends = np.cumsum(many + 1)
+        place = ends - many - 1
+        is_part = np.ones(len(entry), bool)
+        is_part[place] = False
+        entry[is_part] = parts.indices.to_numpy()
+        entry[place] = np.arange(len(values) - len(heads), len(values))
+        n = size[entry]
+        until = np.cumsum(n)
+        ids = np.frombuffer(b"".join(values), "<u4")[np.arange(until[-1]) + np.repeat(first[entry] - until + n, n)].tobytes()
+        edges = [0, *(4 * until[ends - 1]).tolist()]
+        yield from (ids[a:b] for a, b in zip(edges, edges[1:]))  # noqa: B905
+
     def part(self, string: str) -> bytes:
         if not self.match(string):
             return self.whole(string)
-        # Letters, or letters and marks behind them, need no search for their pieces.
-        word = string.rstrip(self.MARKS)
-        if string[0] == " " and word[1:].isalpha():
-            return self.piece(string) if len(word) == len(string) else self.known[word[1:]] + self.within(string[len(word) :])
-        pieces = self.find(string)
-        if len(pieces) == 1:
+        # Letters end a piece where they end, whatever follows; what follows is searched for its own pieces.
+        word = self.word(string)
+        if word is None:
+            return self.pieces(string)
+        at = word.end()
+        if at == len(string):
             return self.piece(string)
-        return b"".join([self.known[p[1:]] if p[0] == " " and len(p) > 1 else self.within(p) for p in pieces])
+        rest = string[at:]
+        return self.known[string[1:at]] + (self.inner.get(rest) or self.pieces(rest))
+
+    def pieces(self, string: str) -> bytes:
+        found = self.find(string)
+        if len(found) == 1:
+            return self.piece(string) if string[0] == " " else self.within(string)
+        return b"".join([self.known[p[1:]] if p[0] == " " and len(p) > 1 else self.within(p) for p in found])
 
 
 def added_tokens(tok) -> list[str]:
@@ -185,7 +286,7 @@ def added_tokens(tok) -> list[str]:
 
 
 @functools.cache
-def id_parts(name: str = VOCABULARY) -> Parts:
+def id_parts(name: str = VOCABULARY) -> IdParts:
     """Parts whose values are their ids, little-endian unsigned 32-bit; one cache per worker process."""
     return IdParts(name)
 

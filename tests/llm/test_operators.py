@@ -511,6 +511,22 @@ def test_readers_drop_the_encoders_caches(spark, docs):
     assert {r["n"] for r in read.mapInArrow(caches, "n long").collect()} == {0}
 
 
+def test_parts_of_many_texts_are_looked_up_together(monkeypatch):
+    texts = [None, "", " ", "a", " a", "a ", "a  b", "\n\n a", "a\n b", "x <|endoftext|> y", "it's 'quoted' isn't", "Ünï Ünï. ª Ġ ١٢ x²", "end\n", "x" * 3000 + " y " + "z" * 90, *(t for _, t, *_ in rows())]
+    r = np.random.default_rng(3)
+    texts += [" ".join(f"w{chr(97 + k % 26)}{chr(97 + k // 26 % 26)}{'.' * (k % 2)}" for k in r.integers(0, 900, 400).tolist()) for _ in range(6)]
+    for size, chunk in ((tokens.CACHE, 1 << 20), (20_000, 1 << 20), (tokens.CACHE, 50)):
+        monkeypatch.setattr(tokens, "TOGETHER", chunk)
+        parts = tokens.IdParts(tokens.VOCABULARY, size)
+        assert [np.frombuffer(x, "<u4").tolist() for x in parts.each(texts)] == [plain_ids(t) for t in texts]
+        assert size > 20_000 or len(parts.known) <= 110
+    # One piece a distinct word, however often it comes and however small the cache is.
+    parts, asked = tokens.IdParts(tokens.VOCABULARY, 1), []
+    parts.tokenize = lambda s, f=parts.tokenize: asked.append(s) or f(s)
+    monkeypatch.setattr(tokens, "TOGETHER", 1 << 20)
+    assert len(list(parts.each(["x one two one", "y two one two"]))) == 2 and len(asked) == 2
+
+
 def test_words_with_marks_equal_the_library():
     words = ["plain", "Ünïcode", "word.", "word,!?", "x'll.", "ab'", "a1.", "1a", ".,", "ª", "µ:", "a\u0301.", "word...\nNext", "naïve;", "don't,", "²", "a.b"]
     parts = tokens.IdParts(tokens.VOCABULARY)
