@@ -43,6 +43,30 @@ def test_many_wedges_are_not_shuffled(spark, monkeypatch):
     assert count.count_wedge_agg(g, "U").first()["balanced"] == want
 
 
+@pytest.mark.parametrize("near", (3, 50, 1 << 17))
+def test_dense_tiles_are_summed_in_small_pieces(monkeypatch, near):
+    """Where all wedges lie in matrices, with several layers; exact against the plain pairs."""
+    monkeypatch.setattr(tiles, "NEAR", near)
+    r = np.random.default_rng(near)
+    sides = []
+    for ends in (19, 26):
+        end, mid = np.nonzero(r.random((ends, 6)) < 0.8)
+        sides.append((end, mid, r.integers(0, 4, len(end)).astype(np.uint8)))
+    m = tiles.Meeting(*(tiles.Block.of(*x) for x in sides))
+    assert not len(m.edge)
+    a, b = ({(int(e), int(v)): int(k) for e, v, k in zip(*x, strict=True)} for x in sides)
+    want = [0] * 4
+    for i in range(19):
+        for j in range(26):
+            odd = [a[i, v] ^ b[j, v] for v in range(6) if (i, v) in a and (j, v) in b]
+            for k in range(2):
+                n = sum(x >> k & 1 for x in odd)
+                want[2 * k] += (len(odd) - n) * (len(odd) - n - 1) // 2
+                want[2 * k + 1] += n * (n - 1) // 2
+    monkeypatch.setattr(tiles, "CELLS", None)  # passes over many cells at once
+    assert tiles._counts(m, 2) == want
+
+
 def test_split_follows_from_the_other_side(spark, monkeypatch):
     """Many ends, few mids: the wedges of the other side are formed."""
     g = graph(spark, 2, 60, 4, 0.6)
