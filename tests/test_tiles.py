@@ -118,3 +118,45 @@ def test_blocks_are_packed_small():
     assert len(blob) < 4 * 200_000
     empty = tiles.Block.of(*(np.zeros(0, np.int64),) * 3)
     assert len(tiles.Block.unpack(pa.py_buffer(empty.pack())).start) == 1
+
+
+@pytest.mark.parametrize("balanced", (True, None))
+@pytest.mark.parametrize("ranges", (1, 2, 5))
+def test_enumeration_over_ranges(spark, monkeypatch, balanced, ranges):
+    """Every two ranges of middle vertices meet once, and a range meets itself."""
+    g = graph(spark, 5, 150, 4, 0.7)
+    held = {(r["u"], r["v"]): r["sign"] for r in g.edges.collect()}
+    users = {(c, d): [(a, held[a, c], held[a, d]) for a in range(150) if (a, c) in held and (a, d) in held] for d in range(4) for c in range(d)}
+    want = sorted((a, b, c, d, 4 - s1 - s2 - t1 - t2) for (c, d), rows in users.items() for a, s1, s2 in rows for b, t1, t2 in rows if a < b and (balanced is None or (s1 + s2 + t1 + t2) % 2 == 0))
+    for name, value in (("RANGES", ranges), ("WORTH", 1)):
+        monkeypatch.setattr(count, name, value)
+    assert sorted(tuple(r) for r in count.enumerate_butterflies(g, balanced).collect()) == want
+
+
+@pytest.mark.parametrize("size", (1, 7, 1000))
+def test_lists_of_a_key_meet(monkeypatch, size):
+    """Lists cut small, keys that go on over batches, all against plain pairs."""
+    for name, value in (("LIST", 4), ("GROUP", 2), ("MEET", 3), ("PIECE", 5)):
+        monkeypatch.setattr(count, name, value)
+    r = random.Random(size)
+    rows = sorted((1, high, r.choice((0, 1, 2)), m) for high in (2, 3, 9) for m in r.sample(range(100), 30 if high != 3 else 1))
+    names = ["low", "high", "p", "m"]
+    cut = lambda t: iter(pa.concat_tables([t.slice(k, size) for k in range(0, len(t), size)]).to_batches())
+    kinds = [pa.int64(), pa.int64(), pa.int32(), pa.int64()]
+    wedges = pa.table([pa.array(x, k) for x, k in zip(zip(*rows, strict=True), kinds, strict=True)], names=names)
+    lists = [x for b in count.listed(cut(wedges), 0) for x in b.to_pylist()]
+    assert sorted((x["low"], x["high"], x["p"], m) for x in lists for m in x["mids"]) == rows and max(len(x["mids"]) for x in lists) <= 4
+    sent = sorted(({k: x[k] for k in ("low", "high", "p", "mids")} | {"odd": x["p"] % 2, "meets": k} for x in lists for k in (0, 1)), key=lambda x: (x["low"], x["high"], x["odd"], x["meets"]))
+    schema = pa.schema([("low", pa.int64()), ("high", pa.int64()), ("odd", pa.int32()), ("meets", pa.int32()), ("p", pa.int32()), ("mids", pa.list_(pa.int64()))])
+    met = [x for b in count.met_lists(cut(pa.Table.from_pylist(sent, schema))) for x in b.to_pylist()]
+    got = sorted((x["high"], a, b, x["negatives"]) for x in met for a in x["first"] for b in x["second"] if a < b)
+    assert got == sorted((h, a, b, 4 - p - q) for _, h, p, a in rows for _, i, q, b in rows if h == i and a < b and (p + q) % 2 == 0)
+
+
+def test_enumerated_rows_are_written_small(spark, tmp_path):
+    """Under half a byte a row: values repeat in runs that the files hold once."""
+    g = graph(spark, 6, 3000, 3, 1.0)
+    count.enumerate_butterflies(g).write.parquet(str(tmp_path / "rows"))
+    rows = spark.read.parquet(str(tmp_path / "rows")).count()
+    assert rows == count.count_wedge_agg(g, "V").first()["balanced"]
+    assert sum(f.stat().st_size for f in (tmp_path / "rows").glob("*.parquet")) < rows // 2
